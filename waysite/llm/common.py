@@ -11,6 +11,8 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from waysite.session import ship_code
+
 #: A word is a run of bytes other than space, tab, line feed, vertical tab, form feed and carriage return.
 SPACES = "\\x20\\x09-\\x0D"
 SPACE_CLASS = f"[{SPACES}]+"
@@ -25,6 +27,7 @@ _LOWER[0x41:0x5B] += 0x20
 
 
 def read_table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
+    ship_code(spark)
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 

@@ -5,7 +5,7 @@ from __future__ import annotations
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 
-from . import bpe, mixing, telephony
+from . import bpe, mixing, quality, telephony, tokencount, warc
 from .common import read_table
 
 
@@ -22,10 +22,26 @@ def op5_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     return bpe.encode_documents(read_table(spark, sf_dir, "documents"), public_tokenizers.path("word_bpe_49k.json"), with_ids=False)
 
 
+def op7_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return tokencount.count_tokens(read_table(spark, sf_dir, "documents"), public_tokenizers.path("piece_bpe_32k.model"))
+
+
+def op9_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return warc.crawl_round_trip(read_table(spark, sf_dir, "pages"))
+
+
+def op10_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    judged = quality.judge(read_table(spark, sf_dir, "documents"))
+    return judged.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept", "distance")
+
+
 QUERIES = {
     "op2_mix_sources": op2_mix_sources,
     "op4_telephony": op4_telephony,
     "op5_bpe": op5_bpe,
+    "op7_token_counts": op7_token_counts,
+    "op9_warc": op9_warc,
+    "op10_quality": op10_quality,
 }
 
 OP2_SQL = r"""
@@ -64,4 +80,16 @@ targets AS (
 SELECT doc_id, size, source_size, target, CAST(copies * size AS BIGINT) AS taken, CAST(copies AS BIGINT) AS copies FROM taken
 """
 
-ORACLES = {"op2_mix_sources": OP2_SQL}
+OP9_SQL = r"""
+WITH p AS (SELECT page_id, encode(coalesce(html, '')) AS payload FROM pages),
+h AS (SELECT page_id, octet_length(payload) AS payload_bytes, sha1(payload) AS hexed FROM p),
+f AS (SELECT *, min(page_id) OVER (PARTITION BY hexed, payload_bytes) AS first FROM h)
+SELECT page_id, CAST(payload_bytes AS BIGINT) AS payload_bytes,
+       list_aggregate(list_transform(range(0, 32), lambda i: substr('ABCDEFGHIJKLMNOPQRSTUVWXYZ234567',
+         CAST(list_sum(list_transform(range(0, 5), lambda b: (instr('0123456789abcdef', substr(hexed, CAST((5 * i + b) // 4 + 1 AS INTEGER), 1)) - 1 >> CAST(3 - (5 * i + b) % 4 AS INTEGER) & 1) << CAST(4 - b AS INTEGER))) AS INTEGER) + 1, 1)), 'string_agg', '') AS payload_digest,
+       CASE WHEN page_id = first THEN 'response' ELSE 'revisit' END AS record_type,
+       CASE WHEN page_id <> first THEN first END AS refers_to
+FROM f
+"""
+
+ORACLES = {"op2_mix_sources": OP2_SQL, "op9_warc": OP9_SQL}
