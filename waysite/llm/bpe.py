@@ -11,6 +11,7 @@ import hashlib
 import heapq
 import json
 import unicodedata
+from array import array
 from collections.abc import Iterator
 from functools import lru_cache
 from itertools import chain
@@ -25,9 +26,7 @@ from tokenizers.pre_tokenizers import Split
 from .common import pick, slices
 
 #: Text bytes encoded at once, and distinct pre-tokens remembered by a task: both bound the memory of a worker.
-SLICE, REMEMBERED = 4 << 20, 400_000
-#: Characters that str.split() takes for white space and the splitting pattern doesn't.
-SEPARATORS = regex.compile("[\x1c-\x1f]")
+SLICE, REMEMBERED = 4 << 20, 600_000
 #: All but Latin letters and common punctuation.
 UNSETTLED = regex.compile("[^\x00-\u024f\u2010-\u2027\u20ac]")
 
@@ -60,21 +59,26 @@ class PairIndexBpe:
             self.pairs[rank] = pair
         split = next(p["pattern"]["Regex"] for p in spec["pre_tokenizer"]["pretokenizers"] if p["type"] == "Split")
         self.words = regex.compile(split)
-        self.spaces = regex.compile(r"\s+")
         self.marks = regex.compile("|".join(map(regex.escape, sorted(self.special, key=len, reverse=True)))) if self.special else None
         self.byte_char = byte_characters()
-        self.first_ids = [self.vocab[self.byte_char[b]] for b in range(256)]
-        self.last_ids = [self.vocab[self.byte_char[b] + self.suffix] for b in range(256)]
-        self.known: dict[str, bytes] = {}
+        # Symbols of single bytes: 0 to 255 within a word, 256 to 511 at its end.
+        self.byte_ids = np.array([self.vocab[self.byte_char[b] + end] for end in ("", self.suffix) for b in range(256)])
+        self.byte_ranks = np.full((512, 512), -1, np.int64)
+        place = {int(i): k for k, i in enumerate(self.byte_ids)}
+        for (left, right), (rank, _) in self.merges.items():
+            if left in place and right in place:
+                self.byte_ranks[place[left], place[right]] = rank
+        self.known: dict[str | int, bytes] = {}
         self.library_split = Split(Regex(split), "removed", invert=True)
         self.library_form = Tokenizer.from_file(path).normalizer
 
     # -- text to pre-tokens
 
     def normalize(self, text: str) -> str:
+        """NFC and lower case; runs of white space need no change, as the pattern leaves out all of it."""
         if not text.isascii():
             text = unicodedata.normalize("NFC", text)
-        return self.spaces.sub(" ", text).lower()
+        return text.lower()
 
     def pieces(self, text: str) -> list[str | int]:
         """Pre-tokens of a text in order, special tokens as their ids."""
@@ -99,27 +103,30 @@ class PairIndexBpe:
 
     def encode_words(self, words: list[str]) -> list[tuple[int, ...]]:
         """The ids of distinct pre-tokens, all encoded together through the pair index."""
-        symbols: list[int] = []
-        bounds = [0]
-        for word in words:
-            data = word.encode()
-            symbols += [self.first_ids[b] for b in data[:-1]]
-            symbols.append(self.last_ids[data[-1]])
-            bounds.append(len(symbols))
-        self._merge_all(symbols, bounds)
-        return [tuple(s for s in symbols[a:b] if s >= 0) for a, b in zip(bounds, bounds[1:], strict=False)]
-
-    def _merge_all(self, symbols: list[int], bounds: list[int]) -> None:
+        if not words:
+            return []
+        data = [w.encode() for w in words]
+        ends = np.cumsum(np.fromiter(map(len, data), np.int64, len(data)))
+        codes = np.frombuffer(b"".join(data), np.uint8).astype(np.int64)
+        codes[ends - 1] += 256
+        symbols = self.byte_ids[codes].tolist()
+        self._merge_all(symbols, codes, ends)
+        bounds = [0, *ends.tolist()]
+        return [tuple([s for s in symbols[a:b] if s >= 0]) for a, b in zip(bounds, bounds[1:], strict=False)]
+
+    def _merge_all(self, symbols: list[int], codes: np.ndarray, ends: np.ndarray) -> None:
         n, merges = len(symbols), self.merges
-        following, before = list(range(1, n + 1)), list(range(-1, n - 1))
-        for a, b in zip(bounds, bounds[1:], strict=False):
-            before[a], following[b - 1] = -1, -1
-        index: dict[int, list[int]] = {}
-        for i in range(n):
-            if following[i] >= 0 and (found := merges.get((symbols[i], symbols[i + 1]))):
-                index.setdefault(found[0], []).append(i)
-        active = list(index)
-        heapq.heapify(active)
+        following, before = np.arange(1, n + 1), np.arange(-1, n - 1)
+        following[ends - 1], before[0], before[ends[:-1]] = -1, -1, -1
+        # The index of the first pairs: positions grouped by rank, of those pairs of bytes that any rule merges.
+        rank = self.byte_ranks[codes[:-1], codes[1:]]
+        rank[ends[:-1] - 1] = -1
+        places = np.flatnonzero(rank >= 0)
+        places = places[np.argsort(rank[places], kind="stable")]
+        active, starts = np.unique(rank[places], return_index=True)
+        active = active.tolist()
+        index: dict[int, list[int]] = dict(zip(active, (x.tolist() for x in np.split(places, starts[1:])), strict=False)) if active else {}
+        following, before = following.tolist(), before.tolist()
         while active:
             rank = heapq.heappop(active)
             left, right = self.pairs[rank]
@@ -155,17 +162,14 @@ class PairIndexBpe:
         return rank
 
     def encode_batch(self, texts: list[str]) -> list[np.ndarray]:
-        """The ids of each text. Pre-tokens never span white space, so the parts between it are encoded once each."""
-        cut = [[t] if self.marks is not None and "<|" in t or SEPARATORS.search(t) else t.split() for t in texts]
-        fresh = set(chain.from_iterable(cut)) - self.known.keys()
-        if len(self.known) + len(fresh) > REMEMBERED:
-            self.known.clear()
-            fresh = set(chain.from_iterable(cut))
-        pieces = {part: self.pieces(part) for part in fresh}
-        words = sorted({w for found in pieces.values() for w in found if w.__class__ is str})
-        ids = dict(zip(words, self.encode_words(words), strict=True))
-        for part, found in pieces.items():
-            self.known[part] = np.fromiter(chain.from_iterable([ids[w] if w.__class__ is str else (w,) for w in found]), "<u4").tobytes()
+        """The ids of each text; pre-tokens not remembered are encoded once for all texts."""
+        cut = [self.pieces(t) for t in texts]
+        wanted = set(chain.from_iterable(cut))
+        self.known = recent(self.known, wanted)
+        new = wanted - self.known.keys()
+        words = sorted(w for w in new if w.__class__ is str)
+        self.known.update((w, array("I", ids).tobytes()) for w, ids in zip(words, self.encode_words(words), strict=True))
+        self.known.update((w, array("I", (w,)).tobytes()) for w in new if w.__class__ is int)
         return [np.frombuffer(b"".join(map(self.known.__getitem__, parts)), "<u4") for parts in cut]
 
     def decode(self, ids) -> str:
@@ -173,6 +177,11 @@ class PairIndexBpe:
         return " ".join(map(self.text_of.__getitem__, ids.tolist() if isinstance(ids, np.ndarray) else ids))
 
 
+def recent(known: dict, wanted: set) -> dict:
+    """What is remembered, or, once that and the wanted would be too much, what of it is wanted now."""
+    return known if len(known) + len(wanted) <= REMEMBERED else {k: known[k] for k in wanted & known.keys()}
+
+
 @lru_cache(maxsize=2)
 def tokenizer(path: str) -> PairIndexBpe:
     """One tokenizer a worker process, so that its tasks share the pre-tokens encoded so far."""
