@@ -5,7 +5,7 @@ from __future__ import annotations
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 
-from . import bpe, context_tree, mixing, quality, telephony, tokencount, warc
+from . import bpe, context_tree, mixing, quality, telephony, tokencount, toxicity, warc
 from .common import read_table
 
 
@@ -30,6 +30,11 @@ def op7_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return tokencount.count_tokens(read_table(spark, sf_dir, "documents"), public_tokenizers.path("piece_bpe_32k.model"))
 
 
+def op8_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = read_table(spark, sf_dir, "documents")
+    return toxicity.score_documents(docs, toxicity.train(docs, read_table(spark, sf_dir, "labels")))
+
+
 def op9_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
     return warc.crawl_round_trip(read_table(spark, sf_dir, "pages"))
 
@@ -45,6 +50,7 @@ QUERIES = {
     "op4_telephony": op4_telephony,
     "op5_bpe": op5_bpe,
     "op7_token_counts": op7_token_counts,
+    "op8_toxicity": op8_toxicity,
     "op9_warc": op9_warc,
     "op10_quality": op10_quality,
 }
