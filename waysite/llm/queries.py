@@ -5,7 +5,7 @@ from __future__ import annotations
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 
-from . import bpe, context_tree, mixing, quality, telephony, tokencount, toxicity, warc
+from . import bpe, context_tree, mixing, quality, shingle_join, telephony, tokencount, toxicity, warc
 from .common import read_table
 
 
@@ -26,6 +26,11 @@ def op5_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     return bpe.encode_documents(read_table(spark, sf_dir, "documents"), public_tokenizers.path("word_bpe_49k.json"), with_ids=False)
 
 
+def op6_shingle_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    joined = shingle_join.near_components(read_table(spark, sf_dir, "documents"), width=3, share=90)
+    return joined.select("doc_id", "n_shingles", "component_id", "n_linked")
+
+
 def op7_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return tokencount.count_tokens(read_table(spark, sf_dir, "documents"), public_tokenizers.path("piece_bpe_32k.model"))
 
@@ -49,6 +54,7 @@ QUERIES = {
     "op2_mix_sources": op2_mix_sources,
     "op4_telephony": op4_telephony,
     "op5_bpe": op5_bpe,
+    "op6_shingle_join": op6_shingle_join,
     "op7_token_counts": op7_token_counts,
     "op8_toxicity": op8_toxicity,
     "op9_warc": op9_warc,
@@ -103,4 +109,27 @@ SELECT page_id, CAST(payload_bytes AS BIGINT) AS payload_bytes,
 FROM f
 """
 
-ORACLES = {"op2_mix_sources": OP2_SQL, "op9_warc": OP9_SQL}
+OP6_SQL = r"""
+WITH RECURSIVE w AS (
+  SELECT doc_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x20\x09-\x0D]+') AS words FROM documents
+), s AS (
+  SELECT doc_id, CASE WHEN len(words) = 0 THEN [] WHEN len(words) < 3 THEN [array_to_string(words, ' ')]
+    ELSE list_distinct(list_transform(range(1, len(words) - 1), lambda i: array_to_string(words[i:i + 2], ' '))) END AS shingles
+  FROM w
+), t AS (SELECT doc_id, len(shingles) AS n, unnest(shingles) AS shingle FROM s),
+-- Only pairs that share a rare shingle can reach 9/10 here: each has at least one outside the tenth that may differ.
+f AS (SELECT shingle, count(*) AS c FROM t GROUP BY shingle),
+r AS (SELECT t.doc_id, t.n, t.shingle, row_number() OVER (PARTITION BY t.doc_id ORDER BY f.c, t.shingle) AS pos FROM t JOIN f USING (shingle)),
+p AS (SELECT doc_id, n, shingle FROM r WHERE pos <= n - (90 * n + 99) // 100 + 1),
+c AS (SELECT DISTINCT a.doc_id AS a, b.doc_id AS b, a.n AS na, b.n AS nb FROM p a JOIN p b ON a.shingle = b.shingle AND a.doc_id < b.doc_id
+      WHERE 100 * least(a.n, b.n) >= 90 * greatest(a.n, b.n)),
+l AS (SELECT c.a, c.b FROM c JOIN t x ON x.doc_id = c.a JOIN t y ON y.doc_id = c.b AND y.shingle = x.shingle
+      GROUP BY c.a, c.b, c.na, c.nb HAVING 100 * count(*) >= 90 * (c.na + c.nb - count(*))),
+e AS (SELECT a, b FROM l UNION ALL SELECT b, a FROM l),
+walk(node, seen) AS (SELECT doc_id, doc_id FROM documents UNION SELECT walk.node, e.b FROM walk JOIN e ON e.a = walk.seen),
+m AS (SELECT node, min(seen) AS component_id FROM walk GROUP BY node)
+SELECT s.doc_id, CAST(len(s.shingles) AS BIGINT) AS n_shingles, m.component_id, count(*) OVER (PARTITION BY m.component_id) AS n_linked
+FROM s JOIN m ON m.node = s.doc_id
+"""
+
+ORACLES = {"op6_shingle_join": OP6_SQL, "op2_mix_sources": OP2_SQL, "op9_warc": OP9_SQL}
