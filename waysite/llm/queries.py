@@ -4,8 +4,9 @@ from __future__ import annotations
 
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
-from . import bpe, context_tree, mixing, quality, shingle_join, telephony, tokencount, toxicity, warc
+from . import bpe, context_tree, line_dedup, mixing, quality, shingle_join, telephony, tokencount, toxicity, warc
 from .common import read_table
 
 
@@ -18,6 +19,11 @@ def op2_mix_sources(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixed.select("doc_id", "size", "source_size", "target", "taken", "copies")
 
 
+def op3_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    found = line_dedup.removed_lines(read_table(spark, sf_dir, "documents"))
+    return found.select("doc_id", F.col("n_lines").cast("long").alias("n_lines"), F.size("removed").cast("long").alias("n_removed"), F.array_join("removed", ",").alias("removed"))
+
+
 def op4_telephony(spark: SparkSession, sf_dir: str) -> DataFrame:
     return telephony.media_digests(telephony.store_media(read_table(spark, sf_dir, "documents"), codec=telephony.MU_LAW))
 
@@ -52,6 +58,7 @@ def op10_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
 QUERIES = {
     "op1_context_tree": op1_context_tree,
     "op2_mix_sources": op2_mix_sources,
+    "op3_line_dedup": op3_line_dedup,
     "op4_telephony": op4_telephony,
     "op5_bpe": op5_bpe,
     "op6_shingle_join": op6_shingle_join,
@@ -97,6 +104,26 @@ targets AS (
 SELECT doc_id, size, source_size, target, CAST(copies * size AS BIGINT) AS taken, CAST(copies AS BIGINT) AS copies FROM taken
 """
 
+OP3_SQL = r"""
+WITH l AS (
+  SELECT doc_id, i - 1 AS line_no, string_split(coalesce(text, ''), chr(10))[i] AS line
+  FROM (SELECT doc_id, text, unnest(range(1, len(string_split(coalesce(text, ''), chr(10))) + 1)) AS i FROM documents)
+), s AS (SELECT doc_id, line_no, line, list_sort(list_distinct(regexp_extract_all(lower(line), '[^\x20\x09-\x0D]+'))) AS words FROM l),
+d AS (SELECT words, min(struct_pack(doc_id, line_no)) AS first, row_number() OVER (ORDER BY words) AS id FROM s WHERE len(words) >= 5 GROUP BY words),
+t AS (SELECT id, len(words) AS n, unnest(words) AS w FROM d),
+f AS (SELECT w, count(*) AS c FROM t GROUP BY w),
+r AS (SELECT t.id, t.n, t.w, row_number() OVER (PARTITION BY t.id ORDER BY f.c, t.w) AS pos FROM t JOIN f USING (w)),
+p AS (SELECT id, n, w FROM r WHERE pos <= n - (80 * n + 99) // 100 + 1),
+c AS (SELECT DISTINCT a.id AS a, b.id AS b, a.n AS na, b.n AS nb FROM p a JOIN p b ON a.w = b.w AND a.id < b.id WHERE 100 * least(a.n, b.n) >= 80 * greatest(a.n, b.n)),
+m AS (SELECT c.a, c.b FROM c JOIN t x ON x.id = c.a JOIN t y ON y.id = c.b AND y.w = x.w GROUP BY c.a, c.b, c.na, c.nb HAVING 100 * count(*) >= 80 * (c.na + c.nb - count(*))),
+g AS (SELECT DISTINCT CASE WHEN x.first < y.first THEN y.id ELSE x.id END AS id FROM m JOIN d x ON x.id = m.a JOIN d y ON y.id = m.b),
+j AS (SELECT s.doc_id, s.line_no, d.id IS NOT NULL AND (g.id IS NOT NULL OR struct_pack(s.doc_id, s.line_no) <> d.first) AS goes
+      FROM s LEFT JOIN d ON d.words = s.words LEFT JOIN g ON g.id = d.id)
+SELECT doc_id, count(*) AS n_lines, CAST(count(*) FILTER (WHERE goes) AS BIGINT) AS n_removed,
+       coalesce(string_agg(CAST(line_no AS VARCHAR), ',' ORDER BY line_no) FILTER (WHERE goes), '') AS removed
+FROM j GROUP BY doc_id
+"""
+
 OP9_SQL = r"""
 WITH p AS (SELECT page_id, encode(coalesce(html, '')) AS payload FROM pages),
 h AS (SELECT page_id, octet_length(payload) AS payload_bytes, sha1(payload) AS hexed FROM p),
@@ -132,4 +159,4 @@ SELECT s.doc_id, CAST(len(s.shingles) AS BIGINT) AS n_shingles, m.component_id,
 FROM s JOIN m ON m.node = s.doc_id
 """
 
-ORACLES = {"op6_shingle_join": OP6_SQL, "op2_mix_sources": OP2_SQL, "op9_warc": OP9_SQL}
+ORACLES = {"op3_line_dedup": OP3_SQL, "op6_shingle_join": OP6_SQL, "op2_mix_sources": OP2_SQL, "op9_warc": OP9_SQL}
