@@ -86,16 +86,17 @@ def statistics(raw: np.ndarray, offsets: np.ndarray) -> np.ndarray:
 
 
 def text_statistics(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang", source_col: str = "source") -> DataFrame:
-    """docs -> (doc_id, lang, source, *STATS): whole texts; null counts as the empty text, which has zeros."""
+    """docs -> (doc_id, lang, source, tkey, *STATS): whole texts; null counts as the empty text, which has zeros. tkey
+    is xxhash64 of the text."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in slices(batches, "text", SLICE):
-            found = statistics(*utf8_buffer(batch.column(3)))
-            yield pa.RecordBatch.from_arrays([*batch.columns[:3], *(pa.array(found[:, k]) for k in range(len(STATS)))], names=["doc_id", "lang", "source", *STATS])
+            found = statistics(*utf8_buffer(batch.column(4)))
+            yield pa.RecordBatch.from_arrays([*batch.columns[:4], *(pa.array(found[:, k]) for k in range(len(STATS)))], names=["doc_id", "lang", "source", "tkey", *STATS])
 
-    chosen = pick(docs, doc_id=id_col, lang=lang_col, source=source_col, text=text_col)
+    chosen = pick(docs, doc_id=id_col, lang=lang_col, source=source_col, text=text_col).select("doc_id", "lang", "source", F.xxhash64(F.coalesce("text", F.lit(""))).alias("tkey"), "text")
     kind = chosen.schema["doc_id"].dataType.simpleString()
-    return chosen.mapInArrow(run, f"doc_id {kind}, lang string, source string, " + ", ".join(f"{s} long" for s in STATS))
+    return chosen.mapInArrow(run, f"doc_id {kind}, lang string, source string, tkey long, " + ", ".join(f"{s} long" for s in STATS))
 
 
 def base_failed() -> Column:
@@ -185,7 +186,7 @@ def measure(rows: DataFrame, params: DataFrame) -> DataFrame:
 
 
 def judge(docs: DataFrame, *, cutoff: float = CUTOFF, least_group: int = LEAST_GROUP, coverage: float = COVERAGE, steps: int = STEPS, **columns: str) -> DataFrame:
-    """docs -> (doc_id, lang, source, *STATS, base_failed, distance, kept), a row for every input row.
+    """docs -> (doc_id, lang, source, tkey, *STATS, base_failed, distance, kept), a row for every input row.
 
     Documents that fail the base rules are rejected and take no part in the estimates. Null languages and sources are
     values of their own; groups below least_group use their language's, or the corpus', estimate. An empty table
@@ -202,6 +203,14 @@ def judge(docs: DataFrame, *, cutoff: float = CUTOFF, least_group: int = LEAST_G
     fed = labelled.select(F.explode(feeds).alias("unit"), *FEATURES).join(wanted, "unit", "left_semi")
     params = estimate(materialize(fed, "quality-features"), coverage, steps)
     measured = measure(labelled.withColumnRenamed("own", "unit"), params).withColumn("distance", F.col("d2") * F.col("p.scale"))
-    good = measured.select("doc_id", "lang", "source", *STATS, F.lit(False).alias("base_failed"), F.round("distance", 6).alias("distance"), F.coalesce(F.col("distance") <= cutoff, F.lit(True)).alias("kept"))
-    bad = stats.where(base_failed()).select("doc_id", "lang", "source", *STATS, F.lit(True).alias("base_failed"), F.lit(None).cast("double").alias("distance"), F.lit(False).alias("kept"))
+    good = measured.select("doc_id", "lang", "source", "tkey", *STATS, F.lit(False).alias("base_failed"), F.round("distance", 6).alias("distance"), F.coalesce(F.col("distance") <= cutoff, F.lit(True)).alias("kept"))
+    bad = stats.where(base_failed()).select("doc_id", "lang", "source", "tkey", *STATS, F.lit(True).alias("base_failed"), F.lit(None).cast("double").alias("distance"), F.lit(False).alias("kept"))
     return good.unionByName(bad)
+
+
+def keep_good(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang", source_col: str = "source", **options) -> DataFrame:
+    """docs without the rejected documents, all columns kept."""
+    judged = judge(docs, id_col=id_col, text_col=text_col, lang_col=lang_col, source_col=source_col, **options)
+    rejected = judged.where(~F.col("kept")).select(F.col("doc_id").alias("__id"), F.col("lang").alias("__lang"), F.col("source").alias("__source"), F.col("tkey").alias("__key")).distinct()
+    same = F.col(id_col).eqNullSafe(F.col("__id")) & F.col(lang_col).eqNullSafe(F.col("__lang")) & F.col(source_col).eqNullSafe(F.col("__source")) & (F.xxhash64(F.coalesce(text_col, F.lit(""))) == F.col("__key"))
+    return docs.join(rejected, same, "left_anti")

@@ -247,3 +247,15 @@ def labelled(found: DataFrame, roots: DataFrame) -> DataFrame:
     known = rooted.join(whole, F.col("root") == F.col("r")).select(F.col("sig").alias("s"), "component_id", "n_linked")
     own = F.col("sig").isNull()
     return found.join(known, F.col("sig") == F.col("s"), "left").select("doc_id", "tkey", F.col("n").alias("n_shingles"), F.when(own, F.col("doc_id")).otherwise(F.col("component_id")).alias("component_id"), F.when(own, F.lit(1)).otherwise(F.col("n_linked")).cast("long").alias("n_linked"))
+
+
+def keep_one_of_each(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", width: int = 5, share: int = 80) -> DataFrame:
+    """docs with one row of each component, all columns kept: the row with the smallest id (nulls last) and text key.
+
+    Documents without words are in no component and stay. Rows that repeat both id and text count as one."""
+    found = near_components(docs, id_col=id_col, text_col=text_col, width=width, share=share)
+    place = F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "tkey")
+    best = found.where("n_shingles > 0").groupBy("component_id", F.when(F.col("component_id").isNull(), F.col("tkey")).alias("alone")).agg(F.min(place).alias("best"))
+    kept = best.select(F.col("best.doc_id").alias("__id"), F.col("best.tkey").alias("__key")).unionByName(found.where("n_shingles = 0").select(F.col("doc_id").alias("__id"), F.col("tkey").alias("__key")).distinct())
+    keyed = docs.withColumn("__text_key", F.xxhash64(F.coalesce(text_col, F.lit(""))))
+    return keyed.join(kept, F.col(id_col).eqNullSafe(F.col("__id")) & (F.col("__text_key") == F.col("__key")), "left_semi").dropDuplicates([id_col, "__text_key"]).drop("__text_key")

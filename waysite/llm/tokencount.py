@@ -19,7 +19,7 @@ from .common import pick, segments, slices, utf8_buffer, word_stream
 
 SLICE = 4 << 20
 #: Words remembered by a worker with their counts: bounds its memory, not what is counted.
-REMEMBERED = 400_000
+REMEMBERED = 600_000
 START = "▁"
 
 
@@ -31,10 +31,12 @@ class TrieUnigram:
 
     def __init__(self, piece_scores: dict[str, float], byte_score: float):
         self.scores, self.byte_score = piece_scores, byte_score
-        # The longest piece that ends in a character: no ending beyond it is looked up.
-        self.endings: dict[str, int] = {}
+        # Every ending of a piece, with the score of those that are pieces: a longer ending of an unknown one is none.
+        self.endings: dict[str, float | None] = {}
         for piece in piece_scores:
-            self.endings[piece[-1]] = max(self.endings.get(piece[-1], 0), len(piece))
+            for k in range(len(piece)):
+                self.endings.setdefault(piece[k:], None)
+        self.endings.update(piece_scores)
         self.known: dict[str, tuple[int, int, float]] = {}
 
     def count_words(self, words: list[str]) -> list[tuple[int, int, float]]:
@@ -68,24 +70,23 @@ class TrieUnigram:
         score, pieces, fallback = best[n - 1]
         size = 1 if last < "\x80" else len(last.encode())
         top = (score + size * self.byte_score, pieces - size, fallback - size)
-        reach = self.endings.get(last, 0)
-        if reach:
-            base = max(0, n - reach)
-            tail = "".join(path[base:])
-            for k in range(len(tail)):
-                own = self.scores.get(tail[k:])
-                if own is not None:
-                    score, pieces, fallback = best[base + k]
-                    found = (score + own, pieces - 1, fallback)
-                    if found > top:
-                        top = found
+        ending, endings = "", self.endings
+        for k in range(n - 1, -1, -1):
+            ending = path[k] + ending
+            if ending not in endings:
+                break
+            own = endings[ending]
+            if own is not None:
+                score, pieces, fallback = best[k]
+                found = (score + own, pieces - 1, fallback)
+                if found > top:
+                    top = found
         return top
 
     def lookup(self, words: list[str]) -> list[tuple[int, int, float]]:
+        if len(self.known) + len(words) > REMEMBERED:
+            self.known = {w: self.known[w] for w in words if w in self.known}
         fresh = [w for w in words if w not in self.known]
-        if len(self.known) + len(fresh) > REMEMBERED:
-            self.known.clear()
-            fresh = words
         self.known.update(zip(fresh, self.count_words(fresh), strict=True))
         return [self.known[w] for w in words]
 
