@@ -62,8 +62,8 @@ def fill_gaps(points: DataFrame, side: int, rule: str = "x_then_y") -> DataFrame
     before = F.lag("node_id").over(w)
     x, y = F.pmod(F.col("node_id"), F.lit(side)), F.floor(F.col("node_id") / side)
     with_last = points.withColumn("last", before).withColumn("x0", F.pmod(F.col("last"), F.lit(side))).withColumn("y0", F.floor(F.col("last") / side)).withColumn("x1", x).withColumn("y1", y)
-    along_x = F.expr(f"CASE WHEN x0 = x1 THEN array() ELSE transform(sequence(x0 + sign(x1 - x0), x1), v -> cast(y0 * {side} + v AS bigint)) END")
-    along_y = F.expr(f"CASE WHEN y0 = y1 THEN array() ELSE transform(sequence(y0 + sign(y1 - y0), y1), v -> cast(v * {side} + x1 AS bigint)) END")
+    along_x = F.expr(f"CASE WHEN x0 = x1 THEN cast(array() as array<bigint>) ELSE transform(sequence(x0 + cast(sign(x1 - x0) as int), x1), v -> cast(y0 * {side} + v AS bigint)) END")
+    along_y = F.expr(f"CASE WHEN y0 = y1 THEN cast(array() as array<bigint>) ELSE transform(sequence(y0 + cast(sign(y1 - y0) as int), y1), v -> cast(v * {side} + x1 AS bigint)) END")
     steps = F.when(F.col("last").isNull() | (F.col("last") == F.col("node_id")), F.array("node_id")).otherwise(F.concat(along_x, along_y))
     walked = with_last.withColumn("x0", F.col("x0").cast("int")).withColumn("x1", F.col("x1").cast("int")).withColumn("y0", F.col("y0").cast("int")).withColumn("y1", F.col("y1").cast("int")).select("path_id", "seq", "ts", F.posexplode(steps).alias("sub", "node"))
     order = Window.partitionBy("path_id").orderBy("seq", "sub")
