@@ -97,7 +97,8 @@ def kernel_detours(points: DataFrame, sites: DataFrame, dist: DataFrame, tau: in
     routes = path_arrays(points).select("path_id", F.array_sort(F.array_distinct("nodes")).alias("nodes")).withColumn("route", F.xxhash64("nodes"))
     once = routes.groupBy("route").agg(F.first("nodes").alias("nodes"))
     found = once.mapInPandas(run, "route long, site_id long, metres long")
-    return routes.select("path_id", "route").join(found, "route").select("path_id", "site_id", "metres")
+    # Up to one row a route and site, many times the estimate made from the routes: never to be broadcast.
+    return routes.select("path_id", "route").join(found.hint("merge"), "route").select("path_id", "site_id", "metres")
 
 
 def ranked_detours(detour: DataFrame) -> DataFrame:
