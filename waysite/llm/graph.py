@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import materialize
+from .common import discard, materialize
 
 
 def connected_components(links: DataFrame, most_rounds: int = 60) -> DataFrame:
@@ -18,7 +18,8 @@ def connected_components(links: DataFrame, most_rounds: int = 60) -> DataFrame:
     pairs = materialize(pairs, "cc-links")
     before = None
     for _ in range(most_rounds):
-        pairs = materialize(small_star(large_star(pairs)), "cc-round")
+        last, pairs = pairs, materialize(small_star(large_star(pairs)), "cc-round")
+        discard(last)
         now = tuple(pairs.agg(F.count("*"), F.sum(F.xxhash64("hi", "lo").cast("decimal(38,0)"))).first())
         if now == before:
             break

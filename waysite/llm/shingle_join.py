@@ -11,6 +11,7 @@ nodes joined that way need not meet again. What is left, pairs of different comp
 from __future__ import annotations
 
 from collections.abc import Iterator
+from functools import reduce
 
 import numpy as np
 import pyarrow as pa
@@ -20,13 +21,18 @@ import zstandard
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import materialize, mix64, pick, segments, slices, utf8_buffer, word_stream
+from .common import discard, materialize, mix64, pick, segments, slices, utf8_buffer, word_stream
 from .graph import connected_components
 
-SLICE = 4 << 20
+SLICE = 2 << 20
 #: Counters of the frequency sketch, and in how many parts they are summed. Fixed size; collisions only change the order.
-SLOTS, SLOT_PARTS = 1 << 20, 64
-#: Bits of the filter for texts to verify: 16 a candidate, at most this many (16 MB).
+SLOTS, SLOT_PARTS = 1 << 24, 64
+#: Bits of a set's parity map: two sets differ in at least as many members as their maps differ in bits. Its
+#: fold to 64 bits goes with every prefix token, the whole map with every pair of sets.
+PARITY_WORDS = 8
+#: A token in the prefixes of more groups than this is met in two steps.
+MANY = 64
+#: Bits of the filter for texts to verify: 64 a candidate, at most this many (16 MB).
 MOST_BITS = 1 << 27
 
 
@@ -61,12 +67,13 @@ def slot_counts(docs: DataFrame, width: int) -> np.ndarray:
     """How many texts hold a shingle of each slot, over all texts, as ranks 0 to 255 on a logarithmic scale."""
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        total = np.zeros(SLOTS, np.int64)
+        total = np.zeros(SLOTS, np.uint32)
         for batch in slices(batches, "text", SLICE):
             found = shingle_hashes(batch.column(0), width)
             if found:
-                total += np.bincount((np.concatenate(found) & np.uint64(SLOTS - 1)).astype(np.int64), minlength=SLOTS)
-        for part, values in enumerate(np.split(total.astype("<u4"), SLOT_PARTS)):
+                at, times = np.unique(np.concatenate(found) & np.uint64(SLOTS - 1), return_counts=True)
+                total[at.astype(np.int64)] += times.astype(np.uint32)
+        for part, values in enumerate(np.split(total, SLOT_PARTS)):
             if values.any():
                 yield pa.RecordBatch.from_arrays([pa.array([part], pa.int32()), pa.array([zstandard.compress(values.tobytes(), 1)], pa.binary())], names=["part", "counts"])
 
@@ -76,14 +83,15 @@ def slot_counts(docs: DataFrame, width: int) -> np.ndarray:
             for part, data in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
                 totals[part] = totals.get(part, 0) + np.frombuffer(zstandard.decompress(data), "<u4").astype("<i8")
         for part, values in totals.items():
-            yield pa.RecordBatch.from_arrays([pa.array([part], pa.int32()), pa.array([values.tobytes()], pa.binary())], names=["part", "counts"])
+            ranks = np.minimum(8 * np.log2(values + 1), 255).astype(np.uint8)
+            yield pa.RecordBatch.from_arrays([pa.array([part], pa.int32()), pa.array([zstandard.compress(ranks.tobytes(), 1)], pa.binary())], names=["part", "counts"])
 
     counted = docs.select("text").mapInArrow(count, "part int, counts binary")
-    summed = counted.repartition(SLOT_PARTS, "part").mapInArrow(add, "part int, counts binary").collect()  # SLOTS counters
-    total = np.zeros((SLOT_PARTS, SLOTS // SLOT_PARTS), np.int64)
+    summed = counted.repartition(SLOT_PARTS, "part").mapInArrow(add, "part int, counts binary").collect()  # SLOTS bytes at most
+    total = np.zeros((SLOT_PARTS, SLOTS // SLOT_PARTS), np.uint8)
     for part, data in summed:
-        total[part] = np.frombuffer(data, "<i8")
-    return np.minimum(8 * np.log2(total.reshape(-1) + 1), 255).astype(np.uint8)
+        total[part] = np.frombuffer(zstandard.decompress(data), np.uint8)
+    return total.reshape(-1)
 
 
 def prefix_length(n: int, share: int) -> int:
@@ -91,42 +99,48 @@ def prefix_length(n: int, share: int) -> int:
 
 
 def prefixes(docs: DataFrame, ranks, width: int, share: int) -> DataFrame:
-    """docs(doc_id, text, tkey) -> (doc_id, tkey, n, sig, gid, hot, prefix): sig: the set, 16 bytes (null: empty set);
-    gid: prefix and size; hot: mean rank of the prefix; prefix: its tokens from rare to frequent."""
+    """docs(doc_id, text, tkey) -> (doc_id, tkey, n, sig, gid, hot, parity, prefix): sig: the set, 16 bytes (null:
+    empty set); gid: prefix and size; hot: mean rank of the prefix; parity: for each of the map's bits whether an odd
+    number of members falls on it; prefix: its tokens from rare to frequent."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        rank = ranks.value.astype(np.uint64) << np.uint64(56)
+        rank = ranks.value
         for batch in slices(batches, "text", SLICE):
-            sizes, sigs, gids, hots, tokens = [], [], [], [], []
+            sizes, sigs, gids, hots, parities, tokens = [], [], [], [], [], []
             for found in shingle_hashes(batch.column(1), width):
                 n = len(found)
                 sizes.append(n)
                 if not n:
-                    for column, value in ((sigs, None), (gids, 0), (hots, 0), (tokens, [])):
+                    for column, value in ((sigs, None), (gids, 0), (hots, 0), (parities, []), (tokens, [])):
                         column.append(value)
                     continue
                 sigs.append(xxhash.xxh3_128_digest(found.tobytes()))
-                ordered = np.sort(rank[(found & np.uint64(SLOTS - 1)).astype(np.int64)] | (found >> np.uint64(8)))
+                ordered = np.sort(rank[(found & np.uint64(SLOTS - 1)).astype(np.int64)].astype(np.uint64) << np.uint64(56) | found >> np.uint64(8))
                 first = ordered[: prefix_length(n, share)]
                 gids.append(int(np.array(xxhash.xxh3_64_intdigest(first.tobytes(), seed=n), np.uint64).view(np.int64)))
                 hots.append(int((first >> np.uint64(56)).mean()))
+                odd = np.bincount((found >> np.uint64(24)).astype(np.int64) & (64 * PARITY_WORDS - 1), minlength=64 * PARITY_WORDS) & 1
+                parities.append(np.packbits(odd.astype(bool), bitorder="little").view("<i8"))
                 tokens.append(first.view(np.int64))
-            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(2), pa.array(sizes, pa.int64()), pa.array(sigs, pa.binary()), pa.array(gids, pa.int64()), pa.array(hots, pa.int32()), pa.array(tokens, pa.list_(pa.int64()))], names=["doc_id", "tkey", "n", "sig", "gid", "hot", "prefix"])
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(2), pa.array(sizes, pa.int64()), pa.array(sigs, pa.binary()), pa.array(gids, pa.int64()), pa.array(hots, pa.int32()), pa.array(parities, pa.list_(pa.int64())), pa.array(tokens, pa.list_(pa.int64()))], names=["doc_id", "tkey", "n", "sig", "gid", "hot", "parity", "prefix"])
 
-    return docs.select("doc_id", "text", "tkey").mapInArrow(run, f"doc_id {docs.schema['doc_id'].dataType.simpleString()}, tkey long, n long, sig binary, gid long, hot int, prefix array<long>")
+    return docs.select("doc_id", "text", "tkey").mapInArrow(run, f"doc_id {docs.schema['doc_id'].dataType.simpleString()}, tkey long, n long, sig binary, gid long, hot int, parity array<long>, prefix array<long>")
 
 
-def compatible(n1: str, p1: str, n2: str, p2: str, share: int) -> Column:
-    """Size and position filters for two sets that share a token at positions p1 and p2 of their orders."""
-    a, b, i, j = (F.col(c) for c in (n1, n2, p1, p2))
+def compatible(one: str, two: str, share: int) -> Column:
+    """Size, position and parity filters for two sets that share a token; one and two end the names of their columns
+    n, pos and bits. Groups of several sets have null bits, which filter nothing."""
+    a, b, i, j, x, y = (F.col(f"{c}{k}") for c in ("n", "pos", "bits") for k in (one, two))
     reach = F.least(i, j) + 1 + F.least(a - 1 - i, b - 1 - j)
-    return (100 * F.least(a, b) >= share * F.greatest(a, b)) & (reach * (100 + share) >= share * (a + b))
+    parity = F.bit_count(x.bitwiseXOR(y)) * (100 + share) <= (100 - share) * (a + b)
+    return (100 * F.least(a, b) >= share * F.greatest(a, b)) & (reach * (100 + share) >= share * (a + b)) & F.coalesce(parity, F.lit(True))
 
 
 def candidate_texts(docs: DataFrame, wanted: DataFrame) -> DataFrame:
-    """(tkey, text), one row a key of wanted(tkey). A bit filter of bounded size thins the texts before the shuffle."""
+    """(tkey, text), one row a key of wanted(tkey), compressed. A bit filter of bounded size thins the texts before the
+    shuffle."""
     n = wanted.count()
-    bits = 1 << max(10, min(MOST_BITS, 16 * max(1, n)).bit_length() - 1)
+    bits = 1 << max(10, min(MOST_BITS, 64 * max(1, n)).bit_length() - 1)
 
     def mark(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held = np.zeros(bits, bool)
@@ -144,16 +158,21 @@ def candidate_texts(docs: DataFrame, wanted: DataFrame) -> DataFrame:
     def thin(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         known = np.unpackbits(shared.value).astype(bool)
         for batch in batches:
-            yield batch.filter(pa.array(known[np.asarray(batch.column(0)) & (bits - 1)]))
+            left = batch.filter(pa.array(known[np.asarray(batch.column(0)) & (bits - 1)]))
+            packed = [zstandard.compress((t or "").encode(), 3) for t in left.column(1).to_pylist()]
+            yield pa.RecordBatch.from_arrays([left.column(0), pa.array(packed, pa.binary())], names=["tkey", "text"])
 
-    thinned = docs.select("tkey", "text").mapInArrow(thin, "tkey long, text string")
+    thinned = docs.select("tkey", "text").mapInArrow(thin, "tkey long, text binary")
     return thinned.join(wanted.select(F.col("tkey").alias("k")), F.col("tkey") == F.col("k")).drop("k").dropDuplicates(["tkey"])
 
 
 def verified(docs: DataFrame, pairs: DataFrame, nodes: DataFrame, width: int, share: int) -> DataFrame:
     """pairs(a, b) of nodes -> those that link, by intersection and union of their whole sets."""
-    keys = nodes.select(F.col("sig").alias("of"), "tkey")
-    keyed = pairs.join(keys, F.col("a") == F.col("of")).select("a", "b", F.col("tkey").alias("ka")).join(keys, F.col("b") == F.col("of")).select("a", "b", "ka", F.col("tkey").alias("kb"))
+    keys = nodes.select(F.col("sig").alias("of"), "tkey", "n", "parity")
+    left = pairs.join(keys, F.col("a") == F.col("of")).select("a", "b", F.col("tkey").alias("ka"), F.col("n").alias("na"), F.col("parity").alias("xa"))
+    keyed = left.join(keys, F.col("b") == F.col("of")).withColumn("apart", F.aggregate(F.zip_with("xa", "parity", lambda p, q: F.bit_count(p.bitwiseXOR(q))), F.lit(0), lambda t, v: t + v))
+    near = (F.col("apart") * (100 + share) <= (100 - share) * (F.col("na") + F.col("n"))) & (100 * F.least("na", "n") >= share * F.greatest("na", "n"))
+    keyed = keyed.where(near).select("a", "b", "ka", F.col("tkey").alias("kb"))
     keyed = materialize(keyed, "shingle-pairs")
     wanted = keyed.select(F.col("ka").alias("tkey")).unionByName(keyed.select(F.col("kb").alias("tkey"))).distinct()
     texts = materialize(candidate_texts(docs, wanted), "shingle-texts")
@@ -163,17 +182,17 @@ def verified(docs: DataFrame, pairs: DataFrame, nodes: DataFrame, width: int, sh
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: dict[int, np.ndarray] = {}
-        for whole in slices(batches, "ta", SLICE // 2):
-            for batch in slices([whole], "tb", SLICE // 2):
+        for whole in slices(batches, "ta", SLICE // 4):
+            for batch in slices([whole], "tb", SLICE // 4):
                 sets = []
                 for key, text in ((2, 4), (3, 5)):
                     ids = batch.column(key).to_pylist()
                     fresh = {k: i for i, k in enumerate(ids) if k not in held}
-                    if len(held) + len(fresh) > 2000:
+                    if len(held) + len(fresh) > 1000:
                         held.clear()
                         fresh = {k: i for i, k in enumerate(ids)}
-                    at = pa.array(list(fresh.values()), pa.int64())
-                    held.update(zip(fresh, shingle_hashes(batch.column(text).take(at), width), strict=True))
+                    plain = [zstandard.decompress(batch.column(text)[i].as_py()).decode() for i in fresh.values()]
+                    held.update(zip(fresh, shingle_hashes(pa.array(plain, pa.large_string()), width), strict=True))
                     sets.append([held[k] for k in ids])
                 links = []
                 for x, y in zip(*sets, strict=True):
@@ -181,7 +200,9 @@ def verified(docs: DataFrame, pairs: DataFrame, nodes: DataFrame, width: int, sh
                     links.append(100 * common >= share * (len(x) + len(y) - common))
                 yield batch.select(["a", "b"]).filter(pa.array(links, pa.bool_()))
 
-    return joined.mapInArrow(run, "a binary, b binary")
+    links = materialize(joined.mapInArrow(run, "a binary, b binary"), "shingle-links")
+    discard(keyed, texts)
+    return links
 
 
 def expand_to_nodes(pairs: DataFrame, nodes: DataFrame, left: str, right: str) -> DataFrame:
@@ -200,42 +221,52 @@ def near_components(docs: DataFrame, *, id_col: str = "doc_id", text_col: str =
     rows = pick(docs, doc_id=id_col, text=text_col).withColumn("tkey", F.xxhash64(F.coalesce("text", F.lit(""))))
     ranks = rows.sparkSession.sparkContext.broadcast(slot_counts(rows, width))
     found = materialize(prefixes(rows, ranks, width, share), "shingle-prefixes")
-    nodes = materialize(found.where("n > 0").groupBy("sig").agg(F.min("tkey").alias("tkey"), F.first("gid").alias("gid"), F.count("*").alias("copies")), "shingle-nodes")
-    groups = found.where("n > 0").groupBy("gid").agg(F.first("n").alias("n"), F.first("hot").alias("hot"), F.count("*").alias("weight"), F.first("prefix").alias("prefix"))
+    nodes = materialize(found.where("n > 0").groupBy("sig").agg(F.min("tkey").alias("tkey"), F.first("gid").alias("gid"), F.first("n").alias("n"), F.first("parity").alias("parity"), F.count("*").alias("copies")), "shingle-nodes")
+    word = reduce(lambda x, y: x.bitwiseXOR(y), [F.col("parity")[k] for k in range(PARITY_WORDS)])  # the map modulo 64
+    groups = found.where("n > 0").groupBy("gid").agg(F.first("n").alias("n"), F.when(F.min(word) == F.max(word), F.min(word)).alias("bits"), F.first("hot").alias("hot"), F.count("*").alias("weight"), F.first("prefix").alias("prefix"))
     # One number ranks groups as hubs: many copies first, then frequent prefixes (an original has no rare edits of its own).
     rank = F.shiftleft(F.least(F.col("weight"), F.lit(65535)), 46) + F.shiftleft(F.col("hot").cast("long"), 38) + F.pmod("gid", F.lit(1 << 38))
-    entries = groups.select("gid", "n", rank.alias("rank"), F.posexplode("prefix").alias("pos", "token"))
-    shared = entries.groupBy("token").agg(F.count("*").alias("c"), F.max("rank").alias("top")).where("c > 1").select(F.col("token").alias("t"), "top")
-    meeting = materialize(entries.join(shared, F.col("token") == F.col("t")).select("token", "gid", "n", "pos", (F.col("rank") == F.col("top")).alias("is_hub")), "shingle-meeting")
-    hubs = meeting.where("is_hub").groupBy("token").agg(F.min("gid").alias("hub")).select(F.col("token").alias("t"), "hub")
-    at_hub = meeting.join(hubs, F.col("token") == F.col("t")).drop("t")
-    hub_rows = at_hub.where("gid = hub").select(F.col("token").alias("t"), F.col("hub").alias("h"), F.col("n").alias("hn"), F.col("pos").alias("hp"))
-    group_pairs = meeting.join(hub_rows, F.col("token") == F.col("t")).where(F.col("gid") != F.col("h")).where(compatible("n", "pos", "hn", "hp", share)).select("h", "gid").distinct()
+    entries = groups.select("gid", "n", "bits", rank.alias("rank"), F.posexplode("prefix").alias("pos", "token"))
+    place = F.shiftleft("n", 32) + F.col("pos")
+    # Counts and hubs are pre-aggregated per token in whole numbers; most tokens occur once and end here.
+    shared = entries.groupBy("token").agg(F.count("*").alias("c"), F.max_by("gid", "rank").alias("hub"), F.max_by(place, F.col("rank")).alias("hub_place"), F.max_by("bits", "rank").alias("bits_h")).where("c > 1")
+    shared = shared.select(F.col("token").alias("t"), "c", "hub", F.shiftright("hub_place", 32).alias("n_h"), F.col("hub_place").bitwiseAND(0x7FFFFFFF).alias("pos_h"), "bits_h")
+    meeting = materialize(entries.join(shared, F.col("token") == F.col("t")).drop("t", "rank"), "shingle-meeting")
+    group_pairs = meeting.where((F.col("gid") != F.col("hub")) & compatible("", "_h", share)).select(F.col("hub").alias("h"), "gid").distinct()
     lead = nodes.groupBy("gid").agg(F.min("sig").alias("lead"), F.count("*").alias("n_nodes"))
     # The hub group's first node meets all nodes of the other groups, and every group's first node its own others.
     starred = group_pairs.join(lead.select(F.col("gid").alias("g"), "lead"), F.col("h") == F.col("g")).select("lead", "gid")
     own = lead.where("n_nodes > 1").select("lead", "gid")
     star = expand_to_nodes(starred.unionByName(own), nodes, "lead", "gid").where("a <> b").distinct()
-    links = materialize(verified(rows, star, nodes, width, share), "shingle-star")
+    star = materialize(star, "shingle-star")
+    links = verified(rows, star, nodes, width, share)
     labels = connected_components(links)
     # What is left: pairs of groups that meet over a token and don't lie in one component yet.
-    placed = nodes.join(labels, F.col("sig") == F.col("node"), "left").select("sig", "gid", F.coalesce("root", "sig").alias("root"))
+    placed = nodes.join(labels, F.col("sig") == F.col("node"), "left").select("sig", "gid", "parity", F.coalesce("root", "sig").alias("root"))
     placed = materialize(placed, "shingle-placed")
-    spread = placed.groupBy("gid").agg(F.min("root").alias("low"), F.max("root").alias("high"))
+    spread = placed.groupBy("gid").agg(F.min("root").alias("low"), F.max("root").alias("high"), F.when(F.count("*") == 1, F.first("parity")).alias("whole"))
+    other = lambda df, *more: df.select(F.col("token").alias("t"), F.col("gid").alias("g2"), F.col("n").alias("n_2"), F.col("pos").alias("pos_2"), F.col("bits").alias("bits_2"), *more)
+    few = meeting.where((F.col("c") <= MANY) & (F.col("gid") != F.col("hub")))
+    plain = few.join(other(few), (F.col("token") == F.col("t")) & (F.col("gid") < F.col("g2")) & compatible("", "_2", share)).select(F.col("gid").alias("g1"), "g2")
+    # Over a token of many groups only those outside their hub's component go on, and meet the rest.
     hub_root = spread.select(F.col("gid").alias("hg"), F.col("low").alias("hub_low"), F.col("high").alias("hub_high"))
-    tagged = at_hub.join(spread.withColumnRenamed("gid", "g"), F.col("gid") == F.col("g")).join(hub_root, F.col("hub") == F.col("hg"))
+    tagged = meeting.where(F.col("c") > MANY).join(spread.withColumnRenamed("gid", "g"), F.col("gid") == F.col("g")).join(hub_root, F.col("hub") == F.col("hg"))
     settled = (F.col("low") == F.col("high")) & (F.col("hub_low") == F.col("hub_high")) & (F.col("low") == F.col("hub_low"))
-    tagged = materialize(tagged.select("token", "gid", "n", "pos", "low", "high", "hub", (~settled).alias("open")), "shingle-open")
-    others = tagged.select(F.col("token").alias("t"), F.col("gid").alias("g2"), F.col("n").alias("n2"), F.col("pos").alias("p2"), F.col("low").alias("low2"), F.col("high").alias("high2"), F.col("open").alias("open2"))
+    tagged = materialize(tagged.select("token", "gid", "n", "pos", "bits", "whole", "low", "high", (~settled).alias("open")), "shingle-open")
+    others = other(tagged, F.col("whole").alias("whole_2"), F.col("low").alias("low2"), F.col("high").alias("high2"), F.col("open").alias("open2"))
     apart = ~((F.col("low") == F.col("high")) & (F.col("low2") == F.col("high2")) & (F.col("low") == F.col("low2")))
-    rest = tagged.where("open").join(others, F.col("token") == F.col("t")).where((F.col("gid") < F.col("g2")) | ((F.col("gid") > F.col("g2")) & ~F.col("open2"))).where(apart & compatible("n", "pos", "n2", "p2", share)).select(F.col("gid").alias("g1"), "g2").distinct()
+    differ = sum((F.bit_count(F.col("whole")[k].bitwiseXOR(F.col("whole_2")[k])) for k in range(1, PARITY_WORDS)), F.bit_count(F.col("whole")[0].bitwiseXOR(F.col("whole_2")[0])))
+    whole = differ * (100 + share) <= (100 - share) * (F.col("n") + F.col("n_2"))
+    crowded = tagged.where("open").join(others, (F.col("token") == F.col("t")) & ((F.col("gid") < F.col("g2")) | ((F.col("gid") > F.col("g2")) & ~F.col("open2"))) & apart & compatible("", "_2", share) & F.coalesce(whole, F.lit(True))).select(F.col("gid").alias("g1"), "g2")
+    rest = plain.unionByName(crowded).distinct()
     mixed = spread.where("low <> high").select(F.col("gid").alias("g1"), F.col("gid").alias("g2"))
     first = placed.select(F.col("gid").alias("x"), F.col("sig").alias("a"), F.col("root").alias("ra"))
     second = placed.select(F.col("gid").alias("y"), F.col("sig").alias("b"), F.col("root").alias("rb"))
     left = rest.unionByName(mixed).join(first, F.col("g1") == F.col("x")).join(second, F.col("g2") == F.col("y")).where("ra <> rb").select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
     done = star.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b"))
-    more = verified(rows, left.join(materialize(done, "shingle-done"), ["a", "b"], "left_anti"), nodes, width, share)
+    more = verified(rows, left.join(done, ["a", "b"], "left_anti"), nodes, width, share)
     roots = connected_components(links.unionByName(more))
+    discard(meeting, star, placed, tagged, links, more)
     return labelled(found, roots)
 
 
