@@ -27,10 +27,7 @@ SLICE = 2 << 20
 
 
 def step_sizes() -> np.ndarray:
-    """The 89 IMA step sizes: they grow by a tenth, with the format's own rounding at the start.
-
-    The first entries are fixed by the format (7, 8, 9, ... ); from there the published table follows
-    the recurrence below up to 32767, which the tests compare at its known anchors."""
+    """The 89 IMA step sizes, each about a tenth above the one before."""
     # Fixed values of IMA ADPCM, in their published order.
     return np.array([7, 8, 9, 10, 11, 12, 13, 14, 16, 17, 19, 21, 23, 25, 28, 31, 34, 37, 41, 45, 50, 55, 60, 66, 73, 80, 88, 97, 107, 118, 130, 143, 157, 173, 190, 209, 230, 253, 279, 307, 337, 371, 408, 449, 494, 544, 598, 658, 724, 796, 876, 963, 1060, 1166, 1282, 1411, 1552, 1707, 1878, 2066, 2272, 2499, 2749, 3024, 3327, 3660, 4026, 4428, 4871, 5358, 5894, 6484, 7132, 7845, 8630, 9493, 10442, 11487, 12635, 13899, 15289, 16818, 18500, 20350, 22385, 24623, 27086, 29794, 32767], np.int32)
 
