@@ -11,12 +11,15 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import materialize, pick
+from .common import discard, materialize, pick
 
 #: Counters of the word-frequency sketch: a fixed size. Collisions change the order of words, never a result.
-SLOT_BITS = 18
+SLOT_BITS = 19
 #: A prefix word held by more lines than this is met in two steps.
-MANY = 64
+MANY = 256
+#: Long sets differ in more words than 64 bits can tell: from this size on, lines have a parity map of 256 bits too.
+LONG_SET = 112
+MAP = ("m0", "m1", "m2")
 #: Lines with fewer distinct words are too short to judge and always stay.
 LEAST_WORDS = 5
 #: Words of the candidate filter at most, 64 bits each.
@@ -52,17 +55,22 @@ def frequency_ranks(lines: DataFrame) -> DataFrame:
 
 
 def prefix_of(keys: str, share: int) -> Column:
-    """The first n - ceil(share * n) + 1 words of a sorted set."""
-    return F.expr(f"slice({keys}, 1, cast(size({keys}) - ceil({share} * size({keys}) / 100.0) + 1 as int))")
+    """The first n - ceil(share * n) + 1 words of a sorted set, as 32 bits each: that two words may then look equal
+    only adds candidates."""
+    return F.expr(f"transform(slice({keys}, 1, cast(size({keys}) - ceil({share} * size({keys}) / 100.0) + 1 as int)), t -> cast((t & 4294967295L) - 2147483648L as int))")
 
 
 def compatible(a: str, b: str, share: int) -> Column:
-    """Length, position and parity filters for rows a and b (n, pos, bits) that share a prefix word."""
+    """Length, position and parity filters for rows a and b (n, pos, bits, m0..m2) that share a prefix word. bits is
+    the fold of the wide map m0..m3, which short lines don't have."""
     n1, n2, i, j = (F.col(f"{x}.{c}") for c, x in (("n", a), ("n", b), ("pos", a), ("pos", b)))
+    words = [F.col(f"{a}.{c}").bitwiseXOR(F.col(f"{b}.{c}")) for c in ("bits", "m0", "m1", "m2")]
+    words.append(words[0].bitwiseXOR(words[1]).bitwiseXOR(words[2]).bitwiseXOR(words[3]))  # the fourth word of the map
+    wide = sum((F.bit_count(w) for w in words[2:]), F.bit_count(words[1])) * (100 + share) <= (100 - share) * (n1 + n2)
     length = 100 * F.least(n1, n2) >= share * F.greatest(n1, n2)
     position = (F.least(i, j) + 1 + F.least(n1 - 1 - i, n2 - 1 - j)) * (100 + share) >= share * (n1 + n2)
     parity = F.bit_count(F.col(f"{a}.bits").bitwiseXOR(F.col(f"{b}.bits"))) * (100 + share) <= (100 - share) * (n1 + n2)
-    return length & position & parity
+    return length & position & parity & F.coalesce(wide, F.lit(True))
 
 
 def filter_words(keys: DataFrame, words: int) -> DataFrame:
@@ -73,28 +81,31 @@ def filter_words(keys: DataFrame, words: int) -> DataFrame:
     return whole.agg(F.expr("transform(array_sort(collect_list(struct(word, bits))), x -> x.bits)").alias("held"))
 
 
-def verify(rows: DataFrame, pairs: DataFrame, share: int) -> DataFrame:
-    """pairs(a, b) of lines -> those at Jaccard share / 100 or more, by the words of their whole text."""
+def verify(rows: DataFrame, pairs: DataFrame, distinct: DataFrame, share: int) -> DataFrame:
+    """pairs(a, b) of line ids -> those at Jaccard share / 100 or more, by the words of their whole text."""
     pairs = materialize(pairs, "line-pairs")
-    wanted = pairs.select(F.col("a").alias("lkey")).unionByName(pairs.select(F.col("b").alias("lkey"))).distinct()
+    ids = pairs.select(F.col("a").alias("i")).unionByName(pairs.select(F.col("b").alias("i"))).distinct()
+    wanted = materialize(distinct.select("id", "lkey").join(ids, F.col("id") == F.col("i")).select("id", "lkey"), "line-wanted")
     words = 1 << max(4, min(MOST_FILTER_WORDS, wanted.count() // 4 + 1).bit_length())
     held = materialize(filter_words(wanted, words), "line-filter")
     at = f"pmod(lkey, {64 * words}L)"
     lines = line_rows(rows).withColumn("held", held.select("held").scalar())
     lines = lines.where(F.expr(f"(element_at(held, cast({at} div 64 as int) + 1) & shiftleft(1L, cast({at} % 64 as int))) <> 0")).select("lkey", "line").dropDuplicates(["lkey"])
-    sets = materialize(lines.join(wanted, "lkey", "left_semi").select("lkey", word_hashes("line").alias("words")), "line-sets")
-    left, right = sets.select(F.col("lkey").alias("k1"), F.col("words").alias("w1")), sets.select(F.col("lkey").alias("k2"), F.col("words").alias("w2"))
+    sets = materialize(lines.join(wanted, "lkey").select("id", word_hashes("line").alias("words")), "line-sets")
+    left, right = sets.select(F.col("id").alias("k1"), F.col("words").alias("w1")), sets.select(F.col("id").alias("k2"), F.col("words").alias("w2"))
     both = pairs.join(left, F.col("a") == F.col("k1")).join(right, F.col("b") == F.col("k2"))
     common = F.size(F.array_intersect("w1", "w2"))
-    return both.where(100 * common >= share * (F.size("w1") + F.size("w2") - common)).select("a", "b")
+    matched = materialize(both.where(100 * common >= share * (F.size("w1") + F.size("w2") - common)).select("a", "b"), "line-matches")
+    discard(pairs, wanted, held, sets)
+    return matched
 
 
-def later_of(pairs: DataFrame, firsts: DataFrame) -> DataFrame:
-    """(lkey): of each matching pair the line whose first place is later."""
-    place = firsts.select(F.col("lkey").alias("k"), "first")
+def later_of(pairs: DataFrame, distinct: DataFrame) -> DataFrame:
+    """(id): of each matching pair the line whose first place is later."""
+    place = distinct.select(F.col("id").alias("k"), "first")
     one = pairs.join(place, F.col("a") == F.col("k")).select("a", "b", F.col("first").alias("fa"))
     two = one.join(place, F.col("b") == F.col("k")).select("a", "b", "fa", F.col("first").alias("fb"))
-    return two.select(F.when(F.col("fa") < F.col("fb"), F.col("b")).otherwise(F.col("a")).alias("lkey")).distinct()
+    return two.select(F.when(F.col("fa") < F.col("fb"), F.col("b")).otherwise(F.col("a")).alias("id")).distinct()
 
 
 def removed_lines(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", share: int = 80, least_words: int = LEAST_WORDS) -> DataFrame:
@@ -110,22 +121,27 @@ def removed_lines(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "t
     ranks = materialize(frequency_ranks(lines), "line-ranks")
     hashed = lines.withColumn("words", word_hashes("line")).where(F.size("words") >= least_words)
     keyed = hashed.withColumn("ranks", ranks.select("ranks").scalar()).select("doc_id", "tkey", "line_no", "lkey", F.expr(f"sort_array(transform(words, t -> shiftleft(cast(element_at(ranks, {slot('t')} + 1) as bigint), 54) | (t & {HASH_MASK}L)))").alias("keys"))
-    shaped = keyed.select("lkey", F.struct("doc_id", "tkey", "line_no").alias("place"), F.size("keys").alias("n"), F.expr("aggregate(keys, 0L, (a, t) -> a ^ shiftleft(1L, cast(t & 63 as int)))").alias("bits"), prefix_of("keys", share).alias("prefix"))
-    distinct = materialize(shaped.groupBy("lkey").agg(F.min("place").alias("first"), F.first("n").alias("n"), F.first("bits").alias("bits"), F.first("prefix").alias("prefix")), "line-distinct")
+    shaped = keyed.select("lkey", F.struct("doc_id", "tkey", "line_no").alias("place"), F.size("keys").alias("n"), F.expr("aggregate(keys, 0L, (a, t) -> a ^ shiftleft(1L, cast(t & 63 as int)))").alias("bits"), *(F.expr(f"CASE WHEN size(keys) >= {LONG_SET} THEN aggregate(filter(keys, t -> (t & 192) = {64 * k}), 0L, (a, t) -> a ^ shiftleft(1L, cast(t & 63 as int))) END").alias(f"m{k}") for k in range(3)), prefix_of("keys", share).alias("prefix"))
+    grouped = shaped.groupBy("lkey").agg(F.min("place").alias("first"), F.first("n").alias("n"), F.first("bits").alias("bits"), *(F.first(m).alias(m) for m in MAP), F.first("prefix").alias("prefix"))
+    # The table is written once, so the numbers given here stay; they are short, and neighbours have like ones.
+    distinct = materialize(grouped.withColumn("id", F.monotonically_increasing_id()), "line-distinct")
+    entries = distinct.select("id", "n", "bits", *MAP, F.posexplode("prefix").alias("pos", "word"))
     # The place packed into a number only picks hubs; what is earlier is decided by the place itself.
-    entries = distinct.select("lkey", "n", "bits", F.expr("((coalesce(try_cast(first.doc_id as bigint), 0L) & 1099511627775L) << 20) | least(first.line_no, 1048575)").alias("at"), F.posexplode("prefix").alias("pos", "word"))
-    many = materialize(entries.groupBy("word").agg(F.count("*").alias("c"), F.min("at").alias("hub_at")).where(F.col("c") > MANY).select(F.col("word").alias("w"), "hub_at"), "line-many")
-    marked = entries.join(many, F.col("word") == F.col("w"), "left").select("word", "lkey", "n", "pos", "bits", "at", "hub_at")
+    at = F.expr("((coalesce(try_cast(first.doc_id as bigint), 0L) & 1099511627775L) << 20) | least(first.line_no, 1048575)")
+    counts = distinct.select("id", at.alias("at"), F.explode("prefix").alias("word")).groupBy("word").agg(F.count("*").alias("c"), F.min_by("id", "at").alias("hub"))
+    many = materialize(counts.where(F.col("c") > MANY).select(F.col("word").alias("w"), "hub"), "line-many")
+    marked = entries.join(many, F.col("word") == F.col("w"), "left").select("word", "id", "n", "pos", "bits", *MAP, "hub")
+    # Both sides read the same columns, so Spark shuffles the entries once for both.
     a, b = marked.alias("a"), marked.alias("b")
-    once = (F.col("b.hub_at").isNull() & (F.col("a.lkey") < F.col("b.lkey"))) | ((F.col("b.at") == F.col("b.hub_at")) & (F.col("a.lkey") != F.col("b.lkey")))
-    met = a.join(b, (F.col("a.word") == F.col("b.word")) & once & compatible("a", "b", share)).select(F.least("a.lkey", "b.lkey").alias("a"), F.greatest("a.lkey", "b.lkey").alias("b")).distinct()
-    gone = materialize(later_of(verify(rows, met, share), distinct), "line-gone")
+    once = (F.col("a.hub").isNull() & F.col("b.hub").isNull() & (F.col("a.id") < F.col("b.id"))) | ((F.col("b.id") == F.col("b.hub")) & (F.col("a.id") != F.col("b.id")))
+    met = a.join(b, (F.col("a.word") == F.col("b.word")) & once & compatible("a", "b", share)).select(F.least("a.id", "b.id").alias("a"), F.greatest("a.id", "b.id").alias("b")).distinct()
+    gone = materialize(later_of(verify(rows, met, distinct, share), distinct), "line-gone")
     # Lines not yet matched meet every line with which they share such a word.
-    crowded = entries.join(many, F.col("word") == F.col("w")).select("word", "lkey", "n", "pos", "bits")
-    open_lines = crowded.join(gone, "lkey", "left_anti").alias("a")
-    rest = open_lines.join(crowded.alias("b"), (F.col("a.word") == F.col("b.word")) & (F.col("a.lkey") != F.col("b.lkey")) & compatible("a", "b", share)).select(F.least("a.lkey", "b.lkey").alias("a"), F.greatest("a.lkey", "b.lkey").alias("b")).distinct()
-    also = later_of(verify(rows, rest, share), distinct)
-    judged = distinct.select(F.col("lkey").alias("k"), "first").join(gone.unionByName(also).distinct().select(F.col("lkey").alias("g")), F.col("k") == F.col("g"), "left").select("k", "first", F.col("g").isNotNull().alias("matched"))
+    crowded = entries.join(many, F.col("word") == F.col("w")).select("word", "id", "n", "pos", "bits", *MAP)
+    open_lines = crowded.join(gone, "id", "left_anti").alias("a")
+    rest = open_lines.join(crowded.alias("b"), (F.col("a.word") == F.col("b.word")) & (F.col("a.id") != F.col("b.id")) & compatible("a", "b", share)).select(F.least("a.id", "b.id").alias("a"), F.greatest("a.id", "b.id").alias("b")).distinct()
+    also = later_of(verify(rows, rest, distinct, share), distinct)
+    judged = distinct.select("id", F.col("lkey").alias("k"), "first").join(gone.unionByName(also).distinct().select(F.col("id").alias("g")), F.col("id") == F.col("g"), "left").select("k", "first", F.col("g").isNotNull().alias("matched"))
     placed = line_rows(rows).select("doc_id", "tkey", "line_no", "lkey").join(judged, F.col("lkey") == F.col("k"), "left")
     here = F.struct("doc_id", "tkey", "line_no")
     goes = F.coalesce(F.col("matched") | (here != F.col("first")), F.lit(False))
