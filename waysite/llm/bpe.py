@@ -26,7 +26,7 @@ from tokenizers.pre_tokenizers import Split
 from .common import pick, slices
 
 #: Text bytes encoded at once, and distinct pre-tokens remembered by a task: both bound the memory of a worker.
-SLICE, REMEMBERED = 4 << 20, 600_000
+SLICE, REMEMBERED = 2 << 20, 400_000
 #: All but Latin letters and common punctuation.
 UNSETTLED = regex.compile("[^\x00-\u024f\u2010-\u2027\u20ac]")
 

@@ -32,7 +32,7 @@ DEPTH = 5
 #: Depth of the nodes at which a bucket's subtrees hang; shallower nodes are shared.
 SHARED = 3
 #: Bytes of text in a block, and positions handled at once within it.
-BLOCK, SPAN = 20 << 20, 2 << 20
+BLOCK, SPAN = 16 << 20, 1 << 20
 GRAM_BITS = 8 * (DEPTH + 1)
 
 
