@@ -9,7 +9,6 @@ from __future__ import annotations
 from collections.abc import Iterator
 
 import numpy as np
-import pandas as pd
 import pyarrow as pa
 import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame, Window
@@ -17,7 +16,7 @@ from pyspark.sql import functions as F
 
 from .common import materialize, pick, segments, slices, utf8_buffer, word_stream
 
-SLICE = 4 << 20
+SLICE = 2 << 20
 STATS = ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "n_lines")
 FEATURES = ("f_length", "f_symbols", "f_dup", "f_repeat", "f_lines")
 #: Least spread of each feature, so that groups of all but equal documents don't reject small differences.
@@ -72,8 +71,7 @@ def statistics(raw: np.ndarray, offsets: np.ndarray) -> np.ndarray:
     text[np.arange(len(raw)) + np.repeat(np.arange(n), np.diff(offsets))] = raw
     cut = np.concatenate([[0], np.flatnonzero(text == 0x0A) + 1])
     lines = pa.LargeBinaryArray.from_buffers(pa.large_binary(), len(cut) - 1, [None, pa.py_buffer(cut.astype(np.int64)), pa.py_buffer(text)])
-    blank = np.ones(256, bool)
-    blank[:] = False
+    blank = np.zeros(256, bool)
     blank[[0x20, *range(0x09, 0x0E)]] = True
     has_word = np.add.reduceat(~blank[text], cut[:-1], dtype=np.int64) > 0
     of = np.searchsorted(offsets[1:] + np.arange(1, n + 1), cut[:-1], side="right")
@@ -136,21 +134,22 @@ def fitted(sums: DataFrame) -> DataFrame:
     """Sums of features and their products per group -> mu and packed inverse scatter, one row a group."""
     k = len(FEATURES)
 
-    def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        for frame in frames:
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
             mus, invs = [], []
-            for row in frame.itertuples():
-                n, first, second = row.n, np.array(row.s), np.zeros((k, k))
-                second[np.triu_indices(k)] = row.ss
+            for n, first, pairs in zip(*(batch.column(i).to_pylist() for i in (1, 2, 3)), strict=True):
+                second = np.zeros((k, k))
+                second[np.triu_indices(k)] = pairs
                 second = second + np.triu(second, 1).T
-                mu = first / n
+                mu = np.array(first) / n
                 cov = second / n - np.outer(mu, mu) + np.diag(np.square(FLOORS))
                 # Rounded, so that the order in which Spark adds doubles cannot show.
                 mus.append([float(f"{x:.9g}") for x in mu])
                 invs.append([float(f"{x:.9g}") for x in np.linalg.inv(cov)[np.triu_indices(k)]])
-            yield pd.DataFrame({"unit": frame["unit"], "mu": mus, "inv": invs})
+            kind = pa.list_(pa.float64())
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(mus, kind), pa.array(invs, kind)], names=["unit", "mu", "inv"])
 
-    return sums.mapInPandas(run, "unit string, mu array<double>, inv array<double>")
+    return sums.select("unit", "n", "s", "ss").mapInArrow(run, "unit string, mu array<double>, inv array<double>")
 
 
 def scatter_sums(rows: DataFrame) -> DataFrame:

@@ -26,7 +26,7 @@ from .graph import connected_components
 
 SLICE = 2 << 20
 #: Counters of the frequency sketch, and in how many parts they are summed. Fixed size; collisions only change the order.
-SLOTS, SLOT_PARTS = 1 << 24, 64
+SLOTS, SLOT_PARTS = 1 << 23, 64
 #: Bits of a set's parity map: two sets differ in at least as many members as their maps differ in bits. Its
 #: fold to 64 bits goes with every prefix token, the whole map with every pair of sets.
 PARITY_WORDS = 8
@@ -137,8 +137,8 @@ def compatible(one: str, two: str, share: int) -> Column:
 
 
 def candidate_texts(docs: DataFrame, wanted: DataFrame) -> DataFrame:
-    """(tkey, text), one row a key of wanted(tkey), compressed. A bit filter of bounded size thins the texts before the
-    shuffle."""
+    """(tkey, text), one row a key of wanted(tkey), compressed, written once. A bit filter of bounded size thins the
+    texts before the shuffle."""
     n = wanted.count()
     bits = 1 << max(10, min(MOST_BITS, 64 * max(1, n)).bit_length() - 1)
 
@@ -163,7 +163,9 @@ def candidate_texts(docs: DataFrame, wanted: DataFrame) -> DataFrame:
             yield pa.RecordBatch.from_arrays([left.column(0), pa.array(packed, pa.binary())], names=["tkey", "text"])
 
     thinned = docs.select("tkey", "text").mapInArrow(thin, "tkey long, text binary")
-    return thinned.join(wanted.select(F.col("tkey").alias("k")), F.col("tkey") == F.col("k")).drop("k").dropDuplicates(["tkey"])
+    texts = materialize(thinned.join(wanted.select(F.col("tkey").alias("k")), F.col("tkey") == F.col("k")).drop("k").dropDuplicates(["tkey"]), "shingle-texts")
+    shared.destroy()
+    return texts
 
 
 def verified(docs: DataFrame, pairs: DataFrame, nodes: DataFrame, width: int, share: int) -> DataFrame:
@@ -175,7 +177,7 @@ def verified(docs: DataFrame, pairs: DataFrame, nodes: DataFrame, width: int, sh
     keyed = keyed.where(near).select("a", "b", "ka", F.col("tkey").alias("kb"))
     keyed = materialize(keyed, "shingle-pairs")
     wanted = keyed.select(F.col("ka").alias("tkey")).unionByName(keyed.select(F.col("kb").alias("tkey"))).distinct()
-    texts = materialize(candidate_texts(docs, wanted), "shingle-texts")
+    texts = candidate_texts(docs, wanted)
     left = texts.select(F.col("tkey").alias("t1"), F.col("text").alias("ta"))
     right = texts.select(F.col("tkey").alias("t2"), F.col("text").alias("tb"))
     joined = keyed.join(left, F.col("ka") == F.col("t1")).join(right, F.col("kb") == F.col("t2")).select("a", "b", "ka", "kb", "ta", "tb")
@@ -221,6 +223,7 @@ def near_components(docs: DataFrame, *, id_col: str = "doc_id", text_col: str =
     rows = pick(docs, doc_id=id_col, text=text_col).withColumn("tkey", F.xxhash64(F.coalesce("text", F.lit(""))))
     ranks = rows.sparkSession.sparkContext.broadcast(slot_counts(rows, width))
     found = materialize(prefixes(rows, ranks, width, share), "shingle-prefixes")
+    ranks.destroy()
     nodes = materialize(found.where("n > 0").groupBy("sig").agg(F.min("tkey").alias("tkey"), F.first("gid").alias("gid"), F.first("n").alias("n"), F.first("parity").alias("parity"), F.count("*").alias("copies")), "shingle-nodes")
     word = reduce(lambda x, y: x.bitwiseXOR(y), [F.col("parity")[k] for k in range(PARITY_WORDS)])  # the map modulo 64
     groups = found.where("n > 0").groupBy("gid").agg(F.first("n").alias("n"), F.when(F.min(word) == F.max(word), F.min(word)).alias("bits"), F.first("hot").alias("hot"), F.count("*").alias("weight"), F.first("prefix").alias("prefix"))
