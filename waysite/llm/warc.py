@@ -16,7 +16,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import materialize, pick, slices, utf8_buffer
+from .common import discard, materialize, pick, slices, utf8_buffer
 
 #: Bytes of payload in one archive, about; a larger record stands alone. Bounds the memory of a worker.
 ARCHIVE_BYTES = 8 << 20
@@ -208,4 +208,6 @@ def crawl_round_trip(pages: DataFrame, min_bytes: int = 0) -> DataFrame:
     Both forms are tables in the shared folder. Page ids are whole numbers or null (null stays null); a null url is
     written empty; repeated rows give a record each; an empty table gives no rows."""
     stored = materialize(write_archives(classify(payload_digests(pages), min_bytes)), "warc-monolithic")
-    return read_records(materialize(normalise(stored), "warc-normalised"))
+    normalised = materialize(normalise(stored), "warc-normalised")
+    discard(stored)
+    return read_records(normalised)
