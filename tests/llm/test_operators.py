@@ -325,6 +325,22 @@ def test_shingle_join(spark, monkeypatch, width, share, many):
     assert sorted(map(tuple, got), key=str) == brute_components(data, width, share)
 
 
+def test_shingle_join_hub_of_several_sets(spark):
+    """Sets of one prefix and size that don't link: a near copy of either one finds it, whichever comes first."""
+    tails = [["common", "start", *(f"{side}{k}" for k in range(20))] for side in "AB"]
+    texts = []
+    for family in range(6):
+        words = [f"f{family}w{k}" for k in range(100)]
+        one, two = (words + tail for tail in tails)
+        texts += [one, two, [*two[:-1], f"changed{family}"]]
+    texts += [[f"other{k}x{j}" for j in range(5)] + tail for k in range(100) for tail in tails]
+    data = [(i, " ".join(t)) for i, t in enumerate(texts)]
+    want = brute_components(data, 3, 90)
+    assert len({c for _, _, c in want}) == len(data) - 6
+    got = shingle_join.near_components(spark.createDataFrame(data, "doc_id long, text string"), width=3, share=90).select("doc_id", "n_shingles", "component_id").collect()
+    assert sorted(map(tuple, got), key=str) == want
+
+
 def test_shingle_join_odd_rows(spark, docs):
     got = shingle_join.near_components(docs).select("doc_id", "n_shingles", "component_id").collect()
     assert sorted(map(tuple, got), key=str) == brute_components(rows(), 3, 90)

@@ -249,8 +249,13 @@ def near_components(docs: DataFrame, *, id_col: str = "doc_id", text_col: str =
     placed = materialize(placed, "shingle-placed")
     spread = placed.groupBy("gid").agg(F.min("root").alias("low"), F.max("root").alias("high"), F.when(F.count("*") == 1, F.first("parity")).alias("whole"))
     other = lambda df, *more: df.select(F.col("token").alias("t"), F.col("gid").alias("g2"), F.col("n").alias("n_2"), F.col("pos").alias("pos_2"), F.col("bits").alias("bits_2"), *more)
-    few = meeting.where((F.col("c") <= MANY) & (F.col("gid") != F.col("hub")))
-    plain = few.join(other(few), (F.col("token") == F.col("t")) & (F.col("gid") < F.col("g2")) & compatible("", "_2", share)).select(F.col("gid").alias("g1"), "g2")
+    # Of a hub group of several nodes only the first has met the others, so such a hub meets them here too.
+    few = meeting.where(F.col("c") <= MANY).join(own.select(F.col("gid").alias("several")), (F.col("gid") == F.col("several")) & (F.col("gid") == F.col("hub")), "left")
+    few = few.where((F.col("gid") != F.col("hub")) | F.col("several").isNotNull())
+    plain = few.join(other(few), (F.col("token") == F.col("t")) & (F.col("gid") < F.col("g2")) & compatible("", "_2", share)).select(F.col("gid").alias("g1"), "g2").distinct()
+    span = lambda k: spread.select(F.col("gid").alias(f"s{k}"), F.col("low").alias(f"low{k}"), F.col("high").alias(f"high{k}"))
+    whole_in_one = (F.col("low1") == F.col("high1")) & (F.col("low2") == F.col("high2")) & (F.col("low1") == F.col("low2"))
+    plain = plain.join(span(1), F.col("g1") == F.col("s1")).join(span(2), F.col("g2") == F.col("s2")).where(~whole_in_one).select("g1", "g2")
     # Over a token of many groups only those outside their hub's component go on, and meet the rest.
     hub_root = spread.select(F.col("gid").alias("hg"), F.col("low").alias("hub_low"), F.col("high").alias("hub_high"))
     tagged = meeting.where(F.col("c") > MANY).join(spread.withColumnRenamed("gid", "g"), F.col("gid") == F.col("g")).join(hub_root, F.col("hub") == F.col("hg"))
