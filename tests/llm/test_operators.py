@@ -280,6 +280,14 @@ def test_bpe_any_text():
 # -- 6
 
 
+def test_line_dedup_short_lines(spark):
+    """Lines of few words go too when an earlier one equals them, or is near enough; blank lines stay."""
+    data = [(1, "All rights reserved.\n}\n\nfour words are here"), (2, "all  rights reserved.\n\n}\nfour words are here now"), (3, "日本語の長い文章です。\nno no no no"), (4, "no\n日本語の長い文章です。\nfour words were here")]
+    got = {r["doc_id"]: r["removed"] for r in line_dedup.removed_lines(spark.createDataFrame(data, "doc_id long, text string")).collect()}
+    assert got == {1: [], 2: [0, 2, 3], 3: [], 4: [0, 1]}
+    assert got == {d: g for (d, _), g in brute_lines(data, least=1).items()}
+
+
 def brute_components(data, width, share):
     sets = []
     for i, t, *_ in data:

@@ -20,8 +20,8 @@ MANY = 256
 #: Long sets differ in more words than 64 bits can tell: from this size on, lines have a parity map of 256 bits too.
 LONG_SET = 112
 MAP = ("m0", "m1", "m2")
-#: Lines with fewer distinct words are too short to judge and always stay.
-LEAST_WORDS = 5
+#: Lines with fewer distinct words always stay: those without any.
+LEAST_WORDS = 1
 #: Words of the candidate filter at most, 64 bits each.
 MOST_FILTER_WORDS = 1 << 20
 HASH_MASK = (1 << 54) - 1

@@ -20,7 +20,8 @@ def op2_mix_sources(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op3_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
-    found = line_dedup.removed_lines(read_table(spark, sf_dir, "documents"))
+    # OP3_SQL judges lines of five words or more only.
+    found = line_dedup.removed_lines(read_table(spark, sf_dir, "documents"), least_words=5)
     return found.select("doc_id", F.col("n_lines").cast("long").alias("n_lines"), F.size("removed").cast("long").alias("n_removed"), F.array_join("removed", ",").alias("removed"))
 
 
