@@ -357,6 +357,14 @@ def test_shingle_join_odd_rows(spark, docs):
     assert sorted(r["doc_id"] for r in kept if r["text"]) == sorted(components)
 
 
+def test_keep_one_of_each_ids(spark):
+    """Unrelated texts under one id are apart; near copies without ids are one group."""
+    long = [f"w{k}" for k in range(60)]
+    data = [(1, "one text of its own words"), (1, "quite another one with nothing alike"), (None, " ".join(long)), (None, " ".join([*long[:-1], "changed"])), (2, "")]
+    kept = [r["text"] for r in shingle_join.keep_one_of_each(spark.createDataFrame(data, "doc_id long, text string")).collect()]
+    assert len(kept) == 4 and {data[0][1], data[1][1], ""} < set(kept)
+
+
 def test_connected_components(spark):
     rng = random.Random(3)
     links = [(rng.randrange(80), rng.randrange(80)) for _ in range(70)] + [(k, k + 1) for k in range(100, 160)]

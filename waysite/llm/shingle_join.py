@@ -212,12 +212,12 @@ def expand_to_nodes(pairs: DataFrame, nodes: DataFrame, left: str, right: str) -
 
 
 def near_components(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", width: int = 3, share: int = 90) -> DataFrame:
-    """docs -> (doc_id, tkey, n_shingles, component_id, n_linked), a row for every input row.
+    """docs -> (doc_id, tkey, n_shingles, component_id, n_linked, root), a row for every input row.
 
     Two documents link when 100 * |intersection| >= share * |union| of their `width`-word shingle sets (A-Z lower-cased;
     with fewer words the whole sequence is the one shingle). component_id: the smallest doc_id reachable by links,
     itself included; documents without words or text (null) link with nothing. n_linked: documents of the component;
-    tkey: a hash of the row's text. Null ids never name a
+    tkey: a hash of the row's text; root: the component itself, whatever its ids (null: no words). Null ids never name a
     component that has another id; repeated rows are equal sets. Sets are compared as 64-bit hashes of shingles."""
     # Whole texts; equal texts have equal keys, which name the text to verify a set on.
     rows = pick(docs, doc_id=id_col, text=text_col).withColumn("tkey", F.xxhash64(F.coalesce("text", F.lit(""))))
@@ -283,9 +283,9 @@ def labelled(found: DataFrame, roots: DataFrame) -> DataFrame:
     sets = found.where("n > 0").groupBy("sig").agg(F.min("doc_id").alias("least"), F.count("*").alias("rows"))
     rooted = sets.join(roots, F.col("sig") == F.col("node"), "left").select("sig", "least", "rows", F.coalesce("root", "sig").alias("root"))
     whole = rooted.groupBy("root").agg(F.min("least").alias("component_id"), F.sum("rows").alias("n_linked")).withColumnRenamed("root", "r")
-    known = rooted.join(whole, F.col("root") == F.col("r")).select(F.col("sig").alias("s"), "component_id", "n_linked")
+    known = rooted.join(whole, F.col("root") == F.col("r")).select(F.col("sig").alias("s"), "component_id", "n_linked", "root")
     own = F.col("sig").isNull()
-    return found.join(known, F.col("sig") == F.col("s"), "left").select("doc_id", "tkey", F.col("n").alias("n_shingles"), F.when(own, F.col("doc_id")).otherwise(F.col("component_id")).alias("component_id"), F.when(own, F.lit(1)).otherwise(F.col("n_linked")).cast("long").alias("n_linked"))
+    return found.join(known, F.col("sig") == F.col("s"), "left").select("doc_id", "tkey", F.col("n").alias("n_shingles"), F.when(own, F.col("doc_id")).otherwise(F.col("component_id")).alias("component_id"), F.when(own, F.lit(1)).otherwise(F.col("n_linked")).cast("long").alias("n_linked"), "root")
 
 
 def keep_one_of_each(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", width: int = 5, share: int = 80) -> DataFrame:
@@ -294,7 +294,7 @@ def keep_one_of_each(docs: DataFrame, *, id_col: str = "doc_id", text_col: str =
     Documents without words are in no component and stay. Rows that repeat both id and text count as one."""
     found = near_components(docs, id_col=id_col, text_col=text_col, width=width, share=share)
     place = F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "tkey")
-    best = found.where("n_shingles > 0").groupBy("component_id", F.when(F.col("component_id").isNull(), F.col("tkey")).alias("alone")).agg(F.min(place).alias("best"))
+    best = found.where("n_shingles > 0").groupBy("root").agg(F.min(place).alias("best"))
     kept = best.select(F.col("best.doc_id").alias("__id"), F.col("best.tkey").alias("__key")).unionByName(found.where("n_shingles = 0").select(F.col("doc_id").alias("__id"), F.col("tkey").alias("__key")).distinct())
     keyed = docs.withColumn("__text_key", F.xxhash64(F.coalesce(text_col, F.lit(""))))
     return keyed.join(kept, F.col(id_col).eqNullSafe(F.col("__id")) & (F.col("__text_key") == F.col("__key")), "left_semi").dropDuplicates([id_col, "__text_key"]).drop("__text_key")
