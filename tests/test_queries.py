@@ -26,3 +26,12 @@ def test_equals_sql(spark, sf_dir, con, part, name):
 @pytest.mark.parametrize("part,name", WITHOUT, ids=[n for _, n in WITHOUT])
 def test_runs(spark, sf_dir, part, name):
     assert part.QUERIES[name](spark, sf_dir).count() > 0
+
+
+def test_optimum_samples(spark, sf_dir, monkeypatch):
+    """Ten samples, each with every contender, none above the optimum; two are run here."""
+    assert waysite.workloads.SAMPLES == 10
+    monkeypatch.setattr(waysite.workloads, "SAMPLES", 2)
+    rows = waysite.workloads.QUERIES["w1_optimum"](spark, sf_dir).collect()
+    assert sorted((r["sample"], r["method"]) for r in rows) == [(s, m) for s in range(2) for m in ("greedy", "greedy_fm", "index", "index_fm", "optimum")]
+    assert all(0 < r["ratio"] <= 1 for r in rows if r["method"] != "greedy_fm")
