@@ -2,16 +2,14 @@
 
 from __future__ import annotations
 
-import tempfile
-import uuid
 from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from waysite.session import ship_code
+from waysite.sources.tables import discard, materialize, read_table, shared_dir  # noqa: F401
 
 #: A word is a run of bytes other than space, tab, line feed, vertical tab, form feed and carriage return.
 SPACES = "\\x20\\x09-\\x0D"
@@ -26,46 +24,11 @@ _LOWER = np.arange(256, dtype=np.uint8)
 _LOWER[0x41:0x5B] += 0x20
 
 
-def read_table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
-    ship_code(spark)
-    return spark.read.parquet(f"{sf_dir}/{name}.parquet")
-
-
 def pick(df: DataFrame, **wanted: str) -> DataFrame:
     """Only the named columns under the operator's own names, so that extra or clashing input columns never matter."""
     return df.select(*(df[column].alias(name) for name, column in wanted.items()))
 
 
-def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share (spark.checkpoint.dir); where it is unset, as in tests, our own."""
-    sc = spark.sparkContext
-    named = spark.conf.get("spark.checkpoint.dir", None) or sc.getConf().get("spark.checkpoint.dir", None)
-    if named:
-        if sc._jsc.sc().getCheckpointDir().isEmpty():
-            sc.setCheckpointDir(named)
-        return named.rstrip("/")
-    if sc._jsc.sc().getCheckpointDir().isEmpty():
-        sc.setCheckpointDir(tempfile.mkdtemp(prefix="waysite-"))
-    return sc._jsc.sc().getCheckpointDir().get().rstrip("/")
-
-
-def materialize(df: DataFrame, name: str) -> DataFrame:
-    """Write df once to the shared folder and read it back: cuts the lineage and survives lost executors."""
-    spark = df.sparkSession
-    path = f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}"
-    df.write.parquet(path)
-    back = spark.read.schema(df.schema).parquet(path)
-    back.written_at = path
-    return back
-
-
-def discard(*tables: DataFrame) -> None:
-    """Delete materialized tables that nothing reads any more."""
-    for df in tables:
-        path = df.sparkSession._jvm.org.apache.hadoop.fs.Path(df.written_at)
-        path.getFileSystem(df.sparkSession.sparkContext._jsc.hadoopConfiguration()).delete(path, True)
-
-
 def lower_ascii(text: Column) -> Column:
     """Lower-case A-Z only (lower() would also change other letters)."""
     return F.translate(text, "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz")
