@@ -13,6 +13,7 @@ import numpy as np
 import public_tokenizers
 import pyarrow as pa
 import pytest
+from pyspark.sql import functions as F
 from tokenizers import Tokenizer
 
 from tests.compare import database, same
@@ -482,24 +483,104 @@ def test_quality_statistics(docs):
     assert quality.judge(docs).count() == len(rows())
 
 
+def brute_steps(x):
+    """The minimum covariance determinant of the rows of x with the operator's bins, starts and floors, in numpy."""
+    floors = np.array(quality.FLOORS)
+    bins = lambda v: np.floor(v / quality.BIN)
+    cut = lambda v, share: np.sort(bins(v))[max(0, math.ceil(share * len(v)) - 1)]
+    distance = lambda mu, cov: np.einsum("ij,jk,ik->i", x - mu, np.linalg.inv(cov), x - mu)
+    scatter = lambda rows: (rows - rows.mean(0)).T @ (rows - rows.mean(0)) / len(rows)
+    med = np.array([(cut(x[:, k], 0.5) + 0.5) * quality.BIN for k in range(5)])
+    mad = np.array([1.4826 * (cut(abs(x[:, k] - med[k]), 0.5) + 0.5) * quality.BIN for k in range(5)])
+    s = np.sqrt(mad**2 + floors**2)
+    z = (x - med) / s
+    unit = z / np.sqrt((z * z).sum(1, keepdims=True))
+    starts = [(med, np.diag(s**2)), (x.mean(0), scatter(x)), (med, np.outer(s, s) * (unit.T @ unit) / len(x) * 5), (med, np.outer(s, s) * scatter(np.tanh(z)))]
+    ended = []
+    for mu, cov in starts:
+        cov, det = cov + np.diag(floors**2), np.inf
+        while True:
+            d = np.log2(distance(mu, cov) + 1e-9)
+            near = x[bins(d) <= cut(d, quality.COVERAGE)]
+            new = near.mean(0), scatter(near) + np.diag(floors**2)
+            fell = np.linalg.slogdet(new[1])[1]
+            if fell >= det - quality.LEAST_FALL:
+                break
+            (mu, cov), det = new, fell
+        ended.append((det, mu, cov))
+    det, mu, cov = min(ended, key=lambda e: e[0])
+    near = x[distance(mu, cov * quality.consistency(quality.COVERAGE)) <= quality.chi2_value(quality.NEAR, 5)]
+    return len(near), near.mean(0), (scatter(near) + np.diag(floors**2)) * quality.consistency(quality.NEAR)
+
+
+def drawn(own, above):
+    n, mu, cov = own
+    mix = lambda a, b: (n * a + quality.PRIOR * b) / (n + quality.PRIOR)
+    return n, mix(mu, above[1]), mix(cov, above[2])
+
+
+def test_chi_squared():
+    assert [round(quality.chi2_value(p, 5), 3) for p in (0.5, 0.75, 0.975, 0.999)] == [4.351, 6.626, 12.833, 20.515]
+
+
 def test_quality_estimates(spark):
-    """The distributed steps against the same steps in numpy, and outliers out while the bulk stays."""
+    """The distributed steps against numpy, for units of 1 to 600 rows, with outliers that a plain scatter would hide."""
     rng = np.random.default_rng(4)
-    x = rng.normal([1.6, 0, 0, 0.05, 3.7], [0.05, 0.01, 0.02, 0.03, 0.4], (600, 5))
-    x[:60, 1] += 1.2
-    df = spark.createDataFrame([("u", *map(float, r)) for r in x], "unit string, " + ", ".join(f"{f} double" for f in quality.FEATURES))
-    p = quality.estimate(df).first()
-    bin_of = lambda v: np.floor(v / quality.BIN)
-    cut = lambda v, share: np.sort(bin_of(v))[math.ceil(share * len(v)) - 1]
-    mu = np.array([(cut(x[:, k], 0.5) + 0.5) * quality.BIN for k in range(5)])
-    inv = np.diag(1 / np.square(quality.FLOORS))
-    for _ in range(quality.STEPS):
-        d2 = np.log2(np.einsum("ij,jk,ik->i", x - mu, inv, x - mu) + 1e-9)
-        near = x[bin_of(d2) <= cut(d2, quality.COVERAGE)]
-        mu, inv = near.mean(0), np.linalg.inv(np.cov(near.T, bias=True) + np.diag(np.square(quality.FLOORS)))
-    assert np.allclose(p["mu"], mu, atol=1e-6) and np.allclose(p["inv"], inv[np.triu_indices(5)], rtol=1e-4, atol=1e-4)
-    d2 = np.einsum("ij,jk,ik->i", x - mu, inv, x - mu) * p["scale"]
-    assert (d2[:60] > quality.CUTOFF).all() and (d2[60:] < quality.CUTOFF).all()
+    sizes = {"large": 600, "small": 40, "two": 2, "one": 1}
+    data = {u: rng.normal([1.6, 0.3, 0.2, 0.3, 3.7], [0.05, 0.2, 0.3, 0.3, 0.6], (n, 5)) for u, n in sizes.items()}
+    data["large"][:120] += [0, 2, 0, 1, 0]
+    df = spark.createDataFrame([(u, *map(float, r)) for u, x in data.items() for r in x], "unit string, " + ", ".join(f"{f} double" for f in quality.FEATURES))
+    found = {r["unit"]: r for r in quality.estimate(df.repartition(5)).collect()}
+    for u, x in data.items():
+        n, mu, cov = brute_steps(x)
+        assert found[u]["n"] == n and np.allclose(found[u]["mu"], mu, rtol=1e-6, atol=1e-7), u
+        assert np.allclose(quality.unpacked(found[u]["cov"]), cov, rtol=1e-6, atol=1e-7), u
+    assert found["large"]["n"] <= 480
+
+
+def quality_rows():
+    rng = random.Random(8)
+    words = ["alpha", "beta", "gamma", "delta", "of", "the", "#", "a&b", "zeta", "omega"] + [f"w{k}" for k in range(60)]
+    out = []
+    for i in range(240):
+        text = "".join(rng.choice(words) + rng.choice([" ", " ", " ", "\n"]) for _ in range(rng.randrange(30, 160)))
+        text = text.replace(" ", " #*$% ") if i % 17 == 0 else text
+        text = text + "\nalpha beta gamma delta" * (i % 5)
+        out.append((i, text, rng.choice(["en", "en", "de", None]), rng.choice(["s1", "s2", None]) if i % 40 else f"own{i}", i))
+    return [*out, out[9], (None, None, None, None, None), (None, "", "en", "s1", 0)]
+
+
+def brute_verdicts(data):
+    stats = [brute_statistics(t) for _, t, *_ in data]
+    failed = [s[0] < 50 or 100 * s[4] > 50 * s[0] for s in stats]
+    share = lambda a, b: math.sqrt(min(a / max(b, 1), 4.0))
+    x = np.array([(math.log(max(c, 1) / max(n, 1)), share(sym, n), share(dup, lines), share(rep, n), math.log(max(n, 1) / max(lines, 1))) for n, c, sym, dup, rep, lines in stats])
+    ok = ~np.array(failed)
+    pick_ = lambda f: brute_steps(x[[k for k in range(len(data)) if ok[k] and f(data[k])]])
+    corpus, out = pick_(lambda r: True), {}
+    for lang, source in {r[2:4] for k, r in enumerate(data) if ok[k]}:
+        above = drawn(pick_(lambda r, lang=lang: r[2] == lang), corpus)
+        _, mu, cov = drawn(pick_(lambda r, lang=lang, source=source: r[2:4] == (lang, source)), above)
+        for k, r in enumerate(data):
+            if ok[k] and r[2:4] == (lang, source):
+                out[k] = float((x[k] - mu) @ np.linalg.inv(cov) @ (x[k] - mu))
+    return failed, out
+
+
+def test_quality_verdicts(spark):
+    """Every verdict against brute force: all groups, groups of one document, null languages and sources, repeated rows."""
+    data = quality_rows()
+    df = spark.createDataFrame(data, "doc_id long, text string, lang string, source string, n_chars long").repartition(4)
+    failed, distances = brute_verdicts(data)
+    want = sorted((str(r[0]), failed[k], not failed[k] and distances[k] <= quality.CUTOFF) for k, r in enumerate(data))
+    judged = quality.judge(df).collect()
+    assert sorted((str(r["doc_id"]), r["base_failed"], r["kept"]) for r in judged) == want
+    got = {r["doc_id"]: r["distance"] for r in judged if not r["base_failed"]}
+    assert all(abs(got[data[k][0]] - d) < 1e-4 * max(1, d) for k, d in distances.items())
+    assert 5 < sum(not kept and not bad for _, bad, kept in want) < 60
+    odd = df.withColumnsRenamed({"lang": "gone", "text": "a.b"}).withColumn("lang", F.lit("x"))
+    stays = quality.keep_good(odd, text_col="a.b", lang_col="gone")
+    assert stays.columns == odd.columns and sorted(str(r["doc_id"]) for r in stays.collect()) == [i for i, _, kept in want if kept]
 
 
 def test_quality_separates_labelled_documents(spark, sf_dir):

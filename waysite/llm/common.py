@@ -24,9 +24,19 @@ _LOWER = np.arange(256, dtype=np.uint8)
 _LOWER[0x41:0x5B] += 0x20
 
 
+def named(df: DataFrame, column: str) -> Column:
+    """A column of df by its whole name, dots and backticks included."""
+    return df["`" + column.replace("`", "``") + "`"]
+
+
 def pick(df: DataFrame, **wanted: str) -> DataFrame:
     """Only the named columns under the operator's own names, so that extra or clashing input columns never matter."""
-    return df.select(*(df[column].alias(name) for name, column in wanted.items()))
+    return df.select(*(named(df, column).alias(name) for name, column in wanted.items()))
+
+
+def text_key(text: Column) -> Column:
+    """The hash that names a text; null counts as the empty text."""
+    return F.xxhash64(F.coalesce(text, F.lit("")))
 
 
 def lower_ascii(text: Column) -> Column:

@@ -1,12 +1,16 @@
 """Quality rules by robust multivariate outliers: minimum covariance determinant per language and source.
 
-Documents become vectors of transformed statistics that don't depend on their length. For each (lang, source) the
-centre and scatter of the most concentrated part of its documents are found by concentration steps, each one
-aggregate over all documents; documents at a large Mahalanobis distance from their group are rejected."""
+Documents become vectors of transformed statistics that don't depend on their length. For each (lang, source), each
+language and the corpus, concentration steps from four deterministic starts look for the three quarters of the documents
+whose scatter has the least determinant; a reweighted estimate over all documents near it follows. Every step is an
+aggregate over all documents, for all groups and starts at once. A group's estimate is drawn towards its language's, and
+that towards the corpus', as if each had PRIOR documents more; no size of group is treated apart. Documents at a large
+Mahalanobis distance from their group are rejected."""
 
 from __future__ import annotations
 
 from collections.abc import Iterator
+from math import exp, gamma
 
 import numpy as np
 import pyarrow as pa
@@ -14,20 +18,24 @@ import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import materialize, pick, segments, slices, utf8_buffer, word_stream
+from .common import discard, materialize, named, pick, segments, slices, text_key, utf8_buffer, word_stream
 
 SLICE = 2 << 20
 STATS = ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "n_lines")
 FEATURES = ("f_length", "f_symbols", "f_dup", "f_repeat", "f_lines")
-#: Least spread of each feature, so that groups of all but equal documents don't reject small differences.
+#: Least spread of each feature: its square is added to every scatter's diagonal, as most features are 0 in most texts
+#: and a scatter could not be inverted else.
 FLOORS = (0.06, 0.06, 0.2, 0.15, 0.35)
-#: Share of a group's documents that the concentrated part holds, and the number of concentration steps.
-COVERAGE, STEPS = 0.75, 4
-#: Squared Mahalanobis distance above which a document is rejected, after scaling its group's median to that of a
-#: chi-squared variable with 5 degrees of freedom (4.351).
-CUTOFF, CHI2_MEDIAN = 100.0, 4.351
-#: Groups with fewer documents are measured by their language's estimate, languages with fewer by the whole corpus'.
-LEAST_GROUP = 200
+#: Share of a group's documents that the concentrated part holds, share of those that are near it, and share of normal
+#: documents that the cutoff keeps.
+COVERAGE, NEAR, KEPT = 0.75, 0.975, 0.999
+#: Documents by whose weight an estimate is drawn towards the one above it.
+PRIOR = 50
+#: Steps end where no determinant falls by more than this (of its logarithm).
+LEAST_FALL = 1e-6
+STARTS = 4
+#: Groups whose parameters are broadcast, about 1 kB each; more are joined by a shuffle.
+MOST_BROADCAST_UNITS = 50_000
 #: Distances and features are counted in bins of this width (of the feature, or of log2 of the distance).
 BIN = 1 / 256
 SYMBOLS = b"#*$%&|<>"
@@ -92,7 +100,7 @@ def text_statistics(docs: DataFrame, *, id_col: str = "doc_id", text_col: str =
             found = statistics(*utf8_buffer(batch.column(4)))
             yield pa.RecordBatch.from_arrays([*batch.columns[:4], *(pa.array(found[:, k]) for k in range(len(STATS)))], names=["doc_id", "lang", "source", "tkey", *STATS])
 
-    chosen = pick(docs, doc_id=id_col, lang=lang_col, source=source_col, text=text_col).select("doc_id", "lang", "source", F.xxhash64(F.coalesce("text", F.lit(""))).alias("tkey"), "text")
+    chosen = pick(docs, doc_id=id_col, lang=lang_col, source=source_col, text=text_col).select("doc_id", "lang", "source", text_key(F.col("text")).alias("tkey"), "text")
     kind = chosen.schema["doc_id"].dataType.simpleString()
     return chosen.mapInArrow(run, f"doc_id {kind}, lang string, source string, tkey long, " + ", ".join(f"{s} long" for s in STATS))
 
@@ -109,6 +117,35 @@ def with_features(stats: DataFrame) -> DataFrame:
     return stats.withColumns({"f_length": F.log(F.greatest(F.col("word_chars"), F.lit(1)) / words), "f_symbols": share(F.col("n_symbols"), words), "f_dup": share(F.col("n_dup_lines"), lines), "f_repeat": share(F.col("n_repeat_words"), words), "f_lines": F.log(words / lines)})
 
 
+def chi2_share(x: float, degrees: int) -> float:
+    """The share of a chi-squared variable's values up to x."""
+    term = total = 1 / gamma(degrees / 2 + 1)
+    k = 0
+    while term > 1e-17 * total:
+        k += 1
+        term *= x / 2 / (degrees / 2 + k)
+        total += term
+    return total * (x / 2) ** (degrees / 2) * exp(-x / 2)
+
+
+def chi2_value(share: float, degrees: int) -> float:
+    low, high = 0.0, 1000.0
+    for _ in range(100):
+        middle = (low + high) / 2
+        low, high = (middle, high) if chi2_share(middle, degrees) < share else (low, middle)
+    return low
+
+
+def consistency(share: float) -> float:
+    """What the scatter of the nearest `share` of normal documents has to be multiplied by to be that of all."""
+    k = len(FEATURES)
+    return share / chi2_share(chi2_value(share, k), k + 2)
+
+
+#: Squared distance above which a document is rejected.
+CUTOFF = chi2_value(KEPT, len(FEATURES))
+
+
 def bin_quantile(rows: DataFrame, keys: list[str], value: Column, share: float) -> DataFrame:
     """(keys, bin): the first bin by which `share` of a group's rows are counted. Counts are pre-aggregated, so no
     task sees more of a group than its distinct bins."""
@@ -130,86 +167,196 @@ def distance(params: str = "p") -> Column:
     return F.greatest(total, F.lit(0.0))
 
 
-def fitted(sums: DataFrame) -> DataFrame:
-    """Sums of features and their products per group -> mu and packed inverse scatter, one row a group."""
-    k = len(FEATURES)
+def log_distance() -> Column:
+    return F.log2(F.col("d2") + 1e-9)
+
+
+def with_params(rows: DataFrame, params: DataFrame, few: bool) -> DataFrame:
+    """rows(unit, ...) with each row's params as struct p; units without params are left out."""
+    named = params.select(F.col("unit").alias("of"), F.struct(*(c for c in params.columns if c != "unit")).alias("p"))
+    return rows.join(F.broadcast(named) if few else named, F.col("unit") == F.col("of")).drop("of")
+
+
+def packed(matrix: np.ndarray) -> list[float]:
+    # Rounded, so that the order in which Spark adds doubles cannot show.
+    return [float(f"{x:.9g}") for x in matrix[np.triu_indices(len(FEATURES))]]
+
+
+def unpacked(values) -> np.ndarray:
+    out = np.zeros((len(FEATURES), len(FEATURES)))
+    out[np.triu_indices(len(FEATURES))] = values
+    return out + np.triu(out, 1).T
+
+
+def centred(n: float, sums, pairs) -> tuple[np.ndarray, np.ndarray]:
+    """Mean and scatter of n rows from their sums and sums of products."""
+    mu = np.array(sums) / n
+    return mu, unpacked(pairs) / n - np.outer(mu, mu)
+
+
+PARAMS = "unit string, start int, n double, mu array<double>, cov array<double>, inv array<double>, det double"
+
+
+def param_rows(found: list[tuple]) -> pa.RecordBatch:
+    """(unit, start, n, mu, scatter, determinant or None) -> rows of PARAMS; the scatter is completed by the floors."""
+    out = []
+    for unit, start, n, mu, cov, det in found:
+        full = cov + np.diag(np.square(FLOORS))
+        out.append((unit, start, float(n), [float(f"{x:.9g}") for x in mu], packed(full), packed(np.linalg.inv(full)), float(f"{np.linalg.slogdet(full)[1]:.9g}") if det is None else det))
+    columns = list(zip(*out, strict=True)) if out else [[]] * 7
+    vector = pa.list_(pa.float64())
+    kinds = (pa.string(), pa.int32(), pa.float64(), vector, vector, vector, pa.float64())
+    return pa.RecordBatch.from_arrays([pa.array(list(c), k) for c, k in zip(columns, kinds, strict=True)], names=["unit", "start", "n", "mu", "cov", "inv", "det"])
+
+
+def product_sums(values: list[Column]) -> Column:
+    return F.array(*(F.sum(a * b) for i, a in enumerate(values) for b in values[i:]))
+
+
+def fitted(rows: DataFrame) -> DataFrame:
+    """rows(unit, start, features) -> PARAMS: mean and scatter of each unit's and start's rows."""
+    columns = [F.col(f) for f in FEATURES]
+    sums = rows.groupBy("unit", "start").agg(F.count("*").alias("n"), F.array(*(F.sum(f) for f in FEATURES)).alias("s"), product_sums(columns).alias("ss"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            mus, invs = [], []
-            for n, first, pairs in zip(*(batch.column(i).to_pylist() for i in (1, 2, 3)), strict=True):
-                second = np.zeros((k, k))
-                second[np.triu_indices(k)] = pairs
-                second = second + np.triu(second, 1).T
-                mu = np.array(first) / n
-                cov = second / n - np.outer(mu, mu) + np.diag(np.square(FLOORS))
-                # Rounded, so that the order in which Spark adds doubles cannot show.
-                mus.append([float(f"{x:.9g}") for x in mu])
-                invs.append([float(f"{x:.9g}") for x in np.linalg.inv(cov)[np.triu_indices(k)]])
-            kind = pa.list_(pa.float64())
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(mus, kind), pa.array(invs, kind)], names=["unit", "mu", "inv"])
-
-    return sums.select("unit", "n", "s", "ss").mapInArrow(run, "unit string, mu array<double>, inv array<double>")
-
-
-def scatter_sums(rows: DataFrame) -> DataFrame:
-    pairs = [F.sum(F.col(a) * F.col(b)) for i, a in enumerate(FEATURES) for b in FEATURES[i:]]
-    return rows.groupBy("unit").agg(F.count("*").alias("n"), F.array(*(F.sum(f) for f in FEATURES)).alias("s"), F.array(*pairs).alias("ss"))
-
-
-def estimate(rows: DataFrame, coverage: float = COVERAGE, steps: int = STEPS) -> DataFrame:
-    """rows(unit, features) -> (unit, mu, inv, scale): the MCD estimate of every unit.
-
-    Start: coordinate-wise median with the floors as scatter. Step: the `coverage` nearest documents by the current
-    distance give the next centre and scatter. scale brings the median distance to that of a chi-squared variable."""
-    medians = None
-    for f in FEATURES:
-        one = bin_quantile(rows, ["unit"], F.col(f), 0.5).select("unit", ((F.col("bin") + 0.5) * BIN).alias(f))
-        medians = one if medians is None else medians.join(one, "unit")
-    flat = [1 / FLOORS[i] ** 2 if i == j else 0.0 for i in range(len(FEATURES)) for j in range(i, len(FEATURES))]
-    params = materialize(medians.select("unit", F.array(*FEATURES).alias("mu"), F.array(*(F.lit(float(x)) for x in flat)).alias("inv")), "mcd-start")
-    for _ in range(steps):
-        measured = measure(rows, params)
-        nearest = bin_quantile(measured, ["unit"], F.log2(F.col("d2") + 1e-9), coverage).select(F.col("unit").alias("of"), F.col("bin").alias("last"))
-        kept = measured.join(nearest, F.col("unit") == F.col("of")).where(F.floor(F.log2(F.col("d2") + 1e-9) / BIN) <= F.col("last"))
-        params = materialize(fitted(scatter_sums(kept)), "mcd-step")
-    middle = bin_quantile(measure(rows, params), ["unit"], F.log2(F.col("d2") + 1e-9), 0.5)
-    scale = F.lit(CHI2_MEDIAN) / F.greatest(F.pow(F.lit(2.0), (F.col("bin") + 1) * BIN), F.lit(CHI2_MEDIAN / 2))
-    return params.join(middle.select(F.col("unit").alias("of"), scale.alias("scale")), F.col("unit") == F.col("of")).drop("of")
-
-
-def measure(rows: DataFrame, params: DataFrame) -> DataFrame:
-    named = params.select(F.col("unit").alias("of"), F.struct(*(c for c in params.columns if c != "unit")).alias("p"))
-    joined = rows.join(named, F.col("unit") == F.col("of"), "left")
-    return joined.withColumn("d2", distance()).drop("of") if "scale" in params.columns else joined.withColumn("d2", distance()).drop("of", "p")
+            yield param_rows([(unit, start, n, *centred(n, s, ss), None) for unit, start, n, s, ss in zip(*(c.to_pylist() for c in batch.columns), strict=True)])
+
+    return sums.mapInArrow(run, PARAMS)
+
+
+def started(rows: DataFrame, few: bool) -> DataFrame:
+    """PARAMS of four deterministic starts a unit: medians and median deviations; mean and scatter; scatter of directions
+    from the median; scatter of hyperbolic tangents of the standardised features."""
+    long = rows.select("unit", F.posexplode(F.array(*FEATURES)).alias("f", "x"))
+    middle = bin_quantile(long, ["unit", "f"], F.col("x"), 0.5).select("unit", "f", ((F.col("bin") + 0.5) * BIN).alias("m"))
+    vector = lambda df, value: df.groupBy("unit").agg(F.expr(f"transform(array_sort(collect_list(struct(f, {value}))), x -> x.{value})").alias(value))
+    medians = materialize(vector(middle, "m"), "mcd-medians")
+    off = with_params(rows, medians, few).select("unit", F.posexplode(F.array(*(F.abs(F.col(f) - F.col("p.m")[i]) for i, f in enumerate(FEATURES)))).alias("f", "x"))
+    spread = bin_quantile(off, ["unit", "f"], F.col("x"), 0.5).select("unit", "f", (1.4826 * (F.col("bin") + 0.5) * BIN).alias("d"))
+    scales = materialize(medians.join(vector(spread, "d"), "unit"), "mcd-scales")
+    floor = F.array(*(F.lit(float(x)) for x in FLOORS))
+    told = scales.select("unit", "m", F.zip_with("d", floor, lambda d, f: F.sqrt(d * d + f * f)).alias("s"))
+    z = [F.col(f"z{i}") for i in range(len(FEATURES))]
+    known = with_params(rows, told, few).withColumns({f"z{i}": (F.col(f) - F.col("p.m")[i]) / F.col("p.s")[i] for i, f in enumerate(FEATURES)})
+    known = known.withColumn("r2", F.greatest(sum((c * c for c in z), F.lit(0.0)), F.lit(1e-18)))
+    for i in range(len(FEATURES)):
+        known = known.withColumn(f"h{i}", F.tanh(f"z{i}"))
+    h = [F.col(f"h{i}") for i in range(len(FEATURES))]
+    first = [F.col(f) for f in FEATURES]
+    signs = F.array(*(F.sum(a * b / F.col("r2")) for i, a in enumerate(z) for b in z[i:]))
+    sums = known.groupBy("unit").agg(F.first("p.m").alias("m"), F.first("p.s").alias("s"), F.count("*").alias("n"), F.array(*(F.sum(f) for f in FEATURES)).alias("s1"), product_sums(first).alias("s2"), signs.alias("u2"), F.array(*(F.sum(c) for c in h)).alias("h1"), product_sums(h).alias("h2"))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            found = []
+            for unit, m, s, n, s1, s2, u2, h1, h2 in zip(*(c.to_pylist() for c in batch.columns), strict=True):
+                m, both = np.array(m), np.outer(s, s)
+                scatters = (np.diag(np.square(s)), centred(n, s1, s2)[1], both * unpacked(u2) / n * len(FEATURES), both * centred(n, h1, h2)[1])
+                found += [(unit, k, n, np.array(s1) / n if k == 1 else m, c, float("inf")) for k, c in enumerate(scatters)]
+            yield param_rows(found)
+
+    out = materialize(sums.mapInArrow(run, PARAMS), "mcd-start")
+    discard(medians, scales)
+    return out
+
+
+def spread_over(rows: DataFrame, params: DataFrame, few: bool) -> DataFrame:
+    """rows(unit, features) -> (unit, start, features, d2): a row for each start of its unit."""
+    per_unit = params.groupBy("unit").agg(F.collect_list(F.struct("start", "mu", "inv")).alias("all"))  # STARTS entries at most
+    every = with_params(rows, per_unit, few).select("unit", *FEATURES, F.explode("p.all").alias("p"))
+    return every.select("unit", F.col("p.start").alias("start"), *FEATURES, distance().alias("d2"))
+
+
+def nearest(measured: DataFrame, coverage: float, few: bool) -> DataFrame:
+    """Of each unit's and start's rows the nearest ones that make up `coverage` of them."""
+    last = bin_quantile(measured, ["unit", "start"], log_distance(), coverage).select(F.col("unit").alias("of"), F.col("start").alias("from"), F.col("bin").alias("last"))
+    return measured.join(F.broadcast(last) if few else last, (F.col("unit") == F.col("of")) & (F.col("start") == F.col("from"))).where(F.floor(log_distance() / BIN) <= F.col("last"))
+
+
+def estimate(rows: DataFrame, coverage: float = COVERAGE) -> DataFrame:
+    """rows(unit, features) -> (unit, n, mu, cov): the minimum covariance determinant estimate of every unit.
+
+    Concentration steps from every start go on while its determinant falls; a step that doesn't lower it is not taken.
+    The start that ends with the least determinant counts (ties: the first). n, mu and cov are those of the documents
+    within the NEAR quantile of it; both scatters are made consistent for normal documents."""
+    few = rows.select("unit").distinct().count() <= MOST_BROADCAST_UNITS
+    params = started(rows, few)
+    active, settled = params, []
+    while True:
+        stepped = fitted(nearest(spread_over(rows, active, few), coverage, few))
+        old = active.select(*(F.col(c).alias(f"old_{c}") for c in active.columns))
+        both = materialize(stepped.join(old, (F.col("unit") == F.col("old_unit")) & (F.col("start") == F.col("old_start"))).withColumn("falls", F.col("det") < F.col("old_det") - LEAST_FALL), "mcd-step")
+        settled.append(both.where("not falls").select(*(F.col(f"old_{c}").alias(c) for c in active.columns)))
+        if not both.where("falls").limit(1).count():
+            break
+        active = both.where("falls").select(*active.columns)
+    ended = settled[0]
+    for part in settled[1:]:
+        ended = ended.unionByName(part)
+    best = ended.groupBy("unit").agg(F.min_by(F.struct("mu", "inv"), F.struct("det", "start")).alias("b"))
+    raw = materialize(best.select("unit", F.lit(0).alias("start"), F.col("b.mu").alias("mu"), F.transform("b.inv", lambda x: x / consistency(coverage)).alias("inv")), "mcd-raw")
+    close = fitted(spread_over(rows, raw, few).where(F.col("d2") <= chi2_value(NEAR, len(FEATURES))))
+    # Some documents of every unit are near: the mean distance of its nearest ones is below 5.
+    out = close.select("unit", "n", "mu", F.transform("cov", lambda x: x * consistency(NEAR)).alias("cov"))
+    return materialize(out, "mcd-estimate")
+
+
+def drawn_together(own: DataFrame, above: DataFrame, prior: float) -> DataFrame:
+    """own(unit, up, n, mu, cov), above(unit, mu, cov): own as if `prior` documents of its unit `up` were added."""
+    upper = above.select(F.col("unit").alias("u"), F.col("mu").alias("mu_up"), F.col("cov").alias("cov_up"))
+    mix = lambda a, b: F.zip_with(a, b, lambda x, y: (F.col("n") * x + prior * y) / (F.col("n") + prior))
+    return own.join(upper, F.col("up") == F.col("u")).select("unit", "n", mix("mu", "mu_up").alias("mu"), mix("cov", "cov_up").alias("cov"))
+
+
+def inverted(params: DataFrame) -> DataFrame:
+    """(unit, mu, cov) -> (unit, mu, inv)."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            inv = [packed(np.linalg.inv(unpacked(c))) for c in batch.column(2).to_pylist()]
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(inv, pa.list_(pa.float64()))], names=["unit", "mu", "inv"])
+
+    return params.select("unit", "mu", "cov").mapInArrow(run, "unit string, mu array<double>, inv array<double>")
+
+
+def unit_name(*columns: str) -> Column:
+    return F.concat_ws("/", F.lit(str(len(columns))), *(F.coalesce(F.concat(F.lit("="), F.hex(c)), F.lit("-")) for c in columns))
+
+
+def group_params(passed: DataFrame, coverage: float = COVERAGE, prior: float = PRIOR) -> DataFrame:
+    """passed(lang, source, features) -> (unit, mu, inv) of every (lang, source), by unit_name."""
+    names = F.array(unit_name("lang", "source"), unit_name("lang"), unit_name())
+    fed = materialize(passed.select(F.explode(names).alias("unit"), *FEATURES), "quality-features")
+    found = estimate(fed, coverage)
+    depth = F.substring("unit", 1, 1)
+    corpus = found.where(depth == "0")
+    lang = drawn_together(found.where(depth == "1").withColumn("up", unit_name()), corpus, prior)
+    up = F.concat(F.lit("1"), F.expr("substring(substring_index(unit, '/', 2), 2)"))  # the group's name without its source
+    params = materialize(inverted(drawn_together(found.where(depth == "2").withColumn("up", up), lang, prior)), "quality-params")
+    discard(fed, found)
+    return params
 
 
-def judge(docs: DataFrame, *, cutoff: float = CUTOFF, least_group: int = LEAST_GROUP, coverage: float = COVERAGE, steps: int = STEPS, **columns: str) -> DataFrame:
+def judge(docs: DataFrame, *, cutoff: float = CUTOFF, coverage: float = COVERAGE, prior: float = PRIOR, **columns: str) -> DataFrame:
     """docs -> (doc_id, lang, source, tkey, *STATS, base_failed, distance, kept), a row for every input row.
 
     Documents that fail the base rules are rejected and take no part in the estimates. Null languages and sources are
-    values of their own; groups below least_group use their language's, or the corpus', estimate. An empty table
-    gives no rows; where no document passes the base rules there is nothing to estimate and all are rejected."""
+    values of their own. Repeated rows count each. An empty table gives no rows; where no document passes the base
+    rules there is nothing to estimate and all are rejected."""
     stats = materialize(text_statistics(docs, **columns), "quality-stats")
-    passed = with_features(stats.where(~base_failed()))
-    name = lambda *cols: F.concat_ws("\x01", *(F.coalesce(F.concat(F.lit("="), c), F.lit("-")) for c in cols))
-    per_group = passed.groupBy("lang", "source").agg(F.count("*").alias("n"))
-    # One row a group; languages are few, so the sums below are of pre-aggregated counts.
-    units = per_group.withColumn("in_lang", F.sum("n").over(Window.partitionBy("lang"))).select(F.col("lang").alias("l"), F.col("source").alias("s"), F.when(F.col("n") >= least_group, name("lang", "source")).when(F.col("in_lang") >= least_group, name("lang")).otherwise(F.lit("*")).alias("own"))
-    labelled = passed.join(units, F.col("lang").eqNullSafe(F.col("l")) & F.col("source").eqNullSafe(F.col("s"))).drop("l", "s")
-    feeds = F.array_distinct(F.array(F.col("own"), name("lang"), F.lit("*")))
-    wanted = units.select("own").distinct().withColumnRenamed("own", "unit")
-    fed = labelled.select(F.explode(feeds).alias("unit"), *FEATURES).join(wanted, "unit", "left_semi")
-    params = estimate(materialize(fed, "quality-features"), coverage, steps)
-    measured = measure(labelled.withColumnRenamed("own", "unit"), params).withColumn("distance", F.col("d2") * F.col("p.scale"))
-    good = measured.select("doc_id", "lang", "source", "tkey", *STATS, F.lit(False).alias("base_failed"), F.round("distance", 6).alias("distance"), F.coalesce(F.col("distance") <= cutoff, F.lit(True)).alias("kept"))
+    passed = with_features(stats.where(~base_failed())).withColumn("unit", unit_name("lang", "source"))
+    params = group_params(passed, coverage, prior)
+    few = params.count() <= MOST_BROADCAST_UNITS
+    measured = with_params(passed, params, few).withColumn("distance", F.round(distance(), 6))
+    good = measured.select("doc_id", "lang", "source", "tkey", *STATS, F.lit(False).alias("base_failed"), "distance", (F.col("distance") <= cutoff).alias("kept"))
     bad = stats.where(base_failed()).select("doc_id", "lang", "source", "tkey", *STATS, F.lit(True).alias("base_failed"), F.lit(None).cast("double").alias("distance"), F.lit(False).alias("kept"))
     return good.unionByName(bad)
 
 
 def keep_good(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang", source_col: str = "source", **options) -> DataFrame:
-    """docs without the rejected documents, all columns kept."""
+    """docs without the rejected documents, all columns kept; rows that repeat stay or go together."""
     judged = judge(docs, id_col=id_col, text_col=text_col, lang_col=lang_col, source_col=source_col, **options)
-    rejected = judged.where(~F.col("kept")).select(F.col("doc_id").alias("__id"), F.col("lang").alias("__lang"), F.col("source").alias("__source"), F.col("tkey").alias("__key")).distinct()
-    same = F.col(id_col).eqNullSafe(F.col("__id")) & F.col(lang_col).eqNullSafe(F.col("__lang")) & F.col(source_col).eqNullSafe(F.col("__source")) & (F.xxhash64(F.coalesce(text_col, F.lit(""))) == F.col("__key"))
-    return docs.join(rejected, same, "left_anti")
+    rejected = judged.where(~F.col("kept")).select(F.struct("doc_id", "lang", "source", "tkey").alias("gone")).distinct()
+    here = F.struct(named(docs, id_col).alias("doc_id"), named(docs, lang_col).alias("lang"), named(docs, source_col).alias("source"), text_key(named(docs, text_col)).alias("tkey"))
+    return docs.join(rejected, here.eqNullSafe(rejected["gone"]), "left_anti")
