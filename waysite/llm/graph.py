@@ -18,8 +18,9 @@ def connected_components(links: DataFrame, most_rounds: int = 60) -> DataFrame:
     pairs = materialize(pairs, "cc-links")
     before = None
     for _ in range(most_rounds):
-        last, pairs = pairs, materialize(small_star(large_star(pairs)), "cc-round")
-        discard(last)
+        moved, least = large_star(pairs)
+        last, pairs = pairs, materialize(small_star(moved), "cc-round")
+        discard(last, least)
         now = tuple(pairs.agg(F.count("*"), F.sum(F.xxhash64("hi", "lo").cast("decimal(38,0)"))).first())
         if now == before:
             break
@@ -29,11 +30,13 @@ def connected_components(links: DataFrame, most_rounds: int = 60) -> DataFrame:
     return pairs.select(F.col("hi").alias("node"), F.col("lo").alias("root")).unionByName(pairs.select(F.col("lo").alias("node"), F.col("lo").alias("root")).distinct())
 
 
-def large_star(pairs: DataFrame) -> DataFrame:
+def large_star(pairs: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """The links after the step, and the table it reads."""
     both = pairs.select(F.col("hi").alias("u"), F.col("lo").alias("v")).unionByName(pairs.select(F.col("lo").alias("u"), F.col("hi").alias("v")))
-    least = both.groupBy("u").agg(F.min("v").alias("m")).select(F.col("u").alias("w"), F.least("u", "m").alias("m"))
+    # Written, so that the join stands between two shuffles and the neighbours of a hub can be split over tasks.
+    least = materialize(both.groupBy("u").agg(F.min("v").alias("m")).select(F.col("u").alias("w"), F.least("u", "m").alias("m")), "cc-least")
     larger = pairs.select(F.col("lo").alias("u"), F.col("hi").alias("v"))
-    return larger.join(least, F.col("u") == F.col("w")).where("v <> m").select(F.col("v").alias("hi"), F.col("m").alias("lo")).distinct()
+    return larger.join(least, F.col("u") == F.col("w")).where("v <> m").select(F.col("v").alias("hi"), F.col("m").alias("lo")).distinct(), least
 
 
 def small_star(pairs: DataFrame) -> DataFrame:

@@ -222,21 +222,25 @@ def near_components(docs: DataFrame, *, id_col: str = "doc_id", text_col: str =
     # Whole texts; equal texts have equal keys, which name the text to verify a set on.
     rows = pick(docs, doc_id=id_col, text=text_col).withColumn("tkey", F.xxhash64(F.coalesce("text", F.lit(""))))
     ranks = rows.sparkSession.sparkContext.broadcast(slot_counts(rows, width))
-    found = materialize(prefixes(rows, ranks, width, share), "shingle-prefixes")
+    found_prefixes = materialize(prefixes(rows, ranks, width, share), "shingle-prefixes")
     ranks.destroy()
-    nodes = materialize(found.where("n > 0").groupBy("sig").agg(F.min("tkey").alias("tkey"), F.first("gid").alias("gid"), F.first("n").alias("n"), F.first("parity").alias("parity"), F.count("*").alias("copies")), "shingle-nodes")
+    found = materialize(found_prefixes.select("doc_id", "tkey", "n", "sig"), "shingle-sets")
+    nodes = materialize(found_prefixes.where("n > 0").groupBy("sig").agg(F.min("tkey").alias("tkey"), F.first("gid").alias("gid"), F.first("n").alias("n"), F.first("parity").alias("parity"), F.count("*").alias("copies")), "shingle-nodes")
     word = reduce(lambda x, y: x.bitwiseXOR(y), [F.col("parity")[k] for k in range(PARITY_WORDS)])  # the map modulo 64
-    groups = found.where("n > 0").groupBy("gid").agg(F.first("n").alias("n"), F.when(F.min(word) == F.max(word), F.min(word)).alias("bits"), F.first("hot").alias("hot"), F.count("*").alias("weight"), F.first("prefix").alias("prefix"))
+    groups = found_prefixes.where("n > 0").groupBy("gid").agg(F.first("n").alias("n"), F.when(F.min(word) == F.max(word), F.min(word)).alias("bits"), F.first("hot").alias("hot"), F.count("*").alias("weight"), F.first("prefix").alias("prefix"))
     # One number ranks groups as hubs: many copies first, then frequent prefixes (an original has no rare edits of its own).
     rank = F.shiftleft(F.least(F.col("weight"), F.lit(65535)), 46) + F.shiftleft(F.col("hot").cast("long"), 38) + F.pmod("gid", F.lit(1 << 38))
     entries = groups.select("gid", "n", "bits", rank.alias("rank"), F.posexplode("prefix").alias("pos", "token"))
-    place = F.shiftleft("n", 32) + F.col("pos")
-    # Counts and hubs are pre-aggregated per token in whole numbers; most tokens occur once and end here.
-    shared = entries.groupBy("token").agg(F.count("*").alias("c"), F.max_by("gid", "rank").alias("hub"), F.max_by(place, F.col("rank")).alias("hub_place"), F.max_by("bits", "rank").alias("bits_h")).where("c > 1")
-    shared = shared.select(F.col("token").alias("t"), "c", "hub", F.shiftright("hub_place", 32).alias("n_h"), F.col("hub_place").bitwiseAND(0x7FFFFFFF).alias("pos_h"), "bits_h")
-    meeting = materialize(entries.join(shared, F.col("token") == F.col("t")).drop("t", "rank"), "shingle-meeting")
+    # Counts and the highest rank of each token are pre-aggregated as whole numbers; most tokens occur once and end here.
+    shared = entries.groupBy("token").agg(F.count("*").alias("c"), F.max("rank").alias("top")).where("c > 1").withColumnRenamed("token", "t")
+    met = materialize(entries.join(shared, F.col("token") == F.col("t")).drop("t"), "shingle-met")
+    discard(found_prefixes)
+    hubs = met.where("rank = top").select(F.col("token").alias("t"), F.col("gid").alias("hub"), F.col("n").alias("n_h"), F.col("pos").alias("pos_h"), F.col("bits").alias("bits_h"))
+    meeting = materialize(met.join(hubs, F.col("token") == F.col("t")).drop("t", "rank", "top"), "shingle-meeting")
+    discard(met)
     group_pairs = meeting.where((F.col("gid") != F.col("hub")) & compatible("", "_h", share)).select(F.col("hub").alias("h"), "gid").distinct()
-    lead = nodes.groupBy("gid").agg(F.min("sig").alias("lead"), F.count("*").alias("n_nodes"))
+    # Written, so that a join with it stands between two shuffles and a group of very many nodes can be split over tasks.
+    lead = materialize(nodes.groupBy("gid").agg(F.min("sig").alias("lead"), F.count("*").alias("n_nodes")), "shingle-lead")
     # The hub group's first node meets all nodes of the other groups, and every group's first node its own others.
     starred = group_pairs.join(lead.select(F.col("gid").alias("g"), "lead"), F.col("h") == F.col("g")).select("lead", "gid")
     own = lead.where("n_nodes > 1").select("lead", "gid")
@@ -272,9 +276,11 @@ def near_components(docs: DataFrame, *, id_col: str = "doc_id", text_col: str =
     second = placed.select(F.col("gid").alias("y"), F.col("sig").alias("b"), F.col("root").alias("rb"))
     left = rest.unionByName(mixed).join(first, F.col("g1") == F.col("x")).join(second, F.col("g2") == F.col("y")).where("ra <> rb").select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
     done = star.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b"))
-    more = verified(rows, left.join(done, ["a", "b"], "left_anti"), nodes, width, share)
+    again = materialize(left.join(done, ["a", "b"], "left_anti"), "shingle-again")
+    discard(meeting, star, placed, tagged, lead)
+    more = verified(rows, again, nodes, width, share)
     roots = connected_components(links.unionByName(more))
-    discard(meeting, star, placed, tagged, links, more)
+    discard(again, links, more, nodes)
     return labelled(found, roots)
 
 
