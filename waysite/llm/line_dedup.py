@@ -11,7 +11,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import discard, materialize, pick
+from .common import discard, materialize, named, pick, text_key
 
 #: Counters of the word-frequency sketch: a fixed size. Collisions change the order of words, never a result.
 SLOT_BITS = 19
@@ -20,7 +20,7 @@ MANY = 256
 #: Long sets differ in more words than 64 bits can tell: from this size on, lines have a parity map of 256 bits too.
 LONG_SET = 112
 MAP = ("m0", "m1", "m2")
-#: Lines with fewer distinct words always stay: those without any.
+#: Lines with fewer distinct words always stay: by default only those without any.
 LEAST_WORDS = 1
 #: Words of the candidate filter at most, 64 bits each.
 MOST_FILTER_WORDS = 1 << 20
@@ -28,36 +28,44 @@ HASH_MASK = (1 << 54) - 1
 
 
 def line_rows(docs: DataFrame) -> DataFrame:
-    """docs(doc_id, text, tkey) -> (doc_id, tkey, line_no, line, lkey); a null text is one empty line."""
-    cut = docs.select("doc_id", "tkey", F.posexplode(F.split(F.coalesce("text", F.lit("")), "\n")).alias("line_no", "line"))
+    """docs(doc_id, text, tkey) -> (doc_id, tkey, line_no, line, lkey): the lines in lower case with spaces for other white
+    space, as their words are compared; a null text is one empty line."""
+    low = F.lower(F.coalesce("text", F.lit("")))
+    plain = F.when(low.rlike("[\\x09\\x0b\\x0c\\x0d]"), F.translate(low, "\t\x0b\x0c\r", "    ")).otherwise(low)
+    cut = docs.select("doc_id", "tkey", F.posexplode(F.split(plain, "\n")).alias("line_no", "line"))
     return cut.withColumn("lkey", F.xxhash64("line"))
 
 
 def word_hashes(line: str) -> Column:
-    """Distinct words of a line (lower case) as 64-bit hashes; the other white space counts as spaces."""
-    spaced = f"CASE WHEN rlike({line}, '[\\\\x09\\\\x0b\\\\x0c\\\\x0d]') THEN translate({line}, '\\t\\u000b\\u000c\\r', '    ') ELSE {line} END"
-    return F.expr(f"array_remove(array_distinct(transform(split(lower({spaced}), ' '), w -> xxhash64(w))), xxhash64(''))")
+    """Distinct words of a line as 64-bit hashes."""
+    return F.expr(f"array_remove(array_distinct(transform(split({line}, ' '), w -> xxhash64(w))), xxhash64(''))")
 
 
-def slot(hashed: str) -> str:
-    return f"cast(shiftrightunsigned({hashed}, {64 - SLOT_BITS}) as int)"
+def word_keys(line: str, ranks: str) -> Column:
+    """Distinct words of a line as 64-bit keys in the order of rarity: nine bits of rank, then bits of the hash. ranks
+    holds the rank of each slot in its place in the key."""
+    key = f"get({ranks}, shiftrightunsigned(t, {64 - SLOT_BITS})) | (t & {HASH_MASK}L)"
+    empty = key.replace("(t,", "(xxhash64(''),").replace("(t &", "(xxhash64('') &")
+    return F.expr(f"sort_array(array_remove(array_distinct(transform(transform(split({line}, ' '), w -> xxhash64(w)), t -> {key})), {empty}))")
 
 
 def frequency_ranks(lines: DataFrame) -> DataFrame:
-    """One row, one array: for each slot the rank (0 to 511, logarithmic) of how often its words occur in all lines.
+    """One row, one array: for each slot the rank (0 to 511, logarithmic) of how often its words occur in all lines, in
+    its place in a key.
 
     Counts are summed per task before they are shuffled; the array has 2^SLOT_BITS entries at any size of corpus."""
-    slots = lines.select(F.explode(F.split(F.lower("line"), " ")).alias("w")).select(F.expr(slot("xxhash64(w)")).alias("slot"))
+    slots = lines.select(F.explode(F.split("line", " ")).alias("w")).select(F.expr(f"shiftrightunsigned(xxhash64(w), {64 - SLOT_BITS})").alias("slot"))
     counted = slots.groupBy("slot").agg(F.count("*").alias("c"))
-    filled = lines.sparkSession.range(0, 1 << SLOT_BITS, 1, 8).select(F.col("id").cast("int").alias("slot"), F.lit(0).cast("long").alias("c")).unionByName(counted)
-    whole = filled.groupBy("slot").agg(F.sum("c").alias("c")).select("slot", F.least(F.floor(16 * F.log2(F.col("c") + F.lit(1.0))), F.lit(511)).cast("int").alias("rank"))
+    filled = lines.sparkSession.range(0, 1 << SLOT_BITS, 1, 8).select(F.col("id").alias("slot"), F.lit(0).cast("long").alias("c")).unionByName(counted)
+    rank = F.least(F.floor(16 * F.log2(F.col("c") + F.lit(1.0))), F.lit(511)).cast("long")
+    whole = filled.groupBy("slot").agg(F.sum("c").alias("c")).select("slot", F.shiftleft(rank, 54).alias("rank"))
     return whole.agg(F.expr("transform(array_sort(collect_list(struct(slot, rank))), x -> x.rank)").alias("ranks"))
 
 
 def prefix_of(keys: str, share: int) -> Column:
-    """The first n - ceil(share * n) + 1 words of a sorted set, as 32 bits each: that two words may then look equal
+    """The first n - ceil(share * n) + 1 words of a sorted set, as 32-bit hashes: that two words may then look equal
     only adds candidates."""
-    return F.expr(f"transform(slice({keys}, 1, cast(size({keys}) - ceil({share} * size({keys}) / 100.0) + 1 as int)), t -> cast((t & 4294967295L) - 2147483648L as int))")
+    return F.expr(f"transform(slice({keys}, 1, cast(size({keys}) - ({share} * size({keys}) + 99) div 100 + 1 as int)), t -> hash(t))")
 
 
 def compatible(a: str, b: str, share: int) -> Column:
@@ -81,22 +89,31 @@ def filter_words(keys: DataFrame, words: int) -> DataFrame:
     return whole.agg(F.expr("transform(array_sort(collect_list(struct(word, bits))), x -> x.bits)").alias("held"))
 
 
-def verify(rows: DataFrame, pairs: DataFrame, distinct: DataFrame, share: int) -> DataFrame:
-    """pairs(a, b) of line ids -> those at Jaccard share / 100 or more, by the words of their whole text."""
-    pairs = materialize(pairs, "line-pairs")
-    ids = pairs.select(F.col("a").alias("i")).unionByName(pairs.select(F.col("b").alias("i"))).distinct()
-    wanted = materialize(distinct.select("id", "lkey").join(ids, F.col("id") == F.col("i")).select("id", "lkey"), "line-wanted")
+def marked_lines(rows: DataFrame, wanted: DataFrame) -> DataFrame:
+    """The lines of rows whose key is one of wanted(lkey), and few others: a bit filter of a bounded size thins them
+    before they are shuffled."""
     words = 1 << max(4, min(MOST_FILTER_WORDS, wanted.count() // 4 + 1).bit_length())
     held = materialize(filter_words(wanted, words), "line-filter")
     at = f"pmod(lkey, {64 * words}L)"
     lines = line_rows(rows).withColumn("held", held.select("held").scalar())
-    lines = lines.where(F.expr(f"(element_at(held, cast({at} div 64 as int) + 1) & shiftleft(1L, cast({at} % 64 as int))) <> 0")).select("lkey", "line").dropDuplicates(["lkey"])
+    return lines.where(F.expr(f"(get(held, {at} div 64) & shiftleft(1L, cast({at} % 64 as int))) <> 0")).drop("held")
+
+
+def verify(rows: DataFrame, pairs: DataFrame, distinct: DataFrame, share: int) -> DataFrame | None:
+    """pairs(a, b) of line ids -> those at Jaccard share / 100 or more, by the words of their whole text; None: no pairs."""
+    pairs = materialize(pairs, "line-pairs")
+    if pairs.isEmpty():
+        discard(pairs)
+        return None
+    ids = pairs.select(F.col("a").alias("i")).unionByName(pairs.select(F.col("b").alias("i"))).distinct()
+    wanted = materialize(distinct.select("id", "lkey").join(ids, F.col("id") == F.col("i")).select("id", "lkey"), "line-wanted")
+    lines = marked_lines(rows, wanted).select("lkey", "line").dropDuplicates(["lkey"])
     sets = materialize(lines.join(wanted, "lkey").select("id", word_hashes("line").alias("words")), "line-sets")
     left, right = sets.select(F.col("id").alias("k1"), F.col("words").alias("w1")), sets.select(F.col("id").alias("k2"), F.col("words").alias("w2"))
     both = pairs.join(left, F.col("a") == F.col("k1")).join(right, F.col("b") == F.col("k2"))
     common = F.size(F.array_intersect("w1", "w2"))
     matched = materialize(both.where(100 * common >= share * (F.size("w1") + F.size("w2") - common)).select("a", "b"), "line-matches")
-    discard(pairs, wanted, held, sets)
+    discard(pairs, wanted, sets)
     return matched
 
 
@@ -116,13 +133,12 @@ def removed_lines(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "t
     share / 100 or more with its own, whether or not that line stays itself. Lines with fewer than least_words distinct
     words stay. Rows that repeat both id and text are one document. Empty and null texts are one empty line. tkey is
     xxhash64 of the text. Words and lines are compared as 64-bit hashes."""
-    rows = pick(docs, doc_id=id_col, text=text_col).withColumn("tkey", F.xxhash64(F.coalesce("text", F.lit(""))))
+    rows = pick(docs, doc_id=id_col, text=text_col).withColumn("tkey", text_key(F.col("text")))
     lines = line_rows(rows)
     ranks = materialize(frequency_ranks(lines), "line-ranks")
-    hashed = lines.withColumn("words", word_hashes("line")).where(F.size("words") >= least_words)
-    keyed = hashed.withColumn("ranks", ranks.select("ranks").scalar()).select("doc_id", "tkey", "line_no", "lkey", F.expr(f"sort_array(transform(words, t -> shiftleft(cast(element_at(ranks, {slot('t')} + 1) as bigint), 54) | (t & {HASH_MASK}L)))").alias("keys"))
+    keyed = lines.withColumn("ranks", ranks.select("ranks").scalar()).select("doc_id", "tkey", "line_no", "lkey", word_keys("line", "ranks").alias("keys")).where(F.size("keys") >= least_words)
     shaped = keyed.select("lkey", F.struct("doc_id", "tkey", "line_no").alias("place"), F.size("keys").alias("n"), F.expr("aggregate(keys, 0L, (a, t) -> a ^ shiftleft(1L, cast(t & 63 as int)))").alias("bits"), *(F.expr(f"CASE WHEN size(keys) >= {LONG_SET} THEN aggregate(filter(keys, t -> (t & 192) = {64 * k}), 0L, (a, t) -> a ^ shiftleft(1L, cast(t & 63 as int))) END").alias(f"m{k}") for k in range(3)), prefix_of("keys", share).alias("prefix"))
-    grouped = shaped.groupBy("lkey").agg(F.min("place").alias("first"), F.first("n").alias("n"), F.first("bits").alias("bits"), *(F.first(m).alias(m) for m in MAP), F.first("prefix").alias("prefix"))
+    grouped = shaped.groupBy("lkey").agg(F.min("place").alias("first"), F.count("*").alias("copies"), F.first("n").alias("n"), F.first("bits").alias("bits"), *(F.first(m).alias(m) for m in MAP), F.first("prefix").alias("prefix"))
     # The table is written once, so the numbers given here stay; they are short, and neighbours have like ones.
     distinct = materialize(grouped.withColumn("id", F.monotonically_increasing_id()), "line-distinct")
     entries = distinct.select("id", "n", "bits", *MAP, F.posexplode("prefix").alias("pos", "word"))
@@ -135,25 +151,35 @@ def removed_lines(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "t
     a, b = marked.alias("a"), marked.alias("b")
     once = (F.col("a.hub").isNull() & F.col("b.hub").isNull() & (F.col("a.id") < F.col("b.id"))) | ((F.col("b.id") == F.col("b.hub")) & (F.col("a.id") != F.col("b.id")))
     met = a.join(b, (F.col("a.word") == F.col("b.word")) & once & compatible("a", "b", share)).select(F.least("a.id", "b.id").alias("a"), F.greatest("a.id", "b.id").alias("b")).distinct()
-    gone = materialize(later_of(verify(rows, met, distinct, share), distinct), "line-gone")
+    none = rows.sparkSession.createDataFrame([], "id long")
+    matched = verify(rows, met, distinct, share)
+    gone = none if matched is None else materialize(later_of(matched, distinct), "line-gone")
     # Lines not yet matched meet every line with which they share such a word.
     crowded = entries.join(many, F.col("word") == F.col("w")).select("word", "id", "n", "pos", "bits", *MAP)
     open_lines = crowded.join(gone, "id", "left_anti").alias("a")
     rest = open_lines.join(crowded.alias("b"), (F.col("a.word") == F.col("b.word")) & (F.col("a.id") != F.col("b.id")) & compatible("a", "b", share)).select(F.least("a.id", "b.id").alias("a"), F.greatest("a.id", "b.id").alias("b")).distinct()
-    also = later_of(verify(rows, rest, distinct, share), distinct)
-    judged = distinct.select("id", F.col("lkey").alias("k"), "first").join(gone.unionByName(also).distinct().select(F.col("id").alias("g")), F.col("id") == F.col("g"), "left").select("k", "first", F.col("g").isNotNull().alias("matched"))
-    placed = line_rows(rows).select("doc_id", "tkey", "line_no", "lkey").join(judged, F.col("lkey") == F.col("k"), "left")
-    here = F.struct("doc_id", "tkey", "line_no")
-    goes = F.coalesce(F.col("matched") | (here != F.col("first")), F.lit(False))
-    return placed.groupBy("doc_id", "tkey").agg(F.countDistinct("line_no").alias("n_lines"), F.array_sort(F.collect_set(F.when(goes, F.col("line_no")))).alias("removed"))
+    more = verify(rows, rest, distinct, share)
+    also = none if more is None else later_of(more, distinct)
+    # Only lines that match or repeat can go; the others are not looked at again.
+    found = distinct.select("id", "lkey", "first", "copies").join(gone.unionByName(also).distinct().select(F.col("id").alias("g")), F.col("id") == F.col("g"), "left")
+    judged = materialize(found.where(F.col("g").isNotNull() | (F.col("copies") > 1)).select("lkey", "first", F.col("g").isNotNull().alias("matched")), "line-judged")
+    discard(ranks, distinct, many, *(t for t in (matched, more) if t is not None), *([gone] if matched is not None else []))
+    placed = marked_lines(rows, judged).select("doc_id", "tkey", "line_no", F.col("lkey").alias("k")).join(judged, F.col("lkey") == F.col("k"))
+    goes = placed.where(F.col("matched") | (F.struct("doc_id", "tkey", "line_no") != F.col("first"))).select("doc_id", "tkey", F.lit(None).cast("int").alias("n_lines"), "line_no")
+    # Its number of lines stands for a document of which none goes.
+    whole = rows.select("doc_id", "tkey", F.size(F.split(F.coalesce("text", F.lit("")), "\n")).alias("n_lines"), F.lit(None).cast("int").alias("line_no"))
+    return whole.unionByName(goes).groupBy("doc_id", "tkey").agg(F.max("n_lines").cast("long").alias("n_lines"), F.array_sort(F.collect_set("line_no")).alias("removed"))
 
 
 def drop_lines(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", share: int = 80, least_words: int = LEAST_WORDS) -> DataFrame:
     """docs with the removed lines cut out of the text, all columns kept; documents left without any word, which had
     one before, go."""
-    removed = removed_lines(docs, id_col=id_col, text_col=text_col, share=share, least_words=least_words).where(F.size("removed") > 0).select(F.col("doc_id").alias("__id"), F.col("tkey").alias("__key"), F.col("removed").alias("__removed"))
-    joined = docs.join(removed, F.col(id_col).eqNullSafe(F.col("__id")) & (F.xxhash64(F.coalesce(text_col, F.lit(""))) == F.col("__key")), "left")
-    name = f"`{text_col}`"
-    cut = F.expr(f"CASE WHEN `__removed` IS NULL THEN {name} ELSE array_join(transform(filter(transform(split({name}, '\\n'), (l, i) -> struct(l, i)), x -> NOT array_contains(`__removed`, x.i)), x -> x.l), '\\n') END")
-    empty = F.col("__removed").isNotNull() & ~F.col("__text").rlike("[^\\x20\\x09-\\x0D]")
-    return joined.withColumn("__text", cut).where(~empty).select(*(F.col("__text").alias(c) if c == text_col else F.col(c) for c in docs.columns))
+    removed = removed_lines(docs, id_col=id_col, text_col=text_col, share=share, least_words=least_words).where(F.size("removed") > 0).select(F.struct("doc_id", "tkey").alias("of"), "removed")
+    text = named(docs, text_col)
+    here = F.struct(named(docs, id_col).alias("doc_id"), text_key(text).alias("tkey"))
+    joined = docs.join(removed, here.eqNullSafe(removed["of"]), "left")
+    gone = removed["removed"]
+    kept = F.filter(F.split(text, "\n"), lambda _, i: ~F.array_contains(gone, i))
+    cut = F.when(gone.isNull(), text).otherwise(F.array_join(kept, "\n"))
+    empty = gone.isNotNull() & ~cut.rlike("[^\\x20\\x09-\\x0D]")
+    return joined.where(~F.coalesce(empty, F.lit(False))).select(*(cut.alias(c) if c == text_col else named(docs, c) for c in docs.columns))

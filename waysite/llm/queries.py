@@ -20,9 +20,8 @@ def op2_mix_sources(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op3_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
-    # OP3_SQL judges lines of five words or more only.
-    found = line_dedup.removed_lines(read_table(spark, sf_dir, "documents"), least_words=5)
-    return found.select("doc_id", F.col("n_lines").cast("long").alias("n_lines"), F.size("removed").cast("long").alias("n_removed"), F.array_join("removed", ",").alias("removed"))
+    found = line_dedup.removed_lines(read_table(spark, sf_dir, "documents"))
+    return found.select("doc_id", "n_lines", F.size("removed").cast("long").alias("n_removed"), F.array_join("removed", ",").alias("removed"))
 
 
 def op4_telephony(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -110,7 +109,7 @@ WITH l AS (
   SELECT doc_id, i - 1 AS line_no, string_split(coalesce(text, ''), chr(10))[i] AS line
   FROM (SELECT doc_id, text, unnest(range(1, len(string_split(coalesce(text, ''), chr(10))) + 1)) AS i FROM documents)
 ), s AS (SELECT doc_id, line_no, line, list_sort(list_distinct(regexp_extract_all(lower(line), '[^\x20\x09-\x0D]+'))) AS words FROM l),
-d AS (SELECT words, min(struct_pack(doc_id, line_no)) AS first, row_number() OVER (ORDER BY words) AS id FROM s WHERE len(words) >= 5 GROUP BY words),
+d AS (SELECT words, min(struct_pack(doc_id, line_no)) AS first, row_number() OVER (ORDER BY words) AS id FROM s WHERE len(words) >= 1 GROUP BY words),
 t AS (SELECT id, len(words) AS n, unnest(words) AS w FROM d),
 f AS (SELECT w, count(*) AS c FROM t GROUP BY w),
 r AS (SELECT t.id, t.n, t.w, row_number() OVER (PARTITION BY t.id ORDER BY f.c, t.w) AS pos FROM t JOIN f USING (w)),
