@@ -129,7 +129,7 @@ def test_far_rejoin_needs_the_long_horizon(spark):
     whole = heap_distances(edges, nodes, None)
     assert dt.detours(points, sites, whole).first()["metres"] == 0
     assert dt.detours(points, sites, heap_distances(edges, nodes, 50)).count() == 0
-    covered = dt.cover_at_query(edges, points, sites, whole, 50, pref.binary(50))
+    covered = dt.cover_at_query(edges, points, sites, 50, pref.binary(50))
     assert covered.count() == 1
 
 

@@ -3,16 +3,21 @@
 from __future__ import annotations
 
 import heapq
+from dataclasses import dataclass
 
 import numpy as np
+import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from waysite.operators.sketch import estimates, fm_sketch
+from waysite.operators.sketch import estimates, fm_sketch, hashed
 from waysite.sources.tables import materialize
 
-#: Dominance rows that the sequential clustering takes to the driver at most; above, peer rounds do the same.
-MOST_DRIVER_ROWS = 20_000_000
+#: Dominance rows that the sequential clustering takes to the driver at most, 20 bytes each: 200 MB; above, peer rounds
+#: do the same.
+MOST_DRIVER_ROWS = 10_000_000
+#: Rows of the cover by which similar covers are still compared.
+MOST_COMPARED = 50_000_000
 
 
 def dominating_sets(trips: DataFrame, radius: float) -> DataFrame:
@@ -29,42 +34,59 @@ def dominating_clusters(dom: DataFrame, engine: str = "auto", sketch_copies: int
     if engine == "auto":
         engine = "driver" if dom.limit(MOST_DRIVER_ROWS + 1).count() <= MOST_DRIVER_ROWS else "peers"
     if sketch_copies:
+        if dom.limit(MOST_DRIVER_ROWS + 1).count() > MOST_DRIVER_ROWS:
+            raise ValueError("too many dominance rows for the sketched clustering; use peers")
         return _by_sketch(dom, sketch_copies)
     return _by_driver(dom) if engine == "driver" else _by_peers(dom)
 
 
-def _arrays(dom: DataFrame) -> tuple[dict[int, list[tuple[int, int]]], int]:
-    near: dict[int, list[tuple[int, int]]] = {}
-    for a, b, m in dom.select("node", "dominated", "metres").toPandas().itertuples(index=False):
-        near.setdefault(int(a), []).append((int(b), int(m)))
-    return near, len(near)
+@dataclass(frozen=True)
+class _Dominance:
+    """Dominance rows of a checked number as arrays: what ids[i] dominates is start[i] to start[i + 1] of near."""
 
+    ids: np.ndarray
+    start: np.ndarray
+    near: np.ndarray
+    metres: np.ndarray
 
-def _frame(dom: DataFrame, rows: list[tuple[int, int, int]]) -> DataFrame:
-    return dom.sparkSession.createDataFrame(rows, "cluster_id long, node_id long, metres long")
+    @staticmethod
+    def of(dom: DataFrame) -> _Dominance:
+        rows = dom.select(F.col("node").cast("long"), F.col("dominated").cast("long"), F.col("metres").cast("int")).toArrow()
+        a, b, m = (rows.column(k).to_numpy() for k in range(3))
+        ids, at = np.unique(a, return_inverse=True)
+        order = np.lexsort((b, at))
+        return _Dominance(ids, np.searchsorted(at[order], np.arange(len(ids) + 1)), np.searchsorted(ids, b[order]).astype(np.int32), m[order])
+
+    def members(self, i: int, free: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        near, metres = self.near[self.start[i] : self.start[i + 1]], self.metres[self.start[i] : self.start[i + 1]]
+        return near[free[near]], metres[free[near]]
+
+
+def _frame(dom: DataFrame, parts: list[tuple[int, np.ndarray, np.ndarray]]) -> DataFrame:
+    """(centre, members, metres) of each cluster -> (cluster_id, node_id, metres)."""
+    columns = [np.concatenate([x for x in c] or [np.zeros(0, np.int64)]).astype(np.int64) for c in ([np.full(len(n), c) for c, n, _ in parts], [n for _, n, _ in parts], [m for _, _, m in parts])]
+    return dom.sparkSession.createDataFrame(pd.DataFrame(dict(zip(("cluster_id", "node_id", "metres"), columns, strict=True))), "cluster_id long, node_id long, metres long")
 
 
 def _by_driver(dom: DataFrame) -> DataFrame:
-    near, _ = _arrays(dom)
-    free = set(near)
-    count = {v: len(d) for v, d in near.items()}
-    heap = [(-c, v) for v, c in count.items()]
+    held = _Dominance.of(dom)
+    free, count = np.ones(len(held.ids), bool), np.diff(held.start)
+    heap = [(-c, v) for v, c in enumerate(count.tolist())]
     heapq.heapify(heap)
-    rows = []
-    while free:
+    parts = []
+    while heap:
         c, v = heapq.heappop(heap)
-        if v not in free:
+        if not free[v]:
             continue
         if -c != count[v]:
-            heapq.heappush(heap, (-count[v], v))
+            heapq.heappush(heap, (-int(count[v]), v))
             continue
-        members = [(u, m) for u, m in near[v] if u in free]
-        rows += [(v, u, m) for u, m in members]
-        free -= {u for u, _ in members}
-        for u, _ in members:
-            for w, _ in near[u]:
-                count[w] -= 1
-    return _frame(dom, rows)
+        members, metres = held.members(v, free)
+        parts.append((int(held.ids[v]), held.ids[members], metres))
+        free[members] = False
+        for u in members.tolist():  # dominance is symmetric: those that dominate u are those that u dominates
+            count[held.near[held.start[u] : held.start[u + 1]]] -= 1
+    return _frame(dom, parts)
 
 
 def _by_peers(dom: DataFrame, most_rounds: int = 100_000) -> DataFrame:
@@ -97,41 +119,71 @@ def _by_sketch(dom: DataFrame, f: int) -> DataFrame:
     """Counts of free dominated nodes as estimate(union with what is taken) - estimate(what is taken): a sketch can't
     lose members, but it can tell what a union adds."""
     rows = fm_sketch(dom, "node", "dominated", f).toPandas().sort_values(["node", "copy"])
-    ids = np.unique(rows["node"].to_numpy())
-    words = rows["word"].to_numpy(np.int64).reshape(len(ids), f)
-    near, _ = _arrays(dom)
-    free, base, out = set(near), np.zeros(f, np.int64), []
-    while free:
-        live = np.array([i for i, v in enumerate(ids) if int(v) in free])
+    held = _Dominance.of(dom)
+    words = rows["word"].to_numpy(np.int64).reshape(len(held.ids), f)
+    free, base, parts = np.ones(len(held.ids), bool), np.zeros(f, np.int64), []
+    while free.any():
+        live = np.flatnonzero(free)
         gains = estimates(words[live] | base) - (estimates(base[None])[0] if base.any() else 0.0)
-        centre = int(ids[live[np.lexsort((ids[live], -gains))[0]]])
-        members = [(u, m) for u, m in near[centre] if u in free]
-        out += [(centre, u, m) for u, m in members]
-        free -= {u for u, _ in members}
-        base = base | words[np.searchsorted(ids, centre)]
-    return _frame(dom, out)
+        centre = int(live[np.lexsort((live, -gains))[0]])
+        members, metres = held.members(centre, free)
+        parts.append((int(held.ids[centre]), held.ids[members], metres))
+        free[members] = False
+        base = base | words[centre]
+    return _frame(dom, parts)
 
 
 def jaccard_pairs(cover: DataFrame, threshold: float) -> DataFrame:
-    """(a, b, both, either): pairs of sites whose sets of covered paths are at Jaccard threshold or more."""
-    sizes = cover.groupBy("site_id").agg(F.count("*").alias("n"))
+    """(a, b, both, either): pairs of sites whose sets of covered paths are at Jaccard threshold or more.
+
+    Every path pairs all of its sites, which is why the reference rejects it: more than MOST_COMPARED pairs are an error."""
+    pairs_made = cover.groupBy("path_id").agg(F.count("*").alias("n")).agg(F.coalesce(F.sum(F.col("n") * (F.col("n") - 1) / 2), F.lit(0.0))).first()[0]
+    if pairs_made > MOST_COMPARED:
+        raise ValueError(f"{pairs_made:.0f} pairs to compare; use minhash_pairs or the index")
+    return _verified(cover, _co_covering(cover), threshold)
+
+
+def _co_covering(cover: DataFrame) -> DataFrame:
     left = cover.select("path_id", F.col("site_id").alias("a"))
-    pairs = left.join(cover.select("path_id", F.col("site_id").alias("b")), "path_id").where("a < b").groupBy("a", "b").agg(F.count("*").alias("both"))
-    sized = pairs.join(sizes.select(F.col("site_id").alias("a"), F.col("n").alias("na")), "a").join(sizes.select(F.col("site_id").alias("b"), F.col("n").alias("nb")), "b")
+    return left.join(cover.select("path_id", F.col("site_id").alias("b")), "path_id").where("a < b").groupBy("a", "b").agg(F.count("*").alias("both"))
+
+
+def _verified(cover: DataFrame, counted: DataFrame, threshold: float) -> DataFrame:
+    sizes = cover.groupBy("site_id").agg(F.count("*").alias("n"))
+    sized = counted.join(sizes.select(F.col("site_id").alias("a"), F.col("n").alias("na")), "a").join(sizes.select(F.col("site_id").alias("b"), F.col("n").alias("nb")), "b")
     return sized.select("a", "b", "both", (F.col("na") + F.col("nb") - F.col("both")).alias("either")).where(F.col("both") >= threshold * F.col("either"))
 
 
-def jaccard_clusters(cover: DataFrame, threshold: float) -> DataFrame:
-    """Leader clusters: sites by weight (ties: smaller id); each joins the first leader similar enough, or leads."""
-    weights = [r["site_id"] for r in cover.groupBy("site_id").agg(F.sum("score").alias("w")).orderBy(F.col("w").desc(), "site_id").collect()]
+def minhash_pairs(cover: DataFrame, threshold: float, bands: int = 32, rows: int = 2) -> DataFrame:
+    """As jaccard_pairs, but only sites that agree on a band of minimum hashes are compared, on their whole sets: a pair
+    at similarity s is found with a chance of 1 - (1 - s^rows)^bands."""
+    copies = cover.select("site_id", "path_id", F.explode(F.sequence(F.lit(0), F.lit(bands * rows - 1))).alias("copy"))
+    least = copies.groupBy("site_id", F.floor(F.col("copy") / rows).alias("band"), (F.col("copy") % rows).alias("row")).agg(F.min(hashed(F.col("path_id"), F.col("copy"), bands * rows)).alias("h"))
+    keys = least.groupBy("site_id", "band").agg(F.array_sort(F.collect_list(F.struct("row", "h"))).alias("key"))
+    other = keys.select(F.col("site_id").alias("b"), F.col("band").alias("band_b"), F.col("key").alias("key_b"))
+    near = keys.join(other, (F.col("band") == F.col("band_b")) & (F.col("key") == F.col("key_b")) & (F.col("site_id") < F.col("b"))).select(F.col("site_id").alias("a"), "b").distinct()
+    one = near.join(cover.select(F.col("site_id").alias("a"), "path_id"), "a")
+    both = one.join(cover.select(F.col("site_id").alias("b"), F.col("path_id").alias("p")), ["b"]).where("path_id = p").groupBy("a", "b").agg(F.count("*").alias("both"))
+    return _verified(cover, both, threshold)
+
+
+def jaccard_clusters(cover: DataFrame, threshold: float, minhash: bool = False) -> DataFrame:
+    """Clusters of sites with similar covers at one fixed threshold of detour, that of the cover given. Leaders: sites by
+    weight (ties: smaller id); each joins the first leader similar enough, or leads. One number a site and its similar
+    ones are on the driver; their number is checked."""
+    weights = [r["site_id"] for r in cover.groupBy("site_id").agg(F.sum("score").alias("w")).orderBy(F.col("w").desc(), "site_id").limit(MOST_DRIVER_ROWS).collect()]
+    found = materialize((minhash_pairs if minhash else jaccard_pairs)(cover, threshold), "similar")
+    if found.count() > MOST_DRIVER_ROWS:
+        raise ValueError("too many similar sites to lead one after the other")
     near: dict[int, set[int]] = {}
-    for r in jaccard_pairs(cover, threshold).toLocalIterator():
+    for r in found.toLocalIterator():
         near.setdefault(r["a"], set()).add(r["b"])
         near.setdefault(r["b"], set()).add(r["a"])
-    leader, leaders = {}, []
+    leader: dict[int, int] = {}
+    place: dict[int, int] = {}
     for s in weights:
-        own = next((m for m in leaders if m in near.get(s, ())), s)
-        leader[s] = own
-        if own == s:
-            leaders.append(s)
+        leads = [m for m in near.get(s, ()) if m in place]
+        leader[s] = min(leads, key=place.__getitem__) if leads else s
+        if not leads:
+            place[s] = len(place)
     return cover.sparkSession.createDataFrame([(m, s) for s, m in leader.items()], "cluster_id long, site_id long")

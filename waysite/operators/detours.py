@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from collections.abc import Iterator
+from dataclasses import dataclass
 
 import numpy as np
 import pandas as pd
@@ -10,12 +11,15 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from waysite.functions.preference import Preference
-from waysite.operators.distance import network_distances, search_horizon
+from waysite.operators.distance import network_distances
 from waysite.operators.paths import path_arrays
+from waysite.sources.tables import materialize
 
 PAIRS = ("any", "same", "forward", "forward_along")
 #: Nodes of a network whose full distance matrix (4 bytes a pair) is still broadcast to the kernel: 64 MB.
 MOST_KERNEL_NODES = 4_000
+#: Longer than any way, and small enough to be added three times in 32 bits.
+FAR = 1 << 29
 
 
 def detours(points: DataFrame, sites: DataFrame, dist: DataFrame, pair: str = "any") -> DataFrame:
@@ -62,43 +66,104 @@ def along_detours(points: DataFrame, held: DataFrame, out: DataFrame, back: Data
     return best.groupBy("path_id", F.col("s").alias("site_id")).agg(F.greatest(F.min("extra"), F.lit(0)).cast("long").alias("metres"))
 
 
+@dataclass(frozen=True)
+class Matrix:
+    """All distances of a network of up to MOST_KERNEL_NODES nodes; FAR where there is no way."""
+
+    ids: np.ndarray
+    metres: np.ndarray
+
+    @staticmethod
+    def of(dist: DataFrame) -> Matrix:
+        if dist.select("src").distinct().limit(MOST_KERNEL_NODES + 1).count() > MOST_KERNEL_NODES:
+            raise ValueError("network too large for the matrix kernel; use detours()")
+        rows = dist.select(*(F.col(c).cast(k) for c, k in (("src", "long"), ("dst", "long"), ("metres", "int")))).toArrow()
+        src, dst, metres = (rows.column(k).to_numpy() for k in range(3))
+        ids = np.unique(np.concatenate([src, dst]))
+        out = np.full((len(ids), len(ids)), FAR, np.int32)
+        out[np.searchsorted(ids, src), np.searchsorted(ids, dst)] = metres
+        return Matrix(ids, out)
+
+    def detours(self, nodes: np.ndarray, sites: np.ndarray) -> np.ndarray:
+        """The least detour from the nodes of a path to each site: a minimum over all pairs of nodes, one leave at a time."""
+        at, columns = np.searchsorted(self.ids, nodes), np.searchsorted(self.ids, sites)
+        inner = self.metres[np.ix_(at, at)]
+        inner = np.where(inner < FAR, inner, -FAR)
+        there, home = self.metres[np.ix_(at, columns)], np.ascontiguousarray(self.metres[np.ix_(columns, at)].T)
+        best = np.full(len(columns), FAR, np.int32)
+        for i in range(len(at)):
+            np.minimum(best, there[i] + (home - inner[i][:, None]).min(0), out=best)
+        return best
+
+
 def kernel_detours(points: DataFrame, sites: DataFrame, dist: DataFrame, tau: int | None = None) -> DataFrame:
     """The same as detours(pair="any") on networks of up to MOST_KERNEL_NODES nodes: the distance matrix is broadcast
     and each distinct set of path nodes is one numpy step, shared by all paths that have it."""
-    rows = dist.select("src", "dst", "metres").toPandas()
-    ids = np.unique(np.concatenate([rows["src"], rows["dst"]]))
-    if len(ids) > MOST_KERNEL_NODES:
-        raise ValueError("network too large for the matrix kernel; use detours()")
-    far = np.int64(1 << 40)
-    matrix = np.full((len(ids), len(ids)), far)
-    matrix[np.searchsorted(ids, rows["src"]), np.searchsorted(ids, rows["dst"])] = rows["metres"]
-    chosen = np.sort(sites.select("site_id").toPandas()["site_id"].to_numpy())
-    chosen = chosen[np.isin(chosen, ids)]
-    shared = points.sparkSession.sparkContext.broadcast((ids, matrix, chosen))
+    matrix = Matrix.of(dist)
+    chosen = np.sort(sites.select("site_id").toPandas()["site_id"].to_numpy())  # a site is a node of the network
+    chosen = chosen[np.isin(chosen, matrix.ids)]
+    routes = route_arrays(points)
+    once = numbered_routes(routes.select("nodes").distinct().withColumn("goals", F.lit(None).cast("array<long>")))
+    found = run_kernel(once, matrix, FAR // 2 if tau is None else int(tau), chosen)
+    # Up to one row a route and site, many times the estimate made from the routes: never to be broadcast.
+    return routes.join(once.select("nodes", "route"), "nodes").join(found.hint("merge"), "route").select("path_id", "site_id", "metres")
+
+
+def own_detours(through: DataFrame, points: DataFrame, dist: DataFrame, kernel: bool = True) -> DataFrame:
+    """through(path_id, site_id) -> (path_id, site_id, metres): the detours of these pairs only. Sites on a path cost
+    nothing and need no distance."""
+    routes = route_arrays(points)
+    placed = through.select("path_id", "site_id").distinct().join(routes, "path_id")
+    here = placed.where(F.array_contains("nodes", F.col("site_id"))).select("path_id", "site_id", F.lit(0).cast("long").alias("metres"))
+    off = placed.where(~F.array_contains("nodes", F.col("site_id")))
+    if not kernel:
+        ids = off.select("path_id", "site_id")
+        met = points.select("path_id", "node_id").distinct().join(ids, "path_id")
+        there = dist.select(F.col("src").alias("v"), F.col("dst").alias("s"), F.col("metres").alias("out"))
+        back = dist.select(F.col("src").alias("s2"), F.col("dst").alias("w"), F.col("metres").alias("home"))
+        gap = dist.select(F.col("src").alias("g1"), F.col("dst").alias("g2"), F.col("metres").alias("gap"))
+        leave = met.join(there, (F.col("node_id") == F.col("v")) & (F.col("site_id") == F.col("s"))).select("path_id", "site_id", "v", "out")
+        rejoin = met.join(back, (F.col("site_id") == F.col("s2")) & (F.col("node_id") == F.col("w"))).select("path_id", "site_id", "w", "home")
+        both = leave.join(rejoin, ["path_id", "site_id"]).join(gap, (F.col("v") == F.col("g1")) & (F.col("w") == F.col("g2")))
+        return here.unionByName(both.groupBy("path_id", "site_id").agg(F.min(F.col("out") + F.col("home") - F.col("gap")).cast("long").alias("metres")))
+    # What a path's clusters are follows from its nodes, so equal routes have equal goals: at most the network's nodes.
+    grouped = numbered_routes(off.groupBy("nodes").agg(F.collect_set("site_id").alias("goals")))
+    found = run_kernel(grouped, Matrix.of(dist), FAR // 2, None)
+    away = off.join(grouped.select("nodes", "route"), "nodes").select("path_id", F.col("site_id").alias("s"), F.col("route").alias("r"))
+    met = away.join(found.hint("merge"), (F.col("r") == F.col("route")) & (F.col("s") == F.col("site_id")))
+    return here.unionByName(met.select("path_id", "site_id", "metres"))
+
+
+def route_arrays(points: DataFrame) -> DataFrame:
+    """(path_id, nodes): the set of a path's nodes in ascending order."""
+    return path_arrays(points).select("path_id", F.array_sort(F.array_distinct("nodes")).alias("nodes"))
+
+
+def numbered_routes(routes: DataFrame) -> DataFrame:
+    """routes(nodes, goals) with a number for each: written, so that the numbers stay."""
+    return materialize(routes.withColumn("route", F.monotonically_increasing_id()), "routes")
+
+
+def run_kernel(routes: DataFrame, matrix: Matrix, most: int, chosen: np.ndarray | None) -> DataFrame:
+    """routes(route, nodes, goals) -> (route, site_id, metres): detours up to `most` to the chosen sites, or to each
+    route's goals."""
+    shared = routes.sparkSession.sparkContext.broadcast((matrix, chosen))
 
     def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        ids, matrix, chosen = shared.value
-        columns = np.searchsorted(ids, chosen)
+        matrix, chosen = shared.value
         for frame in frames:
             keys, sites_of, metres = [], [], []
-            for key, nodes in zip(frame["route"], frame["nodes"], strict=True):
-                at = np.searchsorted(ids, nodes)
-                inner = matrix[np.ix_(at, at)]
-                there, home = matrix[np.ix_(at, columns)], matrix[np.ix_(columns, at)].T
-                best = np.full(len(columns), far)
-                for i in range(len(at)):
-                    best = np.minimum(best, there[i] + (home - np.where(inner[i] < far, inner[i], -far)[:, None]).min(0))
-                ok = best < (far // 2 if tau is None else tau + 1)
-                keys.append(np.full(int(ok.sum()), key))
-                sites_of.append(chosen[ok])
-                metres.append(best[ok])
-            yield pd.DataFrame({"route": np.concatenate(keys), "site_id": np.concatenate(sites_of), "metres": np.concatenate(metres)}) if keys else pd.DataFrame({"route": [], "site_id": [], "metres": []}, dtype="int64")
-
-    routes = path_arrays(points).select("path_id", F.array_sort(F.array_distinct("nodes")).alias("nodes")).withColumn("route", F.xxhash64("nodes"))
-    once = routes.groupBy("route").agg(F.first("nodes").alias("nodes"))
-    found = once.mapInPandas(run, "route long, site_id long, metres long")
-    # Up to one row a route and site, many times the estimate made from the routes: never to be broadcast.
-    return routes.select("path_id", "route").join(found.hint("merge"), "route").select("path_id", "site_id", "metres")
+            for route, nodes, goals in zip(frame["route"], frame["nodes"], frame["goals"], strict=True):
+                sites = np.asarray(goals, np.int64) if chosen is None else chosen
+                best = matrix.detours(np.asarray(nodes), sites)
+                ok = best <= most
+                keys.append(np.full(int(ok.sum()), route))
+                sites_of.append(sites[ok])
+                metres.append(best[ok].astype(np.int64))
+            if keys:
+                yield pd.DataFrame({"route": np.concatenate(keys), "site_id": np.concatenate(sites_of), "metres": np.concatenate(metres)})
+
+    return routes.select("route", "nodes", "goals").mapInPandas(run, "route long, site_id long, metres long")
 
 
 def ranked_detours(detour: DataFrame) -> DataFrame:
@@ -115,9 +180,13 @@ def cover(detour: DataFrame, preference: Preference) -> DataFrame:
     return scored if preference.tau is None else scored.where("score > 0")
 
 
-def cover_at_query(edges: DataFrame, points: DataFrame, sites: DataFrame, dist: DataFrame, tau: int, preference: Preference) -> DataFrame:
-    """The cover without stored detours: searches cut at the horizon, made when the query comes."""
-    horizon = search_horizon(tau, points, dist)
+def cover_at_query(edges: DataFrame, points: DataFrame, sites: DataFrame, tau: int, preference: Preference) -> DataFrame:
+    """The cover without anything stored: all searches are made when the query comes. First the distances between the
+    nodes of each path, which tell how far the others have to go."""
+    nodes = points.select("path_id", "node_id").distinct()
+    pairs = nodes.join(nodes.select("path_id", F.col("node_id").alias("to")), "path_id").select(F.col("node_id").alias("src"), F.col("to").alias("dst")).distinct()
+    within = materialize(network_distances(edges, nodes, wanted=pairs), "within-paths")
+    horizon = tau + int(within.agg(F.max("metres")).first()[0] or 0)
     starts = points.select("node_id").unionByName(sites.select(F.col("site_id").alias("node_id"))).distinct()
     return cover(detours(points, sites, network_distances(edges, starts, horizon)), preference)
 

@@ -5,55 +5,98 @@ from __future__ import annotations
 
 import heapq
 from collections.abc import Iterator
+from dataclasses import dataclass
 
+import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from waysite.sources.tables import materialize
 
-#: Edges of a network that is still sent to every executor (about 24 bytes each).
+#: Edges of a network that is still sent to every executor. As arrays an edge takes 8 bytes and a node 16: 160 MB and
+#: the nodes.
 MOST_BROADCAST_EDGES = 20_000_000
 
 
-def network_distances(edges: DataFrame, sources: DataFrame, horizon: int | None = None, engine: str = "auto", broadcast_limit: int = MOST_BROADCAST_EDGES) -> DataFrame:
+@dataclass(frozen=True)
+class Roads:
+    """Edges grouped by where they start: those of ids[i] are start[i] to start[i + 1] of to (places in ids) and metres."""
+
+    ids: np.ndarray
+    start: np.ndarray
+    to: np.ndarray
+    metres: np.ndarray
+
+    @staticmethod
+    def of(edges: DataFrame) -> Roads:
+        rows = edges.select(F.col("src").cast("long"), F.col("dst").cast("long"), F.col("metres").cast("int")).toArrow()
+        src, dst, metres = (rows.column(k).to_numpy() for k in range(3))
+        ids = np.unique(np.concatenate([src, dst]))
+        at = np.searchsorted(ids, src).astype(np.int32)
+        order = np.argsort(at, kind="stable")
+        start = np.searchsorted(at[order], np.arange(len(ids) + 1))
+        return Roads(ids, start, np.searchsorted(ids, dst[order]).astype(np.int32), metres[order])
+
+    def reach(self, source: int, bound: float, wanted: set[int] | None = None) -> tuple[list[int], list[int]]:
+        """(nodes, metres) within bound of a node; with wanted, the search ends when all of them are settled."""
+        place = int(np.searchsorted(self.ids, source))
+        if place == len(self.ids) or self.ids[place] != source:
+            return [source], [0]
+        best, heap, done = {place: 0}, [(0, place)], {}
+        left = None if wanted is None else {int(x) for x in np.searchsorted(self.ids, sorted(wanted))}
+        while heap:
+            d, u = heapq.heappop(heap)
+            if u in done:
+                continue
+            done[u] = d
+            if left is not None:
+                left.discard(u)
+                if not left:
+                    break
+            a, b = self.start[u], self.start[u + 1]
+            for v, m in zip(self.to[a:b].tolist(), self.metres[a:b].tolist(), strict=True):
+                if d + m <= bound and d + m < best.get(v, 1 << 62):
+                    best[v] = d + m
+                    heapq.heappush(heap, (d + m, v))
+        return self.ids[list(done)].tolist(), list(done.values())
+
+
+def network_distances(edges: DataFrame, sources: DataFrame, horizon: int | None = None, engine: str = "auto", broadcast_limit: int = MOST_BROADCAST_EDGES, wanted: DataFrame | None = None) -> DataFrame:
     """edges(src, dst, metres), sources(node_id) -> (src, dst, metres): directed shortest distances from each source up
-    to horizon (None: all). A pair without a row is out of reach."""
+    to horizon (None: all). A pair without a row is out of reach. wanted(src, dst): only these pairs; its starts are
+    the sources then."""
+    if wanted is not None:
+        wanted = wanted.select("src", "dst").distinct()
+        sources = wanted.select(F.col("src").alias("node_id")).distinct()
     if engine == "auto":
         engine = "broadcast" if edges.limit(broadcast_limit + 1).count() <= broadcast_limit else "relational"
     if engine == "broadcast":
-        return heap_distances(edges, sources, horizon)
+        return heap_distances(edges, sources, horizon, wanted)
     if engine == "relational":
-        return frontier_distances(edges, sources, horizon)
+        found = frontier_distances(edges, sources, horizon)
+        return found if wanted is None else found.join(wanted.select(F.col("src").alias("s"), F.col("dst").alias("d")), (F.col("src") == F.col("s")) & (F.col("dst") == F.col("d")), "left_semi")
     raise ValueError(f"unknown engine {engine}")
 
 
-def heap_distances(edges: DataFrame, sources: DataFrame, horizon: int | None) -> DataFrame:
+def heap_distances(edges: DataFrame, sources: DataFrame, horizon: int | None, wanted: DataFrame | None = None) -> DataFrame:
     """A heap search from every source, spread over the sources; the edges are broadcast (their number is checked)."""
-    rows = edges.select("src", "dst", "metres").toPandas()
-    near: dict[int, list[tuple[int, int]]] = {}
-    for s, d, m in rows.itertuples(index=False):
-        near.setdefault(int(s), []).append((int(d), int(m)))
-    shared = edges.sparkSession.sparkContext.broadcast(near)
-    bound = float("inf") if horizon is None else horizon
+    shared = edges.sparkSession.sparkContext.broadcast(Roads.of(edges))
+    bound, picky = float("inf") if horizon is None else horizon, wanted is not None
 
     def search(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        around = shared.value
+        roads = shared.value
         for frame in frames:
-            for source in frame["node_id"]:
-                best, heap, done = {int(source): 0}, [(0, int(source))], {}
-                while heap:
-                    d, u = heapq.heappop(heap)
-                    if u in done:
-                        continue
-                    done[u] = d
-                    for v, m in around.get(u, ()):
-                        if d + m <= bound and d + m < best.get(v, float("inf")):
-                            best[v] = d + m
-                            heapq.heappush(heap, (d + m, v))
-                yield pd.DataFrame({"src": int(source), "dst": list(done.keys()), "metres": list(done.values())})
-
-    return sources.select(F.col("node_id").cast("long").alias("node_id")).mapInPandas(search, "src long, dst long, metres long")
+            for row in frame.itertuples(index=False):
+                goals = set(map(int, row.goals)) if picky else None
+                nodes, metres = roads.reach(int(row.node_id), bound, goals)
+                found = pd.DataFrame({"src": int(row.node_id), "dst": nodes, "metres": metres})
+                yield found if goals is None else found[found["dst"].isin(goals)]
+
+    starts = sources.select(F.col("node_id").cast("long").alias("node_id"))
+    if wanted is not None:  # at most all nodes of the network a start
+        starts = wanted.groupBy(F.col("src").cast("long").alias("node_id")).agg(F.collect_set("dst").alias("goals"))
+    return starts.mapInPandas(search, "src long, dst long, metres long")
 
 
 def frontier_distances(edges: DataFrame, sources: DataFrame, horizon: int | None, most_rounds: int = 10_000) -> DataFrame:

@@ -1,27 +1,32 @@
 """Greedy placement over a covering relation: the plain query and its extensions in one loop.
 
 The driver keeps the chosen sites (at most k) and, in delta mode, one number a site; the covering relation stays
-distributed, partitioned by path so that a path's best score so far is found without a shuffle."""
+distributed, once by path and once by site. A cover of a checked small size, as an index level has it, is placed on by
+one process instead, with the same answers."""
 
 from __future__ import annotations
 
 import heapq
 from dataclasses import dataclass, field, replace
 
+import numpy as np
 from pyspark import StorageLevel
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from waysite.functions.preference import MICRO
-from waysite.sources.tables import materialize
+from waysite.sources.tables import discard, materialize
 
+#: Rows of a cover that one process takes at most: 24 bytes each, 72 MB.
+MOST_ARRAY_ROWS = 3_000_000
 PLACEMENT = "step int, site_id long, gain long, utility long, utility_pct double"
 
 
 @dataclass(frozen=True)
 class PlacementSpec:
     """What is asked for. k sites, or a budget over costs, or a quota (share of paths to serve); capacities limit the
-    paths a site serves; existing sites serve already. mode: recompute, delta or lazy (the last two: plain queries)."""
+    paths a site serves; existing sites serve already. mode: recompute, delta or lazy (the last two: plain queries), arrays
+    (one process), or auto (arrays up to MOST_ARRAY_ROWS rows of the cover, checked)."""
 
     k: int | None = 5
     budget: float | None = None
@@ -32,13 +37,17 @@ class PlacementSpec:
     safeguard: bool = True
 
     def __post_init__(self):
-        if self.mode not in ("recompute", "delta", "lazy"):
+        if self.mode not in ("recompute", "delta", "lazy", "arrays", "auto"):
             raise ValueError(f"unknown mode {self.mode}")
         if self.k is None and self.budget is None and self.quota is None:
             raise ValueError("give k, a budget or a quota")
-        if self.mode != "recompute" and (self.budget is not None or self.capacity or self.quota is not None):
+        if self.mode in ("delta", "lazy") and not self.is_plain():
             raise ValueError("delta and lazy modes are for plain queries")
 
+    def is_plain(self) -> bool:
+        """k sites, though some may be open before."""
+        return self.budget is None and self.quota is None and not self.capacity
+
 
 @dataclass
 class Placement:
@@ -67,123 +76,212 @@ def greedy_place(cover: DataFrame, spec: PlacementSpec, n_paths: int, sites: Dat
     Ties: larger gain, then larger weight, then larger site id. A chosen site is never picked again; sites without any
     gain still fill k. sites(site_id[, cost, capacity]) adds candidates that cover nothing, and carries costs and
     capacities; without it the candidates are the sites of the cover."""
-    loop = _Loop(cover, spec, n_paths, sites)
+    mode = spec.mode
+    if mode == "auto":
+        small = cover.limit(MOST_ARRAY_ROWS + 1).count() <= MOST_ARRAY_ROWS
+        mode = "arrays" if small else "delta" if spec.is_plain() else "recompute"
+    loop = (_ArrayLoop if mode == "arrays" else _FrameLoop)(cover, spec, n_paths, sites)
     try:
         if spec.budget is not None:
             return loop.budgeted()
-        return {"recompute": loop.plain, "delta": loop.delta, "lazy": loop.lazy}[spec.mode]()
+        return {"delta": loop.delta, "lazy": loop.lazy}[mode]() if mode in ("delta", "lazy") else loop.plain()
     finally:
         loop.close()
 
 
 class _Loop:
-    def __init__(self, cover: DataFrame, spec: PlacementSpec, n_paths: int, sites: DataFrame | None):
+    """The two ways of going on, over a leader that the engines find each in its own way."""
+
+    def __init__(self, spec: PlacementSpec, n_paths: int):
         self.spec, self.n_paths = spec, n_paths
-        held = cover.select("path_id", "site_id", "score")
-        self.cover = held.repartition("path_id").persist(StorageLevel.DISK_ONLY)
-        known = sites if sites is not None else held.select("site_id").distinct()
-        cost = F.col("cost").cast("double") if "cost" in known.columns else F.lit(1.0)
-        room = F.col("capacity") if "capacity" in known.columns else F.lit(None).cast("long")
-        weights = self.cover.groupBy("site_id").agg(F.sum("score").alias("weight"))
-        named = known.select("site_id", cost.alias("cost"), room.alias("room")).join(weights, "site_id", "left").withColumn("weight", F.coalesce("weight", F.lit(0).cast("long")))
-        self.sites = named.persist(StorageLevel.DISK_ONLY)
         self.chosen: list[int] = []
-        self.served: DataFrame | None = None  # capacity only: (path_id, u) as served so far
         self.out = Placement(n_paths=n_paths)
 
-    def close(self) -> None:
-        self.cover.unpersist()
-        self.sites.unpersist()
+    def start(self) -> None:
+        raise NotImplementedError
+
+    def lead(self, most_cost: float | None = None, per_cost: bool = False) -> tuple[int, int, float] | None:
+        """(site, gain, cost) of the best site that is not open and costs most_cost at most."""
+        raise NotImplementedError
+
+    def serve(self, site: int) -> None:
+        raise NotImplementedError
 
-    # -- state
+    def close(self) -> None:
+        pass
 
     def open_ids(self) -> list[int]:
         return [*self.spec.existing, *self.chosen]
 
+    def take(self, site: int, gain: int) -> None:
+        self.serve(site)
+        self.chosen.append(site)
+        self.out.steps.append((len(self.chosen), site, gain, self.out.utility + gain))
+
+    def plain(self) -> Placement:
+        self.start()
+        want = None if self.spec.quota is None else -(-int(round(self.spec.quota * self.n_paths * MICRO)) // MICRO) * MICRO
+        while self.spec.k is None or len(self.chosen) < self.spec.k:
+            if want is not None and self.out.utility >= want:
+                break
+            top = self.lead()
+            self.out.evaluations += 1
+            if top is None or (want is not None and top[1] == 0):
+                self.out.reached = want is None or self.out.utility >= want
+                break
+            self.take(top[0], top[1])
+        return self.out
+
+    def budgeted(self) -> Placement:
+        """Largest gain for its cost; a site above what is left is out for good, as less is left later; at the end the best
+        affordable single site is taken instead if it alone is better."""
+        self.start()
+        left = float(self.spec.budget)
+        single = self.lead(left)
+        while self.spec.k is None or len(self.chosen) < self.spec.k:
+            top = self.lead(left, per_cost=True)
+            if top is None:
+                break
+            self.take(top[0], top[1])
+            left = round(left - top[2], 9)
+        if self.spec.safeguard and single is not None and self.out.base + single[1] > self.out.utility:
+            self.out.steps = [(1, single[0], single[1], self.out.base + single[1])]
+        return self.out
+
+
+class _ArrayLoop(_Loop):
+    """Covers of a checked size, as numpy arrays of one process."""
+
+    def __init__(self, cover: DataFrame, spec: PlacementSpec, n_paths: int, sites: DataFrame | None):
+        super().__init__(spec, n_paths)
+        rows = cover.select(*(F.col(c).cast("long") for c in ("path_id", "site_id", "score"))).toArrow()
+        path, site, self.score = (rows.column(k).to_numpy() for k in range(3))
+        known = attributes(sites if sites is not None else cover.select("site_id").distinct()).toArrow()
+        ids = known.column(0).to_numpy()
+        order = np.argsort(ids)
+        self.ids = ids[order]
+        self.cost = known.column(1).to_numpy()[order]
+        room = known.column(2).to_numpy(zero_copy_only=False).astype(float)[order]
+        self.room = np.where(np.isnan(room), np.inf, room)
+        self.paths, self.path = np.unique(path, return_inverse=True)
+        # Open sites need not be candidates; their rows are kept under a number of their own.
+        self.all, self.site = np.unique(np.concatenate([site, self.ids, np.array(spec.existing, np.int64)]), return_inverse=True)
+        self.site = self.site[: len(site)]
+        self.of = np.searchsorted(self.all, self.ids)
+        self.u = np.zeros(len(self.paths), np.int64)
+        self.weight = self.summed(self.score)
+
+    def summed(self, values: np.ndarray) -> np.ndarray:
+        return np.bincount(self.site, weights=values, minlength=len(self.all)).astype(np.int64)
+
+    def start(self) -> None:
+        held = np.isin(self.all[self.site], self.spec.existing)
+        np.maximum.at(self.u, self.path[held], self.score[held])
+        self.out.base = int(self.u.sum())
+
+    def first_by_gain(self, gain: np.ndarray) -> np.ndarray:
+        """Each row's place among its site's rows, largest gain first, ties by path."""
+        order = np.lexsort((self.path, -gain, self.site))
+        starts = np.searchsorted(self.site[order], np.arange(len(self.all)))
+        place = np.empty(len(order), np.int64)
+        place[order] = np.arange(len(order)) - starts[self.site[order]]
+        return place
+
+    def lead(self, most_cost=None, per_cost=False):
+        gain = np.maximum(self.score - self.u[self.path], 0)
+        if self.spec.capacity:
+            room = np.full(len(self.all), np.inf)
+            room[self.of] = self.room
+            gain = np.where(self.first_by_gain(gain) < room[self.site], gain, 0)
+        total, weight = self.summed(gain)[self.of], self.weight[self.of]
+        free = ~np.isin(self.ids, self.open_ids()) & (True if most_cost is None else self.cost <= most_cost)
+        if not free.any():
+            return None
+        keys = (self.ids, weight, total, total / self.cost) if per_cost else (self.ids, weight, total)
+        best = np.lexsort(tuple(k[free] for k in keys))[-1]
+        at = np.flatnonzero(free)[best]
+        return int(self.ids[at]), int(total[at]), float(self.cost[at])
+
+    def serve(self, site: int) -> None:
+        rows = np.flatnonzero(self.all[self.site] == site)
+        if self.spec.capacity:
+            gain = self.score[rows] - self.u[self.path[rows]]
+            rows = rows[gain > 0][np.lexsort((self.path[rows][gain > 0], -gain[gain > 0]))]
+            room = self.room[np.searchsorted(self.ids, site)]
+            rows = rows if np.isinf(room) else rows[: int(room)]
+        self.u[self.path[rows]] = np.maximum(self.u[self.path[rows]], self.score[rows])
+
+
+class _FrameLoop(_Loop):
+    """Covers of any size, kept twice: by path, so that corrections meet the cover without shuffling it, and written in
+    order of sites, so that the rows of a few sites are read and nothing else."""
+
+    def __init__(self, cover: DataFrame, spec: PlacementSpec, n_paths: int, sites: DataFrame | None):
+        super().__init__(spec, n_paths)
+        held = cover.select("path_id", "site_id", "score")
+        self.by_path = held.repartition("path_id").persist(StorageLevel.DISK_ONLY)
+        self.by_site = materialize(self.by_path.repartitionByRange("site_id", "path_id").sortWithinPartitions("site_id", "path_id"), "cover-by-site")
+        known = sites if sites is not None else self.by_site.select("site_id").distinct()
+        weights = self.by_site.groupBy("site_id").agg(F.sum("score").alias("weight"))
+        self.sites = materialize(attributes(known).join(weights, "site_id", "left").withColumn("weight", F.coalesce("weight", F.lit(0).cast("long"))), "cover-sites")
+        self.served: DataFrame | None = None  # capacity only: (path_id, u) as served so far
+
+    def close(self) -> None:
+        self.by_path.unpersist()
+        discard(self.by_site, self.sites)
+
+    def rows_of(self, ids: list[int]) -> DataFrame:
+        return self.by_site.where(F.col("site_id").isin(ids) if ids else F.lit(False))
+
     def best_so_far(self) -> DataFrame:
-        """(path_id, u): the best score of each path over the open sites, from the cover itself."""
+        """(path_id, u): the best score of each path over the open sites, from the rows of those sites."""
         if self.served is not None:
             return self.served
-        ids = self.open_ids()
-        return self.cover.where(F.col("site_id").isin(ids) if ids else F.lit(False)).groupBy("path_id").agg(F.max("score").alias("u"))
+        return self.rows_of(self.open_ids()).groupBy("path_id").agg(F.max("score").alias("u"))
 
-    def path_gains(self) -> DataFrame:
+    def over_best(self, rows: DataFrame) -> DataFrame:
         gain = F.greatest(F.col("score") - F.coalesce(F.col("u"), F.lit(0)), F.lit(0))
-        return self.cover.join(self.best_so_far(), "path_id", "left").select("path_id", "site_id", "score", gain.alias("gain"))
+        return rows.join(self.best_so_far(), "path_id", "left").select("path_id", "site_id", "score", gain.alias("gain"))
 
     def gains(self) -> DataFrame:
-        """(site_id, gain, weight, cost) of all candidates."""
-        each = self.path_gains()
+        """(site_id, gain, weight, cost) of all candidates; while nothing is open the gains are the weights."""
+        ids = self.open_ids()
+        if not ids and not self.spec.capacity:
+            return self.sites.select("site_id", F.col("weight").alias("gain"), "weight", "cost")
+        each = self.over_best(self.by_path)
         if self.spec.capacity:
             rank = F.row_number().over(Window.partitionBy("site_id").orderBy(F.col("gain").desc(), "path_id"))
             limited = each.where("gain > 0").join(self.sites.select("site_id", "room"), "site_id")
             each = limited.withColumn("rank", rank).where(F.col("room").isNull() | (F.col("rank") <= F.col("room")))
         summed = each.groupBy("site_id").agg(F.sum("gain").alias("gain"))
-        ids = self.open_ids()
         free = self.sites.where(~F.col("site_id").isin(ids)) if ids else self.sites
         return free.join(summed, "site_id", "left").select("site_id", F.coalesce("gain", F.lit(0).cast("long")).alias("gain"), "weight", "cost")
 
     def start(self) -> None:
         if self.spec.existing:
             if self.spec.capacity:
-                self.served = materialize(self.cover.where(F.col("site_id").isin(list(self.spec.existing))).groupBy("path_id").agg(F.max("score").alias("u")), "served")
+                self.served = materialize(self.rows_of(list(self.spec.existing)).groupBy("path_id").agg(F.max("score").alias("u")), "served")
             self.out.base = int(self.best_so_far().agg(F.coalesce(F.sum("u"), F.lit(0))).first()[0])
 
-    def take(self, site: int, gain: int) -> None:
-        if self.spec.capacity:
-            self.serve(site)
-        self.chosen.append(site)
-        self.out.steps.append((len(self.chosen), site, gain, self.out.utility + gain))
+    def lead(self, most_cost=None, per_cost=False):
+        order = [F.col(c).desc() for c in ("gain", "weight", "site_id")]
+        found = self.gains() if most_cost is None else self.gains().where(F.col("cost") <= most_cost)
+        top = found.orderBy(*([(F.col("gain") / F.col("cost")).desc()] if per_cost else []), *order).first()
+        return None if top is None else (top["site_id"], top["gain"], top["cost"])
 
     def serve(self, site: int) -> None:
-        """Only the paths that the site has room for get its score: the largest gains first, ties by the lowest path."""
+        """With capacities only the paths that the site has room for get its score: the largest gains first, ties by
+        the lowest path. Else what is served follows from the open sites."""
+        if not self.spec.capacity:
+            return
         room = self.sites.where(F.col("site_id") == site).first()["room"]
-        rows = self.path_gains().where((F.col("site_id") == site) & (F.col("gain") > 0))
+        rows = self.over_best(self.rows_of([site])).where("gain > 0")
         if room is not None:
             rows = rows.withColumn("rank", F.row_number().over(Window.partitionBy("site_id").orderBy(F.col("gain").desc(), "path_id"))).where(F.col("rank") <= room)
         fresh = rows.select("path_id", F.col("score").alias("u"))
         before = self.served if self.served is not None else fresh.limit(0)
         self.served = materialize(before.unionByName(fresh).groupBy("path_id").agg(F.max("u").alias("u")), "served")
 
-    # -- loops
-
-    def plain(self) -> Placement:
-        self.start()
-        want = None if self.spec.quota is None else -(-int(round(self.spec.quota * self.n_paths * MICRO)) // MICRO) * MICRO
-        while self.spec.k is None or len(self.chosen) < self.spec.k:
-            if want is not None and self.out.utility >= want:
-                break
-            top = self.gains().orderBy(F.col("gain").desc(), F.col("weight").desc(), F.col("site_id").desc()).first()
-            self.out.evaluations += 1
-            if top is None or (want is not None and top["gain"] == 0):
-                self.out.reached = want is None or self.out.utility >= want
-                break
-            self.take(top["site_id"], top["gain"])
-        return self.out
-
-    def budgeted(self) -> Placement:
-        """Largest gain for its cost; a site above what is left is dropped for good; at the end the best affordable
-        single site is taken instead if it alone is better."""
-        self.start()
-        left, dropped = float(self.spec.budget), []
-        ranked = [(F.col("gain") / F.col("cost")).desc(), F.col("gain").desc(), F.col("weight").desc(), F.col("site_id").desc()]
-        single = self.gains().where(F.col("cost") <= left).orderBy(F.col("gain").desc(), F.col("weight").desc(), F.col("site_id").desc()).first()
-        while self.spec.k is None or len(self.chosen) < self.spec.k:
-            gains = self.gains().where(F.col("cost") <= left)
-            if dropped:
-                gains = gains.where(~F.col("site_id").isin(dropped))
-            gains = gains.persist(StorageLevel.DISK_ONLY)
-            top = gains.orderBy(*ranked).first()
-            if top is None:
-                gains.unpersist()
-                break
-            self.take(top["site_id"], top["gain"])
-            left = round(left - top["cost"], 9)
-            gains.unpersist()
-        if self.spec.safeguard and single is not None and self.out.base + single["gain"] > self.out.utility:
-            self.out.steps = [(1, single["site_id"], single["gain"], self.out.base + single["gain"])]
-        return self.out
-
     def delta(self) -> Placement:
         """One number a site on the driver; after each pick only the paths that gained send corrections to their sites."""
         self.start()
@@ -191,13 +289,13 @@ class _Loop:
         while len(self.chosen) < self.spec.k and rows:
             site = max(rows, key=lambda s: (rows[s][0], rows[s][1], s))
             gain = rows.pop(site)[0]
-            moved = self.path_gains().where((F.col("site_id") == site) & (F.col("gain") > 0)).select("path_id", F.col("score").alias("after"), (F.col("score") - F.col("gain")).alias("before"))
-            drop = F.greatest(F.col("score") - F.col("before"), F.lit(0)) - F.greatest(F.col("score") - F.col("after"), F.lit(0))
-            changes = self.cover.join(moved, "path_id").groupBy("site_id").agg(F.sum(drop).alias("drop")).where(F.col("drop") > 0)
-            corrections = changes.toLocalIterator() if gain else ()
-            for r in corrections:
-                if r["site_id"] in rows:
-                    rows[r["site_id"]][0] -= r["drop"]
+            if gain and len(self.chosen) + 1 < self.spec.k:
+                moved = self.over_best(self.rows_of([site])).where("gain > 0").select("path_id", F.col("score").alias("after"), (F.col("score") - F.col("gain")).alias("before"))
+                drop = F.greatest(F.col("score") - F.col("before"), F.lit(0)) - F.greatest(F.col("score") - F.col("after"), F.lit(0))
+                changes = self.by_path.join(moved, "path_id").groupBy("site_id").agg(F.sum(drop).alias("drop")).where(F.col("drop") > 0)
+                for r in changes.toLocalIterator():
+                    if r["site_id"] in rows:
+                        rows[r["site_id"]][0] -= r["drop"]
             self.take(site, gain)
         return self.out
 
@@ -216,22 +314,33 @@ class _Loop:
             while heap and heap[0][3] != now and len(stale) < batch:
                 stale.append(heapq.heappop(heap))
             ids = [-s for _, _, s, _ in stale]
-            fresh = {r["site_id"]: r["gain"] for r in self.path_gains().where(F.col("site_id").isin(ids)).groupBy("site_id").agg(F.sum("gain").alias("gain")).collect()}
+            fresh = {r["site_id"]: r["gain"] for r in self.over_best(self.rows_of(ids)).groupBy("site_id").agg(F.sum("gain").alias("gain")).collect()}
             self.out.evaluations += len(ids)
             for _, w, s, _ in stale:
                 heapq.heappush(heap, (-fresh.get(-s, 0), w, s, now))
         return self.out
 
 
+def attributes(sites: DataFrame) -> DataFrame:
+    """(site_id, cost, room): a missing cost is 1, a missing or null capacity no limit."""
+    cost = F.col("cost").cast("double") if "cost" in sites.columns else F.lit(1.0)
+    room = F.col("capacity").cast("long") if "capacity" in sites.columns else F.lit(None).cast("long")
+    return sites.select(F.col("site_id").cast("long").alias("site_id"), cost.alias("cost"), room.alias("room"))
+
+
 def place_inconvenience(detour: DataFrame, k: int, n_paths: int, sites: DataFrame | None = None) -> tuple[Placement, DataFrame]:
     """Least total detour. An empty set has no finite total, so every path starts just above its largest detour; the
-    scores are what a site saves of that, and the last column of the frame is the total detour left."""
-    worst = detour.groupBy("path_id").agg((F.max("metres") + 1).alias("worst"))
+    scores are what a site saves of that, and the last column of the frame is the total detour left. A path that cannot
+    reach some site has no detour to it, so there is no total: that is an error."""
     spark = detour.sparkSession
-    cover = detour.join(worst, "path_id").select("path_id", "site_id", (F.col("worst") - F.col("metres")).alias("score"))
-    total = int(worst.agg(F.coalesce(F.sum("worst"), F.lit(0))).first()[0])
-    placed = greedy_place(cover, PlacementSpec(k=k), n_paths, sites)
-    frame = spark.createDataFrame([(s, i, g, total - u) for s, i, g, u in placed.steps], "step int, site_id long, gain long, total_metres long")
+    pairs = detour.groupBy("path_id").agg((F.max("metres") + 1).alias("worst"), F.count("*").alias("reached"))
+    candidates = (sites if sites is not None else detour).select("site_id").distinct().count()
+    held, total, least = pairs.agg(F.count("*"), F.coalesce(F.sum("worst"), F.lit(0)), F.min("reached")).first()
+    if held != n_paths or (held and least < candidates):
+        raise ValueError("every path must reach every site: the total detour is not defined else")
+    cover = detour.join(pairs.select("path_id", "worst"), "path_id").select("path_id", "site_id", (F.col("worst") - F.col("metres")).alias("score"))
+    placed = greedy_place(cover, PlacementSpec(k=k, mode="auto"), n_paths, sites)
+    frame = spark.createDataFrame([(s, i, g, int(total) - u) for s, i, g, u in placed.steps], "step int, site_id long, gain long, total_metres long")
     return placed, frame
 
 

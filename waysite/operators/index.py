@@ -2,7 +2,8 @@
 
 from __future__ import annotations
 
-from dataclasses import dataclass, field, replace
+import math
+from dataclasses import dataclass, replace
 
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
@@ -10,10 +11,11 @@ from pyspark.sql import functions as F
 from waysite.functions.preference import Preference
 from waysite.operators.baselines import arbitrary_place
 from waysite.operators.clusters import dominating_clusters, dominating_sets
-from waysite.operators.detours import cover, detours, kernel_detours
+from waysite.operators.detours import cover, own_detours
+from waysite.operators.distance import network_distances, round_trip
 from waysite.operators.greedy import Placement, PlacementSpec, greedy_place
 from waysite.operators.sketch import greedy_place_sketch
-from waysite.sources.tables import fresh_path, materialize, write_partitioned
+from waysite.sources.tables import discard, fresh_path, materialize, write_partitioned
 
 
 @dataclass(frozen=True)
@@ -38,10 +40,11 @@ class Index:
     sites: DataFrame  # site_id
     rule: str = "closest"
     visits: DataFrame | None = None  # node_id, n: for the busiest rule
-    network: dict = field(default_factory=dict, compare=False)
+    reps: DataFrame | None = None  # level, cluster_id, rep, rep_metres
+    near: DataFrame | None = None  # src, dst, metres: of a bounded index, distances up to 2R of the highest level
 
     def clusters(self) -> DataFrame:
-        return representatives(self.member, self.sites, self.rule, self.visits)
+        return self.reps if self.reps is not None else representatives(self.member, self.sites, self.rule, self.visits)
 
 
 def tau_limits(trips: DataFrame, sites: DataFrame) -> tuple[int, int]:
@@ -97,13 +100,40 @@ def cluster_links(member: DataFrame, trips: DataFrame, levels: tuple[Level, ...]
     return joined.where(F.col("cluster_id") != F.col("nbr_id")).select("level", "cluster_id", "nbr_id", "metres")
 
 
-def cluster_paths(points: DataFrame, member: DataFrame, centre_detours: DataFrame) -> DataFrame:
-    """(level, cluster_id, path_id, metres): the paths through each cluster and their detour, as whole paths, to its centre."""
-    through = points.select("path_id", "node_id").distinct().join(member.select("level", "cluster_id", "node_id"), "node_id").select("level", "cluster_id", "path_id").distinct()
-    far = centre_detours.select(F.col("path_id").alias("p"), F.col("site_id").alias("centre"), "metres")
+def through_clusters(points: DataFrame, member: DataFrame) -> DataFrame:
+    """(level, cluster_id, path_id): the clusters that each path passes."""
+    return points.select("path_id", "node_id").distinct().join(member.select("level", "cluster_id", "node_id"), "node_id").select("level", "cluster_id", "path_id").distinct()
+
+
+def cluster_paths(points: DataFrame, member: DataFrame, dist: DataFrame, kernel: bool = True) -> DataFrame:
+    """(level, cluster_id, path_id, metres): the paths through each cluster and their detour, as whole paths, to its
+    centre. Only these pairs are computed, each once for all levels where the centre is the same."""
+    through = materialize(through_clusters(points, member), "through")
+    far = own_detours(through.select("path_id", F.col("cluster_id").alias("site_id")), points, dist, kernel).select(F.col("path_id").alias("p"), F.col("site_id").alias("centre"), "metres")
     return through.join(far, (F.col("path_id") == F.col("p")) & (F.col("cluster_id") == F.col("centre"))).select("level", "cluster_id", "path_id", "metres")
 
 
+def near_cluster_paths(points: DataFrame, member: DataFrame, levels: tuple[Level, ...], near: DataFrame, edges: DataFrame) -> DataFrame:
+    """As cluster_paths, with both ways between path and centre of 2R at most, as the round trip that put a path's node
+    into the cluster has them. The metres may exceed the whole path's detour, never that round trip. near(src, dst,
+    metres): distances up to 2R of the highest level; those between the ends are searched for as they are wanted."""
+    through = materialize(through_clusters(points, member), "through")
+    plan = points.sparkSession.createDataFrame([(v.level, 2 * v.radius) for v in levels], "lv int, reach double")
+    nodes = points.select(F.col("path_id").alias("p"), "node_id").distinct()
+    met = through.join(F.broadcast(plan), F.col("level") == F.col("lv")).join(nodes, F.col("path_id") == F.col("p"))
+    there = near.select(F.col("src").alias("v"), F.col("dst").alias("c"), F.col("metres").alias("out"))
+    back = near.select(F.col("src").alias("c"), F.col("dst").alias("w"), F.col("metres").alias("home"))
+    keys = ["level", "cluster_id", "path_id"]
+    leave = met.join(there, (F.col("node_id") == F.col("v")) & (F.col("cluster_id") == F.col("c"))).where("out <= reach").select(*keys, "v", "out")
+    rejoin = met.join(back, (F.col("cluster_id") == F.col("c")) & (F.col("node_id") == F.col("w"))).where("home <= reach").select(*keys, "w", "home")
+    both = materialize(leave.join(rejoin, keys), "index-ends")
+    gaps = network_distances(edges, points.select("node_id"), wanted=both.where("v <> w").select(F.col("v").alias("src"), F.col("w").alias("dst")))
+    gaps = materialize(gaps, "index-gaps").select(F.col("src").alias("g1"), F.col("dst").alias("g2"), F.col("metres").alias("gap"))
+    known = both.join(gaps, (F.col("v") == F.col("g1")) & (F.col("w") == F.col("g2")), "left")
+    extra = F.col("out") + F.col("home") - F.coalesce("gap", F.lit(0))
+    return known.where("v = w OR gap IS NOT NULL").groupBy(*keys).agg(F.min(extra).cast("long").alias("metres"))
+
+
 def compress_paths(points: DataFrame, member: DataFrame) -> DataFrame:
     """(level, path_id, seq, cluster_id): paths as sequences of clusters, runs of one cluster collapsed."""
     w = Window.partitionBy("level", "path_id").orderBy("seq")
@@ -113,23 +143,54 @@ def compress_paths(points: DataFrame, member: DataFrame) -> DataFrame:
 
 
 def build_index(points: DataFrame, sites: DataFrame, dist: DataFrame, trips: DataFrame, eps: float = 0.75, rule: str = "closest", engine: str = "auto", kernel: bool = True, limits: tuple[int, int] | None = None) -> Index:
-    """All levels for the paths and sites; relations are written to the shared folder, partitioned by level."""
-    spark = points.sparkSession
+    """All levels for the paths and sites, from stored distances; relations are written to the shared folder, partitioned
+    by level."""
     levels = level_plan(*(limits or tau_limits(trips, sites)), eps)
-    parts = []
+    member = stored(clustered(trips, levels, engine), "index-member")
+    path = stored(cluster_paths(points, member, dist, kernel), "index-path")
+    link = stored(cluster_links(member, trips, levels, eps), "index-link")
+    return with_sites(Index(levels, eps, member, link, path, sites, rule, visits_of(points, rule)), sites)
+
+
+def build_index_bounded(points: DataFrame, sites: DataFrame, edges: DataFrame, nodes: DataFrame, limits: tuple[int, int], eps: float = 0.75, rule: str = "closest", engine: str = "auto") -> Index:
+    """As build_index for networks whose distances can't all be held: searches go as far as a level needs, 2R for
+    dominance and paths and 4R(1 + eps) between centres, whatever the size of the network. limits: the least and the
+    largest threshold to be served. metres of paths are those of near_cluster_paths, so estimates stay no less than the
+    true detours."""
+    levels = level_plan(*limits, eps)
+    near = materialize(network_distances(edges, nodes, math.floor(2 * levels[-1].radius)), "index-near")
+    trips = materialize(round_trip(near).where(F.col("metres") <= 2 * levels[-1].radius), "index-trips")
+    member = stored(clustered(trips, levels, engine), "index-member")
+    links = None
+    for v in levels:
+        reach = math.floor(4 * v.radius * (1 + eps))
+        centres = member.where(F.col("level") == v.level).select(F.col("cluster_id").alias("node_id")).distinct()
+        ways = network_distances(edges, centres, reach).join(centres.select(F.col("node_id").alias("c")), F.col("dst") == F.col("c"), "left_semi")
+        one = round_trip(materialize(ways, "index-ways")).where((F.col("a") != F.col("b")) & (F.col("metres") <= reach)).select(F.lit(v.level).alias("level"), F.col("a").alias("cluster_id"), F.col("b").alias("nbr_id"), "metres")
+        links = one if links is None else links.unionByName(one)
+    link = stored(links, "index-link")
+    path = stored(near_cluster_paths(points, member, levels, near, edges), "index-path")
+    return with_sites(Index(levels, eps, member, link, path, sites, rule, visits_of(points, rule), near=near), sites)
+
+
+def clustered(trips: DataFrame, levels: tuple[Level, ...], engine: str = "auto") -> DataFrame:
+    """(level, cluster_id, node_id, metres) of all levels."""
+    out = None
     for v in levels:
         found = dominating_clusters(dominating_sets(trips, v.radius), engine)
-        parts.append(found.select(F.lit(v.level).alias("level"), "cluster_id", "node_id", F.col("metres").cast("long").alias("metres")))
-    member = parts[0]
-    for p in parts[1:]:
-        member = member.unionByName(p)
-    member = stored(member, "index-member")
-    centres = member.select(F.col("cluster_id").alias("site_id")).distinct()
-    far = kernel_detours(points, centres, dist) if kernel else detours(points, centres, dist)
-    path = stored(cluster_paths(points, member, far), "index-path")
-    link = stored(cluster_links(member, trips, levels, eps), "index-link")
-    visits = materialize(points.groupBy("node_id").agg(F.countDistinct("path_id").alias("n")), "visits") if rule == "busiest" else None
-    return Index(levels, eps, member, link, path, materialize(sites.select("site_id"), "index-sites"), rule, visits, {"spark": spark})
+        one = found.select(F.lit(v.level).alias("level"), "cluster_id", "node_id", F.col("metres").cast("long").alias("metres"))
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
+def visits_of(points: DataFrame, rule: str) -> DataFrame | None:
+    return materialize(points.groupBy("node_id").agg(F.countDistinct("path_id").alias("n")), "visits") if rule == "busiest" else None
+
+
+def with_sites(index: Index, sites: DataFrame) -> Index:
+    """The index with other candidate sites; its representatives are found anew and written."""
+    held = materialize(sites.select("site_id").distinct(), "index-sites")
+    return replace(index, sites=held, reps=materialize(representatives(index.member, held, index.rule, index.visits), "index-reps"))
 
 
 def stored(df: DataFrame, name: str) -> DataFrame:
@@ -138,39 +199,52 @@ def stored(df: DataFrame, name: str) -> DataFrame:
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
-def estimated_detours(index: Index, level: int) -> DataFrame:
+def estimated_detours(index: Index, level: int, existing: tuple[int, ...] = ()) -> DataFrame:
     """(path_id, site_id, metres) to the representatives of a level: path to its own cluster's centre, centre to
-    centre, centre to representative; the least over the path's clusters. Never below the true detour."""
+    centre, centre to representative; the least over the path's clusters. Never below the true detour. existing: other
+    sites to which detours are estimated alike, over the centres of their clusters."""
     at = F.col("level") == level
     own = index.path.where(at).select("cluster_id", "path_id", F.col("metres").alias("to_centre"))
-    reps = index.clusters().where(at & F.col("rep").isNotNull()).select(F.col("cluster_id").alias("target"), "rep", "rep_metres")
+    targets = index.clusters().where(at & F.col("rep").isNotNull()).select(F.col("cluster_id").alias("target"), "rep", "rep_metres")
+    if existing:
+        open_ = index.member.where(at & F.col("node_id").isin(list(existing))).select(F.col("cluster_id").alias("target"), F.col("node_id").alias("rep"), F.col("metres").alias("rep_metres"))
+        targets = targets.unionByName(open_).distinct()
     links = index.link.where(at).select(F.col("cluster_id").alias("from"), F.col("nbr_id").alias("to"), F.col("metres").alias("between"))
-    self_links = index.path.where(at).select(F.col("cluster_id").alias("from")).distinct().select("from", F.col("from").alias("to"), F.lit(0).cast("long").alias("between"))
-    routes = links.unionByName(self_links).join(reps, F.col("to") == F.col("target")).select("from", "rep", (F.col("between") + F.col("rep_metres")).alias("rest"))
+    self_links = targets.select(F.col("target").alias("from"), F.col("target").alias("to"), F.lit(0).cast("long").alias("between")).distinct()
+    routes = links.unionByName(self_links).join(targets, F.col("to") == F.col("target")).select("from", "rep", (F.col("between") + F.col("rep_metres")).alias("rest"))
     both = own.join(routes, F.col("cluster_id") == F.col("from"))
     return both.groupBy("path_id", F.col("rep").alias("site_id")).agg(F.min(F.col("to_centre") + F.col("rest")).alias("metres"))
 
 
-def estimated_cover(index: Index, level: int, preference: Preference) -> DataFrame:
-    return cover(estimated_detours(index, level), preference)
+def estimated_cover(index: Index, level: int, preference: Preference, existing: tuple[int, ...] = ()) -> DataFrame:
+    return cover(estimated_detours(index, level, existing), preference)
 
 
 def index_place(index: Index, spec: PlacementSpec, preference: Preference, n_paths: int, exact_cover: DataFrame | None = None, sketch_copies: int | None = None, site_table: DataFrame | None = None) -> Placement:
-    """A query on the index. Below the least tau the plain greedy runs on exact_cover; at or above the largest every
-    site serves every path, so any k do. Sketches are for the binary preference."""
-    tau = preference.tau
-    v = choose_level(index.levels, tau)
-    if v is None and tau < index.levels[0].tau_lo:
-        return greedy_place(exact_cover, spec, n_paths, site_table)
+    """A query on the index: the greedy with all its constraints over the estimated cover of the level that serves tau,
+    with existing sites at their own places. Utilities are estimates, never above the true ones.
+
+    Outside the index's thresholds the greedy runs on exact_cover; only a plain binary query at or above the largest
+    one is answered at once: every site serves every path there, so any k do. Sketches are for the plain binary query."""
+    spec = replace(spec, mode="auto")
+    v = choose_level(index.levels, preference.tau)
     if v is None:
-        return arbitrary_place(index.sites, exact_cover, spec.k, n_paths)
-    est = materialize(estimated_cover(index, v.level, preference), "estimated-cover")
-    if sketch_copies:
-        return greedy_place_sketch(est, spec.k, n_paths, sketch_copies)
-    reps = index.clusters().where((F.col("level") == v.level) & F.col("rep").isNotNull()).select(F.col("rep").alias("site_id")).distinct()
-    if site_table is not None:
-        reps = reps.join(site_table, "site_id")
-    return greedy_place(est, spec, n_paths, reps)
+        plain = spec.is_plain() and not spec.existing and preference.name == "binary"
+        if exact_cover is None:
+            raise ValueError("the threshold is outside the index: give the exact cover")
+        if plain and preference.tau >= index.levels[-1].tau_hi:
+            return arbitrary_place(index.sites, exact_cover, spec.k, n_paths)
+        return greedy_place(exact_cover, spec, n_paths, index.sites if site_table is None else site_table)
+    est = materialize(estimated_cover(index, v.level, preference, spec.existing).select("path_id", "site_id", "score"), "estimated-cover")
+    try:
+        if sketch_copies:
+            if not spec.is_plain() or spec.existing or preference.name != "binary":
+                raise ValueError("sketches are for the plain binary query")
+            return greedy_place_sketch(est, spec.k, n_paths, sketch_copies)
+        reps = index.clusters().where((F.col("level") == v.level) & F.col("rep").isNotNull()).select(F.col("rep").alias("site_id")).distinct()
+        return greedy_place(est, spec, n_paths, reps if site_table is None else reps.join(site_table, "site_id"))
+    finally:
+        discard(est)
 
 
 def index_stats(index: Index) -> DataFrame:
@@ -190,18 +264,19 @@ def index_stats(index: Index) -> DataFrame:
 
 def add_sites(index: Index, ids: DataFrame) -> Index:
     """Sites at nodes that the network has: tagged; they lead a cluster that has none, or if they are closer."""
-    return replace(index, sites=materialize(index.sites.unionByName(ids.select("site_id")).distinct(), "index-sites"))
+    return with_sites(index, index.sites.unionByName(ids.select("site_id")))
 
 
 def delete_sites(index: Index, ids: DataFrame) -> Index:
-    return replace(index, sites=materialize(index.sites.join(ids.select("site_id"), "site_id", "left_anti"), "index-sites"))
+    return with_sites(index, index.sites.join(ids.select("site_id"), "site_id", "left_anti"))
 
 
 def add_paths(index: Index, points: DataFrame, dist: DataFrame, kernel: bool = True) -> Index:
-    """New paths are mapped to the clusters of every level; only their own rows are made."""
-    centres = index.member.select(F.col("cluster_id").alias("site_id")).distinct()
-    far = kernel_detours(points, centres, dist) if kernel else detours(points, centres, dist)
-    return replace(index, path=materialize(index.path.unionByName(cluster_paths(points, index.member, far)), "index-path"))
+    """New paths are mapped to the clusters of every level; only their own rows are made. A path that the index has is
+    replaced."""
+    fresh = materialize(cluster_paths(points, index.member, dist, kernel), "index-fresh")
+    kept = index.path.select("level", "cluster_id", "path_id", "metres").join(points.select("path_id").distinct(), "path_id", "left_anti")
+    return replace(index, path=materialize(kept.select(*fresh.columns).unionByName(fresh), "index-path"))
 
 
 def delete_paths(index: Index, ids: DataFrame) -> Index:
@@ -223,9 +298,11 @@ def add_node_site(index: Index, node_id: int, trips: DataFrame, neighbours: list
     fresh = materialize(joined.unionByName(alone), "index-new")
     member = materialize(index.member.select("level", "cluster_id", "node_id", "metres").unionByName(fresh), "index-member")
     out = replace(index, member=member, link=materialize(cluster_links(member, trips, index.levels, index.eps), "index-link"))
-    if points is not None:
-        extra = cluster_paths(points, fresh, detours(points, spark.createDataFrame([(node_id,)], "site_id long"), dist)).where(F.col("cluster_id") == node_id)
-        out = replace(out, path=materialize(index.path.select("level", "cluster_id", "path_id", "metres").unionByName(extra), "index-path"))
+    if points is not None:  # paths through the new node pass its cluster; to old centres they pass already
+        mine = points.join(points.where(F.col("node_id") == node_id).select("path_id").distinct(), "path_id", "left_semi")
+        extra = materialize(cluster_paths(mine, fresh, dist, kernel=False), "index-new-paths")
+        kept = index.path.select("level", "cluster_id", "path_id", "metres").join(extra.select("level", "cluster_id", "path_id"), ["level", "cluster_id", "path_id"], "left_anti")
+        out = replace(out, path=materialize(kept.select(*extra.columns).unionByName(extra), "index-path"))
     return add_sites(out, spark.createDataFrame([(node_id,)], "site_id long"))
 
 

@@ -17,10 +17,14 @@ def numbered(visits: DataFrame, path: Column, *order: str) -> DataFrame:
     return visits.withColumn("path_id", path.cast("long")).select("path_id", (F.row_number().over(w) - 1).alias("seq"), "node_id", "ts")
 
 
+def day_trip() -> Column:
+    """The path_id of a visit by its user and day: user_id * 100 + day number."""
+    return (F.col("user_id") * 100 + F.datediff(F.to_date("ts"), F.lit("2024-01-01").cast("date"))).cast("long")
+
+
 def trips_by_day(events: DataFrame) -> DataFrame:
-    """A trip is what a user visits on one day: path_id = user_id * 100 + day number."""
-    day = F.datediff(F.to_date("ts"), F.lit("2024-01-01").cast("date"))
-    return numbered(event_visits(events), F.col("user_id") * 100 + day, "ts", "event_id")
+    """A trip is what a user visits on one day."""
+    return numbered(event_visits(events), day_trip(), "ts", "event_id")
 
 
 def trips_by_session(events: DataFrame, gap_seconds: int = 6 * 3600) -> DataFrame:

@@ -216,7 +216,7 @@ def cover_exponential(spark, sf_dir):
 @query(sql.chain(*sql.day_cover()) + COVER_ROWS)
 def cover_at_query(spark, sf_dir):
     w = fx.net100(spark, sf_dir)
-    return dt.cover_at_query(w.net().edges, w.points(), w.sites(), w.dist(), TAU, pref.binary(TAU))
+    return dt.cover_at_query(w.net().edges, w.points(), w.sites(), TAU, pref.binary(TAU))
 
 
 @query(sql.chain(*sql.day_cover()) + "SELECT site_id, CAST(sum(score) AS BIGINT) AS weight, count(*) AS n_paths FROM cover GROUP BY site_id")

@@ -3,14 +3,15 @@
 from __future__ import annotations
 
 from collections.abc import Callable, Iterator
+from dataclasses import dataclass, replace
 
 import pandas as pd
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
 from waysite.operators import index as ix
-from waysite.sources.tables import fresh_path, shared_dir
+from waysite.sources.tables import fresh_path, materialize
 
 EVENT_SCHEMA = "event_id long, ts timestamp, user_id long, event_type string, value double, props string"
 
@@ -99,22 +100,67 @@ def user_steps(stream: DataFrame) -> DataFrame:
     return stream.select("user_id", "ts", "event_id", "node_id").groupBy("user_id").applyInPandasWithState(step, "user_id long, seq long, node_id long", "last long, count long", "append", GroupStateTimeout.NoTimeout)
 
 
-def update_index(stream: DataFrame, index: ix.Index, dist: DataFrame, path_of: Callable[[DataFrame], DataFrame], checkpoint: str | None = None, horizon_days: int | None = None) -> ix.Index:
-    """Every micro-batch of trips is added to the index; paths older than the sliding horizon leave it. A restart from
-    the same checkpoint adds nothing twice."""
-    held = {"index": index}
+@dataclass(frozen=True)
+class IndexStore:
+    """What a stream of index updates keeps in the shared folder, one part a micro-batch: rows, the raw visits with their
+    path's number; paths, the index rows of the paths that the batch touched. A part that is written again after a
+    failure replaces itself, so a restart neither loses nor doubles anything."""
+
+    spark: SparkSession
+    folder: str
+
+    def _parts(self, name: str, upto: int) -> list[str]:
+        path = self.spark._jvm.org.apache.hadoop.fs.Path(f"{self.folder}/{name}")
+        fs = path.getFileSystem(self.spark.sparkContext._jsc.hadoopConfiguration())
+        found = [f.getPath().getName() for f in fs.listStatus(path)] if fs.exists(path) else []
+        whole = [x for x in found if fs.exists(self.spark._jvm.org.apache.hadoop.fs.Path(f"{self.folder}/{name}/{x}/_SUCCESS"))]
+        return [f"{self.folder}/{name}/{x}" for x in sorted(whole) if int(x.removeprefix("part=")) <= upto]
+
+    def write(self, df: DataFrame, name: str, part: int) -> None:
+        df.write.mode("overwrite").parquet(f"{self.folder}/{name}/part={part}")
+
+    def read(self, name: str, upto: int = 1 << 62) -> DataFrame | None:
+        parts = self._parts(name, upto)
+        return self.spark.read.option("basePath", f"{self.folder}/{name}").parquet(*parts) if parts else None
+
+    def index_rows(self) -> DataFrame:
+        """(level, cluster_id, path_id, metres): of each path the rows of the last part that touched it."""
+        rows = self.read("rows").groupBy("path_id").agg(F.max("part").alias("last"))
+        return self.read("paths").join(rows, "path_id").where(F.col("part") == F.col("last")).select("level", "cluster_id", "path_id", "metres")
+
+    def newest(self) -> DataFrame:
+        """(path_id, seen): the last visit of each path."""
+        return self.read("rows").groupBy("path_id").agg(F.max("ts").alias("seen"))
+
+
+def update_index(stream: DataFrame, index: ix.Index, dist: DataFrame, path_of: Callable[[DataFrame], DataFrame], key: Column, checkpoint: str | None = None, horizon_days: int | None = None, history: DataFrame | None = None) -> ix.Index:
+    """Every micro-batch of visits is taken up by the index. The paths that a batch touches are made anew from all their
+    visits so far, so a trip may be cut anywhere and its visits may come late or in any order. path_of: visits -> points;
+    key: the path_id of a visit; history: the visits behind the paths that the index has already (without them such a
+    path is replaced by what the stream brings of it). Paths whose last visit is horizon_days or more before the newest
+    one leave the index. All state is beside the stream's checkpoint: a restart goes on where the last one ended."""
+    spark = stream.sparkSession
+    at = checkpoint or fresh_path(spark, "index-stream")
+    store = IndexStore(spark, f"{at}/index-store")
+    if store.read("paths", -1) is None:
+        base = index.path.select("level", "cluster_id", "path_id", "metres")
+        unseen = base.select("path_id").distinct().select(*(F.lit(None).cast(f.dataType).alias(f.name) for f in stream.schema), "path_id")
+        known = unseen if history is None else history.select(*stream.columns).withColumn("path_id", key)
+        store.write(known, "rows", -1)
+        store.write(base, "paths", -1)
 
     def apply(batch: DataFrame, number: int) -> None:
-        points = path_of(batch)
-        known = held["index"].path.select("path_id").distinct()
-        fresh = points.join(known, "path_id", "left_anti")
-        held["index"] = ix.add_paths(held["index"], fresh, dist)
-        if horizon_days is not None:
-            newest = points.agg(F.max(F.col("path_id") % 100)).first()[0]
-            if newest is not None:
-                stale = known.where(F.col("path_id") % 100 <= newest - horizon_days)
-                held["index"] = ix.delete_paths(held["index"], stale)
-
-    at = checkpoint or f"{shared_dir(stream.sparkSession)}/index-stream-{id(held)}"
-    stream.writeStream.foreachBatch(apply).option("checkpointLocation", at).trigger(availableNow=True).start().awaitTermination()
-    return held["index"]
+        store.write(batch.withColumn("path_id", key), "rows", number)
+        rows = store.read("rows", number)
+        touched = rows.where(F.col("part") == number).select("path_id").distinct()
+        visits = rows.join(touched, "path_id", "left_semi").where(F.col("ts").isNotNull()).select(*batch.columns)
+        store.write(ix.cluster_paths(path_of(visits), index.member, dist), "paths", number)
+
+    stream.writeStream.foreachBatch(apply).option("checkpointLocation", f"{at}/stream").trigger(availableNow=True).start().awaitTermination()
+    path = store.index_rows()
+    if horizon_days is not None:
+        seen = store.newest()
+        newest = seen.agg(F.max("seen")).first()[0]
+        if newest is not None:
+            path = path.join(seen.where(F.col("seen") > F.lit(newest) - F.expr(f"INTERVAL {horizon_days} DAYS")), "path_id", "left_semi")
+    return replace(index, path=materialize(path, "index-path"))

@@ -111,16 +111,16 @@ def s_state_paths(spark, sf_dir):
 def s_foreach_updates(spark, sf_dir):
     w = fx.net100(spark, sf_dir)
     empty = ix.delete_paths(w.index(), w.points().select("path_id").distinct())
-    # Whole days a file, so that no trip is cut by a micro-batch.
+    # Files cut at random, so that micro-batches cut trips and bring their visits out of order.
     events = read_table(spark, sf_dir, "events")
-    folder = fx.once(spark, sf_dir, "event-days", lambda: _by_day(events))
-    grown = live.update_index(live.event_stream(spark, folder), empty, w.dist(), lambda batch: pt.trips_by_day(batch))
+    folder = fx.once(spark, sf_dir, "event-shares", lambda: cut_at_random(events))
+    grown = live.update_index(live.event_stream(spark, folder), empty, w.dist(), pt.trips_by_day, pt.day_trip())
     return grown.path.where("level = 2").select("cluster_id", "path_id", "metres")
 
 
-def _by_day(events) -> str:
-    path = fresh_path(events.sparkSession, "event-days")
+def cut_at_random(events, files: int = 4) -> str:
+    path = fresh_path(events.sparkSession, "event-shares")
     rows = events.select("event_id", F.col("ts").cast("timestamp").alias("ts"), "user_id", "event_type", "value", "props")
-    part = F.floor(F.datediff(F.to_date("ts"), F.lit("2024-01-01").cast("date")) / 10)
-    rows.withColumn("p", part).repartition(4, "p").drop("p").write.parquet(path)
+    for k in range(files):
+        rows.where(F.pmod(F.xxhash64("event_id"), F.lit(files)) == k).coalesce(1).write.mode("append").parquet(path)
     return path
