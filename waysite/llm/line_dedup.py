@@ -44,9 +44,9 @@ def word_hashes(line: str) -> Column:
 def word_keys(line: str, ranks: str) -> Column:
     """Distinct words of a line as 64-bit keys in the order of rarity: nine bits of rank, then bits of the hash. ranks
     holds the rank of each slot in its place in the key."""
+    # ranks stands here once only: a column that stands twice is not inlined, and every row would carry the array.
     key = f"get({ranks}, shiftrightunsigned(t, {64 - SLOT_BITS})) | (t & {HASH_MASK}L)"
-    empty = key.replace("(t,", "(xxhash64(''),").replace("(t &", "(xxhash64('') &")
-    return F.expr(f"sort_array(array_remove(array_distinct(transform(transform(split({line}, ' '), w -> xxhash64(w)), t -> {key})), {empty}))")
+    return F.expr(f"sort_array(array_distinct(transform(array_remove(transform(split({line}, ' '), w -> xxhash64(w)), xxhash64('')), t -> {key})))")
 
 
 def frequency_ranks(lines: DataFrame) -> DataFrame:
@@ -136,15 +136,22 @@ def removed_lines(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "t
     rows = pick(docs, doc_id=id_col, text=text_col).withColumn("tkey", text_key(F.col("text")))
     lines = line_rows(rows)
     ranks = materialize(frequency_ranks(lines), "line-ranks")
-    keyed = lines.withColumn("ranks", ranks.select("ranks").scalar()).select("doc_id", "tkey", "line_no", "lkey", word_keys("line", "ranks").alias("keys")).where(F.size("keys") >= least_words)
-    shaped = keyed.select("lkey", F.struct("doc_id", "tkey", "line_no").alias("place"), F.size("keys").alias("n"), F.expr("aggregate(keys, 0L, (a, t) -> a ^ shiftleft(1L, cast(t & 63 as int)))").alias("bits"), *(F.expr(f"CASE WHEN size(keys) >= {LONG_SET} THEN aggregate(filter(keys, t -> (t & 192) = {64 * k}), 0L, (a, t) -> a ^ shiftleft(1L, cast(t & 63 as int))) END").alias(f"m{k}") for k in range(3)), prefix_of("keys", share).alias("prefix"))
-    grouped = shaped.groupBy("lkey").agg(F.min("place").alias("first"), F.count("*").alias("copies"), F.first("n").alias("n"), F.first("bits").alias("bits"), *(F.first(m).alias(m) for m in MAP), F.first("prefix").alias("prefix"))
+    # A filter on the keys would be computed before them, from all over again; lines without a word are told by their text.
+    keyed = lines.where(F.trim("line") != "").withColumn("ranks", ranks.select("ranks").scalar()).select("doc_id", "tkey", "line_no", "lkey", word_keys("line", "ranks").alias("keys"))
+    shaped = keyed.select("lkey", F.xxhash64("keys").alias("skey"), F.struct("doc_id", "tkey", "line_no").alias("place"), F.size("keys").alias("n"), F.expr("aggregate(keys, 0L, (a, t) -> a ^ shiftleft(1L, cast(t & 63 as int)))").alias("bits"), *(F.expr(f"CASE WHEN size(keys) >= {LONG_SET} THEN aggregate(filter(keys, t -> (t & 192) = {64 * k}), 0L, (a, t) -> a ^ shiftleft(1L, cast(t & 63 as int))) END").alias(f"m{k}") for k in range(3)), prefix_of("keys", share).alias("prefix"))
+    grouped = shaped.groupBy("lkey").agg(F.min("place").alias("first"), F.count("*").alias("copies"), F.first("skey").alias("skey"), F.first("n").alias("n"), F.first("bits").alias("bits"), *(F.first(m).alias(m) for m in MAP), F.first("prefix").alias("prefix"))
     # The table is written once, so the numbers given here stay; they are short, and neighbours have like ones.
-    distinct = materialize(grouped.withColumn("id", F.monotonically_increasing_id()), "line-distinct")
-    entries = distinct.select("id", "n", "bits", *MAP, F.posexplode("prefix").alias("pos", "word"))
+    distinct = materialize(grouped.where(F.col("n") >= least_words).withColumn("id", F.monotonically_increasing_id()), "line-distinct")
+    # A set of fewer than share / (100 - share) words is like no other set: such lines are grouped, not joined.
+    large = -(-share // max(1, 100 - share))
+    small = distinct.where(F.col("n") < large)
+    earliest = small.groupBy("skey").agg(F.min("first").alias("least"), F.count("*").alias("lines")).where("lines > 1").select(F.col("skey").alias("s"), "least")
+    equal = small.join(earliest, F.col("skey") == F.col("s")).where(F.col("first") != F.col("least")).select("id")
+    joined = distinct.where(F.col("n") >= large)
+    entries = joined.select("id", "n", "bits", *MAP, F.posexplode("prefix").alias("pos", "word"))
     # The place packed into a number only picks hubs; what is earlier is decided by the place itself.
     at = F.expr("((coalesce(try_cast(first.doc_id as bigint), 0L) & 1099511627775L) << 20) | least(first.line_no, 1048575)")
-    counts = distinct.select("id", at.alias("at"), F.explode("prefix").alias("word")).groupBy("word").agg(F.count("*").alias("c"), F.min_by("id", "at").alias("hub"))
+    counts = joined.select("id", at.alias("at"), F.explode("prefix").alias("word")).groupBy("word").agg(F.count("*").alias("c"), F.min_by("id", "at").alias("hub"))
     many = materialize(counts.where(F.col("c") > MANY).select(F.col("word").alias("w"), "hub"), "line-many")
     marked = entries.join(many, F.col("word") == F.col("w"), "left").select("word", "id", "n", "pos", "bits", *MAP, "hub")
     # Both sides read the same columns, so Spark shuffles the entries once for both.
@@ -161,7 +168,7 @@ def removed_lines(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "t
     more = verify(rows, rest, distinct, share)
     also = none if more is None else later_of(more, distinct)
     # Only lines that match or repeat can go; the others are not looked at again.
-    found = distinct.select("id", "lkey", "first", "copies").join(gone.unionByName(also).distinct().select(F.col("id").alias("g")), F.col("id") == F.col("g"), "left")
+    found = distinct.select("id", "lkey", "first", "copies").join(gone.unionByName(also).unionByName(equal).distinct().select(F.col("id").alias("g")), F.col("id") == F.col("g"), "left")
     judged = materialize(found.where(F.col("g").isNotNull() | (F.col("copies") > 1)).select("lkey", "first", F.col("g").isNotNull().alias("matched")), "line-judged")
     discard(ranks, distinct, many, *(t for t in (matched, more) if t is not None), *([gone] if matched is not None else []))
     placed = marked_lines(rows, judged).select("doc_id", "tkey", "line_no", F.col("lkey").alias("k")).join(judged, F.col("lkey") == F.col("k"))
@@ -177,7 +184,7 @@ def drop_lines(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text
     removed = removed_lines(docs, id_col=id_col, text_col=text_col, share=share, least_words=least_words).where(F.size("removed") > 0).select(F.struct("doc_id", "tkey").alias("of"), "removed")
     text = named(docs, text_col)
     here = F.struct(named(docs, id_col).alias("doc_id"), text_key(text).alias("tkey"))
-    joined = docs.join(removed, here.eqNullSafe(removed["of"]), "left")
+    joined = docs.join(removed, here == removed["of"], "left")
     gone = removed["removed"]
     kept = F.filter(F.split(text, "\n"), lambda _, i: ~F.array_contains(gone, i))
     cut = F.when(gone.isNull(), text).otherwise(F.array_join(kept, "\n"))
