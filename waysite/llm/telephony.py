@@ -12,7 +12,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
-from .common import pick, slices, utf8_buffer
+from .common import discard, materialize, pick, slices, utf8_buffer
 
 MU_LAW, A_LAW, ADPCM = "mulaw", "alaw", "adpcm"
 #: Fixed values of the WAV format: the format tag of each codec.
@@ -107,14 +107,17 @@ def expand(codec: str, data: np.ndarray) -> np.ndarray:
     raise ValueError(f"unknown codec {codec}")
 
 
-def resample(pcm: np.ndarray, factor: int = 2) -> np.ndarray:
-    """Linear interpolation to `factor` times the rate, in whole numbers; the last sample is held."""
+def resample(pcm: np.ndarray, up: int = 1, down: int = 1) -> np.ndarray:
+    """`up` / `down` times the rate, in whole numbers: linear interpolation (the last sample is held), then means of
+    `down` samples each (the last one of what is left)."""
     wide = pcm.astype(np.int32)
-    following = np.append(wide[1:], wide[-1:])
-    out = np.empty((len(pcm), factor), np.int16)
-    for k in range(factor):
-        out[:, k] = (wide * (factor - k) + following * k) // factor
-    return out.reshape(-1)
+    if up > 1:
+        following = np.append(wide[1:], wide[-1:])
+        wide = np.stack([(wide * (up - k) + following * k) // up for k in range(up)], 1).reshape(-1)
+    if down > 1 and len(wide):
+        starts = np.arange(0, len(wide), down)
+        wide = np.add.reduceat(wide, starts) // np.diff(np.append(starts, len(wide)))
+    return wide.astype(np.int16)
 
 
 def wav_file(codec: str, data: bytes, rate: int = 8000) -> bytes:
@@ -153,15 +156,21 @@ def pad_payload(raw: bytes) -> bytes:
 
 
 def features(pcm: np.ndarray, codec: str) -> str:
-    """codec, samples, peak, mean absolute sample, zero crossings and CRC-32 of the resampled PCM, in whole numbers."""
+    """codec, samples, peak, mean absolute sample, zero crossings and CRC-32 of PCM, in whole numbers."""
     wide = pcm.astype(np.int32)
     size = np.abs(wide)
     crossings = int(np.count_nonzero((wide[1:] < 0) != (wide[:-1] < 0)))
-    return f"{codec}:{len(pcm)}:{int(size.max(initial=0))}:{int(size.sum(dtype=np.int64)) // max(1, len(pcm))}:{crossings}:{zlib.crc32(resample(pcm).tobytes()) & 0xFFFFFFFF:08x}"
+    return f"{codec}:{len(pcm)}:{int(size.max(initial=0))}:{int(size.sum(dtype=np.int64)) // max(1, len(pcm))}:{crossings}:{zlib.crc32(pcm.astype('<i2').tobytes()) & 0xFFFFFFFF:08x}"
 
 
-def store_media(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", codec: str = MU_LAW) -> DataFrame:
-    """docs -> (doc_id, n_bytes, payload_bytes, media): each text's padded UTF-8 bytes as samples of a WAV file.
+def codec_of(payload: bytes) -> str:
+    """Each codec takes a third of all payloads, by their hash: equal payloads take the same."""
+    return (MU_LAW, A_LAW, ADPCM)[zlib.crc32(payload) % 3]
+
+
+def store_media(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", codec: str | None = None) -> DataFrame:
+    """docs -> (doc_id, n_bytes, payload_bytes, media): each text's padded UTF-8 bytes as samples of a WAV file of a codec,
+    or of the one that codec_of() gives it.
 
     Lossless: the bytes are the stored codes. Null is the empty text (64 zero bytes). One output row an input row."""
 
@@ -172,53 +181,65 @@ def store_media(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "tex
             for i in range(len(at) - 1):
                 payload = pad_payload(raw[at[i] : at[i + 1]].tobytes())
                 padded_bytes.append(len(payload))
-                data = adpcm_from_payload(np.frombuffer(payload, np.uint8)).tobytes() if codec == ADPCM else payload
-                media.append(wav_file(codec, data))
+                own = codec or codec_of(payload)
+                media.append(wav_file(own, adpcm_from_payload(np.frombuffer(payload, np.uint8)).tobytes() if own == ADPCM else payload))
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(np.diff(at)), pa.array(padded_bytes, pa.int64()), pa.array(media, pa.binary())], names=["doc_id", "n_bytes", "payload_bytes", "media"])
 
     chosen = pick(docs, doc_id=id_col, text=text_col)
     return chosen.mapInArrow(run, f"doc_id {chosen.schema['doc_id'].dataType.simpleString()}, n_bytes long, payload_bytes long, media binary")
 
 
-def media_digests(media: DataFrame) -> DataFrame:
-    """(doc_id, n_bytes, payload_bytes, media) -> the same with digests and features of what is read back.
+def decoded(files: list[bytes]) -> list[tuple[str, int, bytes, np.ndarray]]:
+    """(codec, rate, sample data, PCM) of each file; all ADPCM blocks of the list are decoded together."""
+    read = [read_wav(f) for f in files]
+    blocks = [np.frombuffer(data, np.uint8).reshape(-1, BLOCK) for codec, _, data in read if codec == ADPCM]
+    codes = decode_adpcm(np.concatenate(blocks)) if blocks else None
+    out, start = [], 0
+    for codec, rate, data in read:
+        if codec == ADPCM:
+            n = len(data) // BLOCK
+            out.append((codec, rate, data, codes[start : start + n].reshape(-1)))
+            start += n
+        else:
+            out.append((codec, rate, data, expand(codec, np.frombuffer(data, np.uint8))))
+    return out
+
 
-    payload_sha256 and tail_crc32 are of the payload read back from the stored file; feature describes the PCM of
-    the stored codec and of the payload's codes taken as ADPCM, decoded for all rows of a slice at once."""
+def resampled_media(media: DataFrame, up: int = 1, down: int = 2) -> DataFrame:
+    """(doc_id, n_bytes, payload_bytes, media) -> (doc_id, n_bytes, payload_bytes, payload_sha256, tail_crc32, media_bytes,
+    media_sha256, codec, rate, pcm): digests of what is read back from the stored files, and their PCM, little-endian and 16
+    bits wide, at `up` / `down` times the stored rate."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in slices(batches, "media", SLICE):
             files, sizes = batch.column(3).to_pylist(), batch.column(2).to_pylist()
-            read = [read_wav(f) for f in files]
-            payloads = []
-            for (codec, _, data), n in zip(read, sizes, strict=True):
-                payloads.append(payload_from_adpcm(np.frombuffer(data, np.uint8).reshape(-1, BLOCK), n).tobytes() if codec == ADPCM else data[:n])
-            blocks = [adpcm_from_payload(np.frombuffer(p, np.uint8)) for p in payloads]
-            decoded = decode_adpcm(np.concatenate(blocks))
-            said, start = [], 0
-            for (codec, _, data), own in zip(read, blocks, strict=True):
-                codes = decoded[start : start + len(own)].reshape(-1)
-                start += len(own)
-                plain = codes if codec == ADPCM else expand(codec, np.frombuffer(data, np.uint8))
-                said.append(features(plain, codec) + ("" if codec == ADPCM else f";{features(codes, ADPCM)}"))
-            columns = [batch.column(0), batch.column(1), batch.column(2), pa.array([hashlib.sha256(p).hexdigest() for p in payloads], pa.string()), pa.array([zlib.crc32(p[-UNIT:]) & 0xFFFFFFFF for p in payloads], pa.int64()), pa.array([len(f) for f in files], pa.int64()), pa.array([hashlib.sha256(f).hexdigest() for f in files], pa.string()), pa.array(said, pa.string())]
-            yield pa.RecordBatch.from_arrays(columns, names=["doc_id", "n_bytes", "payload_bytes", "payload_sha256", "tail_crc32", "media_bytes", "media_sha256", "feature"])
+            read = decoded(files)
+            payloads = [payload_from_adpcm(np.frombuffer(data, np.uint8).reshape(-1, BLOCK), n).tobytes() if codec == ADPCM else data[:n] for (codec, _, data, _), n in zip(read, sizes, strict=True)]
+            pcm = [resample(samples, up, down).astype("<i2").tobytes() for *_, samples in read]
+            columns = [*batch.columns[:3], pa.array([hashlib.sha256(p).hexdigest() for p in payloads], pa.string()), pa.array([zlib.crc32(p[-UNIT:]) & 0xFFFFFFFF for p in payloads], pa.int64()), pa.array([len(f) for f in files], pa.int64()), pa.array([hashlib.sha256(f).hexdigest() for f in files], pa.string()), pa.array([c for c, *_ in read], pa.string()), pa.array([rate * up // down for _, rate, *_ in read], pa.int32()), pa.array(pcm, pa.binary())]
+            yield pa.RecordBatch.from_arrays(columns, names=["doc_id", "n_bytes", "payload_bytes", "payload_sha256", "tail_crc32", "media_bytes", "media_sha256", "codec", "rate", "pcm"])
 
     kind = media.schema["doc_id"].dataType.simpleString()
-    return media.select("doc_id", "n_bytes", "payload_bytes", "media").mapInArrow(run, f"doc_id {kind}, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string")
+    return media.select("doc_id", "n_bytes", "payload_bytes", "media").mapInArrow(run, f"doc_id {kind}, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, codec string, rate int, pcm binary")
 
 
-def resampled_pcm(media: DataFrame, factor: int = 2) -> DataFrame:
-    """(doc_id, ..., media) -> (doc_id, rate, pcm): little-endian 16-bit PCM at `factor` times the stored rate."""
+def media_digests(resampled: DataFrame) -> DataFrame:
+    """resampled_media() -> the same with `feature`, of the PCM read back, in place of codec, rate and pcm."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in slices(batches, "media", SLICE):
-            rates, pcm = [], []
-            for stored in batch.column(1).to_pylist():
-                codec, rate, data = read_wav(stored)
-                rates.append(rate * factor)
-                pcm.append(resample(expand(codec, np.frombuffer(data, np.uint8)), factor).astype("<i2").tobytes())
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(rates, pa.int32()), pa.array(pcm, pa.binary())], names=["doc_id", "rate", "pcm"])
-
-    kind = media.schema["doc_id"].dataType.simpleString()
-    return media.select("doc_id", "media").mapInArrow(run, f"doc_id {kind}, rate int, pcm binary")
+        for batch in slices(batches, "pcm", SLICE):
+            said = [features(np.frombuffer(pcm, "<i2"), f"{codec}@{rate}") for codec, rate, pcm in zip(*(batch.column(i).to_pylist() for i in (7, 8, 9)), strict=True)]
+            yield pa.RecordBatch.from_arrays([*batch.columns[:7], pa.array(said, pa.string())], names=[*batch.schema.names[:7], "feature"])
+
+    kind = resampled.schema["doc_id"].dataType.simpleString()
+    return resampled.mapInArrow(run, f"doc_id {kind}, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string")
+
+
+def stored_digests(docs: DataFrame, **options) -> DataFrame:
+    """The whole way: media files are written as a column of a table, read, decoded; their resampled PCM is written as a
+    column of another, and read for the features. Both tables are in the shared folder; the first goes when the second is
+    written."""
+    media = materialize(store_media(docs, **options), "media", "zstd")
+    resampled = materialize(resampled_media(media), "media-pcm", "zstd")
+    discard(media)
+    return media_digests(resampled)
