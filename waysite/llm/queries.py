@@ -25,7 +25,7 @@ def op3_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op4_telephony(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return telephony.media_digests(telephony.store_media(read_table(spark, sf_dir, "documents"), codec=telephony.MU_LAW))
+    return telephony.stored_digests(read_table(spark, sf_dir, "documents"))
 
 
 def op5_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -7,6 +7,7 @@ share its work; a terminal node stores the counts of its word. Documents then on
 from __future__ import annotations
 
 import math
+import uuid
 from collections.abc import Iterator
 from functools import lru_cache
 
@@ -14,6 +15,7 @@ import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
 from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
 
 from .common import pick, segments, slices, utf8_buffer, word_stream
 
@@ -92,28 +94,68 @@ class TrieUnigram:
 
 
 @lru_cache(maxsize=2)
-def unigram_model(path: str) -> TrieUnigram:
-    """The pieces of a sentencepiece file as a unigram model.
-
-    Files of BPE pieces only rank them, so piece r in order gets the log-probability of a Zipf law, -log(r + 2.7)
-    less the law's normaliser; fallback bytes share the rank after the last."""
+def processor(path: str):
     import sentencepiece
 
-    model = sentencepiece.SentencePieceProcessor(model_file=path)
-    pieces = [model.id_to_piece(i) for i in range(model.get_piece_size()) if not (model.is_byte(i) or model.is_control(i) or model.is_unknown(i))]
-    total = math.log(sum(1 / (r + 2.7) for r in range(len(pieces) + 1)))
-    return TrieUnigram({p: -math.log(r + 2.7) - total for r, p in enumerate(pieces)}, -math.log(len(pieces) + 2.7) - total)
+    return sentencepiece.SentencePieceProcessor(model_file=path)
+
+
+def piece_counts(docs: DataFrame, model_path: str, *, text_col: str = "text") -> DataFrame:
+    """(piece, n): how often each piece stands in all texts when every word is cut as the file itself cuts it. Words are
+    cut once a slice; counts are summed per task, then by piece, of which there are as many as the file has."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        model = processor(model_path)
+        total = np.zeros(model.get_piece_size(), np.int64)
+        for batch in slices(batches, "text", SLICE):
+            array, _ = segments(word_stream(*utf8_buffer(batch.column(0)), lower=False))
+            encoded = pc.dictionary_encode(array)
+            times = np.bincount(np.asarray(encoded.indices), minlength=len(encoded.dictionary))
+            words = [w[:-1].decode("utf-8", "replace") for w in encoded.dictionary.to_pylist()]
+            ids = model.encode(words, num_threads=1) if words else []
+            flat = np.fromiter((i for x in ids for i in x), np.int64)
+            total += np.bincount(flat, weights=np.repeat(times, [len(x) for x in ids]), minlength=len(total)).astype(np.int64)
+        held = np.flatnonzero(total)
+        if len(held):
+            yield pa.RecordBatch.from_arrays([pa.array(held.astype(np.int32)), pa.array(total[held])], names=["piece", "n"])
+
+    return pick(docs, text=text_col).mapInArrow(run, "piece int, n long").groupBy("piece").agg(F.sum("n").alias("n"))
+
+
+def learned_model(model_path: str, counts: dict[int, int]) -> TrieUnigram:
+    """The pieces of a sentencepiece file as a unigram model: log-probabilities from their counts in the texts, each one
+    higher than counted so that none is 0. Fallback bytes share what is counted of them."""
+    model = processor(model_path)
+    ids = [i for i in range(model.get_piece_size()) if not (model.is_byte(i) or model.is_control(i) or model.is_unknown(i))]
+    loose = sum(n for i, n in counts.items() if model.is_byte(i) or model.is_unknown(i))
+    total = math.log(sum(counts.get(i, 0) + 1 for i in ids) + loose + 256)
+    return TrieUnigram({model.id_to_piece(i): math.log(counts.get(i, 0) + 1) - total for i in ids}, math.log((loose + 256) / 256) - total)
+
+
+#: The model that this worker uses, by the name of the run it belongs to: its remembered words serve all its tasks.
+_held: dict[str, TrieUnigram] = {}
+
+
+def held_model(run: str, model_path: str, counts: dict[int, int]) -> TrieUnigram:
+    if run not in _held:
+        _held.clear()
+        _held[run] = learned_model(model_path, counts)
+    return _held[run]
 
 
 def count_tokens(docs: DataFrame, model_path: str, *, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """docs -> (doc_id, n_words, n_tokens, n_fallback, log_score), a row for every input row.
+    """docs -> (doc_id, n_words, n_tokens, n_fallback, log_score), a row for every input row. The weights of the pieces
+    are learned from all the texts first.
 
     Words are runs of bytes other than white space (the six ASCII ones). n_tokens: pieces of the best segmentation of
     every word; n_fallback: those that are single bytes; log_score: sum of the words' natural log-probabilities,
     rounded to 6 places. Null and empty texts give zeros."""
 
+    counts = {r["piece"]: r["n"] for r in piece_counts(docs, model_path, text_col=text_col).collect()}  # a number a piece
+    shared, name = docs.sparkSession.sparkContext.broadcast(counts), uuid.uuid4().hex
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        model = unigram_model(model_path)
+        model = held_model(name, model_path, shared.value)
         for batch in slices(batches, "text", SLICE):
             array, ends = segments(word_stream(*utf8_buffer(batch.column(1)), lower=False))
             encoded = pc.dictionary_encode(array)
