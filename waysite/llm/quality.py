@@ -359,4 +359,4 @@ def keep_good(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text"
     judged = judge(docs, id_col=id_col, text_col=text_col, lang_col=lang_col, source_col=source_col, **options)
     rejected = judged.where(~F.col("kept")).select(F.struct("doc_id", "lang", "source", "tkey").alias("gone")).distinct()
     here = F.struct(named(docs, id_col).alias("doc_id"), named(docs, lang_col).alias("lang"), named(docs, source_col).alias("source"), text_key(named(docs, text_col)).alias("tkey"))
-    return docs.join(rejected, here.eqNullSafe(rejected["gone"]), "left_anti")
+    return docs.join(rejected, here == rejected["gone"], "left_anti")

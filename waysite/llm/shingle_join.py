@@ -21,7 +21,7 @@ import zstandard
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import discard, materialize, mix64, pick, segments, slices, utf8_buffer, word_stream
+from .common import discard, materialize, mix64, named, pick, segments, slices, text_key, utf8_buffer, word_stream
 from .graph import connected_components
 
 SLICE = 2 << 20
@@ -220,7 +220,7 @@ def near_components(docs: DataFrame, *, id_col: str = "doc_id", text_col: str =
     tkey: a hash of the row's text; root: the component itself, whatever its ids (null: no words). Null ids never name a
     component that has another id; repeated rows are equal sets. Sets are compared as 64-bit hashes of shingles."""
     # Whole texts; equal texts have equal keys, which name the text to verify a set on.
-    rows = pick(docs, doc_id=id_col, text=text_col).withColumn("tkey", F.xxhash64(F.coalesce("text", F.lit(""))))
+    rows = pick(docs, doc_id=id_col, text=text_col).withColumn("tkey", text_key(F.col("text")))
     ranks = rows.sparkSession.sparkContext.broadcast(slot_counts(rows, width))
     found_prefixes = materialize(prefixes(rows, ranks, width, share), "shingle-prefixes")
     ranks.destroy()
@@ -301,6 +301,10 @@ def keep_one_of_each(docs: DataFrame, *, id_col: str = "doc_id", text_col: str =
     found = near_components(docs, id_col=id_col, text_col=text_col, width=width, share=share)
     place = F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "tkey")
     best = found.where("n_shingles > 0").groupBy("root").agg(F.min(place).alias("best"))
-    kept = best.select(F.col("best.doc_id").alias("__id"), F.col("best.tkey").alias("__key")).unionByName(found.where("n_shingles = 0").select(F.col("doc_id").alias("__id"), F.col("tkey").alias("__key")).distinct())
-    keyed = docs.withColumn("__text_key", F.xxhash64(F.coalesce(text_col, F.lit(""))))
-    return keyed.join(kept, F.col(id_col).eqNullSafe(F.col("__id")) & (F.col("__text_key") == F.col("__key")), "left_semi").dropDuplicates([id_col, "__text_key"]).drop("__text_key")
+    kept = best.select("best.doc_id", "best.tkey").unionByName(found.where("n_shingles = 0").select("doc_id", "tkey").distinct())
+    own = F.struct(named(docs, id_col).alias("doc_id"), text_key(named(docs, text_col)).alias("tkey"))
+    held = docs.select(F.struct(*(named(docs, c) for c in docs.columns)).alias("row"), own.alias("own"))
+    wanted = kept.select(F.struct("doc_id", "tkey").alias("of"))
+    # A struct of nulls equals another, so plain equality will do, and rows stay where the join has put them.
+    once = held.join(wanted, held["own"] == wanted["of"], "left_semi").groupBy("own").agg(F.first("row").alias("row"))
+    return once.select("row.*")
