@@ -62,7 +62,7 @@ def test_empty_tables(spark, empty):
     pages = spark.createDataFrame([], "page_id long, url string, html string")
     model = toxicity.train(empty, labels)
     path = public_tokenizers.path
-    for df in (context_tree.score_documents(empty), mixing.mix_sources(empty), mixing.mix_rows(empty), line_dedup.removed_lines(empty), line_dedup.drop_lines(empty), telephony.media_digests(telephony.store_media(empty)), bpe.encode_documents(empty, path("word_bpe_49k.json")), shingle_join.near_components(empty), shingle_join.keep_one_of_each(empty), tokencount.count_tokens(empty, path("piece_bpe_32k.model")), toxicity.score_documents(empty, model), warc.crawl_round_trip(pages), quality.judge(empty), quality.keep_good(empty)):
+    for df in (context_tree.score_documents(empty), mixing.mix_sources(empty), mixing.mix_rows(empty), line_dedup.removed_lines(empty), line_dedup.drop_lines(empty), telephony.stored_digests(empty), bpe.encode_documents(empty, path("word_bpe_49k.json")), shingle_join.near_components(empty), shingle_join.keep_one_of_each(empty), tokencount.count_tokens(empty, path("piece_bpe_32k.model")), toxicity.score_documents(empty, model), warc.crawl_round_trip(pages), quality.judge(empty), quality.keep_good(empty)):
         assert df.count() == 0
 
 
@@ -215,10 +215,10 @@ def test_line_dedup_crowded_words(spark, monkeypatch):
 
 
 def test_telephony(docs):
-    for codec in (telephony.MU_LAW, telephony.A_LAW, telephony.ADPCM):
+    for codec in (telephony.MU_LAW, telephony.A_LAW, telephony.ADPCM, None):
         media = telephony.store_media(docs, codec=codec)
         stored = {(r["doc_id"], r["n_bytes"]): bytes(r["media"]) for r in media.collect()}
-        found = telephony.media_digests(media).collect()
+        found = telephony.stored_digests(docs, codec=codec).collect()
         assert len(found) == len(rows())
         texts = Counter((i, t or "") for i, t, *_ in rows())
         for (i, t), n in texts.items():
@@ -228,8 +228,19 @@ def test_telephony(docs):
             assert len(mine) == n
             r, file = mine[0], stored[i, len(raw)]
             assert (r["payload_bytes"], r["tail_crc32"], r["media_bytes"], r["media_sha256"]) == (len(payload), zlib.crc32(payload[-64:]), len(file), hashlib.sha256(file).hexdigest())
-        pcm = telephony.resampled_pcm(media).first()
-        assert pcm["rate"] == 16000 and len(pcm["pcm"]) % 2 == 0
+            kind, rate, data = telephony.read_wav(file)
+            assert rate == 8000 and kind == (codec or (telephony.MU_LAW, telephony.A_LAW, telephony.ADPCM)[zlib.crc32(payload) % 3])
+            pcm = telephony.expand(kind, np.frombuffer(data, np.uint8)).astype(int).tolist()
+            low = [sum(pcm[k : k + 2]) // len(pcm[k : k + 2]) for k in range(0, len(pcm), 2)]
+            crossings = sum((x < 0) != (y < 0) for x, y in zip(low, low[1:]))
+            assert r["feature"] == f"{kind}@4000:{len(low)}:{max(map(abs, low))}:{sum(map(abs, low)) // len(low)}:{crossings}:{zlib.crc32(np.array(low, '<i2').tobytes()):08x}"
+
+
+def test_resample():
+    x = np.array([0, 10, -30, 7], np.int16)
+    assert telephony.resample(x, 2, 1).tolist() == [0, 5, 10, -10, -30, -12, 7, 7]
+    assert telephony.resample(x, 1, 2).tolist() == [5, -12] and telephony.resample(x, 1, 3).tolist() == [-7, 7]
+    assert telephony.resample(np.zeros(0, np.int16), 1, 2).tolist() == []
 
 
 def test_codecs():
@@ -384,7 +395,11 @@ def test_connected_components(spark):
 
 def test_token_counts(docs):
     path = public_tokenizers.path("piece_bpe_32k.model")
-    model = tokencount.unigram_model(path)
+    cut = tokencount.processor(path)
+    counts = Counter(i for _, t, *_ in rows() for w in WORD.findall(t or "") for i in cut.encode(w))
+    assert {r["piece"]: r["n"] for r in tokencount.piece_counts(docs, path).collect()} == counts
+    model = tokencount.learned_model(path, counts)
+    assert model.scores["\u2581the"] > model.scores["\u2581without"]
 
     def best(word):
         w = tokencount.START + word
@@ -425,6 +440,54 @@ def test_toxicity(spark, sf_dir):
     assert p.sort_values("doc_id")["score"].tolist() == again.sort_values("doc_id")["score"].tolist()
 
 
+def test_toxicity_scores_against_brute_force():
+    """Windows, savings and score of a fitted model, recomputed in the plainest way."""
+    import zstandard
+
+    rng = random.Random(4)
+    words = ["".join(rng.choice("abcdefgh") for _ in range(rng.randrange(2, 8))) for _ in range(300)]
+    texts, labels = [], []
+    for i in range(120):
+        said = rng.choices(words, k=rng.randrange(10, 200))
+        for _ in range(i % 2 * max(2, len(said) // 12)):
+            said.insert(rng.randrange(len(said)), rng.choice(["vileword", "vilely", "nastyone"]))
+        texts.append(toxicity.folded(" ".join(said)))
+        labels.append(bool(i % 2))
+    model = toxicity.fit(texts[:80], np.array(labels[:80]))
+    assert model.dictionaries.toxic != model.dictionaries.ordinary and b"vile" in model.dictionaries.toxic and b"vile" not in model.dictionaries.ordinary
+
+    def size(window, content):
+        params = zstandard.ZstdCompressionParameters.from_level(5, min_match=3, write_content_size=False, write_checksum=False, write_dict_id=False, format=zstandard.FORMAT_ZSTD1_MAGICLESS)
+        shared = zstandard.ZstdCompressionDict(content, dict_type=zstandard.DICT_TYPE_RAWCONTENT)
+        shared.precompute_compress(compression_params=params)
+        return len(zstandard.ZstdCompressor(dict_data=shared, compression_params=params).compress(window))
+
+    scores = []
+    for text in [*texts[80:], b"", b"x", b"long" * 100]:
+        windows, held = [], b""
+        for word in text.split():
+            held += b" " + word
+            if len(held) >= 48:
+                windows, held = [*windows, held], b""
+        windows = [*windows, held] if held else windows or [b" "]
+        assert toxicity.windows(text) == windows
+        d = model.dictionaries
+        saved = sorted((size(w, d.ordinary + d.base) - size(w, d.toxic + d.base) for w in windows), reverse=True)
+        n = len(saved)
+        above = [sum(s > t for s in saved) for t in model.thresholds]
+        x = [1, sum(saved) / n, *(sum(saved[:k]) / min(k, n) for k in (1, 2, 4, 8)), *(c / n for c in above), *(math.log(1 + c) for c in above), math.log(n)]
+        want = 1 / (1 + math.exp(-sum(a * b for a, b in zip(x, model.weights, strict=True))))
+        scores.append(float(model.score([toxicity.savings(d.compressors(), toxicity.windows(text))])[0]))
+        assert scores[-1] == pytest.approx(want, abs=1e-9)
+    assert min(s for s, m in zip(scores, labels[80:]) if m) > max(s for s, m in zip(scores, labels[80:]) if not m)
+
+
+def test_toxicity_one_class():
+    model = toxicity.fit([b"one", b"two"], np.array([False, False]))
+    assert 0 <= model.score([np.zeros(1)])[0] < 0.01
+    assert toxicity.fit([], np.array([], bool)).score([np.zeros(1)])[0] < 0.01
+
+
 def test_toxicity_odd_rows(spark, docs):
     labels = spark.createDataFrame([(i, 1, i % 2) for i in range(20)] + [(None, 1, 1), (3, 1, None), (3, 1, 1)], "doc_id long, quality int, toxic int")
     found = toxicity.score_documents(docs, toxicity.train(docs, labels)).collect()
