@@ -49,12 +49,12 @@ def dropping_shuffles(spark: SparkSession) -> Iterator[None]:
         spark.conf.set(SHUFFLE_CLEANUP, before)
 
 
-def materialize(df: DataFrame, name: str = "relation") -> DataFrame:
+def materialize(df: DataFrame, name: str = "relation", compression: str = "snappy") -> DataFrame:
     """Write once, read back: a short lineage that survives lost executors. Nothing of the job that wrote it is needed
     again, so its shuffle files go at once."""
     path = fresh_path(df.sparkSession, name)
     with dropping_shuffles(df.sparkSession):
-        df.write.parquet(path)
+        df.write.option("compression", compression).parquet(path)
     back = df.sparkSession.read.schema(df.schema).parquet(path)
     back.written_at = path
     return back
