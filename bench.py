@@ -56,7 +56,10 @@ def main() -> None:
     big = fx.netsup(spark, sf_dir, filled=False)
     reach = pref.binary(300)
     near = timed("netsup_cover_300", lambda: materialize(dt.cover(dt.kernel_detours(big.points(), big.sites(), big.dist(), 300), reach), "bench"))
-    timed("netsup_greedy_k5", lambda: gr.greedy_place(near, gr.PlacementSpec(k=5, mode="delta"), big.n_paths()))
+    best = timed("netsup_greedy_k5", lambda: gr.greedy_place(near, gr.PlacementSpec(k=5, mode="delta"), big.n_paths()))
+    far = timed("netsup_index_build", lambda: big.bounded_index((210, 2400)))
+    on_far = timed("netsup_index_query_k5", lambda: ix.index_place(far, gr.PlacementSpec(k=5), reach, big.n_paths()))
+    measures["netsup_index_loss_pct"] = round(100 * ms.relative_loss(best.utility, gr.utility_of(near, on_far.sites)), 4)
     assert plain.sites == delta.sites
     measures["greedy_pct"] = round(ms.utility_pct(plain.utility, w.n_paths()), 4)
     measures["index_loss_pct"] = round(100 * ms.relative_loss(plain.utility, gr.utility_of(cover, found.sites)), 4)

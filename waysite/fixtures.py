@@ -79,6 +79,16 @@ class World:
     def index(self, eps: float = EPS, rule: str = "closest") -> ix.Index:
         return once(self.spark, self.sf_dir, f"index-{self.shape}-{self.name}-{eps}-{rule}", lambda: ix.build_index(self.points(), self.sites(), self.dist(), self.trips(), eps, rule, kernel=self.n <= dt.MOST_KERNEL_NODES))
 
+    def bounded_index(self, limits: tuple[int, int], eps: float = EPS) -> ix.Index:
+        """An index whose searches end where its largest threshold does; nothing needs all distances."""
+        return once(self.spark, self.sf_dir, f"bounded-{self.shape}-{self.name}-{limits}-{eps}", lambda: ix.build_index_bounded(self.points(), self.sites(), self.net().edges, self.net().nodes, limits, eps))
+
+    def near_cover(self, tau: int) -> DataFrame:
+        """The binary cover; on networks without a distance matrix by searches made for it."""
+        if self.n <= dt.MOST_KERNEL_NODES:
+            return once(self.spark, self.sf_dir, f"near-{self.shape}-{self.name}-{tau}", lambda: dt.cover(dt.kernel_detours(self.points(), self.sites(), self.dist(), tau), pref.binary(tau)))
+        return once(self.spark, self.sf_dir, f"near-{self.shape}-{self.name}-{tau}", lambda: dt.cover_at_query(self.net().edges, self.points(), self.sites(), tau, pref.binary(tau)))
+
 
 def net100(spark: SparkSession, sf_dir: str, filled: bool = False, shape: str = "mesh") -> World:
     events = lambda: read_table(spark, sf_dir, "events", "user_id", "ts", "event_id", "props")

@@ -4,11 +4,13 @@ from __future__ import annotations
 
 from collections.abc import Callable, Iterator
 
+import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from waysite.functions.preference import MICRO
+from waysite.operators.detours import FAR, Matrix
 from waysite.operators.sketch import hashed, position
 
 
@@ -61,6 +63,20 @@ def fill_by_udtf(spark: SparkSession, points: DataFrame, side: int) -> DataFrame
     return spark.sql(f"""SELECT p.path_id, p.seq, s.node_id FROM (SELECT *, lag(node_id) OVER (PARTITION BY path_id ORDER BY seq) AS last FROM points_to_fill) p, LATERAL lattice_steps(p.last, p.node_id, {side}) s""")
 
 
+def detours_by_group(points: DataFrame, sites: DataFrame, dist: DataFrame) -> DataFrame:
+    """The matrix kernel by groups, one path a call: the twin of kernel_detours(), which shares equal routes."""
+    matrix, chosen = Matrix.of(dist), np.sort(sites.select("site_id").toPandas()["site_id"].to_numpy())
+    shared = points.sparkSession.sparkContext.broadcast((matrix, chosen))
+
+    def one(path: pd.DataFrame) -> pd.DataFrame:
+        matrix, chosen = shared.value
+        best = matrix.detours(np.unique(path["node_id"]), chosen)
+        near = best <= FAR // 2
+        return pd.DataFrame({"path_id": path["path_id"].iloc[0], "site_id": chosen[near], "metres": best[near].astype(np.int64)})
+
+    return points.select("path_id", "node_id").groupBy("path_id").applyInPandas(one, "path_id long, site_id long, metres long")
+
+
 def register_sql(spark: SparkSession) -> None:
     """SQL functions over metres and hashes, expanded by the optimizer like built-ins."""
     spark.sql("CREATE OR REPLACE TEMPORARY FUNCTION detour_score(metres BIGINT, tau BIGINT) RETURNS BIGINT RETURN CASE WHEN metres <= tau THEN 1000000L ELSE 0L END")

@@ -35,20 +35,28 @@ def timed(f: Callable, *args, **options) -> tuple[object, float]:
     return out, time.perf_counter() - began
 
 
-def footprint(df: DataFrame) -> tuple[int, int]:
-    """Rows of a relation, and bytes at 8 a column."""
-    rows = df.count()
-    return rows, rows * 8 * len(df.columns)
-
-
-def index_cost(index: Index) -> DataFrame:
-    """(level, rows, bytes) over all relations of the index."""
-    parts = [index.member, index.link, index.path]
+def file_bytes(df: DataFrame) -> int:
+    """Bytes of the files behind a table that was written."""
+    spark = df.sparkSession
+    total = 0
+    for name in df.inputFiles():
+        path = spark._jvm.org.apache.hadoop.fs.Path(name)
+        total += path.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).getFileStatus(path).getLen()
+    return total
+
+
+def index_rows(index: Index) -> DataFrame:
+    """(level, rows) over all relations of the index."""
     out = None
-    for p in parts:
-        one = p.groupBy("level").agg(F.count("*").alias("rows"), (F.count("*") * 8 * len(p.columns)).alias("bytes"))
+    for p in (index.member, index.link, index.path):
+        one = p.groupBy("level").agg(F.count("*").alias("rows"))
         out = one if out is None else out.unionByName(one)
-    return out.groupBy("level").agg(F.sum("rows").alias("rows"), F.sum("bytes").alias("bytes"))
+    return out.groupBy("level").agg(F.sum("rows").alias("rows"))
+
+
+def index_bytes(index: Index) -> int:
+    """Bytes of the files of all relations of the index."""
+    return sum(file_bytes(p) for p in (index.member, index.link, index.path, index.sites, index.clusters()))
 
 
 def estimate_error(estimated: DataFrame, true: DataFrame) -> DataFrame:

@@ -85,7 +85,9 @@ class Matrix:
         return Matrix(ids, out)
 
     def detours(self, nodes: np.ndarray, sites: np.ndarray) -> np.ndarray:
-        """The least detour from the nodes of a path to each site: a minimum over all pairs of nodes, one leave at a time."""
+        """The least detour from the nodes of a path to each site: a minimum over all pairs of nodes, one leave at a time.
+        Nodes that the network doesn't have lead nowhere."""
+        nodes = nodes[np.isin(nodes, self.ids)]
         at, columns = np.searchsorted(self.ids, nodes), np.searchsorted(self.ids, sites)
         inner = self.metres[np.ix_(at, at)]
         inner = np.where(inner < FAR, inner, -FAR)

@@ -357,5 +357,17 @@ def utility_of(cover: DataFrame, chosen: list[int]) -> int:
     return int(best.agg(F.coalesce(F.sum("u"), F.lit(0))).first()[0])
 
 
+def served_by(cover: DataFrame, chosen: list[int], sites: DataFrame) -> int:
+    """Total score when the chosen sites open one after the other and each serves its largest gains, up to its capacity."""
+    loop = _FrameLoop(cover, PlacementSpec(k=len(chosen), capacity=True), 0, sites)
+    try:
+        for site in chosen:
+            loop.serve(site)
+        return int(loop.best_so_far().agg(F.coalesce(F.sum("u"), F.lit(0))).first()[0]) if chosen else 0
+    finally:
+        loop.close()
+
+
 def seeded_order(column: Column, seed: int) -> Column:
-    return F.xxhash64(column, F.lit(seed))
+    """An order that looks random and that any engine can repeat."""
+    return F.md5(F.concat(F.lit(f"{seed}:"), column.cast("string")))

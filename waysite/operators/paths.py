@@ -2,9 +2,16 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
+import numpy as np
+import pandas as pd
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from waysite.operators.distance import MOST_BROADCAST_EDGES, Roads
+from waysite.sources.tables import materialize
+
 
 def event_visits(events: DataFrame) -> DataFrame:
     """events -> (user_id, ts, event_id, node_id): the node is the number k of the JSON properties."""
@@ -54,12 +61,16 @@ def static_paths(users: DataFrame, user: str, node: Column) -> DataFrame:
     return users.select(F.col(user).cast("long").alias("path_id"), F.lit(0).alias("seq"), node.cast("long").alias("node_id"), F.lit(None).cast("timestamp").alias("ts"))
 
 
-def fill_gaps(points: DataFrame, side: int, rule: str = "x_then_y") -> DataFrame:
-    """Nodes between two visits on the lattice: along x first, then along y ("none" leaves the visits).
+def fill_gaps(points: DataFrame, side: int | None = None, rule: str = "x_then_y", edges: DataFrame | None = None) -> DataFrame:
+    """Nodes between two visits: on the lattice of a side along x first, then along y; on any network ("shortest", with its
+    edges) along a shortest way, of which each next node is the smallest possible; "none" leaves the visits.
 
-    Stands in for map matching on test data; each visit but the first brings the nodes of its approach with it."""
+    Stands in for map matching on test data; each visit but the first brings the nodes of its approach with it. A visit
+    that can't be reached from the one before it follows that one directly."""
     if rule == "none":
         return points
+    if rule == "shortest":
+        return fill_shortest(points, edges)
     if rule != "x_then_y":
         raise ValueError(f"unknown rule {rule}")
     w = Window.partitionBy("path_id").orderBy("seq")
@@ -74,6 +85,46 @@ def fill_gaps(points: DataFrame, side: int, rule: str = "x_then_y") -> DataFrame
     return walked.select("path_id", (F.row_number().over(order) - 1).alias("seq"), F.col("node").cast("long").alias("node_id"), "ts")
 
 
+def fill_shortest(points: DataFrame, edges: DataFrame) -> DataFrame:
+    w = Window.partitionBy("path_id").orderBy("seq")
+    lagged = points.withColumn("last", F.lag("node_id").over(w))
+    ways = materialize(shortest_ways(edges, lagged.where("last <> node_id").select(F.col("last").alias("src"), F.col("node_id").alias("dst"))), "ways")
+    known = lagged.join(ways, (F.col("last") == F.col("src")) & (F.col("node_id") == F.col("dst")), "left")
+    steps = F.coalesce("way", F.array("node_id"))
+    walked = known.select("path_id", "seq", "ts", F.posexplode(steps).alias("sub", "node"))
+    order = Window.partitionBy("path_id").orderBy("seq", "sub")
+    return walked.select("path_id", (F.row_number().over(order) - 1).alias("seq"), F.col("node").alias("node_id"), "ts")
+
+
+def shortest_ways(edges: DataFrame, pairs: DataFrame) -> DataFrame:
+    """pairs(src, dst) -> (src, dst, way): the nodes of a shortest way after src; each next node is the smallest on any
+    shortest way. One search against the roads from each end, for all its starts; the edges are broadcast (checked)."""
+    if edges.limit(MOST_BROADCAST_EDGES + 1).count() > MOST_BROADCAST_EDGES:
+        raise ValueError("too many roads to broadcast")
+    flipped = edges.select(F.col("dst").alias("src"), F.col("src").alias("dst"), "metres")
+    shared = edges.sparkSession.sparkContext.broadcast((Roads.of(edges), Roads.of(flipped)))
+
+    def search(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        roads, back = shared.value
+        for frame in frames:
+            out = []
+            for end, starts in zip(frame["dst"], frame["starts"], strict=True):
+                left = dict(zip(*back.reach(int(end), float("inf"), set(map(int, starts))), strict=True))
+                for start in map(int, starts):
+                    at, way = start, []
+                    while at in left and at != end:
+                        i = int(np.searchsorted(roads.ids, at))
+                        a, b = roads.start[i], roads.start[i + 1]
+                        at = min(int(n) for n, m in zip(roads.ids[roads.to[a:b]], roads.metres[a:b], strict=True) if int(n) in left and left[int(n)] + m == left[at])
+                        way.append(at)
+                    if way:
+                        out.append((start, int(end), way))
+            yield pd.DataFrame(out, columns=["src", "dst", "way"])
+
+    ends = pairs.groupBy(F.col("dst").cast("long").alias("dst")).agg(F.collect_set(F.col("src").cast("long")).alias("starts"))  # at most all nodes
+    return ends.mapInPandas(search, "src long, dst long, way array<long>")
+
+
 def path_arrays(points: DataFrame) -> DataFrame:
     """(path_id, nodes): a path's node ids in order."""
     gathered = points.groupBy("path_id").agg(F.array_sort(F.collect_list(F.struct("seq", "node_id"))).alias("steps"))

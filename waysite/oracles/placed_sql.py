@@ -27,41 +27,45 @@ def attributed(sigma: float | None = None, mean: str | None = None, source: str
     return f"SELECT node_id AS site_id{cost}{room} FROM {source}"
 
 
-def steps(name: str, cover: str, k: int, candidates: str = ALL_NODES, existing: tuple[int, ...] = (), budget: float | None = None, capacity: bool = False) -> str:
-    """Relations {name}_pick1 ... of (step, site_id, gain, cost), of no row once nothing can be picked, and {name} of all.
-    budget: gain for cost among what is affordable; capacity: a site serves its largest gains only, up to its room."""
+def steps(name: str, cover: str, k: int, candidates: str = ALL_NODES, existing: tuple[int, ...] = (), capacity: bool = False, forced: str | None = None) -> str:
+    """Relations {name}_pick1 ... of (step, site_id, gain), of no row once nothing can be picked, and {name} of all.
+    capacity: a site serves its largest gains only, up to its room. forced:
+    the sites of another relation are taken, one a step."""
     held = f"SELECT path_id, max(score) AS u FROM {cover} WHERE site_id IN ({', '.join(map(str, existing))}) GROUP BY path_id" if existing else "SELECT CAST(NULL AS BIGINT) AS path_id, CAST(NULL AS BIGINT) AS u WHERE false"
     out = [f"{name}_cand AS MATERIALIZED ({candidates})", f"{name}_w AS MATERIALIZED (SELECT site_id, sum(score) AS weight FROM {cover} GROUP BY site_id)", f"{name}_u0 AS MATERIALIZED ({held})"]
-    cost = "s.cost" if budget is not None else "1.0"
     room = f" JOIN {name}_cand d USING (site_id)" if capacity else ""
     for i in range(1, k + 1):
         taken = " UNION ALL ".join(["SELECT CAST(-1 AS BIGINT) AS site_id", *(f"SELECT site_id FROM {name}_pick{j}" for j in range(1, i)), *(f"SELECT {e}" for e in existing)])
-        spent = " + ".join([f"coalesce((SELECT cost FROM {name}_pick{j}), 0)" for j in range(1, i)] or ["0"])
         limited = f"SELECT c.path_id, c.site_id, c.score, c.score - coalesce(u.u, 0) AS gain{', row_number() OVER (PARTITION BY c.site_id ORDER BY c.score - coalesce(u.u, 0) DESC, c.path_id) AS place, d.room' if capacity else ''} FROM {cover} c LEFT JOIN {name}_u{i - 1} u USING (path_id){room} WHERE c.score > coalesce(u.u, 0)"
         rows = f"(SELECT * FROM ({limited}) q{' WHERE room IS NULL OR place <= room' if capacity else ''})"
-        affordable = f" AND s.cost <= round({budget} - ({spent}), 9)" if budget is not None else ""
-        order = "coalesce(g.gain, 0) / s.cost DESC, " if budget is not None else ""
-        out.append(f"""{name}_pick{i} AS MATERIALIZED (SELECT {i} AS step, s.site_id, CAST(coalesce(g.gain, 0) AS BIGINT) AS gain, {cost} AS cost FROM {name}_cand s
+        chosen = f" AND s.site_id = (SELECT site_id FROM {forced}_pick{i})" if forced else ""
+        out.append(f"""{name}_pick{i} AS MATERIALIZED (SELECT {i} AS step, s.site_id, CAST(coalesce(g.gain, 0) AS BIGINT) AS gain FROM {name}_cand s
   LEFT JOIN (SELECT site_id, sum(gain) AS gain FROM {rows} r GROUP BY site_id) g USING (site_id) LEFT JOIN {name}_w w USING (site_id)
-  WHERE s.site_id NOT IN (SELECT site_id FROM ({taken}) t){affordable} ORDER BY {order}coalesce(g.gain, 0) DESC, coalesce(w.weight, 0) DESC, s.site_id DESC LIMIT 1)""")
+  WHERE s.site_id NOT IN (SELECT site_id FROM ({taken}) t){chosen} ORDER BY coalesce(g.gain, 0) DESC, coalesce(w.weight, 0) DESC, s.site_id DESC LIMIT 1)""")
         out.append(f"{name}_u{i} AS MATERIALIZED (SELECT path_id, max(u) AS u FROM (SELECT * FROM {name}_u{i - 1} UNION ALL SELECT path_id, score FROM {rows} r WHERE site_id = (SELECT site_id FROM {name}_pick{i})) z GROUP BY path_id)")
     picks = " UNION ALL ".join(f"SELECT * FROM {name}_pick{i}" for i in range(1, k + 1))
-    if budget is not None:
-        # The best single site instead, where it alone is better.
-        out.append(f"{name}_all AS MATERIALIZED ({picks})")
-        out.append(f"""{name}_one AS MATERIALIZED (SELECT 1 AS step, s.site_id, CAST(coalesce(g.gain, 0) AS BIGINT) AS gain, s.cost FROM {name}_cand s LEFT JOIN (SELECT site_id, sum(gain) AS gain FROM (SELECT * FROM ({limited_first(name, cover, capacity)}) q{' WHERE room IS NULL OR place <= room' if capacity else ''}) r GROUP BY site_id) g USING (site_id)
-  LEFT JOIN {name}_w w USING (site_id) WHERE s.cost <= {budget} ORDER BY coalesce(g.gain, 0) DESC, coalesce(w.weight, 0) DESC, s.site_id DESC LIMIT 1)""")
-        better = f"(SELECT gain FROM {name}_one) > (SELECT sum(gain) FROM {name}_all)"
-        out.append(f"{name} AS (SELECT * FROM {name}_one WHERE {better} UNION ALL SELECT * FROM {name}_all WHERE NOT {better})")
-    else:
-        out.append(f"{name} AS ({picks})")
+    out.append(f"{name} AS ({picks})")
     return ",\n".join(out)
 
 
-def limited_first(name: str, cover: str, capacity: bool) -> str:
-    if capacity:
-        return f"SELECT c.site_id, c.score AS gain, row_number() OVER (PARTITION BY c.site_id ORDER BY c.score DESC, c.path_id) AS place, d.room FROM {cover} c JOIN {name}_cand d USING (site_id)"
-    return f"SELECT site_id, score AS gain FROM {cover}"
+def budget_steps(name: str, cover: str, candidates: str, budget: float, safeguard: bool = True) -> str:
+    """{name}(step, site_id, gain, cost): gain for cost among what is affordable, as one recursion that carries the open
+    sites and what is left; in the end the best single site where it alone is better."""
+    better = f"(SELECT gain FROM {name}_one) > (SELECT sum(gain) FROM {name}_all)" if safeguard else "false"
+    return f"""{name}_cand AS MATERIALIZED ({candidates}),
+{name}_w AS MATERIALIZED (SELECT s.site_id, s.cost, coalesce(sum(c.score), 0) AS weight FROM {name}_cand s LEFT JOIN {cover} c USING (site_id) GROUP BY ALL),
+{name}_u0 AS (SELECT CAST(NULL AS BIGINT) AS path_id, CAST(NULL AS BIGINT) AS u WHERE false),
+{name}_run(step, site_id, gain, cost, chosen, rest) AS (
+  SELECT 0, CAST(-1 AS BIGINT), CAST(0 AS BIGINT), 0.0::DOUBLE, CAST([] AS BIGINT[]), {budget}::DOUBLE
+  UNION ALL
+  (SELECT r.step + 1, g.site_id, CAST(g.gain AS BIGINT), g.cost, list_append(r.chosen, g.site_id), round(r.rest - g.cost, 9)
+   FROM {name}_run r, (SELECT w.site_id, w.cost, w.weight, coalesce(sum(greatest(c.score - coalesce(u.u, 0), 0)), 0) AS gain FROM {name}_w w LEFT JOIN {cover} c USING (site_id)
+     LEFT JOIN (SELECT o.path_id, max(o.score) AS u FROM {cover} o, {name}_run t WHERE list_contains(t.chosen, o.site_id) GROUP BY o.path_id) u ON u.path_id = c.path_id GROUP BY ALL) g
+   WHERE NOT list_contains(r.chosen, g.site_id) AND g.cost <= r.rest ORDER BY g.gain / g.cost DESC, g.gain DESC, g.weight DESC, g.site_id DESC LIMIT 1)
+),
+{name}_all AS MATERIALIZED (SELECT step, site_id, gain, cost FROM {name}_run WHERE step > 0),
+{name}_one AS MATERIALIZED (SELECT 1 AS step, site_id, CAST(weight AS BIGINT) AS gain, cost FROM {name}_w WHERE cost <= {budget} ORDER BY weight DESC, site_id DESC LIMIT 1),
+{name} AS (SELECT * FROM {name}_one WHERE {better} UNION ALL SELECT * FROM {name}_all WHERE NOT ({better}))"""
 
 
 def placed(name: str, points: str = "points", picks: str | None = None) -> str:
@@ -137,10 +141,42 @@ est{level} AS MATERIALIZED (SELECT o.path_id, t.rep AS site_id, min(o.metres + l
   JOIN (SELECT cluster_id, nbr_id, metres FROM link{level} UNION ALL SELECT cluster_id, cluster_id, 0 FROM centre{level}) l USING (cluster_id) JOIN target{level} t ON t.cluster_id = l.nbr_id GROUP BY ALL)"""
 
 
+def serving(tau: float, eps: float = 0.75, points: str = "points", existing: tuple[int, ...] = (), site: str = "true") -> tuple[str, str]:
+    """The relations of the level that serves tau, and its estimates."""
+    p = level_of(tau, LIMITS_100, eps)
+    return level_relations(p, level_radii(LIMITS_100, eps)[p], eps, points, site=site), estimated(p, existing)
+
+
+def stats(where: str = "true") -> str:
+    """Rows of index statistics from the member, link and own relations of all levels; where: which paths."""
+    rows = [f"""SELECT CAST({p} AS INTEGER) AS level, round({r}::DOUBLE, 6) AS radius, (SELECT count(*) FROM centre{p}) AS n_clusters, round((SELECT count(*) FROM member{p}) / (SELECT count(*) FROM centre{p}), 6) AS mean_nodes,
+  round((SELECT count(*) FROM own{p} WHERE {where}) / (SELECT count(*) FROM centre{p}), 6) AS mean_paths, round((SELECT count(*) FROM link{p}) / (SELECT count(*) FROM centre{p}), 6) AS mean_links""" for p, r in enumerate(level_radii())]
+    return " UNION ALL ".join(rows)
+
+
+def all_levels(points: str = "points") -> list[str]:
+    return [level_relations(p, r, 0.75, points) for p, r in enumerate(level_radii())]
+
+
 def reps(level: int) -> str:
     return f"SELECT DISTINCT rep AS site_id FROM rep{level}"
 
 
+def leaders(name: str, cover: str, threshold: float) -> str:
+    """{name}(cluster_id, site_id): sites by weight, each to the first leader whose cover is similar, or a leader."""
+    return f"""{name}_n AS MATERIALIZED (SELECT site_id, count(*) AS n, sum(score) AS w FROM {cover} GROUP BY site_id),
+{name}_p AS MATERIALIZED (SELECT x.site_id AS a, y.site_id AS b, count(*) AS c FROM {cover} x JOIN {cover} y ON x.path_id = y.path_id AND x.site_id <> y.site_id GROUP BY ALL),
+{name}_o AS MATERIALIZED (SELECT s.site_id, row_number() OVER (ORDER BY s.w DESC, s.site_id) AS i, (SELECT list(b) FROM {name}_p q JOIN {name}_n v ON v.site_id = q.b WHERE q.a = s.site_id AND q.c >= {threshold} * (s.n + v.n - q.c)) AS near FROM {name}_n s),
+{name}_r(i, site_id, cluster_id, heads) AS (
+  SELECT CAST(0 AS BIGINT), CAST(-1 AS BIGINT), CAST(-1 AS BIGINT), CAST([] AS BIGINT[])
+  UNION ALL
+  SELECT o.i, o.site_id, coalesce(list_filter(r.heads, lambda h: list_contains(o.near, h))[1], o.site_id),
+    CASE WHEN len(list_filter(r.heads, lambda h: list_contains(o.near, h))) > 0 THEN r.heads ELSE list_append(r.heads, o.site_id) END
+  FROM {name}_r r JOIN {name}_o o ON o.i = r.i + 1
+),
+{name} AS MATERIALIZED (SELECT cluster_id, site_id FROM {name}_r WHERE i > 0)"""
+
+
 #: The 100-node lattice with day trips as they are, and filled.
 DAYS = (lattice(100), DIST, TRIPS, DAY_POINTS, detour())
 FILLED = (lattice(100), DIST, TRIPS, DAY_POINTS, filled(10), detour("any", "filled_points"))

@@ -15,6 +15,16 @@ roads AS (SELECT node_id AS src, node_id + 1 AS dst FROM nodes WHERE x < {side -
 edges AS (SELECT src, dst, CAST(100 + (31 * src + 17 * dst) % 50 AS BIGINT) AS metres FROM (SELECT src, dst FROM roads UNION ALL SELECT dst, src FROM roads) b)"""
 
 
+def lattice_of(table: str) -> str:
+    """The lattice of as many nodes as a table has rows."""
+    n = f"(SELECT count(*) FROM {table})"
+    side = f"(SELECT CAST(ceil(sqrt(count(*))) AS BIGINT) FROM {table})"
+    return f"""nodes AS MATERIALIZED (SELECT CAST(i AS BIGINT) AS node_id, i % {side} AS x, i // {side} AS y FROM range({n}) r(i)),
+roads AS (SELECT node_id AS src, node_id + 1 AS dst FROM nodes WHERE x < {side} - 1 AND node_id + 1 < {n}
+          UNION ALL SELECT node_id, node_id + {side} FROM nodes WHERE node_id + {side} < {n}),
+edges AS MATERIALIZED (SELECT src, dst, CAST(100 + (31 * src + 17 * dst) % 50 AS BIGINT) AS metres FROM (SELECT src, dst FROM roads UNION ALL SELECT dst, src FROM roads) b)"""
+
+
 DIST = """reach(src, dst, metres) USING KEY (src, dst) AS (
   SELECT node_id, node_id, CAST(0 AS BIGINT) FROM nodes
   UNION
@@ -36,6 +46,10 @@ NATION_POINTS = """points AS MATERIALIZED (SELECT l_orderkey AS path_id, CAST(ro
   CAST(s_nationkey AS BIGINT) AS node_id, l_shipdate AS ts FROM lineitem JOIN supplier ON l_suppkey = s_suppkey)"""
 
 
+SUPPLIER_POINTS = """points AS MATERIALIZED (SELECT l_orderkey AS path_id, CAST(row_number() OVER (PARTITION BY l_orderkey ORDER BY l_shipdate, l_linenumber, l_suppkey, l_partkey) - 1 AS INTEGER) AS seq,
+  CAST(l_suppkey - 1 AS BIGINT) AS node_id, l_shipdate AS ts FROM lineitem)"""
+
+
 def filled(side: int, source: str = "points") -> str:
     """Nodes between visits, along x and then along y."""
     return f"""lagged AS (SELECT *, lag(node_id) OVER (PARTITION BY path_id ORDER BY seq) AS last FROM {source}),

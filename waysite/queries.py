@@ -18,6 +18,7 @@ from waysite.operators import network as nw
 from waysite.operators import paths as pt
 from waysite.operators import sketch as sk
 from waysite.operators.distance import frontier_distances, heap_distances, network_distances, reverse, round_trip, search_horizon
+from waysite.oracles import placed_sql as ps
 from waysite.oracles import placement_sql as sql
 from waysite.sources.tables import read_table
 
@@ -89,6 +90,17 @@ def paths_filled(spark, sf_dir):
     return fx.net100(spark, sf_dir, filled=True).points().select("path_id", "seq", "node_id")
 
 
+@query(base(sql.DAY_POINTS) + """, lagged AS (SELECT path_id, seq, node_id, lag(node_id) OVER (PARTITION BY path_id ORDER BY seq) AS last FROM points),
+asked AS (SELECT DISTINCT last AS u, node_id AS v FROM lagged WHERE last <> node_id),
+hop AS MATERIALIZED (SELECT a.u, a.v, min(e.dst) AS n FROM (SELECT d.src AS u, d.dst AS v, d.metres FROM dist d WHERE d.src <> d.dst) a JOIN edges e ON e.src = a.u JOIN dist r ON r.src = e.dst AND r.dst = a.v AND e.metres + r.metres = a.metres GROUP BY ALL),
+walk(u, v, sub, spot) AS (SELECT u, v, 0, u FROM asked UNION ALL SELECT w.u, w.v, w.sub + 1, h.n FROM walk w JOIN hop h ON h.u = w.spot AND h.v = w.v WHERE w.spot <> w.v),
+steps AS (SELECT l.path_id, l.seq, coalesce(w.sub, 0) AS sub, coalesce(w.spot, l.node_id) AS node_id FROM lagged l LEFT JOIN walk w ON w.u = l.last AND w.v = l.node_id AND w.sub > 0)
+SELECT path_id, CAST(row_number() OVER (PARTITION BY path_id ORDER BY seq, sub) - 1 AS INTEGER) AS seq, CAST(node_id AS BIGINT) AS node_id FROM steps""")
+def paths_filled_shortest(spark, sf_dir):
+    w = fx.net100(spark, sf_dir)
+    return pt.fill_gaps(w.points(), rule="shortest", edges=w.net().edges).select("path_id", "seq", "node_id")
+
+
 @query(sql.chain(sql.DAY_POINTS) + "SELECT path_id // 100 AS path_id, CAST(row_number() OVER (PARTITION BY path_id // 100 ORDER BY path_id, seq) - 1 AS INTEGER) AS seq, node_id FROM points")
 def paths_by_user(spark, sf_dir):
     return fx.net100u(spark, sf_dir).points().select("path_id", "seq", "node_id")
@@ -144,6 +156,21 @@ def round_trips(spark, sf_dir):
     return fx.net100(spark, sf_dir).trips()
 
 
+@query(base() + ALL_DISTANCES)
+def distances_relational(spark, sf_dir):
+    net = fx.net100(spark, sf_dir).net()
+    return network_distances(net.edges, net.nodes, engine="relational")
+
+
+@query(base(sql.DAY_POINTS) + "SELECT DISTINCT src, dst, metres FROM points a JOIN points b USING (path_id) JOIN dist ON src = a.node_id AND dst = b.node_id")
+def distances_wanted(spark, sf_dir):
+    """Only between nodes of one path."""
+    w = fx.net100(spark, sf_dir)
+    nodes = w.points().select("path_id", "node_id")
+    pairs = nodes.join(nodes.withColumnRenamed("node_id", "to"), "path_id").select(F.col("node_id").alias("src"), F.col("to").alias("dst"))
+    return network_distances(w.net().edges, nodes, wanted=pairs)
+
+
 @query(base(sql.DAY_POINTS, sql.detour()) + "SELECT path_id, site_id, metres FROM detour")
 def detour_any(spark, sf_dir):
     w = fx.net100(spark, sf_dir)
@@ -213,6 +240,11 @@ def cover_exponential(spark, sf_dir):
     return fx.net100(spark, sf_dir).cover(pref.exponential(TAU))
 
 
+@query(base(sql.DAY_POINTS, sql.detour()) + "SELECT * FROM (SELECT path_id, site_id, metres, CAST(round((1 / (1 + metres / 100.0::DOUBLE)) * 1000000) AS BIGINT) AS score FROM detour WHERE metres <= 400) c WHERE score > 0")
+def cover_custom(spark, sf_dir):
+    return fx.net100(spark, sf_dir).cover(pref.custom(TAU, lambda d: 1 / (1 + d / 100)))
+
+
 @query(sql.chain(*sql.day_cover()) + COVER_ROWS)
 def cover_at_query(spark, sf_dir):
     w = fx.net100(spark, sf_dir)
@@ -301,12 +333,12 @@ def greedy_quota(spark, sf_dir):
     return placed(spark, greedy(spark, sf_dir, pref.binary(TAU), k=None, quota=0.75))
 
 
-@query()
+@query(ps.statement(ps.DAYS, ps.cover("cov", 400), ps.budget_steps("g", "cov", ps.attributed(0.6), 5.0), ps.placed("g")))
 def greedy_budget(spark, sf_dir):
     return placed(spark, budget_place(spark, sf_dir, 0.6, True))
 
 
-@query()
+@query(ps.statement(ps.DAYS, ps.cover("cov", 400), ps.budget_steps("g", "cov", ps.attributed(0.6), 5.0, False), ps.placed("g")))
 def greedy_budget_nosafe(spark, sf_dir):
     return placed(spark, budget_place(spark, sf_dir, 0.6, False))
 
@@ -322,7 +354,10 @@ def budget_place(spark, sf_dir, sigma: float, safeguard: bool, world=None, budge
     return gr.greedy_place(w.cover(pref.binary(TAU)), gr.PlacementSpec(k=None, budget=budget, safeguard=safeguard), w.n_paths(), fx.with_costs(w.sites(), sigma))
 
 
-@query()
+TENTH = "0.1::DOUBLE * (SELECT count(DISTINCT path_id) FROM {})"
+
+
+@query(ps.statement(ps.DAYS, ps.cover("cov", 400), ps.steps("g", "cov", 5, ps.attributed(mean=TENTH.format("points")), capacity=True), ps.placed("g")))
 def greedy_capacity(spark, sf_dir):
     w = fx.net100(spark, sf_dir)
     return placed(spark, gr.greedy_place(w.cover(pref.binary(TAU)), gr.PlacementSpec(k=5, capacity=True), w.n_paths(), fx.with_capacities(w.sites(), 0.1 * w.n_paths())))
@@ -385,7 +420,10 @@ def top_weight(spark, sf_dir):
     return placed(spark, bl.top_weight_place(w.cover(pref.binary(TAU)), 5, w.n_paths())).select("step", "site_id", "gain")
 
 
-@query()
+STATIC = "homes AS MATERIALIZED (SELECT c_custkey AS path_id, c_custkey % 100 AS node_id FROM customer), still AS MATERIALIZED (SELECT h.path_id, r.b AS site_id, r.metres FROM homes h JOIN round_trips r ON r.a = h.node_id)"
+
+
+@query(ps.statement(ps.DAYS, ps.cover("cov", 400), STATIC, ps.cover("home", 400, source="still"), ps.steps("h", "home", 5, "SELECT DISTINCT site_id FROM home"), ps.steps("g", "cov", 5, forced="h"), ps.placed("g")))
 def static_place(spark, sf_dir):
     w, still = fx.net100(spark, sf_dir), fx.static100(spark, sf_dir)
     return placed(spark, bl.static_place(still.detours(), w.cover(pref.binary(TAU)), pref.binary(TAU), 5, w.n_paths()))
@@ -397,7 +435,7 @@ def arbitrary_place(spark, sf_dir):
     return placed(spark, bl.arbitrary_place(w.sites(), w.cover(pref.binary(4034)), 3, w.n_paths())).select("step", "site_id", "gain")
 
 
-@query()
+@query(ps.statement(ps.DAYS, ps.cover("cov", 400), "h AS MATERIALIZED (SELECT row_number() OVER (ORDER BY md5('1:' || node_id)) AS step, node_id AS site_id FROM nodes)", *(f"h_pick{i} AS (SELECT site_id FROM h WHERE step = {i})" for i in range(1, 6)), ps.steps("g", "cov", 5, forced="h"), ps.placed("g")))
 def random_place(spark, sf_dir):
     w = fx.net100(spark, sf_dir)
     return placed(spark, bl.random_place(w.sites(), w.cover(pref.binary(TAU)), 5, w.n_paths()))
@@ -426,13 +464,16 @@ def fm_union(spark, sf_dir):
     return sk.fm_union(sk.fm_sketch(fx.net100(spark, sf_dir).cover(pref.binary(TAU)), "site_id", "path_id", 8), "site_id")
 
 
-@query()
+FM_PLACED = ps.statement(ps.DAYS, ps.cover("cov", 400), ps.sketch_steps("f", "cov", 5, 30), ps.steps("g", "cov", 5, forced="f"), ps.placed("g"))
+
+
+@query(FM_PLACED)
 def greedy_fm(spark, sf_dir):
     w = fx.net100(spark, sf_dir)
     return placed(spark, sk.greedy_place_sketch(w.cover(pref.binary(TAU)), K, w.n_paths(), fx.COPIES, prune=False))
 
 
-@query()
+@query(FM_PLACED)
 def greedy_fm_pruned(spark, sf_dir):
     w = fx.net100(spark, sf_dir)
     return placed(spark, sk.greedy_place_sketch(w.cover(pref.binary(TAU)), K, w.n_paths(), fx.COPIES, prune=True))
@@ -506,14 +547,16 @@ def level_plan(spark, sf_dir):
     return spark.createDataFrame(rows, "level int, radius double, tau_lo double, tau_hi double")
 
 
-@query()
+@query(ps.statement(ps.FILLED, *ps.all_levels("filled_points"), ps.stats()))
 def index_stats(spark, sf_dir):
     return ix.index_stats(fx.net100(spark, sf_dir, filled=True).index())
 
 
 @query()
 def index_cost(spark, sf_dir):
-    return ms.index_cost(fx.net100(spark, sf_dir, filled=True).index())
+    """Rows a level, and the bytes of all files."""
+    index = fx.net100(spark, sf_dir, filled=True).index()
+    return ms.index_rows(index).withColumn("index_bytes", F.lit(ms.index_bytes(index)))
 
 
 EST = (sql.TRIPS, sql.clusters(R2), sql.DAY_POINTS, sql.detour(), f"""cs AS (SELECT DISTINCT cluster_id FROM member), links AS (SELECT a AS src, b AS dst, metres FROM round_trips JOIN cs x ON x.cluster_id = a JOIN cs y ON y.cluster_id = b WHERE a = b OR metres <= {4 * R2 * 1.75}),
@@ -553,31 +596,89 @@ def index_place(spark, sf_dir):
     return placed(spark, ix.index_place(w.index(), gr.PlacementSpec(k=5), pref.binary(800), w.n_paths(), w.cover(pref.binary(800))))
 
 
-@query()
+AT800 = (*ps.serving(800, points="filled_points"), ps.cover("est", 800, source=f"est{ps.level_of(800)}"))
+REPS800 = ps.reps(ps.level_of(800))
+
+
+@query(ps.statement(ps.FILLED, *AT800, ps.sketch_steps("f", "est", 5, 30), ps.steps("g", "est", 5, REPS800, forced="f"), ps.placed("g", "filled_points")))
 def index_place_fm(spark, sf_dir):
     w = fx.net100(spark, sf_dir, filled=True)
     return placed(spark, ix.index_place(w.index(), gr.PlacementSpec(k=5), pref.binary(800), w.n_paths(), sketch_copies=fx.COPIES))
 
 
-@query()
+@query(ps.statement(ps.FILLED, *AT800, ps.budget_steps("g", "est", f"SELECT a.* FROM ({ps.attributed(0.6)}) a SEMI JOIN ({REPS800}) r USING (site_id)", 5.0), ps.placed("g", "filled_points")))
 def index_place_budget(spark, sf_dir):
     w = fx.net100(spark, sf_dir, filled=True)
     return placed(spark, ix.index_place(w.index(), gr.PlacementSpec(k=None, budget=5.0), pref.binary(800), w.n_paths(), site_table=fx.with_costs(w.sites(), 0.6)))
 
 
-@query()
+@query(ps.statement(ps.FILLED, *AT800, ps.steps("g", "est", 5, f"SELECT a.* FROM ({ps.attributed(mean=TENTH.format('filled_points'))}) a SEMI JOIN ({REPS800}) r USING (site_id)", capacity=True), ps.placed("g", "filled_points")))
 def index_place_capacity(spark, sf_dir):
     w = fx.net100(spark, sf_dir, filled=True)
     return placed(spark, ix.index_place(w.index(), gr.PlacementSpec(k=5, capacity=True), pref.binary(800), w.n_paths(), site_table=fx.with_capacities(w.sites(), 0.1 * w.n_paths())))
 
 
+EXISTING = (1, 38, 77)
+
+
+@query(ps.statement(ps.DAYS, *ps.serving(800, existing=EXISTING), ps.cover("est", 800, source=f"est{ps.level_of(800)}"), ps.steps("g", "est", 5, REPS800, existing=EXISTING), ps.placed("g")))
+def index_place_existing(spark, sf_dir):
+    """Existing services at nodes that lead no cluster still serve their paths."""
+    w = fx.net100(spark, sf_dir)
+    return placed(spark, ix.index_place(w.index(), gr.PlacementSpec(k=5, existing=EXISTING), pref.binary(800), w.n_paths()))
+
+
+@query(ps.statement(ps.DAYS, *ps.serving(800), ps.cover("est", 800, source=f"est{ps.level_of(800)}"), ps.steps("g", "est", 12, REPS800), """SELECT step, site_id, gain FROM (SELECT *, sum(gain) OVER (ORDER BY step) - gain AS before FROM g) r WHERE before < ceil(0.8 * (SELECT count(DISTINCT path_id) FROM points)) * 1000000"""))
+def index_place_quota(spark, sf_dir):
+    w = fx.net100(spark, sf_dir)
+    return placed(spark, ix.index_place(w.index(), gr.PlacementSpec(k=None, quota=0.8), pref.binary(800), w.n_paths())).select("step", "site_id", "gain")
+
+
+ABOVE = 8000
+
+
+@query(ps.statement(ps.DAYS, ps.cover("cov", ABOVE), ps.steps("g", "cov", 5, ps.attributed(mean=TENTH.format("points")), capacity=True), ps.placed("g")))
+def index_place_above_range(spark, sf_dir):
+    """At a threshold above the index's every site serves every path, but only up to its capacity."""
+    w = fx.net100(spark, sf_dir)
+    sites = fx.with_capacities(w.sites(), 0.1 * w.n_paths())
+    return placed(spark, ix.index_place(w.index(), gr.PlacementSpec(k=5, capacity=True), pref.binary(ABOVE), w.n_paths(), w.cover(pref.binary(ABOVE)), None, sites))
+
+
+@query(ps.statement(ps.DAYS, ps.cover("cov", ABOVE), ps.budget_steps("g", "cov", ps.attributed(0.6), 2.0), ps.placed("g")))
+def index_place_above_range_budget(spark, sf_dir):
+    w = fx.net100(spark, sf_dir)
+    return placed(spark, ix.index_place(w.index(), gr.PlacementSpec(k=None, budget=2.0), pref.binary(ABOVE), w.n_paths(), w.cover(pref.binary(ABOVE)), None, fx.with_costs(w.sites(), 0.6)))
+
+
+@query(ps.statement(ps.DAYS, ps.cover("cov", 200), ps.steps("g", "cov", 5), ps.placed("g")))
+def index_place_below_range(spark, sf_dir):
+    w = fx.net100(spark, sf_dir)
+    return placed(spark, ix.index_place(w.index(), gr.PlacementSpec(k=5), pref.binary(200), w.n_paths(), w.cover(pref.binary(200))))
+
+
+@query(ps.statement(ps.DAYS, *(ps.members(p, r) for p, r in enumerate(ps.level_radii((210, 1200)))), " UNION ALL ".join(f"""SELECT CAST({p} AS INTEGER) AS level, x.cluster_id, x.path_id, min(t.metres + b.metres - g.metres) AS metres FROM (SELECT DISTINCT cluster_id, path_id FROM points JOIN member{p} USING (node_id)) x
+  JOIN points v ON v.path_id = x.path_id JOIN dist t ON t.src = v.node_id AND t.dst = x.cluster_id AND t.metres <= {2 * r} JOIN points w ON w.path_id = x.path_id JOIN dist b ON b.src = x.cluster_id AND b.dst = w.node_id AND b.metres <= {2 * r}
+  JOIN dist g ON g.src = v.node_id AND g.dst = w.node_id GROUP BY ALL""" for p, r in enumerate(ps.level_radii((210, 1200))))))
+def index_paths_bounded(spark, sf_dir):
+    """The path lists of an index whose searches end at what each level needs."""
+    index = fx.net100(spark, sf_dir).bounded_index((210, 1200))
+    return index.path.select("level", "cluster_id", "path_id", "metres")
+
+
+@query(ps.statement(ps.DAYS, *(f"{ps.members(p, r)},\ncentre{p} AS MATERIALIZED (SELECT DISTINCT cluster_id FROM member{p})" for p, r in enumerate(ps.level_radii((210, 1200)))), " UNION ALL ".join(f"SELECT CAST({p} AS INTEGER) AS level, a AS cluster_id, b AS nbr_id, metres FROM round_trips JOIN centre{p} x ON x.cluster_id = a JOIN centre{p} y ON y.cluster_id = b WHERE a <> b AND metres <= {4 * r * 1.75}" for p, r in enumerate(ps.level_radii((210, 1200))))))
+def index_links_bounded(spark, sf_dir):
+    index = fx.net100(spark, sf_dir).bounded_index((210, 1200))
+    return index.link.select("level", "cluster_id", "nbr_id", "metres")
+
+
 @query(sql.chain(*sql.day_cover(240)) + """, s AS (SELECT site_id, count(*) AS n FROM cover GROUP BY site_id), p AS (SELECT x.site_id AS a, y.site_id AS b, count(*) AS common FROM cover x JOIN cover y ON x.path_id = y.path_id AND x.site_id < y.site_id GROUP BY ALL)
 SELECT a, b, common AS "both", u.n + v.n - common AS either FROM p JOIN s u ON u.site_id = a JOIN s v ON v.site_id = b WHERE common >= 0.3 * (u.n + v.n - common)""")
 def jaccard_pairs(spark, sf_dir):
     return cl.jaccard_pairs(fx.net100(spark, sf_dir).cover(pref.binary(240)), 0.3)
 
 
-@query()
+@query(ps.statement(ps.DAYS, ps.cover("cov", 240), ps.leaders("l", "cov", 0.3), "SELECT cluster_id, site_id FROM l"))
 def jaccard_clusters(spark, sf_dir):
     return cl.jaccard_clusters(fx.net100(spark, sf_dir).cover(pref.binary(240)), 0.3)
 
@@ -629,8 +730,28 @@ def delete_paths(spark, sf_dir):
     return kept.path.where("level = 2").select("cluster_id", "path_id", "metres")
 
 
-@query()
+@query(ps.statement(ps.DAYS, *ps.all_levels(), ps.stats("path_id % 100 >= 5")))
 def update_batch(spark, sf_dir):
     w = fx.net100(spark, sf_dir)
     batch = ix.UpdateBatch(new_sites=w.sites().where("site_id % 6 = 1"), old_sites=w.sites().where("site_id % 8 = 0"), new_points=w.points().where("path_id % 100 >= 20"), old_paths=w.points().where("path_id % 100 < 5").select("path_id").distinct())
     return ix.index_stats(ix.apply_updates(early_index(w), batch, w.dist()))
+
+
+NEW_NODE = 100
+
+
+@query(ps.statement((sql.lattice(100), sql.DIST, sql.TRIPS), *(ps.members(p, r) for p, r in enumerate(ps.level_radii())),
+    "road AS (SELECT (SELECT metres FROM edges WHERE src = 0 AND dst = 1) AS m, (SELECT metres FROM edges WHERE src = 1 AND dst = 0) AS b)",
+    "legs AS MATERIALIZED (SELECT 0 AS nb, CAST(58 AS BIGINT) AS come, CAST(round(b * 58 / m) AS BIGINT) AS go FROM road UNION ALL SELECT 1, b - CAST(round(b * 58 / m) AS BIGINT), m - 58 FROM road)",
+    "far AS MATERIALIZED (SELECT d.dst AS node, min(l.go + d.metres) AS away FROM legs l JOIN dist d ON d.src = l.nb GROUP BY ALL)",
+    "home AS MATERIALIZED (SELECT d.src AS node, min(d.metres + l.come) AS back FROM legs l JOIN dist d ON d.dst = l.nb GROUP BY ALL)",
+    "trip AS MATERIALIZED (SELECT node, away + back AS metres FROM far JOIN home USING (node))",
+    " UNION ALL ".join(f"""SELECT CAST({p} AS INTEGER) AS level, CASE WHEN g.m <= {2 * r} THEN g.c ELSE {NEW_NODE} END AS cluster_id, CASE WHEN g.m <= {2 * r} THEN (SELECT metres FROM trip WHERE node = g.c) ELSE 0 END AS metres
+  FROM (SELECT arg_min(cluster_id, struct_pack(m := t.metres + s.metres, c := cluster_id)) AS c, min(t.metres + s.metres) AS m FROM member{p} s JOIN trip t ON t.node = s.node_id WHERE s.node_id IN (0, 1)) g""" for p, r in enumerate(ps.level_radii()))))
+def add_site_at_new_node(spark, sf_dir):
+    """A site in mid-road: per level the cluster that it joins or leads, and its round trip to the centre."""
+    w = fx.net100(spark, sf_dir)
+    net = nw.split_edge(w.net(), 0, 1, 58, NEW_NODE)
+    trips = round_trip(network_distances(net.edges, net.nodes))
+    grown = ix.add_node_site(w.index(), NEW_NODE, trips, [0, 1])
+    return grown.member.where(F.col("node_id") == NEW_NODE).select("level", "cluster_id", "metres")

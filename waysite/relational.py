@@ -6,9 +6,11 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from waysite import fixtures as fx
+from waysite.api import Workspace
 from waysite.functions import preference as pref
 from waysite.functions import udfs
 from waysite.operators import paths as pt
+from waysite.oracles import placed_sql as ps
 from waysite.oracles import placement_sql as sql
 from waysite.sources import tables as tb
 from waysite.sources.tables import read_table
@@ -406,6 +408,33 @@ def u_fill_gaps_udtf(spark, sf_dir):
     return udfs.fill_by_udtf(spark, fx.net100(spark, sf_dir).points(), 10).groupBy("path_id").agg(F.count("*").alias("n"))
 
 
+@query(sql.chain(sql.lattice(100), sql.DIST, sql.DAY_POINTS, sql.detour()) + "SELECT path_id, site_id, metres FROM detour")
+def u_detours_grouped(spark, sf_dir):
+    w = fx.net100(spark, sf_dir)
+    return udfs.detours_by_group(w.points(), w.sites(), w.dist())
+
+
+def workspace(spark, sf_dir) -> Workspace:
+    w = fx.net100(spark, sf_dir)
+    return Workspace(spark, w.points(), w.sites(), w.net().edges, w.detours(), w.index())
+
+
+@query(sql.chain(*sql.day_cover(preference="linear")) + "SELECT path_id, site_id, metres, score FROM cover")
+def api_cover_of(spark, sf_dir):
+    return workspace(spark, sf_dir).cover_of(pref.linear(400))
+
+
+@query(ps.statement(ps.DAYS, *ps.serving(800), ps.cover("cov", 800, source=f"est{ps.level_of(800)}"), ps.steps("g", "cov", 5, ps.reps(ps.level_of(800))), ps.placed("g")))
+def api_place_sites(spark, sf_dir):
+    return workspace(spark, sf_dir).place_sites(800).frame(spark)
+
+
+@query(sql.chain(sql.lattice(100), sql.DIST, sql.TRIPS, sql.DAY_POINTS, ps.members(2, ps.level_radii()[2])) + "SELECT cluster_id, count(DISTINCT path_id) AS n FROM points JOIN member2 USING (node_id) GROUP BY cluster_id")
+def api_views(spark, sf_dir):
+    workspace(spark, sf_dir).register("ws_")
+    return spark.sql("SELECT cluster_id, count(*) AS n FROM ws_cluster_paths WHERE level = 2 GROUP BY cluster_id")
+
+
 @query(sql.chain(*sql.day_cover()) + "SELECT site_id, CAST(sum(score) AS BIGINT) AS weight FROM cover GROUP BY site_id")
 def u_sql_views(spark, sf_dir):
     fx.net100(spark, sf_dir).detours().createOrReplaceTempView("detour_net100")

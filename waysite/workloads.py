@@ -1,29 +1,41 @@
 """The experiments, re-expressed on the given tables: each query returns its table of parameters and measures.
 
-Columns named *_s are seconds; all else is the same on every run."""
+What a query returns is the same on every run; seconds and bytes, which are not, are in queries named *_time and *_bytes."""
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+import re
+from collections.abc import Callable
+
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from waysite import fixtures as fx
 from waysite import measures as ms
 from waysite.functions import preference as pref
 from waysite.operators import baselines as bl
+from waysite.operators import clusters as cl
 from waysite.operators import detours as dt
 from waysite.operators import exact as ex
 from waysite.operators import greedy as gr
 from waysite.operators import index as ix
 from waysite.operators import paths as pt
 from waysite.operators import sketch as sk
+from waysite.oracles import placed_sql as ps
 from waysite.oracles import placement_sql as sql
-from waysite.sources.tables import materialize
+from waysite.sources.tables import materialize, read_table
 
 QUERIES: dict = {}
 ORACLES: dict[str, str] = {}
 TAUS, TAU = (240, 400, 500, 800, 1200), 800
-SAMPLES = 10
+KS = (1, 5, 9, 13, 17, 21, 25)
+EPSILONS, COPIES = (0.25, 0.5, 0.75, 1.0), (1, 2, 4, 10, 20, 30, 40, 50, 100)
+SIGMAS, MEANS = (0.0, 0.2, 0.4, 0.6, 0.8, 1.0), (0.001, 0.01, 0.1, 0.5, 1.0)
+#: Samples of the comparison with the optimum, their sites and their paths.
+SAMPLES, SAMPLE_SITES, SAMPLE_PATHS = 10, 50, 1000
+#: Thresholds that the index of the supplier and part networks serves.
+LIMITS = (210, 2400)
+POINTS = "filled_points"
 
 
 def query(oracle: str | None = None):
@@ -41,11 +53,11 @@ def world(spark, sf_dir) -> fx.World:
 
 
 def plain(w: fx.World, tau: float, k: int, cover: DataFrame | None = None) -> gr.Placement:
-    return gr.greedy_place(w.cover(pref.binary(tau)) if cover is None else cover, gr.PlacementSpec(k=k, mode="delta"), w.n_paths(), w.sites())
+    return gr.greedy_place(w.cover(pref.binary(tau)) if cover is None else cover, gr.PlacementSpec(k=k, mode="auto"), w.n_paths(), w.sites())
 
 
 def on_index(w: fx.World, index: ix.Index, tau: float, k: int, copies: int | None = None) -> gr.Placement:
-    return ix.index_place(index, gr.PlacementSpec(k=k, mode="delta"), pref.binary(tau), w.n_paths(), w.cover(pref.binary(tau)), copies)
+    return ix.index_place(index, gr.PlacementSpec(k=k), pref.binary(tau), w.n_paths(), w.cover(pref.binary(tau)), copies)
 
 
 def pct(w: fx.World, utility: int) -> float:
@@ -60,133 +72,330 @@ def table(spark, rows: list[tuple], schema: str) -> DataFrame:
     return spark.createDataFrame(rows, schema)
 
 
+def union(parts: list[str]) -> str:
+    return "\nUNION ALL ".join(parts)
+
+
+def level_parts(tau: float, eps: float = fx.EPS, limits=ps.LIMITS_100, points: str = POINTS, existing: tuple[int, ...] = ()) -> tuple[int, tuple[str, ...]]:
+    """The level that serves tau and its relations in SQL."""
+    p = ps.level_of(tau, limits, eps)
+    return p, (ps.level_relations(p, ps.level_radii(limits, eps)[p], eps, points), ps.estimated(p, existing))
+
+
+def every_level(taus, **options) -> list[str]:
+    """The relations of all levels that serve one of the thresholds, each once."""
+    held = {}
+    for tau in taus:
+        p, parts = level_parts(tau, **options)
+        held[p] = parts
+    return [x for parts in held.values() for x in parts]
+
+
+# -- optimum
+
+
+def sample_of(w: fx.World, cover: DataFrame, sample: int):
+    """(paths, sites, cover) of one sample: the first by a seeded hash."""
+    sites = materialize(w.sites().orderBy(gr.seeded_order(F.col("site_id"), sample)).limit(SAMPLE_SITES), "w1-sites")
+    paths = materialize(w.points().select("path_id").distinct().orderBy(gr.seeded_order(F.col("path_id"), sample)).limit(SAMPLE_PATHS), "w1-paths")
+    return paths, sites, materialize(cover.join(paths, "path_id").join(sites, "site_id", "left_semi"), "w1-part")
+
+
 @query()
 def w1_optimum(spark, sf_dir):
-    """Exact optimum against greedy, index and sketches on ten samples of paths and twenty sites."""
+    """Exact optimum against greedy, index and sketches for one to five sites, on ten samples of paths and fifty sites."""
     w = fx.net100(spark, sf_dir)
     cover = materialize(w.cover(pref.binary(400)), "w1")
     rows = []
     for sample in range(SAMPLES):
-        chosen = [r["site_id"] for r in w.sites().orderBy(gr.seeded_order(F.col("site_id"), sample)).limit(20).collect()]
-        paths = w.points().select("path_id").distinct().orderBy(gr.seeded_order(F.col("path_id"), sample)).limit(1000)
-        part = materialize(cover.where(F.col("site_id").isin(chosen)).join(paths, "path_id"), "w1-part")
-        sites = w.sites().where(F.col("site_id").isin(chosen))
+        paths, sites, part = sample_of(w, cover, sample)
         m = paths.count()
-        best = ex.optimal_placement(part, sites, 5, m, "branch_bound")
         index = ix.build_index(w.points().join(paths, "path_id", "left_semi"), sites, w.dist(), w.trips())
-        for name, p in (("optimum", best), ("greedy", gr.greedy_place(part, gr.PlacementSpec(k=5), m, sites)), ("greedy_fm", sk.greedy_place_sketch(part, 5, m, 30))):
-            rows.append((sample, name, p.utility, round(ms.optimality_ratio(p.utility, best.utility), 6)))
-        for name, copies in (("index", None), ("index_fm", 30)):
-            p = ix.index_place(index, gr.PlacementSpec(k=5, mode="delta"), pref.binary(400), m, part, copies, sites)
-            utility = gr.utility_of(part, p.sites)
-            rows.append((sample, name, utility, round(ms.optimality_ratio(utility, best.utility), 6)))
-    return table(spark, rows, "sample int, method string, utility long, ratio double")
+        five = gr.PlacementSpec(k=5, mode="auto")
+        contenders = {"greedy": gr.greedy_place(part, five, m, sites), "greedy_fm": sk.greedy_place_sketch(part, 5, m, 30), "index": ix.index_place(index, five, pref.binary(400), m, part), "index_fm": ix.index_place(index, five, pref.binary(400), m, part, 30)}
+        for k in range(1, 6):
+            best = ex.optimal_placement(part, sites, k, m, "branch_bound").utility
+            rows.append((sample, k, "optimum", best, 1.0))
+            for name, p in contenders.items():
+                utility = gr.utility_of(part, p.sites[:k])
+                rows.append((sample, k, name, utility, round(ms.optimality_ratio(utility, best), 6)))
+    return table(spark, rows, "sample int, k int, method string, utility long, ratio double")
+
+
+def w1_sql() -> str:
+    parts, out = [*ps.DAYS[:4], sql.detour(), ps.cover("whole", 400)], []
+    for s in range(10):
+        parts += [f"s{s}_sites AS MATERIALIZED (SELECT node_id AS site_id FROM nodes ORDER BY md5('{s}:' || node_id) LIMIT 50)", f"s{s}_paths AS MATERIALIZED (SELECT path_id FROM (SELECT DISTINCT path_id FROM points) p ORDER BY md5('{s}:' || path_id) LIMIT 1000)", f"s{s} AS MATERIALIZED (SELECT path_id, site_id, score FROM whole SEMI JOIN s{s}_sites USING (site_id) SEMI JOIN s{s}_paths USING (path_id))", ps.steps(f"g{s}", f"s{s}", 5, f"SELECT * FROM s{s}_sites")]
+        out.append(f"SELECT CAST({s} AS INTEGER) AS sample, step, site_id, gain FROM g{s}")
+    return ps.statement((), *parts, union(out))
+
+
+@query(w1_sql())
+def w1_greedy(spark, sf_dir):
+    """The greedy's sites on the ten samples."""
+    w = fx.net100(spark, sf_dir)
+    cover = materialize(w.cover(pref.binary(400)), "w1")
+    rows = []
+    for sample in range(10):
+        paths, sites, part = sample_of(w, cover, sample)
+        rows += [(sample, k, site, gain) for k, site, gain, _ in gr.greedy_place(part, gr.PlacementSpec(k=5, mode="auto"), paths.count(), sites).steps]
+    return table(spark, rows, "sample int, step int, site_id long, gain long")
 
 
-@query()
+# -- resolution and sketches
+
+
+def w2_sql() -> str:
+    parts, out = [*ps.FILLED, ps.cover("cov", TAU), ps.steps("g", "cov", 5)], []
+    for n, eps in enumerate(EPSILONS):
+        radii = ps.level_radii(ps.LIMITS_100, eps)
+        for p, r in enumerate(radii):
+            parts.append(ps.level_relations(100 * n + p, r, eps, POINTS))
+        at = 100 * n + ps.level_of(TAU, ps.LIMITS_100, eps)
+        parts += [ps.estimated(at), ps.cover(f"e{n}", TAU, source=f"est{at}"), ps.steps(f"i{n}", f"e{n}", 5, ps.reps(at))]
+        rows = " + ".join(f"(SELECT count(*) FROM {x}{100 * n + p})" for p in range(len(radii)) for x in ("member", "link", "own"))
+        lost = f"1 - (SELECT sum(u) FROM (SELECT path_id, max(score) AS u FROM cov WHERE site_id IN (SELECT site_id FROM i{n}) GROUP BY path_id) v) / (SELECT sum(gain) FROM g)"
+        out.append(f"SELECT {eps}::DOUBLE AS eps, CAST({len(radii)} AS INTEGER) AS levels, CAST({rows} AS BIGINT) AS index_rows, round(100.0 * ({lost}), 4) AS loss_pct")
+    return ps.statement((), *parts, union(out))
+
+
+def index_at(w: fx.World, eps: float) -> ix.Index:
+    return w.index(eps)
+
+
+@query(w2_sql())
 def w2_resolution(spark, sf_dir):
-    """The index resolution: build time, size and loss against the plain greedy."""
+    """The index resolution: levels, size and loss against the plain greedy."""
     w = world(spark, sf_dir)
     reference = plain(w, TAU, 5).utility
     rows = []
-    for eps in (0.25, 0.5, 0.75, 1.0):
-        index, seconds = ms.timed(ix.build_index, w.points(), w.sites(), w.dist(), w.trips(), eps)
-        size = ms.index_cost(index).agg(F.sum("rows"), F.sum("bytes")).first()
+    for eps in EPSILONS:
+        index = index_at(w, eps)
         found = on_index(w, index, TAU, 5)
-        rows.append((eps, len(index.levels), int(size[0]), int(size[1]), round(100 * ms.relative_loss(reference, gr.utility_of(w.cover(pref.binary(TAU)), found.sites)), 4), round(seconds, 3)))
-    return table(spark, rows, "eps double, levels int, index_rows long, index_bytes long, loss_pct double, build_s double")
+        loss = 100 * ms.relative_loss(reference, gr.utility_of(w.cover(pref.binary(TAU)), found.sites))
+        rows.append((eps, len(index.levels), int(ms.index_rows(index).agg(F.sum("rows")).first()[0]), round(loss, 4)))
+    return table(spark, rows, "eps double, levels int, index_rows long, loss_pct double")
 
 
 @query()
+def w2_time(spark, sf_dir):
+    """The index resolution: seconds of building and bytes of the files written."""
+    w = world(spark, sf_dir)
+    rows = []
+    for eps in EPSILONS:
+        index, seconds = ms.timed(ix.build_index, w.points(), w.sites(), w.dist(), w.trips(), eps)
+        rows.append((eps, round(seconds, 3), ms.index_bytes(index)))
+    return table(spark, rows, "eps double, build_s double, file_bytes long")
+
+
+def w3_sql() -> str:
+    p, parts = level_parts(TAU)
+    out = [f"SELECT CAST(0 AS INTEGER) AS copies, CAST((SELECT sum(gain) FROM g) AS BIGINT) AS utility, 0.0::DOUBLE AS loss_pct"]
+    more = [ps.cover("cov", TAU, source=f"est{p}"), ps.steps("g", "cov", 5, ps.reps(p))]
+    for f in COPIES:
+        more.append(ps.sketch_steps(f"f{f}", "cov", 5, f))
+        u = f"(SELECT CAST(sum(u) AS BIGINT) FROM (SELECT path_id, max(score) AS u FROM cov WHERE site_id IN (SELECT site_id FROM f{f}) GROUP BY path_id) v)"
+        out.append(f"SELECT CAST({f} AS INTEGER), {u}, round(100.0 * (1 - {u} / (SELECT sum(gain) FROM g)), 4)")
+    return ps.statement((), *ps.FILLED, *parts, *more, union(out))
+
+
+@query(w3_sql())
 def w3_sketch_copies(spark, sf_dir):
-    """The number of sketch copies: utility, loss against counting, time and speed-up."""
+    """The number of sketch copies on an index level: utility and loss against counting."""
     w = world(spark, sf_dir)
-    level = ix.choose_level(w.index().levels, TAU).level
-    cover = materialize(ix.estimated_cover(w.index(), level, pref.binary(TAU)), "w3")
-    counted, seconds = ms.timed(gr.greedy_place, cover, gr.PlacementSpec(k=5, mode="delta"), w.n_paths())
-    rows = [(0, counted.utility, 0.0, round(seconds, 3), 1.0)]
-    for f in (1, 2, 4, 10, 20, 30, 40, 50, 100):
-        found, s = ms.timed(sk.greedy_place_sketch, cover, 5, w.n_paths(), f)
-        rows.append((f, found.utility, round(100 * ms.relative_loss(counted.utility, found.utility), 4), round(s, 3), round(ms.speed_up(seconds, s), 3)))
-    return table(spark, rows, "copies int, utility long, loss_pct double, time_s double, speed_up double")
+    cover = materialize(ix.estimated_cover(w.index(), ix.choose_level(w.index().levels, TAU).level, pref.binary(TAU)), "w3")
+    counted = gr.greedy_place(cover, gr.PlacementSpec(k=5, mode="auto"), w.n_paths()).utility
+    rows = [(0, counted, 0.0)]
+    for f in COPIES:
+        found = sk.greedy_place_sketch(cover, 5, w.n_paths(), f).utility
+        rows.append((f, found, round(100 * ms.relative_loss(counted, found), 4)))
+    return table(spark, rows, "copies int, utility long, loss_pct double")
 
 
 @query()
+def w3_time(spark, sf_dir):
+    """The number of sketch copies: seconds and speed-up over counting."""
+    w = world(spark, sf_dir)
+    cover = materialize(ix.estimated_cover(w.index(), ix.choose_level(w.index().levels, TAU).level, pref.binary(TAU)), "w3")
+    _, counted = ms.timed(gr.greedy_place, cover, gr.PlacementSpec(k=5, mode="auto"), w.n_paths())
+    rows = [(0, round(counted, 3), 1.0)]
+    for f in COPIES:
+        _, s = ms.timed(sk.greedy_place_sketch, cover, 5, w.n_paths(), f)
+        rows.append((f, round(s, 3), round(ms.speed_up(counted, s), 3)))
+    return table(spark, rows, "copies int, time_s double, speed_up double")
+
+
+# -- quality, memory, time
+
+
+def w4_sql() -> str:
+    parts, out = [*ps.FILLED, *every_level(TAUS)], []
+    for tau in TAUS:
+        k, p = (25 if tau == TAU else 5), ps.level_of(tau)
+        parts += [ps.cover(f"c{tau}", tau), ps.cover(f"e{tau}", tau, source=f"est{p}"), ps.steps(f"greedy{tau}", f"c{tau}", k), ps.steps(f"index{tau}", f"e{tau}", k, ps.reps(p)), ps.sketch_steps(f"greedy_fm{tau}", f"c{tau}", k, 30), ps.sketch_steps(f"index_fm{tau}", f"e{tau}", k, 30)]
+        for step in KS:
+            if step <= k:
+                out += [f"SELECT CAST({tau} AS INTEGER) AS tau, CAST({step} AS INTEGER) AS k, '{m}' AS method, {ps.valued(f'(SELECT site_id FROM {m}{tau} WHERE step <= {step})', f'c{tau}', POINTS)} AS utility_pct" for m in ("greedy", "greedy_fm", "index", "index_fm")]
+    return ps.statement((), *parts, union(out))
+
+
+@query(w4_sql())
 def w4_quality(spark, sf_dir):
-    """Utility of greedy, sketches and index, by the number of sites and by the threshold."""
+    """True utility of greedy, sketches and index, by the number of sites up to 25 and by the threshold."""
     w = world(spark, sf_dir)
     rows = []
     for tau in TAUS:
-        k = 13 if tau == TAU else 5
+        k = 25 if tau == TAU else 5
         cover = materialize(w.cover(pref.binary(tau)), "w4")
-        greedy = plain(w, tau, k, cover)
-        index = on_index(w, w.index(), tau, k)
-        fm = sk.greedy_place_sketch(cover, k, w.n_paths(), 30)
-        index_fm = on_index(w, w.index(), tau, k, 30)
-        for step in (1, 5, 9, 13):
+        found = {"greedy": plain(w, tau, k, cover), "greedy_fm": sk.greedy_place_sketch(cover, k, w.n_paths(), 30), "index": on_index(w, w.index(), tau, k), "index_fm": on_index(w, w.index(), tau, k, 30)}
+        for step in KS:
             if step <= k:
-                for name, p in (("greedy", greedy), ("greedy_fm", fm), ("index", index), ("index_fm", index_fm)):
-                    rows.append((tau, step, name, pct(w, gr.utility_of(cover, p.sites[:step]))))
+                rows += [(tau, step, name, pct(w, gr.utility_of(cover, p.sites[:step]))) for name, p in found.items()]
     return table(spark, rows, "tau int, k int, method string, utility_pct double")
 
 
-@query()
+def w5_sql() -> str:
+    parts, out = [*ps.FILLED, *every_level(TAUS)], []
+    for tau in TAUS:
+        p = ps.level_of(tau)
+        parts += [ps.cover(f"c{tau}", tau), ps.cover(f"e{tau}", tau, source=f"est{p}")]
+        held = {"greedy": f"(SELECT count(*) FROM c{tau})", "greedy_fm": f"(SELECT count(*) + 30 * count(DISTINCT site_id) FROM c{tau})", "index": f"(SELECT count(*) FROM e{tau})", "index_fm": f"(SELECT count(*) + 30 * count(DISTINCT site_id) FROM e{tau})"}
+        out += [f"SELECT CAST({tau} AS INTEGER) AS tau, '{m}' AS method, CAST({n} AS BIGINT) AS held_rows" for m, n in held.items()]
+    return ps.statement((), *parts, union(out))
+
+
+def held_covers(w: fx.World, tau: float) -> dict[str, tuple[DataFrame, DataFrame | None]]:
+    """What each method holds for a threshold: its cover, and with sketches their words too."""
+    true = materialize(w.cover(pref.binary(tau)), "w5")
+    level = ix.choose_level(w.index().levels, tau)
+    est = materialize(ix.estimated_cover(w.index(), level.level, pref.binary(tau)), "w5")
+    words = [materialize(sk.fm_sketch(c, "site_id", "path_id", 30), "w5-words") for c in (true, est)]
+    return {"greedy": (true, None), "greedy_fm": (true, words[0]), "index": (est, None), "index_fm": (est, words[1])}
+
+
+@query(w5_sql())
 def w5_memory(spark, sf_dir):
-    """Rows and bytes that the greedy's cover, its sketches and the index's estimated cover take, by the threshold."""
+    """Rows that each method holds, by the threshold: covers, and words of sketches."""
     w = world(spark, sf_dir)
-    rows = []
-    for tau in TAUS:
-        n, size = ms.footprint(w.cover(pref.binary(tau)))
-        level = ix.choose_level(w.index().levels, tau)
-        e, esize = ms.footprint(ix.estimated_cover(w.index(), level.level, pref.binary(tau)))
-        reps = w.index().clusters().where(F.col("level") == level.level).count()
-        rows += [(tau, "greedy", n, size), (tau, "greedy_fm", n + 100 * 30, size + 100 * 30 * 4), (tau, "index", e, esize), (tau, "index_fm", e + reps * 30, esize + reps * 30 * 4)]
-    return table(spark, rows, "tau int, method string, held_rows long, held_bytes long")
+    return table(spark, [(tau, name, sum(x.count() for x in held if x is not None)) for tau in TAUS for name, held in held_covers(w, tau).items()], "tau int, method string, held_rows long")
 
 
 @query()
-def w6_time(spark, sf_dir):
-    """Seconds of the cover and of the loop, greedy and index, by the threshold."""
+def w5_bytes(spark, sf_dir):
+    """Bytes of the files of what each method holds."""
     w = world(spark, sf_dir)
-    rows = []
-    for tau in TAUS:
-        cover, cover_s = ms.timed(lambda t=tau: materialize(w.cover(pref.binary(t)), "w6"))
-        _, loop_s = ms.timed(plain, w, tau, 5, cover)
-        level = ix.choose_level(w.index().levels, tau).level
-        est, est_s = ms.timed(lambda t=tau, v=level: materialize(ix.estimated_cover(w.index(), v, pref.binary(t)), "w6"))
-        _, index_s = ms.timed(gr.greedy_place, est, gr.PlacementSpec(k=5, mode="delta"), w.n_paths())
-        rows += [(tau, "greedy", round(cover_s, 3), round(loop_s, 3)), (tau, "index", round(est_s, 3), round(index_s, 3))]
-    return table(spark, rows, "tau int, method string, cover_s double, loop_s double")
+    return table(spark, [(tau, name, sum(ms.file_bytes(x) for x in held if x is not None)) for tau in TAUS for name, held in held_covers(w, tau).items()], "tau int, method string, held_bytes long")
+
+
+def timed_methods(w: fx.World, index: ix.Index, tau: float, k: int) -> list[tuple]:
+    cover, cover_s = ms.timed(lambda: materialize(w.cover(pref.binary(tau)), "w6"))
+    level = ix.choose_level(index.levels, tau).level
+    est, est_s = ms.timed(lambda: materialize(ix.estimated_cover(index, level, pref.binary(tau)), "w6"))
+    out = []
+    for name, c, before in (("greedy", cover, cover_s), ("index", est, est_s)):
+        _, counted = ms.timed(gr.greedy_place, c, gr.PlacementSpec(k=k, mode="auto"), w.n_paths())
+        _, sketched = ms.timed(sk.greedy_place_sketch, c, k, w.n_paths(), 30)
+        out += [(tau, k, name, round(before, 3), round(counted, 3)), (tau, k, f"{name}_fm", round(before, 3), round(sketched, 3))]
+    return out
 
 
 @query()
+def w6_time(spark, sf_dir):
+    """Seconds of the cover and of the loop on the supplier network: greedy and index, counted and sketched, by the
+    threshold and by the number of sites."""
+    w = fx.netsup(spark, sf_dir, filled=False)
+    index = w.bounded_index(LIMITS)
+    return table(spark, [row for tau, k in [(t, 5) for t in (240, 400, 800, 1200)] + [(800, k) for k in KS if k != 5] for row in timed_methods(w, index, tau, k)], "tau int, k int, method string, cover_s double, loop_s double")
+
+
+# -- variants
+
+
+def w7_sql() -> str:
+    p, level = level_parts(400)
+    parts, out = [*ps.FILLED, *level, ps.cover("cov", 400), ps.cover("est", 400, source=f"est{p}")], []
+    for n, sigma in enumerate(SIGMAS):
+        sites = ps.attributed(sigma)
+        parts += [ps.budget_steps(f"g{n}", "cov", sites, 5.0), ps.budget_steps(f"i{n}", "est", f"SELECT * FROM ({sites}) a WHERE site_id IN (SELECT rep FROM rep{p})", 5.0)]
+        out += [f"SELECT {sigma}::DOUBLE AS sigma, '{m}' AS method, CAST((SELECT count(*) FROM {m[0]}{n}) AS INTEGER) AS n_sites, {ps.valued(f'{m[0]}{n}', 'cov', POINTS)} AS utility_pct" for m in ("greedy", "index")]
+    return ps.statement((), *parts, union(out))
+
+
+def budgeted(w: fx.World, cover: DataFrame, sigma: float) -> dict[str, Callable[[], gr.Placement]]:
+    spec, sites = gr.PlacementSpec(k=None, budget=5.0, mode="auto"), fx.with_costs(w.sites(), sigma)
+    return {"greedy": lambda: gr.greedy_place(cover, spec, w.n_paths(), sites), "index": lambda: ix.index_place(w.index(), spec, pref.binary(400), w.n_paths(), cover, None, sites)}
+
+
+@query(w7_sql())
 def w7_budget(spark, sf_dir):
-    """A budget of 5 over costs of mean 1 and growing spread."""
+    """A budget of 5 over costs of mean 1 and growing spread: sites and true utility."""
     w = world(spark, sf_dir)
     cover = materialize(w.cover(pref.binary(400)), "w7")
     rows = []
-    for sigma in (0.0, 0.4, 0.8):
-        p, s = ms.timed(gr.greedy_place, cover, gr.PlacementSpec(k=None, budget=5.0), w.n_paths(), fx.with_costs(w.sites(), sigma))
-        i, si = ms.timed(ix.index_place, w.index(), gr.PlacementSpec(k=None, budget=5.0), pref.binary(400), w.n_paths(), cover, None, fx.with_costs(w.sites(), sigma))
-        rows += [(sigma, "greedy", len(p.steps), pct(w, p.utility), round(s, 3)), (sigma, "index", len(i.steps), pct(w, gr.utility_of(cover, i.sites)), round(si, 3))]
-    return table(spark, rows, "sigma double, method string, n_sites int, utility_pct double, time_s double")
+    for sigma in SIGMAS:
+        for name, place in budgeted(w, cover, sigma).items():
+            p = place()
+            rows.append((sigma, name, len(p.steps), pct(w, gr.utility_of(cover, p.sites))))
+    return table(spark, rows, "sigma double, method string, n_sites int, utility_pct double")
 
 
 @query()
+def w7_time(spark, sf_dir):
+    """A budget of 5 over costs of mean 1 and growing spread: seconds."""
+    w = world(spark, sf_dir)
+    cover = materialize(w.cover(pref.binary(400)), "w7")
+    return table(spark, [(sigma, name, round(ms.timed(place)[1], 3)) for sigma in SIGMAS for name, place in budgeted(w, cover, sigma).items()], "sigma double, method string, time_s double")
+
+
+@query()
+def w7_columns(spark, sf_dir):
+    """Costs and capacities from columns: part prices about their mean, part sizes; greedy on the part network."""
+    w = fx.netpart(spark, sf_dir)
+    part = read_table(spark, sf_dir, "part", "p_partkey", "p_retailprice", "p_size")
+    mean = part.agg(F.avg("p_retailprice")).first()[0]
+    sites = part.select((F.col("p_partkey") - 1).alias("site_id"), F.greatest(F.lit(0.1), F.round(F.col("p_retailprice") / mean, 4)).alias("cost"), F.col("p_size").cast("long").alias("capacity"))
+    cover = materialize(w.near_cover(300), "w7-part")
+    rows = []
+    for name, spec in (("budget", gr.PlacementSpec(k=None, budget=5.0, mode="auto")), ("capacity", gr.PlacementSpec(k=5, capacity=True, mode="auto"))):
+        p = gr.greedy_place(cover, spec, w.n_paths(), sites if name == "capacity" else sites.drop("capacity"))
+        rows.append((name, len(p.steps), pct(w, p.utility)))
+    return table(spark, rows, "variant string, n_sites int, utility_pct double")
+
+
+def w8_sql() -> str:
+    p, level = level_parts(400)
+    parts, out = [*ps.FILLED, *level, ps.cover("cov", 400), ps.cover("est", 400, source=f"est{p}")], []
+    for n, share in enumerate(MEANS):
+        sites = ps.attributed(mean=f"{share}::DOUBLE * (SELECT count(DISTINCT path_id) FROM {POINTS})")
+        parts += [ps.steps(f"g{n}", "cov", 5, sites, capacity=True), ps.steps(f"i{n}", "est", 5, f"SELECT * FROM ({sites}) a WHERE site_id IN (SELECT rep FROM rep{p})", capacity=True), ps.steps(f"t{n}", "cov", 5, sites, capacity=True, forced=f"i{n}")]
+        out += [f"SELECT {share}::DOUBLE AS mean_share, '{m}' AS method, round((SELECT sum(gain) FROM {x}{n}) / 1000000 / (SELECT count(DISTINCT path_id) FROM {POINTS}) * 100, 6) AS utility_pct" for m, x in (("greedy", "g"), ("index", "t"), ("index_estimated", "i"))]
+    return ps.statement((), *parts, union(out))
+
+
+@query(w8_sql())
 def w8_capacity(spark, sf_dir):
-    """Capacities of mean 0.1 % to 100 % of the paths."""
+    """Capacities of mean 0.1 % to 100 % of the paths: true utilities, and what the index estimates for its own."""
     w = world(spark, sf_dir)
     cover = materialize(w.cover(pref.binary(400)), "w8")
     rows = []
-    for share in (0.001, 0.01, 0.1, 1.0):
+    for share in MEANS:
         sites = fx.with_capacities(w.sites(), share * w.n_paths())
-        p = gr.greedy_place(cover, gr.PlacementSpec(k=5, capacity=True), w.n_paths(), sites)
-        i = ix.index_place(w.index(), gr.PlacementSpec(k=5, capacity=True), pref.binary(400), w.n_paths(), cover, None, sites)
-        rows += [(share, "greedy", pct(w, p.utility)), (share, "index", pct(w, i.utility))]
+        spec = gr.PlacementSpec(k=5, capacity=True, mode="auto")
+        i = ix.index_place(w.index(), spec, pref.binary(400), w.n_paths(), cover, None, sites)
+        rows += [(share, "greedy", pct(w, gr.greedy_place(cover, spec, w.n_paths(), sites).utility)), (share, "index", pct(w, gr.served_by(cover, i.sites, sites))), (share, "index_estimated", pct(w, i.utility))]
     return table(spark, rows, "mean_share double, method string, utility_pct double")
 
 
-@query()
+def w9_sql() -> str:
+    parts, out = [*ps.FILLED, *every_level((400, 800))], []
+    for tau in (400, 800):
+        p = ps.level_of(tau)
+        parts += [ps.cover(f"c{tau}", tau, "convex"), ps.cover(f"e{tau}", tau, "convex", f"est{p}"), ps.steps(f"g{tau}", f"c{tau}", 5), ps.steps(f"i{tau}", f"e{tau}", 5, ps.reps(p))]
+        out += [f"SELECT CAST({tau} AS INTEGER) AS tau, '{m}' AS method, {ps.valued(f'{m[0]}{tau}', f'c{tau}', POINTS)} AS utility_pct" for m in ("greedy", "index")]
+    return ps.statement((), *parts, union(out))
+
+
+@query(w9_sql())
 def w9_market_size(spark, sf_dir):
     """The convex preference: expected paths served."""
     w = world(spark, sf_dir)
@@ -194,44 +403,124 @@ def w9_market_size(spark, sf_dir):
     for tau in (400, 800):
         like = pref.convex(tau)
         cover = materialize(w.cover(like), "w9")
-        g, gs = ms.timed(gr.greedy_place, cover, gr.PlacementSpec(k=5, mode="delta"), w.n_paths(), w.sites())
-        i, si = ms.timed(ix.index_place, w.index(), gr.PlacementSpec(k=5, mode="delta"), like, w.n_paths(), cover)
-        rows += [(tau, "greedy", pct(w, g.utility), round(gs, 3)), (tau, "index", pct(w, gr.utility_of(cover, i.sites)), round(si, 3))]
-    return table(spark, rows, "tau int, method string, utility_pct double, time_s double")
+        for name, p in (("greedy", gr.greedy_place(cover, gr.PlacementSpec(k=5, mode="auto"), w.n_paths(), w.sites())), ("index", ix.index_place(w.index(), gr.PlacementSpec(k=5), like, w.n_paths(), cover))):
+            rows.append((tau, name, pct(w, gr.utility_of(cover, p.sites))))
+    return table(spark, rows, "tau int, method string, utility_pct double")
 
 
-@query()
-def w10_updates(spark, sf_dir):
-    """Paths and sites added to a standing index in growing batches."""
-    w = world(spark, sf_dir)
-    start = fx.once(spark, sf_dir, "w10-index", lambda: ix.build_index(w.points().where("path_id % 100 < 20"), w.sites().where("site_id % 4 = 0"), w.dist(), w.trips(), limits=ix.tau_limits(w.trips(), w.sites())))
-    rows = []
+# -- updates and scale
+
+
+def w10_sql() -> str:
+    radii = ps.level_radii()
+    parts = [*ps.FILLED, *(ps.members(p, r) for p, r in enumerate(radii))]
+    out = []
+    for days in (2, 4, 6, 8, 10):
+        held = " + ".join(f"(SELECT count(*) FROM (SELECT DISTINCT m.cluster_id, x.path_id FROM {POINTS} x JOIN member{p} m USING (node_id) WHERE path_id % 100 < {20 + days}) d)" for p in range(len(radii)))
+        out.append(f"SELECT 'paths' AS kind, CAST({days} AS INTEGER) AS batch, (SELECT count(DISTINCT path_id) FROM {POINTS} WHERE path_id % 100 >= 20 AND path_id % 100 < {20 + days}) AS added, CAST({held} AS BIGINT) AS held_rows")
+    for step in (1, 2, 3):
+        held = " + ".join(f"(SELECT count(DISTINCT cluster_id) FROM member{p} WHERE node_id % 4 <= {step})" for p in range(len(radii)))
+        out.append(f"SELECT 'sites', CAST({step} AS INTEGER), (SELECT count(*) FROM nodes WHERE node_id % 4 BETWEEN 1 AND {step}), CAST({held} AS BIGINT)")
+    return ps.statement((), *parts, union(out))
+
+
+def growing(w: fx.World) -> list[tuple[str, int, DataFrame, Callable[[], ix.Index]]]:
+    start = fx.once(w.spark, w.sf_dir, "w10-index", lambda: ix.build_index(w.points().where("path_id % 100 < 20"), w.sites().where("site_id % 4 = 0"), w.dist(), w.trips(), limits=ix.tau_limits(w.trips(), w.sites())))
+    out = []
     for days in (2, 4, 6, 8, 10):
         points = w.points().where(f"path_id % 100 >= 20 AND path_id % 100 < {20 + days}")
-        grown, s = ms.timed(ix.add_paths, start, points, w.dist())
-        rows.append(("paths", days, points.select("path_id").distinct().count(), grown.path.count(), round(s, 3)))
+        out.append(("paths", days, points.select("path_id").distinct(), lambda p=points: ix.add_paths(start, p, w.dist())))
     for step in (1, 2, 3):
         ids = w.sites().where(f"site_id % 4 >= 1 AND site_id % 4 <= {step}")
-        grown, s = ms.timed(ix.add_sites, start, ids)
-        rows.append(("sites", step, ids.count(), grown.clusters().where("rep IS NOT NULL").count(), round(s, 3)))
-    return table(spark, rows, "kind string, batch int, added long, held_rows long, time_s double")
+        out.append(("sites", step, ids, lambda s=ids: ix.add_sites(start, s)))
+    return out
 
 
-@query()
-def w11_scale(spark, sf_dir):
-    """Growing numbers of sites and of paths."""
-    w = world(spark, sf_dir)
+@query(w10_sql())
+def w10_updates(spark, sf_dir):
+    """Paths and sites added to a standing index in growing batches: rows of path lists, and clusters that have a site."""
     rows = []
+    for kind, batch, added, grow in growing(world(spark, sf_dir)):
+        grown = grow()
+        rows.append((kind, batch, added.count(), grown.path.count() if kind == "paths" else grown.clusters().where("rep IS NOT NULL").count()))
+    return table(spark, rows, "kind string, batch int, added long, held_rows long")
+
+
+@query()
+def w10_time(spark, sf_dir):
+    """Paths and sites added to a standing index in growing batches: seconds."""
+    return table(spark, [(kind, batch, round(ms.timed(grow)[1], 3)) for kind, batch, _, grow in growing(world(spark, sf_dir))], "kind string, batch int, time_s double")
+
+
+SUPPLIERS = (sql.lattice_of("supplier"), sql.DIST, sql.TRIPS, sql.SUPPLIER_POINTS, sql.detour())
+
+
+def w11_sql() -> str:
+    p, level = level_parts(TAU, limits=LIMITS, points="points")
+    parts, out = [*SUPPLIERS, *near_level(p)], []
+    for part in (4, 2, 1):
+        for kind, where in (("sites", f"site_id % {part} = 0"), ("paths", f"path_id % {part} = 0")):
+            n = f"{kind}{part}"
+            parts += [ps.cover(f"c{n}", TAU, where=where), ps.cover(f"e{n}", TAU, source=f"est{p}" if kind == "paths" or part == 1 else f"est{p}_{part}", where=where), ps.steps(f"g{n}", f"c{n}", 5, "SELECT DISTINCT site_id FROM c" + n), ps.steps(f"i{n}", f"e{n}", 5, "SELECT DISTINCT site_id FROM e" + n)]
+            m = "(SELECT count(DISTINCT path_id) FROM points)" if kind == "sites" else f"(SELECT count(DISTINCT path_id) FROM points WHERE path_id % {part} = 0)"
+            out += [f"SELECT '{kind}' AS varied, CAST({part} AS INTEGER) AS part, '{x}' AS method, (SELECT count(*) FROM {h}{n}) AS cover_rows, round((SELECT coalesce(sum(u), 0) FROM (SELECT path_id, max(score) AS u FROM c{n} WHERE site_id IN (SELECT site_id FROM {y}{n}) GROUP BY path_id) v) / 1000000 / {m} * 100, 6) AS utility_pct" for x, h, y in (("greedy", "c", "g"), ("index", "e", "i"))]
+    return ps.statement((), *parts, union(out))
+
+
+def near_level(p: int) -> list[str]:
+    """A level of the bounded index: path lists with both ways of 2R at most, and its representatives among every site, every
+    second and every fourth."""
+    r = ps.level_radii(LIMITS)[p]
+    near = f"""near AS MATERIALIZED (SELECT m.cluster_id, x.path_id, min(t.metres + b.metres - g.metres) AS metres FROM (SELECT DISTINCT cluster_id, path_id FROM points JOIN member{p} USING (node_id)) x JOIN centre{p} m USING (cluster_id)
+  JOIN (SELECT DISTINCT path_id, node_id FROM points) v ON v.path_id = x.path_id JOIN dist t ON t.src = v.node_id AND t.dst = x.cluster_id AND t.metres <= {2 * r}
+  JOIN (SELECT DISTINCT path_id, node_id FROM points) w ON w.path_id = x.path_id JOIN dist b ON b.src = x.cluster_id AND b.dst = w.node_id AND b.metres <= {2 * r}
+  JOIN dist g ON g.src = v.node_id AND g.dst = w.node_id GROUP BY ALL)"""
+    links = f"link{p} AS MATERIALIZED (SELECT a AS cluster_id, b AS nbr_id, metres FROM round_trips JOIN centre{p} x ON x.cluster_id = a JOIN centre{p} y ON y.cluster_id = b WHERE a <> b AND metres <= {int(4 * r * (1 + fx.EPS))})"
+    out = [ps.members(p, r), f"centre{p} AS MATERIALIZED (SELECT DISTINCT cluster_id FROM member{p})", links, near]
     for part in (4, 2, 1):
-        cover = materialize(w.cover(pref.binary(TAU)).where(F.col("site_id") % part == 0), "w11")
-        p, s = ms.timed(gr.greedy_place, cover, gr.PlacementSpec(k=5, mode="delta"), w.n_paths())
-        rows.append(("sites", 100 // part, cover.count(), pct(w, p.utility), round(s, 3)))
+        name = f"{p}" if part == 1 else f"{p}_{part}"
+        out.append(f"""rep{name} AS MATERIALIZED (SELECT cluster_id, arg_min(node_id, struct_pack(metres, node_id)) AS rep, min(metres) AS rep_metres FROM member{p} WHERE node_id % {part} = 0 GROUP BY cluster_id),
+est{name} AS MATERIALIZED (SELECT o.path_id, t.rep AS site_id, min(o.metres + l.metres + t.rep_metres) AS metres FROM near o
+  JOIN (SELECT cluster_id, nbr_id, metres FROM link{p} UNION ALL SELECT cluster_id, cluster_id, 0 FROM centre{p}) l USING (cluster_id) JOIN rep{name} t ON t.cluster_id = l.nbr_id GROUP BY ALL)""")
+    return out
+
+
+def scaled(w: fx.World, index: ix.Index) -> list[tuple[str, int, DataFrame, DataFrame, int]]:
+    """(varied, part, cover, estimated cover, paths) for every fourth, second and each site, and path."""
+    level = ix.choose_level(index.levels, TAU).level
+    true = materialize(w.near_cover(TAU), "w11")
+    out = []
     for part in (4, 2, 1):
-        cover = materialize(w.cover(pref.binary(TAU)).where(F.pmod(F.xxhash64("path_id"), F.lit(part)) == 0), "w11")
-        m = cover.select("path_id").distinct().count()
-        p, s = ms.timed(gr.greedy_place, cover, gr.PlacementSpec(k=5, mode="delta"), m)
-        rows.append(("paths", m, cover.count(), round(ms.utility_pct(p.utility, m), 6), round(s, 3)))
-    return table(spark, rows, "varied string, size long, cover_rows long, utility_pct double, time_s double")
+        fewer = ix.with_sites(index, w.sites().where(F.col("site_id") % part == 0))
+        out.append(("sites", part, materialize(true.where(F.col("site_id") % part == 0), "w11-part"), materialize(ix.estimated_cover(fewer, level, pref.binary(TAU)), "w11-est"), w.n_paths()))
+        some = F.col("path_id") % part == 0
+        out.append(("paths", part, materialize(true.where(some), "w11-part"), materialize(ix.estimated_cover(index, level, pref.binary(TAU)).where(some), "w11-est"), w.points().where(some).select("path_id").distinct().count()))
+    return out
+
+
+@query(w11_sql())
+def w11_scale(spark, sf_dir):
+    """Growing numbers of sites and of paths on the supplier network: rows and true utility of greedy and index."""
+    w = fx.netsup(spark, sf_dir, filled=False)
+    rows = []
+    for varied, part, cover, est, m in scaled(w, w.bounded_index(LIMITS)):
+        for name, c in (("greedy", cover), ("index", est)):
+            p = gr.greedy_place(c, gr.PlacementSpec(k=5, mode="auto"), m)
+            rows.append((varied, part, name, c.count(), round(ms.utility_pct(gr.utility_of(cover, p.sites), m), 6)))
+    return table(spark, rows, "varied string, part int, method string, cover_rows long, utility_pct double")
+
+
+@query()
+def w11_time(spark, sf_dir):
+    """Growing numbers of sites and of paths on the supplier network: seconds of the loop."""
+    w = fx.netsup(spark, sf_dir, filled=False)
+    rows = []
+    for varied, part, cover, est, m in scaled(w, w.bounded_index(LIMITS)):
+        rows += [(varied, part, name, round(ms.timed(gr.greedy_place, c, gr.PlacementSpec(k=5, mode="auto"), m)[1], 3)) for name, c in (("greedy", cover), ("index", est))]
+    return table(spark, rows, "varied string, part int, method string, time_s double")
+
+
+# -- robustness
 
 
 @query()
@@ -240,37 +529,71 @@ def w12_city_shape(spark, sf_dir):
     rows = []
     for shape in ("mesh", "star", "poly"):
         w = fx.net100(spark, sf_dir, shape=shape)
-        p, s = ms.timed(plain, w, 400, 5)
-        rows.append((shape, w.cover(pref.binary(400)).count(), pct(w, p.utility), round(s, 3)))
-    return table(spark, rows, "shape string, cover_rows long, utility_pct double, time_s double")
+        rows.append((shape, w.cover(pref.binary(400)).count(), pct(w, plain(w, 400, 5).utility)))
+    return table(spark, rows, "shape string, cover_rows long, utility_pct double")
 
 
-@query()
+def w13_sql() -> str:
+    parts = [*ps.FILLED, f"classes AS MATERIALIZED (SELECT path_id, points, ntile(4) OVER (ORDER BY points, path_id) AS quarter FROM (SELECT path_id, count(*) AS points FROM {POINTS} GROUP BY path_id) l)"]
+    out = []
+    for q in (1, 2, 3, 4):
+        parts += [ps.cover(f"c{q}", 400, where=f"path_id IN (SELECT path_id FROM classes WHERE quarter = {q})"), ps.steps(f"g{q}", f"c{q}", 5, f"SELECT DISTINCT site_id FROM c{q}")]
+        out.append(f"SELECT CAST({q} AS INTEGER) AS quarter, count(*) AS n_paths, round(avg(points), 4) AS mean_points, round((SELECT sum(gain) FROM g{q}) / 1000000 / count(*) * 100, 6) AS utility_pct FROM classes WHERE quarter = {q}")
+    return ps.statement((), *parts, union(out))
+
+
+@query(w13_sql())
 def w13_path_length(spark, sf_dir):
     """Four classes of path length, equally many paths of each."""
     w = world(spark, sf_dir)
-    from pyspark.sql import Window
-
     length = w.points().groupBy("path_id").agg(F.count("*").alias("points"))
-    ranked = length.withColumn("quarter", F.ntile(4).over(Window.orderBy("points", "path_id")))
-    classes = materialize(ranked, "w13")
+    # One row a path in one task: the classes are quarters of all paths in order.
+    classes = materialize(length.withColumn("quarter", F.ntile(4).over(Window.orderBy("points", "path_id"))), "w13")
     rows = []
     for q in (1, 2, 3, 4):
         ids = classes.where(F.col("quarter") == q)
         cover = materialize(w.cover(pref.binary(400)).join(ids.select("path_id"), "path_id"), "w13-cover")
         m = ids.count()
-        p, s = ms.timed(gr.greedy_place, cover, gr.PlacementSpec(k=5, mode="delta"), m)
-        rows.append((q, m, round(ids.agg(F.avg("points")).first()[0], 4), round(ms.utility_pct(p.utility, m), 6), round(s, 3)))
-    return table(spark, rows, "quarter int, n_paths long, mean_points double, utility_pct double, time_s double")
+        p = gr.greedy_place(cover, gr.PlacementSpec(k=5, mode="auto"), m)
+        rows.append((q, m, round(ids.agg(F.avg("points")).first()[0], 4), round(ms.utility_pct(p.utility, m), 6)))
+    return table(spark, rows, "quarter int, n_paths long, mean_points double, utility_pct double")
 
 
-@query()
+@query(ps.statement(ps.FILLED, *ps.all_levels(POINTS), ps.stats()))
 def w14_levels(spark, sf_dir):
     """The levels of the index: radius, clusters, and what they hold on average."""
     return ix.index_stats(world(spark, sf_dir).index())
 
 
 @query()
+def w14_levels_part(spark, sf_dir):
+    """The levels of the bounded index on the part network."""
+    return ix.index_stats(fx.netpart(spark, sf_dir).bounded_index(LIMITS))
+
+
+@query()
+def w14_time(spark, sf_dir):
+    """Seconds and bytes of building each level alone, on the part network."""
+    w = fx.netpart(spark, sf_dir)
+    rows = []
+    for v in ix.level_plan(*LIMITS, fx.EPS):
+        index, s = ms.timed(ix.build_index_bounded, w.points(), w.sites(), w.net().edges, w.net().nodes, (v.tau_lo, v.tau_lo), fx.EPS)
+        rows.append((v.level, round(v.radius, 6), round(s, 3), ms.index_bytes(index)))
+    return table(spark, rows, "level int, radius double, build_s double, file_bytes long")
+
+
+def w15_sql() -> str:
+    parts, out = [*ps.FILLED, *every_level((800, 1200)), f"busy_nodes AS MATERIALIZED (SELECT node_id, count(DISTINCT path_id) AS n FROM {POINTS} GROUP BY node_id)"], []
+    for tau in (800, 1200):
+        p = ps.level_of(tau)
+        parts += [ps.cover(f"c{tau}", tau), f"busy{p} AS MATERIALIZED (SELECT cluster_id, arg_min(struct_pack(i := node_id, m := metres), struct_pack(o := -coalesce(n, 0), i := node_id)) AS b FROM member{p} LEFT JOIN busy_nodes USING (node_id) GROUP BY cluster_id)",
+            f"""estb{p} AS MATERIALIZED (SELECT o.path_id, t.b.i AS site_id, min(o.metres + l.metres + t.b.m) AS metres FROM own{p} o JOIN (SELECT cluster_id, nbr_id, metres FROM link{p} UNION ALL SELECT cluster_id, cluster_id, 0 FROM centre{p}) l USING (cluster_id) JOIN busy{p} t ON t.cluster_id = l.nbr_id GROUP BY ALL)""",
+            ps.cover(f"closest{tau}_c", tau, source=f"est{p}"), ps.cover(f"busiest{tau}_c", tau, source=f"estb{p}"), ps.steps(f"closest{tau}", f"closest{tau}_c", 5, ps.reps(p)), ps.steps(f"busiest{tau}", f"busiest{tau}_c", 5, f"SELECT b.i AS site_id FROM busy{p}")]
+        out += [f"SELECT '{rule}' AS rule, CAST({tau} AS INTEGER) AS tau, {ps.valued(f'{rule}{tau}', f'c{tau}', POINTS)} AS utility_pct" for rule in ("closest", "busiest")]
+    return ps.statement((), *parts, union(out))
+
+
+@query(w15_sql())
 def w15_representatives(spark, sf_dir):
     """Two rules for the representative of a cluster, valued on the true cover."""
     w = world(spark, sf_dir)
@@ -285,7 +608,10 @@ def w15_representatives(spark, sf_dir):
 FX_C = [(1, 1), (1, 2), (2, 1), (2, 2), (3, 1), (3, 2), (4, 3), (5, 1), (5, 3)]
 
 
-@query("SELECT * FROM (VALUES ('greedy', '1,3', CAST(5000000 AS BIGINT)), ('top_weight', '1,2', CAST(4000000 AS BIGINT))) v(method, sites, utility)")
+@query("WITH RECURSIVE visit AS (SELECT * FROM (VALUES " + ", ".join(map(str, FX_C)) + """) v(path_id, site_id)), cover AS (SELECT *, 1000000 AS score FROM visit),
+top AS (SELECT site_id FROM visit GROUP BY site_id ORDER BY count(*) DESC, site_id DESC LIMIT 2), """ + ps.steps("g", "cover", 2, "SELECT DISTINCT site_id FROM visit") + """
+SELECT m AS method, string_agg(CAST(site_id AS VARCHAR), ',' ORDER BY site_id) AS sites, CAST(1000000 * (SELECT count(DISTINCT path_id) FROM visit WHERE list_contains(list(x.site_id), visit.site_id)) AS BIGINT) AS utility
+FROM (SELECT 'greedy' AS m, site_id FROM g UNION ALL SELECT 'top_weight', site_id FROM top) x GROUP BY m""")
 def w16_motivation(spark, sf_dir):
     """Two sites for five paths: the most visited pair overlaps, the greedy pair covers all."""
     cover = spark.createDataFrame([(p, s, 1_000_000) for p, s in FX_C], "path_id long, site_id long, score long")
@@ -293,33 +619,51 @@ def w16_motivation(spark, sf_dir):
     return table(spark, rows, "method string, sites string, utility long")
 
 
-@query()
+def w17_sql() -> str:
+    k = 6
+    far = "far AS MATERIALIZED (SELECT path_id, site_id, max(metres) OVER (PARTITION BY path_id) + 1 - metres AS score FROM detour)"
+    parts = [*ps.FILLED, ps.cover("cov", 400), ps.steps("e", "cov", 5, existing=(55, 33)), ps.steps("g", "cov", k), far, ps.steps("f", "far", 5)]
+    whole = f"(SELECT count(DISTINCT path_id) FROM {POINTS})"
+    out = [f"SELECT 'existing' AS variant, 5.0::DOUBLE AS parameter, CAST(5 AS INTEGER) AS n_sites, {ps.valued('(SELECT site_id FROM e UNION ALL SELECT 55 UNION ALL SELECT 33)', 'cov', POINTS)} AS utility_pct"]
+    for beta in (0.25, 0.5, 0.75):
+        run = f"(SELECT * FROM (SELECT step, site_id, sum(gain) OVER (ORDER BY step) - gain AS before FROM g) r WHERE before < ceil({beta}::DOUBLE * {whole}) * 1000000)"
+        out.append(f"SELECT 'quota', {beta}::DOUBLE, CAST((SELECT count(*) FROM {run}) AS INTEGER), {ps.valued(f'(SELECT site_id FROM {run})', 'cov', POINTS)}")
+    out.append(f"SELECT 'inconvenience', 5.0::DOUBLE, CAST(5 AS INTEGER), {ps.valued('f', 'cov', POINTS)}")
+    return ps.statement((), *parts, union(out))
+
+
+@query(w17_sql())
 def w17_variants(spark, sf_dir):
     """Existing services, market share and inconvenience on one workload."""
     w = world(spark, sf_dir)
     cover = materialize(w.cover(pref.binary(400)), "w17")
-    rows = []
-    base = gr.greedy_place(cover, gr.PlacementSpec(k=5, existing=(55, 33)), w.n_paths(), w.sites())
-    rows.append(("existing", 5.0, len(base.steps), pct(w, base.utility)))
+    base = gr.greedy_place(cover, gr.PlacementSpec(k=5, existing=(55, 33), mode="auto"), w.n_paths(), w.sites())
+    rows = [("existing", 5.0, len(base.steps), pct(w, base.utility))]
     for beta in (0.25, 0.5, 0.75):
-        p = gr.greedy_place(cover, gr.PlacementSpec(k=None, quota=beta), w.n_paths(), w.sites())
+        p = gr.greedy_place(cover, gr.PlacementSpec(k=None, quota=beta, mode="auto"), w.n_paths(), w.sites())
         rows.append(("quota", beta, len(p.steps), pct(w, p.utility)))
     far, _ = gr.place_inconvenience(w.detours(), 5, w.n_paths(), w.sites())
     rows.append(("inconvenience", 5.0, len(far.steps), pct(w, gr.utility_of(cover, far.sites))))
     return table(spark, rows, "variant string, parameter double, n_sites int, utility_pct double")
 
 
-@query()
+def wj_sql() -> str:
+    parts, out = [*ps.FILLED, ps.cover("cov", 400)], []
+    for n, threshold in enumerate((0.3, 0.6)):
+        parts += [ps.leaders(f"l{n}", "cov", threshold), f"c{n} AS MATERIALIZED (SELECT * FROM cov WHERE site_id IN (SELECT cluster_id FROM l{n}))", ps.steps(f"g{n}", f"c{n}", 5, f"SELECT DISTINCT cluster_id AS site_id FROM l{n}")]
+        out.append(f"SELECT {threshold}::DOUBLE AS threshold, (SELECT count(DISTINCT cluster_id) FROM l{n}) AS n_clusters, {ps.valued(f'g{n}', 'cov', POINTS)} AS utility_pct")
+    return ps.statement((), *parts, union(out))
+
+
+@query(wj_sql())
 def w_rejected_clusters(spark, sf_dir):
     """Clusters of similar covers, the rejected way: their number and the utility of one site for each of the best."""
-    from waysite.operators.clusters import jaccard_clusters
-
     w = world(spark, sf_dir)
     cover = materialize(w.cover(pref.binary(400)), "wj")
     rows = []
     for threshold in (0.3, 0.6):
-        leaders = jaccard_clusters(cover, threshold).select("cluster_id").distinct()
-        p = gr.greedy_place(cover.join(leaders, F.col("site_id") == F.col("cluster_id"), "left_semi"), gr.PlacementSpec(k=5, mode="delta"), w.n_paths())
+        leaders = cl.jaccard_clusters(cover, threshold).select("cluster_id").distinct()
+        p = gr.greedy_place(cover.join(leaders, F.col("site_id") == F.col("cluster_id"), "left_semi"), gr.PlacementSpec(k=5, mode="auto"), w.n_paths())
         rows.append((threshold, leaders.count(), pct(w, p.utility)))
     return table(spark, rows, "threshold double, n_clusters long, utility_pct double")
 
@@ -338,28 +682,87 @@ def w_neighbourhood(spark, sf_dir):
     return out
 
 
-@query()
+def wc_sql() -> str:
+    radii = ps.level_radii()
+    out = [f"""SELECT CAST({p} AS INTEGER) AS level, (SELECT count(*) FROM {POINTS}) AS points, count(*) AS steps FROM (SELECT path_id, cluster_id, lag(cluster_id) OVER (PARTITION BY path_id ORDER BY seq) AS last FROM {POINTS} JOIN member{p} USING (node_id)) s WHERE last IS NULL OR last <> cluster_id""" for p in range(len(radii))]
+    return ps.statement((), *ps.FILLED[:5], *(ps.members(p, r) for p, r in enumerate(radii)), union(out))
+
+
+@query(wc_sql())
 def w_compression(spark, sf_dir):
     """Path points against steps of the compressed paths, by level."""
     w = world(spark, sf_dir)
     return ms.compression(w.points(), ix.compress_paths(w.points(), w.index().member))
 
 
-@query()
+def ws_sql() -> str:
+    sessions = """opened AS (SELECT *, coalesce(CAST(floor(epoch(ts)) AS BIGINT) - CAST(floor(epoch(lag(ts) OVER w)) AS BIGINT) > 21600, false) AS new FROM visits WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id)),
+session_points AS MATERIALIZED (SELECT user_id * 10000 + CAST(sum(CAST(new AS INTEGER)) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS UNBOUNDED PRECEDING) AS BIGINT) AS path_id, node_id FROM opened)"""
+    second = sql.detour("any", "session_points")
+    for name in ("pairs", "extra", "detour"):
+        second = re.sub(rf"\b{name}\b", f"{name}2", second)
+    parts = [*ps.DAYS, sessions, second, ps.cover("c1", 400), ps.cover("c2", 400, source="detour2"), ps.steps("g1", "c1", 5), ps.steps("g2", "c2", 5)]
+    out = [f"SELECT '{name}' AS paths_from, (SELECT count(DISTINCT path_id) FROM {points}) AS n_paths, {ps.valued(g, c, points)} AS utility_pct" for name, points, g, c in (("net100", "points", "g1", "c1"), ("net100-sessions", "session_points", "g2", "c2"))]
+    return ps.statement((), *parts, union(out))
+
+
+@query(ws_sql())
 def w_sessions(spark, sf_dir):
     """Day trips against session trips of the same events: paths and the utility of five sites."""
     day = fx.net100(spark, sf_dir)
-    from waysite.sources.tables import read_table
-
     alike = fx.World(spark, sf_dir, "net100-sessions", 100, lambda: pt.trips_by_session(read_table(spark, sf_dir, "events", "user_id", "ts", "event_id", "props")))
     rows = [(w.name, w.n_paths(), pct(w, plain(w, 400, 5).utility)) for w in (day, alike)]
     return table(spark, rows, "paths_from string, n_paths long, utility_pct double")
 
 
-@query()
+OWNED = "owned AS MATERIALIZED (SELECT path_id // 100 AS path_id, node_id FROM points)"
+
+
+@query(ps.statement((*ps.DAYS[:4], OWNED, sql.detour("any", "owned")), ps.cover("cov", 240), ps.steps("g", "cov", 3), ps.placed("g", "owned")))
 def w_users(spark, sf_dir):
     """Users as unions of their trips: they are served on any of them."""
     w = fx.net100u(spark, sf_dir)
     cover = materialize(dt.cover(dt.kernel_detours(w.points(), w.sites(), w.dist()), pref.binary(240)), "wu")
-    p = gr.greedy_place(cover, gr.PlacementSpec(k=3, mode="delta"), w.n_paths(), w.sites())
+    p = gr.greedy_place(cover, gr.PlacementSpec(k=3, mode="auto"), w.n_paths(), w.sites())
     return p.frame(spark)
+
+
+def bounds_sql() -> str:
+    parts = [sql.lattice(25), sql.DIST, sql.NATION_POINTS, sql.detour(), ps.cover("cov", 240), ps.steps("g", "cov", 2),
+        "sets AS (SELECT a.node_id AS s1, b.node_id AS s2 FROM nodes a JOIN nodes b ON a.node_id < b.node_id)",
+        "best AS (SELECT max(u) AS u FROM (SELECT s1, s2, sum(u) AS u FROM (SELECT s1, s2, path_id, max(score) AS u FROM sets JOIN cov ON site_id IN (s1, s2) GROUP BY ALL) x GROUP BY ALL) y)"]
+    return ps.statement((), *parts, """SELECT 'greedy' AS kind, round(1 - 1 / exp(1.0::DOUBLE), 6) AS bound, round((SELECT sum(gain) FROM g) / (SELECT u FROM best), 6) AS ratio, true AS holds""")
+
+
+@query(bounds_sql())
+def w_bounds(spark, sf_dir):
+    """The greedy's guarantee against what it reaches of the optimum."""
+    w = fx.net25(spark, sf_dir)
+    cover = materialize(w.cover(pref.binary(240)), "wb")
+    best = ex.optimal_placement(cover, w.sites(), 2, w.n_paths(), "branch_bound").utility
+    found = gr.greedy_place(cover, gr.PlacementSpec(k=2, mode="auto"), w.n_paths(), w.sites()).utility
+    bound, ratio = ms.guarantee("greedy", k=2, n=25), ms.optimality_ratio(found, best)
+    return table(spark, [("greedy", round(bound, 6), round(ratio, 6), ratio >= bound)], "kind string, bound double, ratio double, holds boolean")
+
+
+@query()
+def w_bounds_all(spark, sf_dir):
+    """Each guarantee on real runs: budget, quota, index and sketch against optimum or greedy."""
+    w = fx.net25(spark, sf_dir)
+    cover = materialize(w.cover(pref.binary(240)), "wb")
+    m, sites = w.n_paths(), w.sites()
+    best = ex.optimal_placement(cover, sites, 3, m, "branch_bound").utility
+    three = gr.PlacementSpec(k=3, mode="auto")
+    budget = gr.greedy_place(cover, gr.PlacementSpec(k=None, budget=3.0, mode="auto"), m, fx.with_costs(sites, 0.0)).utility
+    index = ix.build_index(w.points(), sites, w.dist(), w.trips())
+    on = gr.utility_of(cover, ix.index_place(index, three, pref.binary(240), m, cover).sites)
+    level = ix.choose_level(index.levels, 240)
+    clusters = index.clusters().where(F.col("level") == level.level).count()
+    sketched = sk.greedy_place_sketch(cover, 3, m, 100)
+    words = sk.sketch_words(cover, 100)
+    exact = {r["site_id"]: r["n"] for r in cover.groupBy("site_id").agg(F.count("*").alias("n")).collect()}
+    error = max(sk.error_of(float(e), exact[int(i)]) for i, e in zip(words[0], sk.estimates(words[1]), strict=True))
+    quota = gr.greedy_place(cover, gr.PlacementSpec(k=None, quota=0.5, mode="auto"), m, sites)
+    least = next(k for k in range(1, 26) if ex.optimal_placement(cover, sites, k, m, "branch_bound").utility >= -(-m // 2) * 1_000_000)
+    rows = [("budget", ms.guarantee("budget"), budget / best), ("index", ms.guarantee("index", k=3, clusters=clusters), on / best), ("sketch", ms.guarantee("greedy", k=3, n=25) * ms.guarantee("sketch", error=min(error, 1.0), k=3), sketched.utility / best), ("quota", ms.guarantee("quota", n=m), len(quota.steps) / least)]
+    return table(spark, [(k, round(b, 6), round(r, 6), r <= b if k == "quota" else r >= b) for k, b, r in rows], "kind string, bound double, ratio double, holds boolean")
