@@ -516,6 +516,12 @@ def test_warc(spark):
     assert all(k == "response" for *_, k, _ in [tuple(r) for r in warc.crawl_round_trip(pages, min_bytes=10**6).select("page_id", "record_type", "refers_to").collect()])
 
 
+def test_warc_text_ids(spark):
+    data = [("b>\n1", "u", "same"), ("a é", "u", "same"), ("=7", "u", "other"), (None, None, None), ("7", "v", "same")]
+    found = {r["page_id"]: (r["record_type"], r["refers_to"]) for r in warc.crawl_round_trip(spark.createDataFrame(data, "page_id string, url string, html string")).collect()}
+    assert found == {"b>\n1": ("revisit", "7"), "a é": ("revisit", "7"), "7": ("response", None), "=7": ("response", None), None: ("response", None)}
+
+
 def test_warc_normaliser():
     import gzip
 

@@ -11,6 +11,7 @@ import hashlib
 import zlib
 from collections.abc import Iterator
 from datetime import datetime, timezone
+from urllib.parse import quote, unquote
 
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -54,13 +55,20 @@ def classify(hashed: DataFrame, min_bytes: int = 0) -> DataFrame:
 def record(page_id, url: str, payload: bytes, digest: str, kind: str, refers_to, date: str) -> bytes:
     """One WARC/1.1 record. A revisit has no block; it keeps the length of the payload it stands for."""
     block = b"" if kind == "revisit" else payload
-    head = ["WARC/1.1", f"WARC-Type: {kind}", f"WARC-Record-ID: <urn:page:{'' if page_id is None else page_id}>", f"WARC-Target-URI: {clean(url)}", f"WARC-Date: {date}", f"WARC-Payload-Digest: sha1:{digest}", f"WARC-Payload-Length: {len(payload)}"]
+    head = ["WARC/1.1", f"WARC-Type: {kind}", f"WARC-Record-ID: {urn(page_id)}", f"WARC-Target-URI: {clean(url)}", f"WARC-Date: {date}", f"WARC-Payload-Digest: sha1:{digest}", f"WARC-Payload-Length: {len(payload)}"]
     if kind == "revisit":
-        head += ["WARC-Profile: http://netpreserve.org/warc/1.1/revisit/identical-payload-digest", f"WARC-Refers-To: <urn:page:{refers_to}>"]
+        head += ["WARC-Profile: http://netpreserve.org/warc/1.1/revisit/identical-payload-digest", f"WARC-Refers-To: {urn(refers_to)}"]
     head += ["Content-Type: text/html", f"Content-Length: {len(block)}"]
     return "\r\n".join(head).encode() + b"\r\n\r\n" + block + b"\r\n\r\n"
 
 
+def urn(page_id) -> str:
+    """The name of a page's record; ids that are not whole numbers are percent-encoded after a sign that tells them."""
+    if page_id is None:
+        return "<urn:page:>"
+    return f"<urn:page:{page_id}>" if isinstance(page_id, int) else f"<urn:page:={quote(str(page_id), safe='')}>"
+
+
 def clean(value: str | None) -> str:
     """A header value holds no line breaks."""
     return (value or "").replace("\r", " ").replace("\n", " ")
@@ -170,11 +178,12 @@ def normalise(archives: DataFrame) -> DataFrame:
     return archives.select("archive", "content").mapInArrow(run, "archive string, content binary, index array<struct<offset:long,length:long,record_id:string>>")
 
 
-def read_records(normalised: DataFrame) -> DataFrame:
+def read_records(normalised: DataFrame, id_type: str = "bigint") -> DataFrame:
     """(archive, content, index) -> one row a record, each inflated from its own offset.
 
     A response's digest and length are computed from the payload read, and must agree with its header; a revisit's are
-    those of the payload it stands for."""
+    those of the payload it stands for. id_type: that of page_id, whole numbers or text."""
+    whole_numbers = id_type in ("tinyint", "smallint", "int", "bigint")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -191,23 +200,27 @@ def read_records(normalised: DataFrame) -> DataFrame:
                             raise ValueError(f"damaged record {head['warc-record-id']} in {name}")
                     rows.append((_page(head["warc-record-id"]), size, digest, head["warc-type"], _page(head.get("warc-refers-to"))))
                 if rows:
-                    kinds = (pa.int64(), pa.int64(), pa.string(), pa.string(), pa.int64())
+                    own = pa.int64() if whole_numbers else pa.string()
+                    kinds = (own, pa.int64(), pa.string(), pa.string(), own)
                     yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows, strict=True), kinds, strict=True)], names=["page_id", "payload_bytes", "payload_digest", "record_type", "refers_to"])
 
-    return normalised.mapInArrow(run, "page_id long, payload_bytes long, payload_digest string, record_type string, refers_to long")
+    kind = "long" if whole_numbers else "string"
+    return normalised.mapInArrow(run, f"page_id {kind}, payload_bytes long, payload_digest string, record_type string, refers_to {kind}")
 
 
-def _page(record_id: str | None) -> int | None:
+def _page(record_id: str | None) -> int | str | None:
     text = (record_id or "").removeprefix("<urn:page:").removesuffix(">")
-    return int(text) if text else None
+    return unquote(text[1:]) if text.startswith("=") else int(text) if text else None
 
 
 def crawl_round_trip(pages: DataFrame, min_bytes: int = 0) -> DataFrame:
     """Pages written as monolithic archives, normalised, and read back by offset: one row a page.
 
-    Both forms are tables in the shared folder. Page ids are whole numbers or null (null stays null); a null url is
+    Both forms are tables in the shared folder. Page ids are whole numbers or text, or null (null stays null); a null url is
     written empty; repeated rows give a record each; an empty table gives no rows."""
-    stored = materialize(write_archives(classify(payload_digests(pages), min_bytes)), "warc-monolithic")
+    hashed = payload_digests(pages)
+    id_type = hashed.schema["page_id"].dataType.simpleString()
+    stored = materialize(write_archives(classify(hashed, min_bytes)), "warc-monolithic")
     normalised = materialize(normalise(stored), "warc-normalised")
     discard(stored)
-    return read_records(normalised)
+    return read_records(normalised, id_type)
