@@ -7,10 +7,12 @@ import hashlib
 import struct
 import zlib
 from collections.abc import Iterator
+from functools import reduce
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
 
 from .common import discard, materialize, pick, slices, utf8_buffer
 
@@ -22,6 +24,8 @@ INDEX_SHIFT = np.array([-1, -1, -1, -1, 2, 4, 6, 8], np.int32)
 #: An ADPCM block: a 4-byte header (first sample, step index, 0) and 60 bytes of two codes each.
 BLOCK = 64
 UNIT = 64
+#: Parts in which a table's media are written and decoded.
+STORED_PARTS = 3
 #: Bytes of payload decoded at once: bounds the memory of a worker.
 SLICE = 2 << 20
 
@@ -235,11 +239,14 @@ def media_digests(resampled: DataFrame) -> DataFrame:
     return resampled.mapInArrow(run, f"doc_id {kind}, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string")
 
 
-def stored_digests(docs: DataFrame, **options) -> DataFrame:
+def stored_digests(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", codec: str | None = None, parts: int = STORED_PARTS) -> DataFrame:
     """The whole way: media files are written as a column of a table, read, decoded; their resampled PCM is written as a
-    column of another, and read for the features. Both tables are in the shared folder; the first goes when the second is
-    written."""
-    media = materialize(store_media(docs, **options), "media", "zstd")
-    resampled = materialize(resampled_media(media), "media-pcm", "zstd")
-    discard(media)
-    return media_digests(resampled)
+    column of another, and read for the features. All tables are in the shared folder. It is gone in `parts`, rows dealt by
+    a hash of id and text: the media of a part go when its PCM is written, which bounds the room that both take."""
+    chosen = pick(docs, doc_id=id_col, text=text_col)
+    held = []
+    for part in range(parts):
+        media = materialize(store_media(chosen.where(F.pmod(F.xxhash64("doc_id", "text"), F.lit(parts)) == part), codec=codec), "media", "zstd")
+        held.append(materialize(resampled_media(media), "media-pcm", "zstd"))
+        discard(media)
+    return media_digests(reduce(DataFrame.unionByName, held))
