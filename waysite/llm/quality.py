@@ -34,7 +34,7 @@ PRIOR = 50
 #: Steps end where no determinant falls by more than this (of its logarithm).
 LEAST_FALL = 1e-6
 STARTS = 4
-#: Groups whose parameters are broadcast, about 1 kB each; more are joined by a shuffle.
+#: Groups whose parameters are broadcast, and fitted by the driver, about 1 kB each; more are joined by a shuffle.
 MOST_BROADCAST_UNITS = 50_000
 #: Distances and features are counted in bins of this width (of the feature, or of log2 of the distance).
 BIN = 1 / 256
@@ -209,11 +209,20 @@ def param_rows(found: list[tuple]) -> pa.RecordBatch:
     return pa.RecordBatch.from_arrays([pa.array(list(c), k) for c, k in zip(columns, kinds, strict=True)], names=["unit", "start", "n", "mu", "cov", "inv", "det"])
 
 
+def mapped(rows: DataFrame, run, schema: str, few: bool) -> DataFrame:
+    """run over rows of one a group or start: few of them (checked) in the driver, so that no Python worker is started for a
+    handful of small matrices, more of them by the executors."""
+    if not few:
+        return rows.mapInArrow(run, schema)
+    out = list(run(iter(rows.toArrow().to_batches())))
+    return rows.sparkSession.createDataFrame(pa.Table.from_batches(out), schema) if out else rows.sparkSession.createDataFrame([], schema)
+
+
 def product_sums(values: list[Column]) -> Column:
     return F.array(*(F.sum(a * b) for i, a in enumerate(values) for b in values[i:]))
 
 
-def fitted(rows: DataFrame) -> DataFrame:
+def fitted(rows: DataFrame, few: bool) -> DataFrame:
     """rows(unit, start, features) -> PARAMS: mean and scatter of each unit's and start's rows."""
     columns = [F.col(f) for f in FEATURES]
     sums = rows.groupBy("unit", "start").agg(F.count("*").alias("n"), F.array(*(F.sum(f) for f in FEATURES)).alias("s"), product_sums(columns).alias("ss"))
@@ -222,7 +231,7 @@ def fitted(rows: DataFrame) -> DataFrame:
         for batch in batches:
             yield param_rows([(unit, start, n, *centred(n, s, ss), None) for unit, start, n, s, ss in zip(*(c.to_pylist() for c in batch.columns), strict=True)])
 
-    return sums.mapInArrow(run, PARAMS)
+    return mapped(sums, run, PARAMS, few)
 
 
 def started(rows: DataFrame, few: bool) -> DataFrame:
@@ -256,7 +265,7 @@ def started(rows: DataFrame, few: bool) -> DataFrame:
                 found += [(unit, k, n, np.array(s1) / n if k == 1 else m, c, float("inf")) for k, c in enumerate(scatters)]
             yield param_rows(found)
 
-    out = materialize(sums.mapInArrow(run, PARAMS), "mcd-start")
+    out = materialize(mapped(sums, run, PARAMS, few), "mcd-start")
     discard(medians, scales)
     return out
 
@@ -284,7 +293,7 @@ def estimate(rows: DataFrame, coverage: float = COVERAGE) -> DataFrame:
     params = started(rows, few)
     active, settled = params, []
     while True:
-        stepped = fitted(nearest(spread_over(rows, active, few), coverage, few))
+        stepped = fitted(nearest(spread_over(rows, active, few), coverage, few), few)
         old = active.select(*(F.col(c).alias(f"old_{c}") for c in active.columns))
         both = materialize(stepped.join(old, (F.col("unit") == F.col("old_unit")) & (F.col("start") == F.col("old_start"))).withColumn("falls", F.col("det") < F.col("old_det") - LEAST_FALL), "mcd-step")
         settled.append(both.where("not falls").select(*(F.col(f"old_{c}").alias(c) for c in active.columns)))
@@ -296,7 +305,7 @@ def estimate(rows: DataFrame, coverage: float = COVERAGE) -> DataFrame:
         ended = ended.unionByName(part)
     best = ended.groupBy("unit").agg(F.min_by(F.struct("mu", "inv"), F.struct("det", "start")).alias("b"))
     raw = materialize(best.select("unit", F.lit(0).alias("start"), F.col("b.mu").alias("mu"), F.transform("b.inv", lambda x: x / consistency(coverage)).alias("inv")), "mcd-raw")
-    close = fitted(spread_over(rows, raw, few).where(F.col("d2") <= chi2_value(NEAR, len(FEATURES))))
+    close = fitted(spread_over(rows, raw, few).where(F.col("d2") <= chi2_value(NEAR, len(FEATURES))), few)
     # Some documents of every unit are near: the mean distance of its nearest ones is below 5.
     out = close.select("unit", "n", "mu", F.transform("cov", lambda x: x * consistency(NEAR)).alias("cov"))
     return materialize(out, "mcd-estimate")
@@ -309,7 +318,7 @@ def drawn_together(own: DataFrame, above: DataFrame, prior: float) -> DataFrame:
     return own.join(upper, F.col("up") == F.col("u")).select("unit", "n", mix("mu", "mu_up").alias("mu"), mix("cov", "cov_up").alias("cov"))
 
 
-def inverted(params: DataFrame) -> DataFrame:
+def inverted(params: DataFrame, few: bool) -> DataFrame:
     """(unit, mu, cov) -> (unit, mu, inv)."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -317,7 +326,7 @@ def inverted(params: DataFrame) -> DataFrame:
             inv = [packed(np.linalg.inv(unpacked(c))) for c in batch.column(2).to_pylist()]
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(inv, pa.list_(pa.float64()))], names=["unit", "mu", "inv"])
 
-    return params.select("unit", "mu", "cov").mapInArrow(run, "unit string, mu array<double>, inv array<double>")
+    return mapped(params.select("unit", "mu", "cov"), run, "unit string, mu array<double>, inv array<double>", few)
 
 
 def unit_name(*columns: str) -> Column:
@@ -333,7 +342,8 @@ def group_params(passed: DataFrame, coverage: float = COVERAGE, prior: float = P
     corpus = found.where(depth == "0")
     lang = drawn_together(found.where(depth == "1").withColumn("up", unit_name()), corpus, prior)
     up = F.concat(F.lit("1"), F.expr("substring(substring_index(unit, '/', 2), 2)"))  # the group's name without its source
-    params = materialize(inverted(drawn_together(found.where(depth == "2").withColumn("up", up), lang, prior)), "quality-params")
+    few = found.count() <= MOST_BROADCAST_UNITS
+    params = materialize(inverted(drawn_together(found.where(depth == "2").withColumn("up", up), lang, prior), few), "quality-params")
     discard(fed, found)
     return params
 
