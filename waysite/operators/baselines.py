@@ -7,15 +7,14 @@ from pyspark.sql import functions as F
 
 from waysite.operators.detours import cover as make_cover
 from waysite.operators.detours import site_weights
-from waysite.operators.greedy import Placement, PlacementSpec, greedy_place, seeded_order, utility_of
+from waysite.operators.greedy import Placement, PlacementSpec, greedy_place, prefix_utilities, seeded_order
 
 
 def valued(cover: DataFrame, ids: list[int], n_paths: int) -> Placement:
     """A given list of sites as a placement: each step's gain on the cover, from one pass over its rows."""
     placed = Placement(n_paths=n_paths)
     before = 0
-    for k in range(1, len(ids) + 1):
-        u = utility_of(cover, ids[:k])
+    for k, u in enumerate(prefix_utilities(cover, ids), 1):
         placed.steps.append((k, ids[k - 1], u - before, u))
         before = u
     return placed

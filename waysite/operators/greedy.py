@@ -357,6 +357,16 @@ def utility_of(cover: DataFrame, chosen: list[int]) -> int:
     return int(best.agg(F.coalesce(F.sum("u"), F.lit(0))).first()[0])
 
 
+def prefix_utilities(cover: DataFrame, chosen: list[int]) -> list[int]:
+    """Total score of the paths over the first one, two, ... of the chosen sites, from one pass over their rows."""
+    if not chosen:
+        return []
+    own = [F.coalesce(F.max(F.when(F.col("site_id") == s, F.col("score"))), F.lit(0)) for s in chosen]
+    each = cover.where(F.col("site_id").isin(list(chosen))).groupBy("path_id").agg(F.array(*own).alias("own"))
+    best = [F.coalesce(F.sum(F.array_max(F.slice("own", 1, k))), F.lit(0)) for k in range(1, len(chosen) + 1)]
+    return [int(x) for x in each.agg(F.array(*best).alias("u")).first()["u"]]
+
+
 def served_by(cover: DataFrame, chosen: list[int], sites: DataFrame) -> int:
     """Total score when the chosen sites open one after the other and each serves its largest gains, up to its capacity."""
     loop = _FrameLoop(cover, PlacementSpec(k=len(chosen), capacity=True), 0, sites)

@@ -6,6 +6,7 @@ from __future__ import annotations
 
 import re
 from collections.abc import Callable
+from dataclasses import replace
 
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
@@ -110,15 +111,16 @@ def w1_optimum(spark, sf_dir):
     for sample in range(SAMPLES):
         paths, sites, part = sample_of(w, cover, sample)
         m = paths.count()
-        index = ix.build_index(w.points().join(paths, "path_id", "left_semi"), sites, w.dist(), w.trips())
+        # Clusters and links are those of the whole network, and so are the rows of the sample's paths.
+        whole = w.index()
+        index = ix.with_sites(replace(whole, path=materialize(whole.path.join(paths, "path_id", "left_semi"), "w1-index")), sites)
         five = gr.PlacementSpec(k=5, mode="auto")
         contenders = {"greedy": gr.greedy_place(part, five, m, sites), "greedy_fm": sk.greedy_place_sketch(part, 5, m, 30), "index": ix.index_place(index, five, pref.binary(400), m, part), "index_fm": ix.index_place(index, five, pref.binary(400), m, part, 30)}
+        reached = {name: gr.prefix_utilities(part, p.sites) for name, p in contenders.items()}
         for k in range(1, 6):
-            best = ex.optimal_placement(part, sites, k, m, "branch_bound").utility
+            best = gr.utility_of(part, ex.branch_and_bound(part, sites, k))
             rows.append((sample, k, "optimum", best, 1.0))
-            for name, p in contenders.items():
-                utility = gr.utility_of(part, p.sites[:k])
-                rows.append((sample, k, name, utility, round(ms.optimality_ratio(utility, best), 6)))
+            rows += [(sample, k, name, u[min(k, len(u)) - 1], round(ms.optimality_ratio(u[min(k, len(u)) - 1], best), 6)) for name, u in reached.items()]
     return table(spark, rows, "sample int, k int, method string, utility long, ratio double")
 
 
@@ -248,9 +250,10 @@ def w4_quality(spark, sf_dir):
         k = 25 if tau == TAU else 5
         cover = materialize(w.cover(pref.binary(tau)), "w4")
         found = {"greedy": plain(w, tau, k, cover), "greedy_fm": sk.greedy_place_sketch(cover, k, w.n_paths(), 30), "index": on_index(w, w.index(), tau, k), "index_fm": on_index(w, w.index(), tau, k, 30)}
+        reached = {name: gr.prefix_utilities(cover, p.sites) for name, p in found.items()}
         for step in KS:
             if step <= k:
-                rows += [(tau, step, name, pct(w, gr.utility_of(cover, p.sites[:step]))) for name, p in found.items()]
+                rows += [(tau, step, name, pct(w, u[min(step, len(u)) - 1])) for name, u in reached.items()]
     return table(spark, rows, "tau int, k int, method string, utility_pct double")
 
 
