@@ -593,8 +593,10 @@ def test_chi_squared():
     assert [round(quality.chi2_value(p, 5), 3) for p in (0.5, 0.75, 0.975, 0.999)] == [4.351, 6.626, 12.833, 20.515]
 
 
-def test_quality_estimates(spark):
+@pytest.mark.parametrize("most_units", [50_000, 0])
+def test_quality_estimates(spark, monkeypatch, most_units):
     """The distributed steps against numpy, for units of 1 to 600 rows, with outliers that a plain scatter would hide."""
+    monkeypatch.setattr(quality, "MOST_BROADCAST_UNITS", most_units)
     rng = np.random.default_rng(4)
     sizes = {"large": 600, "small": 40, "two": 2, "one": 1}
     data = {u: rng.normal([1.6, 0.3, 0.2, 0.3, 3.7], [0.05, 0.2, 0.3, 0.3, 0.6], (n, 5)) for u, n in sizes.items()}
