@@ -171,3 +171,23 @@ def test_site_in_mid_road_with_paths(spark, world):
     grown = ix.add_node_site(index, 100, round_trip(dist), [0, 1], points, dist)
     for r in grown.member.where("node_id = 100").collect():
         assert grown.path.where((F.col("level") == r["level"]) & (F.col("cluster_id") == r["cluster_id"]) & (F.col("path_id") == 1)).count() == 1
+
+
+def test_jdbc_options():
+    from waysite.sources.tables import jdbc_options
+
+    assert jdbc_options("jdbc:x", "detours", "path_id", 0, 99, 4) == {"url": "jdbc:x", "dbtable": "detours", "partitionColumn": "path_id", "lowerBound": "0", "upperBound": "99", "numPartitions": "4"}
+
+
+def test_workspace(world, spark):
+    """The planner's ways give what the operators give."""
+    from waysite.api import Workspace
+
+    ws = Workspace(spark, world.points(), world.sites(), world.net().edges, world.detours(), world.index())
+    plain = gr.greedy_place(world.cover(pref.binary(150)), gr.PlacementSpec(k=3, mode="auto"), world.n_paths(), world.sites())
+    assert ws.place_sites(150, 3).steps == plain.steps
+    assert ws.place_sites(800, 3).steps == ix.index_place(world.index(), gr.PlacementSpec(k=3), pref.binary(800), world.n_paths()).steps
+    assert ws.place_sites(9000, 2).sites == [0, 1]
+    assert len(ws.place_sites(9000, None, budget=2.0).steps) == 2
+    bare = Workspace(spark, world.points(), world.sites(), world.net().edges)
+    assert sorted(map(tuple, bare.cover_of(pref.linear(300)).collect())) == sorted(map(tuple, world.cover(pref.linear(300)).select("path_id", "site_id", "metres", "score").collect()))
