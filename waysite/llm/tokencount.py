@@ -8,6 +8,7 @@ from __future__ import annotations
 
 import math
 import uuid
+from collections import Counter
 from collections.abc import Iterator
 from functools import lru_cache
 
@@ -102,19 +103,28 @@ def processor(path: str):
 
 def piece_counts(docs: DataFrame, model_path: str, *, text_col: str = "text") -> DataFrame:
     """(piece, n): how often each piece stands in all texts when every word is cut as the file itself cuts it. Words are
-    cut once a slice; counts are summed per task, then by piece, of which there are as many as the file has."""
+    cut once a task, or as often as it can't hold them all; counts are summed per task, then by piece, of which there are as many as the file has."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         model = processor(model_path)
-        total = np.zeros(model.get_piece_size(), np.int64)
+        total, waiting = np.zeros(model.get_piece_size(), np.int64), Counter()
+
+        def cut() -> None:
+            ids = model.encode(list(waiting), num_threads=1) if waiting else []
+            flat = np.fromiter((i for x in ids for i in x), np.int64)
+            times = np.repeat(np.fromiter(waiting.values(), np.int64, len(waiting)), [len(x) for x in ids])
+            total[:] += np.bincount(flat, weights=times, minlength=len(total)).astype(np.int64)
+            waiting.clear()
+
         for batch in slices(batches, "text", SLICE):
             array, _ = segments(word_stream(*utf8_buffer(batch.column(0)), lower=False))
             encoded = pc.dictionary_encode(array)
             times = np.bincount(np.asarray(encoded.indices), minlength=len(encoded.dictionary))
-            words = [w[:-1].decode("utf-8", "replace") for w in encoded.dictionary.to_pylist()]
-            ids = model.encode(words, num_threads=1) if words else []
-            flat = np.fromiter((i for x in ids for i in x), np.int64)
-            total += np.bincount(flat, weights=np.repeat(times, [len(x) for x in ids]), minlength=len(total)).astype(np.int64)
+            for word, n in zip(encoded.dictionary.to_pylist(), times.tolist(), strict=True):
+                waiting[word[:-1].decode("utf-8", "replace")] += n
+            if len(waiting) > REMEMBERED:
+                cut()
+        cut()
         held = np.flatnonzero(total)
         if len(held):
             yield pa.RecordBatch.from_arrays([pa.array(held.astype(np.int32)), pa.array(total[held])], names=["piece", "n"])
