@@ -253,3 +253,47 @@ def test_entry(spark):
 
     assert e.entry(spark).count() == 5
     assert set(e.oracle_sql()) <= set(e.queries())
+
+
+def test_exact_searches_of_any_size(spark, monkeypatch):
+    """Repeated paths count with their number, and above MOST_ROWS rows the same search asks Spark for its gains."""
+    for seed in (3, 4):
+        once = random_cover(seed, paths=8, sites=6, binary=seed == 3)
+        scores = {(p + 100 * i, s): v for (p, s), v in once.items() for i in range(4)}
+        cover, sites = cover_of(spark, scores), spark.createDataFrame([(s,) for s in range(7)], "site_id long")
+        want = ex.brute_force(scores, list(range(7)), 2)
+        monkeypatch.setattr(ex, "MOST_ROWS", 2_000_000)
+        held = ex.branch_and_bound(cover, sites, 2)
+        monkeypatch.setattr(ex, "MOST_ROWS", 10)
+        assert ex.branch_and_bound(cover, sites, 2) == held == list(want[1])
+        tried = {tuple(r["members"]): r["utility"] for r in ex.enumerate_sets(cover, sites, 2).collect()}
+        assert len(tried) == 21 and max(tried.values()) == want[0] and tried[(0, 6)] == sum(v for (_, s), v in scores.items() if s == 0)
+        assert ex.grouped_rows(cover).count() <= 8
+
+
+def test_routes_stand_for_their_paths(spark):
+    """Covers, placements, sketches, indexes and similar sites of routes are those of their paths."""
+    w = fx.net100(spark, "/root/testdata/sf0.001")
+    r, m = w.by_routes(), w.n_paths()
+    assert r.n_paths() == m and r.points().select("path_id").distinct().count() < m
+    cover, grouped = w.cover(pref.linear(400)), r.cover(pref.linear(400))
+    sites = fx.with_costs(w.sites(), 0.6)
+    for spec in (gr.PlacementSpec(k=4, mode="auto"), gr.PlacementSpec(k=None, quota=0.5, mode="auto"), gr.PlacementSpec(k=None, budget=3.0, mode="auto"), gr.PlacementSpec(k=4, mode="delta"), gr.PlacementSpec(k=4, existing=(55,))):
+        assert gr.greedy_place(cover, spec, m, sites).steps == gr.greedy_place(grouped, spec, m, sites).steps
+    binary = pref.binary(800)
+    assert sk.greedy_place_sketch(w.cover(binary), 3, m, 8).steps == sk.greedy_place_sketch(r.cover(binary), 3, m, 8, members=w.route_of()).steps
+    for copies in (None, 8):
+        whole, by_route = (ix.index_place(x.index(), gr.PlacementSpec(k=3), binary, m, None, copies, members=n) for x, n in ((w, None), (r, w.route_of())))
+        assert whole.steps == by_route.steps
+    assert sorted(map(tuple, ms.index_rows(w.index()).collect())) == sorted(map(tuple, ms.index_rows(r.index()).collect()))
+
+
+def test_similar_pairs_of_any_size(spark, monkeypatch):
+    w = fx.net100(spark, "/root/testdata/sf0.001")
+    cover, grouped = w.cover(pref.binary(240)), w.by_routes().cover(pref.binary(240))
+    want = sorted(map(tuple, cl.jaccard_pairs(cover, 0.3).collect()))
+    monkeypatch.setattr(cl, "MOST_COMPARED", 10)
+    for most in (2_000, 10):
+        monkeypatch.setattr(cl, "MOST_MATRIX_SITES", most)
+        assert sorted(map(tuple, cl.similar_pairs(cover, 0.3).collect())) == sorted(map(tuple, cl.similar_pairs(grouped, 0.3).collect())) == want
+    assert cl.jaccard_clusters(cover, 0.3).count() == 100
