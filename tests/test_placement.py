@@ -297,3 +297,25 @@ def test_similar_pairs_of_any_size(spark, monkeypatch):
         monkeypatch.setattr(cl, "MOST_MATRIX_SITES", most)
         assert sorted(map(tuple, cl.similar_pairs(cover, 0.3).collect())) == sorted(map(tuple, cl.similar_pairs(grouped, 0.3).collect())) == want
     assert cl.jaccard_clusters(cover, 0.3).count() == 100
+
+
+def test_networks_come_from_given_tables(spark, sf_dir, tmp_path):
+    """The networks of these queries follow the tables: fewer visited or inhabited nodes make a smaller network."""
+    from waysite import queries as q
+    from waysite import relational as rel
+
+    spark.read.parquet(f"{sf_dir}/events.parquet").where("cast(get_json_object(props, '$.k') as int) < 9").write.parquet(f"{tmp_path}/events.parquet")
+    spark.read.parquet(f"{sf_dir}/customer.parquet").where("c_nationkey < 4").write.parquet(f"{tmp_path}/customer.parquet")
+    assert q.net100_edges(spark, str(tmp_path)).count() == 24 and q.net25_edges(spark, str(tmp_path)).count() == 8
+    assert q.distances_net100(spark, str(tmp_path)).count() == 81
+    assert {r["src"] for r in q.distances_horizon(spark, str(tmp_path)).collect()} == set(range(9))
+    assert all(r["cluster_id"] < 9 for r in q.cluster_links(spark, str(tmp_path)).collect())
+    assert rel.q_cte_recursive(spark, str(tmp_path)).count() == 4
+
+
+def test_scores_come_from_order_lines(spark, tmp_path):
+    from waysite import queries as q
+
+    spark.createDataFrame([(1, 1, 9.0), (1, 2, 4.0), (2, 2, 1.0)], "l_orderkey long, l_suppkey long, l_quantity double").write.parquet(f"{tmp_path}/lineitem.parquet")
+    spark.createDataFrame([(1, 7), (2, 8)], "s_suppkey long, s_nationkey int").write.parquet(f"{tmp_path}/supplier.parquet")
+    assert [(r["site_id"], r["gain"]) for r in q.greedy_from_scores(spark, str(tmp_path)).collect()] == [(8, 900_000), (7, 500_000)]
