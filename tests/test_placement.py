@@ -319,3 +319,17 @@ def test_scores_come_from_order_lines(spark, tmp_path):
     spark.createDataFrame([(1, 1, 9.0), (1, 2, 4.0), (2, 2, 1.0)], "l_orderkey long, l_suppkey long, l_quantity double").write.parquet(f"{tmp_path}/lineitem.parquet")
     spark.createDataFrame([(1, 7), (2, 8)], "s_suppkey long, s_nationkey int").write.parquet(f"{tmp_path}/supplier.parquet")
     assert [(r["site_id"], r["gain"]) for r in q.greedy_from_scores(spark, str(tmp_path)).collect()] == [(8, 900_000), (7, 500_000)]
+
+
+def test_capacities_over_routes(spark, sf_dir, monkeypatch):
+    """Capacities over routes give the picks, gains and utilities of their paths, in one process and beyond it."""
+    w = fx.net100(spark, sf_dir)
+    r, m = w.by_routes(), w.n_paths()
+    for preference, share in ((pref.binary(500), 0.02), (pref.convex(500), 0.05)):
+        sites = fx.with_capacities(w.sites(), share * m)
+        cover, grouped = w.cover(preference), dt.cover(r.detours(), preference)
+        want = gr.greedy_place(cover, gr.PlacementSpec(k=4, capacity=True, mode="arrays"), m, sites)
+        assert gr.capacity_place(grouped, w.route_of(), 4, m, sites).steps == want.steps
+        assert gr.capacity_place(grouped, w.route_of(), 4, m, sites, [5, 55]).utility == gr.served_by(cover, [5, 55], sites)
+    monkeypatch.setattr(gr, "MOST_MEMBERS", 10)
+    assert gr.capacity_place(grouped, w.route_of(), 4, m, sites).steps == want.steps
