@@ -71,6 +71,42 @@ def test_supplier_network_is_covered_by_bits(spark, sf_dir, monkeypatch):
     assert wl.w6_time(spark, sf_dir).count() == 40 and wl.w11_time(spark, sf_dir).count() == 12
 
 
+def test_loops_of_one_threshold_are_one(spark, sf_dir, monkeypatch):
+    """w6_time runs a loop and makes sketches once a threshold and cover, not once a number of sites."""
+    calls, place, words = [], pk.PackedCover.place, pk.PackedCover.sketch_words
+    monkeypatch.setattr(pk.PackedCover, "place", lambda self, k, *rest: calls.append(("place", k)) or place(self, k, *rest))
+    monkeypatch.setattr(pk.PackedCover, "sketch_words", lambda self, f: calls.append(("words", f)) or words(self, f))
+    rows = wl.w6_time(spark, sf_dir).collect()
+    assert sorted(calls) == sorted([("place", 5)] * 6 + [("place", 25)] * 2 + [("words", 30)] * 8)
+    assert sorted({(r["tau"], r["k"]) for r in rows}) == sorted({(t, 5) for t in (240, 400, 800, 1200)} | {(800, k) for k in wl.KS})
+    for method in ("greedy", "index"):
+        loops = [r["loop_s"] for r in sorted(rows, key=lambda r: r["k"]) if r["tau"] == 800 and r["method"] == method]
+        assert loops == sorted(loops)
+
+
+def test_unions_are_estimated_together(monkeypatch):
+    """Picks and tries are those of one union after the other, with few calls for many sites."""
+    rng = np.random.default_rng(7)
+    words = np.bitwise_or.reduce(1 << np.minimum(rng.geometric(0.5, (900, 12, 30)) - 1, 31), axis=1) | rng.integers(0, 8, (900, 1))
+    ids, calls, known = rng.permutation(900), [], sk.estimates
+    monkeypatch.setattr(sk, "estimates", lambda w: calls.append(len(w)) or known(w))
+    for prune in (True, False):
+        made = []
+        for at_once in (1, 256):
+            monkeypatch.setattr(sk, "UNIONS_AT_ONCE", at_once)
+            calls.clear()
+            made.append(sk.sketch_steps(words, ids, 9, prune))
+        assert made[0] == made[1] and len(calls) < 60
+
+
+def test_places_are_prefixes(world):
+    """The first steps of a loop are the loop of fewer sites; sketches may be given."""
+    held, m = world.packed_cover(400, 1200), world.n_paths()
+    long = held.place(13, m)
+    assert held.place(5, m).steps == long.steps[:5] and len(long.seconds) == 13 and long.seconds == sorted(long.seconds)
+    assert held.place_sketch(5, m, 30, held.sketch_words(30)).steps == held.place_sketch(5, m).steps
+
+
 def test_path_ends_by_joins(world, monkeypatch):
     """Ends of paths are alike from arrays in small pieces and from joins."""
     edges, nodes = world.net().edges, world.net().nodes
