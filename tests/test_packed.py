@@ -1,5 +1,7 @@
 """Covers of bits against covers of pairs."""
 
+from pathlib import Path
+
 import numpy as np
 import pytest
 from pyspark.sql import functions as F
@@ -12,6 +14,7 @@ from waysite.operators import greedy as gr
 from waysite.operators import index as ix
 from waysite.operators import packed as pk
 from waysite.operators import sketch as sk
+from waysite.sources.tables import shared_dir
 
 
 @pytest.fixture(scope="module")
@@ -72,11 +75,14 @@ def test_supplier_network_is_covered_by_bits(spark, sf_dir, monkeypatch):
 
 
 def test_loops_of_one_threshold_are_one(spark, sf_dir, monkeypatch):
-    """w6_time runs a loop and makes sketches once a threshold and cover, not once a number of sites."""
+    """w6_time runs a loop and makes sketches once a threshold and cover, not once a number of sites; no cover stays."""
+    folder = Path(shared_dir(spark).removeprefix("file:"))
+    before = set(folder.glob("packed-*"))
     calls, place, words = [], pk.PackedCover.place, pk.PackedCover.sketch_words
     monkeypatch.setattr(pk.PackedCover, "place", lambda self, k, *rest: calls.append(("place", k)) or place(self, k, *rest))
     monkeypatch.setattr(pk.PackedCover, "sketch_words", lambda self, f: calls.append(("words", f)) or words(self, f))
     rows = wl.w6_time(spark, sf_dir).collect()
+    assert set(folder.glob("packed-*")) == before
     assert sorted(calls) == sorted([("place", 5)] * 6 + [("place", 25)] * 2 + [("words", 30)] * 8)
     assert sorted({(r["tau"], r["k"]) for r in rows}) == sorted({(t, 5) for t in (240, 400, 800, 1200)} | {(800, k) for k in wl.KS})
     for method in ("greedy", "index"):
