@@ -10,6 +10,7 @@ from waysite import fixtures as fx
 from waysite import workloads as wl
 from waysite.functions import preference as pref
 from waysite.operators import detours as dt
+from waysite.operators import distance as ds
 from waysite.operators import greedy as gr
 from waysite.operators import index as ix
 from waysite.operators import packed as pk
@@ -130,3 +131,41 @@ def test_searches_are_spread(world):
     starts = world.sites().select(F.col("site_id").alias("node_id")).coalesce(1)
     found = dt.network_distances(world.net().edges, starts, 300)
     assert found.rdd.getNumPartitions() >= 8
+
+
+def test_near_ways(spark, monkeypatch):
+    """Trips and ways of groups of nodes are those of whole distances: on roads that differ by direction, on one-way roads
+    and for nodes without roads, in blocks of any size."""
+    rng = np.random.default_rng(5)
+    both = [(i, i + step, int(rng.integers(50, 90))) for step in (1, 7) for i in range(60)]
+    turned = both + [(b, a, int(rng.integers(50, 90))) for a, b, _ in both]
+    for roads in (turned, both + [(66, 0, 40), (59, 0, 30)]):
+        edges = spark.createDataFrame(roads, "src long, dst long, metres int")
+        groups = {2: ds.Group(np.arange(70), 300), 4: ds.Group(np.array([3, 8, 15, 16, 40, 69, 1000]), 700, 240)}
+        dist = {(r["src"], r["dst"]): r["metres"] for r in ds.network_distances(edges, spark.range(70).withColumnRenamed("id", "node_id")).collect()}
+        dist[1000, 1000] = 0
+        want = set()
+        for level, g in groups.items():
+            here = set(g.nodes.tolist())
+            want |= {(level, a, b, m + dist[b, a], ds.TRIP) for (a, b), m in dist.items() if {a, b} <= here and (b, a) in dist and m + dist[b, a] <= g.trip}
+            want |= {(level, a, b, m, ds.OUT) for (a, b), m in dist.items() if a in here and m <= g.way} | {(level, b, a, m, ds.BACK) for (a, b), m in dist.items() if b in here and m <= g.way}
+        for at_once in (1, 16):
+            monkeypatch.setattr(ds, "SOURCES_AT_ONCE", at_once)
+            found = list(map(tuple, ds.near_ways(edges, groups).collect()))
+            assert len(found) == len(set(found)) and set(found) == want
+    assert ds.way_share(ds.Roads.of(edges)) == 1 and ds.way_share(ds.Roads.of(spark.createDataFrame([(0, 1, 10), (1, 0, 30)], edges.schema))) == 0.75
+
+
+def test_index_searches_from_each_node_once(world, monkeypatch):
+    """A bounded index finds its links and the ways of all its levels by one search, and holds no table of all near pairs."""
+    made, asked = [], []
+    monkeypatch.setattr(ix, "near_ways", lambda edges, groups, f=ix.near_ways: asked.append(sorted(groups)) or f(edges, groups))
+    monkeypatch.setattr(ix, "network_distances", lambda *a, f=ix.network_distances, **k: made.append(k.get("wanted")) or f(*a, **k))
+    edges, nodes = world.net().edges, world.net().nodes
+    rows = lambda x: [sorted(map(tuple, t.collect())) for t in (x.member, x.link, x.path)]
+    index = ix.build_index_bounded(world.points(), world.sites(), edges, nodes, (210, 1200))
+    assert asked == [[0], [v.level for v in index.levels]] and len(made) == 1 and made[0] is not None
+    monkeypatch.setattr(ix, "fits_broadcast", lambda edges: False)
+    monkeypatch.setattr(ix, "level_clusters", lambda trips, radii: None)
+    monkeypatch.setattr(ix, "MOST_NEAR_WAYS", 0)
+    assert rows(ix.build_index_bounded(world.points(), world.sites(), edges, nodes, (210, 1200))) == rows(index)
