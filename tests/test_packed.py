@@ -169,3 +169,14 @@ def test_index_searches_from_each_node_once(world, monkeypatch):
     monkeypatch.setattr(ix, "level_clusters", lambda trips, radii: None)
     monkeypatch.setattr(ix, "MOST_NEAR_WAYS", 0)
     assert rows(ix.build_index_bounded(world.points(), world.sites(), edges, nodes, (210, 1200))) == rows(index)
+
+
+def test_whole_covers_are_made_once(spark, sf_dir, monkeypatch):
+    """All sites and all paths are one cover: it is made, placed and valued once for both."""
+    w, estimated, placed = fx.netsup(spark, sf_dir, filled=False), [], []
+    monkeypatch.setattr(wl, "estimate_of", lambda *a, f=wl.estimate_of: estimated.append(a) or f(*a))
+    monkeypatch.setattr(wl, "place_on", lambda *a, f=wl.place_on: placed.append(a) or f(*a))
+    rows = [tuple(r) for r in wl.w11_scale(spark, sf_dir).collect()]
+    assert len(estimated) == 3 and len(placed) == 10 and len(rows) == 12
+    whole = [r[2:] for r in rows if r[1] == 1]
+    assert whole[:2] == whole[2:] and whole[0][1] == wl.size_of(wl.near_of(w, wl.TAU))
