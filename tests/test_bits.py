@@ -6,7 +6,9 @@ import pytest
 from waysite import fixtures as fx
 from waysite.functions import preference as pref
 from waysite.operators import bits as bt
+from waysite.operators import exact as ex
 from waysite.operators import greedy as gr
+from waysite.operators import index as ix
 from waysite.operators import sketch as sk
 
 
@@ -55,6 +57,16 @@ def test_sketches_of_routes_from_bits(routes, monkeypatch):
     assert np.array_equal(ids, want[0]) and np.array_equal(words, want[1])
 
 
+def test_large_covers_are_searched_as_bits(spark, sf_dir, monkeypatch):
+    """The optimum of routes, whose numbers differ, without a table of all their rows."""
+    w = fx.net25(spark, sf_dir).by_routes()
+    cover, sites = w.cover(pref.binary(240)), w.sites().unionByName(spark.createDataFrame([(99,)], "site_id long"))
+    want = [ex.branch_and_bound(cover, sites, k) for k in (1, 3)]
+    monkeypatch.setattr(ex, "BIT_ROWS", 10)
+    monkeypatch.setattr(ex, "grouped_rows", no_rows)
+    assert [ex.branch_and_bound(cover, sites, k) for k in (1, 3)] == want
+
+
 def test_covers_that_are_no_bits(spark, monkeypatch):
     """Different scores of a path, a pair given twice, no rows, too many sites."""
     frame = lambda rows: spark.createDataFrame(rows, "path_id long, site_id long, score long")
@@ -65,3 +77,15 @@ def test_covers_that_are_no_bits(spark, monkeypatch):
     assert bt.site_bits(frame([*rows, (1, 200, 7)])) is None and bt.site_bits(frame([*rows, rows[0]])) is None and bt.site_bits(frame([])) is None
     monkeypatch.setattr(bt, "MOST_BIT_SITES", 100)
     assert bt.site_bits(frame(rows)) is None
+
+
+def test_cluster_paths_need_one_pass(spark, sf_dir, monkeypatch):
+    """With the kernel the rows of paths through clusters come from their routes, not from joins of all pairs."""
+    w = fx.net100(spark, sf_dir, filled=True)
+    stray = spark.createDataFrame([(7, 0, 5000, None), (8, 0, 5000, None), (8, 1, 3, None), (9, 0, 3, None), (9, 1, 3, None)], w.points().schema)
+    points = w.points().where("path_id % 7 = 0 AND path_id > 10").unionByName(stray)
+    member = w.index().member.unionByName(spark.createDataFrame([(0, 5000, 5000, 0), (1, 5000, 5000, 0)], w.index().member.select("level", "cluster_id", "node_id", "metres").schema))
+    rows = lambda kernel: sorted(map(tuple, ix.cluster_paths(points, member, w.dist(), kernel).collect()))
+    want = rows(False)
+    monkeypatch.setattr(ix, "through_clusters", no_rows)
+    assert rows(True) == want

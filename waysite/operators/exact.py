@@ -13,7 +13,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from waysite.operators.baselines import valued
-from waysite.operators.greedy import Placement
+from waysite.operators.bits import SiteBits, bit_sums, has_bit, site_bits
+from waysite.operators.greedy import BIT_ROWS, Placement
 from waysite.sources.tables import discard, materialize
 
 #: Rows of the cover, paths of equal scores taken as one, on which branch and bound searches in one process (more are asked
@@ -106,6 +107,38 @@ class _Held:
         return np.maximum(self.table[:, start:] - u[:, None], 0).T @ self.times
 
 
+@dataclass(frozen=True)
+class _Bits:
+    """Different rows of bits and the sums of their scores; a state is the rows that no site so far covers."""
+
+    ids: np.ndarray
+    covering: np.ndarray  # the sites of the bits
+    held: tuple[np.ndarray, np.ndarray]
+
+    @staticmethod
+    def of(cover: DataFrame, ids: np.ndarray) -> _Bits | None:
+        bits: SiteBits | None = site_bits(cover) if cover.limit(BIT_ROWS + 1).count() > BIT_ROWS else None
+        if bits is None:
+            return None
+        held = bits.merged()
+        bits.discard()
+        return None if held is None else _Bits(ids, bits.ids, held)
+
+    def nothing(self) -> tuple[np.ndarray, np.ndarray]:
+        return self.held
+
+    def with_site(self, u: tuple[np.ndarray, np.ndarray], i: int) -> tuple[np.ndarray, np.ndarray]:
+        at = np.flatnonzero(self.covering == self.ids[i])
+        if not len(at):
+            return u
+        left = ~has_bit(u[0], int(at[0]))
+        return u[0][left], u[1][left]
+
+    def gains(self, u: tuple[np.ndarray, np.ndarray], start: int) -> np.ndarray:
+        summed = dict(zip(self.covering.tolist(), bit_sums(*u, len(self.covering)).tolist(), strict=True))
+        return np.array([summed.get(s, 0) for s in self.ids[start:].tolist()], np.int64)
+
+
 @dataclass(frozen=True)
 class _Asked:
     """Scores of any number, written; a state is the places of the sites so far, and gains are one job of Spark."""
@@ -132,15 +165,18 @@ class _Asked:
 
 def branch_and_bound(cover: DataFrame, sites: DataFrame, k: int) -> list[int]:
     """Depth first over sites in id order. The k - d best single gains bound what d chosen sites can still add, as
-    gains never grow when sites are added. Paths with equal scores everywhere count once, with their number; up to MOST_ROWS
+    gains never grow when sites are added. Large covers that can be bits of sites are searched as their different rows. Else
+    paths with equal scores everywhere count once, with their number; up to MOST_ROWS
     rows the search is one process's, with more each of its gains is a job."""
-    rows = materialize(grouped_rows(cover), "exact-rows")
-    ids = np.sort(sites.select("site_id").toPandas()["site_id"].to_numpy())
-    if int(rows.agg(F.coalesce(F.sum(F.size("sites")), F.lit(0))).first()[0]) <= MOST_ROWS:
-        taken = rows.toPandas()
-        scores = _Held(score_table(taken, ids), taken["times"].to_numpy(np.int64))
-    else:
-        scores = _Asked(rows, ids)
+    ids, rows = np.sort(sites.select("site_id").toPandas()["site_id"].to_numpy()), None
+    scores = _Bits.of(cover, ids)
+    if scores is None:
+        rows = materialize(grouped_rows(cover), "exact-rows")
+        if int(rows.agg(F.coalesce(F.sum(F.size("sites")), F.lit(0))).first()[0]) <= MOST_ROWS:
+            taken = rows.toPandas()
+            scores = _Held(score_table(taken, ids), taken["times"].to_numpy(np.int64))
+        else:
+            scores = _Asked(rows, ids)
     best_value, best_set = -1, ()
 
     def search(chosen: tuple[int, ...], u, value: int, start: int) -> None:
@@ -171,7 +207,8 @@ def branch_and_bound(cover: DataFrame, sites: DataFrame, k: int) -> list[int]:
         u = scores.with_site(u, i)
     best_value = value - 1
     search((), scores.nothing(), 0, 0)
-    discard(rows)
+    if rows is not None:
+        discard(rows)
     return [int(ids[i]) for i in (best_set or tuple(sorted(start_set)))]
 
 
